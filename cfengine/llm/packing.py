@@ -30,9 +30,13 @@ from .common import Scratch, ranked, text_or_empty
 CAPACITY = 4096
 END = 1
 TOKENIZER = "word_bpe_49k.json"
-CACHE = 300_000  # words a worker remembers
+CACHE = 500_000  # units a worker remembers
 
 _SPLIT = re.compile(r"[^\x20\x09-\x0D]+")
+_LETTERS = "a-zA-Z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff"
+_NUMBERS = "0-9\xb2\xb3\xb9\xbc-\xbe"
+_BLANKS = "\x09-\x0d\x20\x85\xa0"
+_UNIT = re.compile(f"[{_LETTERS}]+|[{_NUMBERS}]|[^{_BLANKS}{_LETTERS}{_NUMBERS}]+")
 _ODD = ("\x1c", "\x1d", "\x1e", "\x1f")  # blanks to str.split, not to the tokenizer
 
 
@@ -43,42 +47,74 @@ def tokenizer_path() -> str:
 
 
 class WordEncoder:
-    """Token ids of a text as bytes (little-endian, 32 bits each). The tokenizer drops blanks and never joins
-    across them, so words are encoded once and remembered."""
+    """Token ids of a text as bytes (little-endian, 32 bits each).
+
+    The tokenizer drops blanks, and never joins across them or, without an apostrophe, across
+    the borders of letters, digits and signs. So such units are encoded once and remembered.
+    Texts of Latin-1 characters without an apostrophe are lower-cased and cut into these units;
+    lower-casing and normalization commute there. Other texts are cut at blanks alone.
+    """
 
     def __init__(self, path: str, limit: int = CACHE):
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.known: dict[str, bytes] = {}
+        # for units, which are normalized and cut already: the same merges without those steps
+        self.merger = Tokenizer.from_file(path)
+        self.merger.normalizer = None
+        self.merger.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.WhitespaceSplit(), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
+        self.units: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
         self.limit = limit
-
-    def learn(self, words: set[str]) -> None:
-        if len(self.known) + len(words) > self.limit:
-            self.known.clear()
-        todo = list(words)
-        for at in range(0, len(todo), 10_000):
-            part = todo[at : at + 10_000]
-            for w, e in zip(part, self.tokenizer.encode_batch(part, add_special_tokens=False), strict=True):
-                self.known[w] = np.array(e.ids, dtype="<u4").tobytes()
+        vocab = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocab.values()) + 1, dtype=bool)
+        self.ends[[k for w, k in vocab.items() if w.endswith("</w>")]] = True
+
+    def _learn_units(self, units: list[str]) -> None:
+        """Many units in one text: the last token of each, and no other, carries the mark of an end."""
+        step = 200
+        coded = self.merger.encode_batch_fast([" ".join(units[at : at + step]) for at in range(0, len(units), step)], add_special_tokens=False)
+        for at, e in zip(range(0, len(units), step), coded, strict=True):
+            part = units[at : at + step]
+            ids = np.array(e.ids, dtype="<u4")
+            cuts = np.flatnonzero(self.ends[ids]) + 1
+            if len(cuts) != len(part):
+                self.units.update((w, self._ids(w)) for w in part)
+                continue
+            data, last = ids.tobytes(), 0
+            for w, c in zip(part, (4 * cuts).tolist(), strict=True):
+                self.units[w] = data[last:c]
+                last = c
+
+    def _ids(self, text: str) -> bytes:
+        return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, dtype="<u4").tobytes()
+
+    def _known(self, cut: list[list[str]], known: dict[str, bytes], learn) -> None:
+        need: set[str] = set()
+        need.update(*cut)
+        new = need.difference(known)
+        if len(known) + len(new) > self.limit:
+            known.clear()
+            new = need
+        learn(list(new))
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
-        split = [(_SPLIT.findall(t) if any(c in t for c in _ODD) else t.split()) for t in texts]
-        new = set()
-        for words in split:
-            new.update(words)
-        new.difference_update(self.known)
-        if new:
-            keep = set()
-            if len(self.known) + len(new) > self.limit:  # what this call needs must all be known at once
-                for words in split:
-                    keep.update(words)
-                new = keep
-                self.known.clear()
-            self.learn(new)
-        get = self.known.__getitem__
-        for words in split:
-            yield b"".join(map(get, words))
+        plain = [_latin(t) for t in texts]
+        cut = [_UNIT.findall(t.lower()) if p else (_SPLIT.findall(t) if any(c in t for c in _ODD) else t.split()) for t, p in zip(texts, plain, strict=True)]
+        self._known([c for c, p in zip(cut, plain, strict=True) if p], self.units, self._learn_units)
+        self._known([c for c, p in zip(cut, plain, strict=True) if not p], self.words, lambda new: self.words.update((w, self._ids(w)) for w in new))
+        for c, p in zip(cut, plain, strict=True):
+            yield b"".join(map((self.units if p else self.words).__getitem__, c))
+
+
+def _latin(t: str) -> bool:
+    if "'" in t or "<|" in t:
+        return False
+    try:
+        t.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    return not any(c in t for c in _ODD)
 
 
 _encoders: dict[str, WordEncoder] = {}
