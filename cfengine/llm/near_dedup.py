@@ -23,7 +23,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, mix64, word_hashes
@@ -202,21 +202,29 @@ def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
     return edges.select(F.col("u").alias("node"), F.col("v").alias("comp"))
 
 
-def _regions(orders: DataFrame, scratch: Scratch) -> DataFrame:
-    """region, n, ord, doc: documents that share a prefix, deepened where more than REGION do."""
+def _regions(classes: DataFrame, scratch: Scratch) -> DataFrame:
+    """region, n, ord, doc: documents that share a prefix, deepened where more than REGION do.
+
+    Only hashes of prefixes travel; signatures are joined again for what is deepened. All sides
+    of these joins grow with the input, so none is broadcast whatever its size today.
+    """
+
+    def prefix(order: Column, depth: int) -> Column:
+        return F.xxhash64(order, F.lit(depth), F.substring(F.concat("sig", "sig"), order * F.lit(4 * STEP) + F.lit(1), F.lit(4 * depth)))
+
+    orders = F.sequence(F.lit(0), F.lit(ORDERS - 1))
+    keyed = classes.select("doc", F.explode(F.transform(orders, lambda k: F.struct(k.alias("ord"), prefix(k, DEPTHS[0]).alias("region")))).alias("o")).select("doc", "o.ord", "o.region")
     found = None
-    active = orders
-    for k, depth in enumerate(DEPTHS):
-        keyed = active.withColumn("region", F.xxhash64(F.col("ord"), F.lit(depth), F.substring("label", 1, 4 * depth)))
+    for k in range(len(DEPTHS)):
         sizes = keyed.groupBy("region").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-        keyed = scratch.cut(keyed.join(sizes, "region"))
+        keyed = scratch.cut(keyed.join(sizes.hint("merge"), "region"))
         last = k == len(DEPTHS) - 1
-        done = keyed if last else keyed.where(F.col("n") <= REGION)
-        done = done.select("region", "n", "ord", "doc")
+        done = (keyed if last else keyed.where(F.col("n") <= REGION)).select("region", "n", "ord", "doc")
         found = done if found is None else found.unionByName(done)
-        if last or keyed.where(F.col("n") > REGION).isEmpty():
+        over = keyed.where(F.col("n") > REGION)
+        if last or over.isEmpty():
             return found
-        active = keyed.where(F.col("n") > REGION).select("ord", "doc", "label")
+        keyed = over.select("doc", "ord").join(classes.select("doc", "sig").hint("merge"), "doc").select("doc", "ord", prefix(F.col("ord"), DEPTHS[k + 1]).alias("region"))
     return found
 
 
@@ -230,7 +238,7 @@ def _linked(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     dealt = dealt.select("region", F.least("own", "j").alias("lo"), F.greatest("own", "j").alias("hi"), "doc", "comp")
     parts = max(1, spark.sparkContext.defaultParallelism * 4, dealt.count() // 2000)
     dealt = dealt.withColumn("bucket", F.pmod(F.xxhash64("region", "lo", "hi"), F.lit(parts)))
-    return dealt.join(sets, "doc").groupBy("bucket").applyInPandas(_forest(percent), "a long, b long")
+    return dealt.join(sets.hint("merge"), "doc").groupBy("bucket").applyInPandas(_forest(percent), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> DataFrame:
@@ -240,16 +248,13 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     signed = scratch.cut(rows.mapInPandas(_sign(words), "doc_id long, n_shingles long, d1 long, d2 long, sig binary"))
     classes = scratch.cut(signed.where("n_shingles > 0 and doc_id is not null").groupBy("d1", "d2").agg(F.min("doc_id").alias("doc"), F.first("sig").alias("sig")))
-    rotated = F.concat(*[F.col("sig")] * 2)
-    orders = classes.select("doc", F.explode(F.transform(F.sequence(F.lit(0), F.lit(ORDERS - 1)), lambda k: F.struct(k.alias("ord"), F.substring(rotated, k * (4 * STEP) + 1, F.lit(4 * SIGNATURE)).alias("label")))).alias("o")).select("doc", "o.ord", "o.label")
-    # the prefix hashes of the first depth need no label; labels travel on only in oversize regions
-    regions = _regions(orders, scratch)
+    regions = _regions(classes, scratch)
     # regions with the same documents in several orders are compared once, in the first of them
     prints = regions.groupBy("region").agg(F.first("ord").alias("ord"), F.first("n").alias("n"), F.bit_xor(F.xxhash64("doc", F.lit(1))).alias("x1"), F.bit_xor(F.xxhash64("doc", F.lit(2))).alias("x2"))
     first = prints.groupBy("n", "x1", "x2").agg(F.min(F.struct("ord", "region")).alias("r")).select("r.region")
-    members = scratch.cut(regions.join(first, "region", "left_semi"))
+    members = scratch.cut(regions.join(first.hint("merge"), "region", "left_semi"))
     ids = members.select(F.col("doc").alias("doc_id")).distinct()
-    sets = scratch.cut(rows.join(ids, "doc_id", "left_semi").mapInPandas(_sets(words), "doc long, shingles binary").dropDuplicates(["doc"]))
+    sets = scratch.cut(rows.join(ids.hint("merge"), "doc_id", "left_semi").mapInPandas(_sets(words), "doc long, shingles binary").dropDuplicates(["doc"]))
     early = members.where(F.col("ord") < FIRST_ORDERS).withColumn("comp", F.col("doc"))
     links = scratch.cut(_linked(early, sets, percent))
     comps = components(links, scratch)
@@ -259,6 +264,6 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     more = scratch.cut(_linked(late, sets, percent))
     comps = components(links.union(more), scratch)
     named = classes.select("d1", "d2", "doc").join(comps.withColumnRenamed("node", "doc"), "doc", "left").select("d1", "d2", F.coalesce("comp", "doc").alias("component_id"))
-    out = signed.drop("sig").join(scratch.cut(named), ["d1", "d2"], "left")
+    out = signed.drop("sig").join(scratch.cut(named).hint("merge"), ["d1", "d2"], "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
