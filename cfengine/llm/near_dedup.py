@@ -267,3 +267,11 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     out = signed.drop("sig").join(scratch.cut(named).hint("merge"), ["d1", "d2"], "left")
     component = F.when(F.col("n_shingles") > 0, F.coalesce("component_id", "doc_id")).otherwise(F.col("doc_id"))
     return out.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), component).alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+
+
+def one_of_each(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> DataFrame:
+    """The rows of docs that stay when one document of each class does, with their columns as they were.
+    An id stands for one document: of rows that repeat one, a single row stays. Rows without an id stay."""
+    stay = near_duplicates(docs, percent, words).where("kept and doc_id is not null").select("doc_id").distinct()
+    kept = docs.join(stay.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
+    return kept.unionByName(docs.where("doc_id is null"))

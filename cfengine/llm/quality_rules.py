@@ -81,23 +81,25 @@ def _repeats(hashes: Column) -> Column:
     return _let(windows, lambda w: F.when(F.size(F.array_distinct(w)) == F.size(w), F.lit(0)).otherwise(placed(w)))
 
 
-def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, the measurements (long) and failed (long, one bit per rule): the ledger. One pass, no shuffle."""
+def measure(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", carry: bool = False) -> DataFrame:
+    """id, the measurements (long) and failed (long, one bit per rule): the ledger. One pass, no shuffle.
+    carry: also the input's row as the struct _row, so that a filter needs no join."""
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
+    row = ["_row"] if carry else []
     words = F.filter(F.split(F.col("_t"), GAP), lambda w: w != "")
     lines = F.filter(F.split(F.col("_t"), "\n"), lambda x: F.length(F.regexp_replace(x, GAP, "")) > 0)
-    base = docs.select(F.col(id_col).alias("doc_id"), text.alias("_t"))
+    base = docs.select(F.col(id_col).alias("doc_id"), text.alias("_t"), *([F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row")] if carry else []))
     parts = base.select(
-        "doc_id",
+        *row, "doc_id",
         F.transform(words, lambda w: F.xxhash64(w)).alias("_h"),
         F.length(F.regexp_replace("_t", GAP, "")).cast("long").alias("word_chars"),
         F.length(F.regexp_replace("_t", r"[^#*$%&|<>]+", "")).cast("long").alias("n_symbols"),
         _let(F.transform(lines, lambda x: F.xxhash64(x)), lambda h: F.struct(F.size(h).alias("n"), F.size(F.array_distinct(h)).alias("d"))).alias("_l"),
     )
     # one generated row keeps the word hashes from being computed at both of their uses
-    parts = parts.select(F.inline(F.array(F.struct("doc_id", "_h", "word_chars", "n_symbols", "_l"))))
+    parts = parts.select(F.inline(F.array(F.struct(*row, "doc_id", "_h", "word_chars", "n_symbols", "_l"))))
     counted = parts.select(
-        "doc_id", F.size("_h").cast("long").alias("n_words"), "word_chars", "n_symbols",
+        *row, "doc_id", F.size("_h").cast("long").alias("n_words"), "word_chars", "n_symbols",
         (F.col("_l.n") - F.col("_l.d")).cast("long").alias("n_dup_lines"),
         F.when(F.size("_h") < 2 * 1 + WINDOW - 1, F.lit(0)).otherwise(_repeats(F.col("_h"))).cast("long").alias("n_repeat_words"),
         F.col("_l.n").cast("long").alias("n_lines"),
@@ -134,5 +136,10 @@ def ablations(ledger: DataFrame, policy: Policy) -> DataFrame:
     )
 
 
+def reject(docs: DataFrame, policy: Policy = POLICIES["v1"]) -> DataFrame:
+    """The rows of docs that the policy keeps, with their columns as they were."""
+    return apply_policy(measure(docs, carry=True), policy).where("kept").select("_row.*")
+
+
 def quality_rules(docs: DataFrame, policy: Policy = POLICIES["v1"]) -> DataFrame:
     return apply_policy(measure(docs), policy)
