@@ -65,6 +65,14 @@ def fewer(df: DataFrame, per_core: int = 4) -> DataFrame:
     return df.coalesce(max(1, df.sparkSession.sparkContext.defaultParallelism * per_core))
 
 
+def about(df: DataFrame, key: str, n: int) -> DataFrame:
+    """About n rows, those with the smallest hashes of a key; a filter, so no task sends more than its share."""
+    rows = df.count()
+    if rows <= n:
+        return df
+    return df.where(F.pmod(F.xxhash64(key, F.lit(404)), F.lit(1 << 31)) < F.lit(int((1 << 31) * n / rows)))
+
+
 def text_or_empty(t) -> str:
     return t if isinstance(t, str) else ""
 
