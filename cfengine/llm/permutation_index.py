@@ -7,7 +7,7 @@ ranks candidates by the footrule distance of the two orders (a pivot that is mis
 place NEAREST). The best RERANK share of a block's distinct vectors is scored exactly, in
 double precision on the original vectors, and blocks' best are merged.
 
-Pivots are the SAMPLE vectors with the smallest hash of their id, thinned to PIVOTS that lie far apart; every
+Pivots are about SAMPLE vectors with the smallest hashes of their ids, thinned to PIVOTS that lie far apart; every
 vector is indexed. Equal vectors share one entry, so crowds of copies neither fill the
 candidates nor hide smaller ids.
 
@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import Scratch
+from .common import Scratch, about
 
 PIVOTS = 256
 NEAREST = 48
@@ -138,8 +138,9 @@ def nearest_neighbours(vectors: DataFrame, every: int = 50, top: int = TOP) -> D
     scratch = Scratch(spark)
     rows = scratch.cut(usable(vectors).mapInPandas(_packed, "vec_id long, v binary"))
     n = rows.count()
-    sample = rows.orderBy(F.xxhash64("vec_id"), "vec_id").limit(SAMPLE).collect()
+    sample = about(rows, "vec_id", SAMPLE).collect()
     schema = "query_id long, rank int, vec_id long, score double"
+    sample.sort(key=lambda r: (r["vec_id"], r["v"]))
     if not sample:
         return spark.createDataFrame([], schema)
     pivots = spark.sparkContext.broadcast(choose_pivots(np.array([np.frombuffer(r["v"]) for r in sample])))
