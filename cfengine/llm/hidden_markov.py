@@ -31,7 +31,7 @@ STATES = 6
 CLASSES = 4096
 RUN = 48
 ITERATIONS = 4
-BLOCK_MB = 24
+BLOCK_MB = 16
 END_HASH = np.uint64(0x9E3779B97F4A7C15)
 LOW = 0.1
 
