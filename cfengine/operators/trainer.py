@@ -24,7 +24,11 @@ from . import relational, sampling
 from .blocks import Counts, Layer, TrainConfig, block_epoch
 
 FACTORS = "side string, id long, vec array<double>"
-OUT = FACTORS + ", loss double, examples long, reads long, tile_hits long, active long"
+#: What kernels count: whole numbers, then sums and seconds by phase.
+WHOLE = ("examples", "reads", "tile_hits", "active", "rows_written", "copied_bytes", "weight_writes")
+PHASES = ("sample", "read_user", "read_item", "aggregate", "similarity", "loss", "backward", "update")
+REAL = ("loss_sum", *(f"s_{p}" for p in PHASES))
+OUT = FACTORS + "".join(f", {c} long" for c in WHOLE) + "".join(f", {c} double" for c in REAL)
 
 
 @dataclass
@@ -61,7 +65,7 @@ def init_factors(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = No
 
 def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch: int, delta: bool = False) -> pd.DataFrame:
     """Kernel of one cell: pairs and tagged factor rows in, tagged rows out (changed ones, or deltas)."""
-    empty = pd.DataFrame({"side": pd.Series(dtype=str), "id": pd.Series(dtype="int64"), "vec": pd.Series(dtype=object), **{c: pd.Series(dtype="float64" if c == "loss" else "int64") for c in ("loss", "examples", "reads", "tile_hits", "active")}})
+    empty = pd.DataFrame({"side": pd.Series(dtype=str), "id": pd.Series(dtype="int64"), "vec": pd.Series(dtype=object), **{c: pd.Series(dtype="int64") for c in WHOLE}, **{c: pd.Series(dtype="float64") for c in REAL}})
     if not len(rows):
         return empty
     rows = rows.sort_values(["side", "id"])
@@ -86,12 +90,22 @@ def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch
     if delta:
         users, items = users - before[0], items - before[1]
     out = pd.DataFrame({"side": ["user"] * len(u_ids) + ["item"] * len(i_ids), "id": np.concatenate((u_ids, i_ids)), "vec": [*users, *items]})
-    for name in ("loss", "examples", "reads", "tile_hits", "active"):
-        out[name] = 0.0 if name == "loss" else 0
-        out.loc[0, name] = getattr(c, name)
+    for name in WHOLE:
+        out[name] = np.zeros(len(out), np.int64)
+        out.loc[0, name] = int(getattr(c, name))
+    for name, value in zip(REAL, (c.loss, *(c.seconds[p] for p in PHASES)), strict=True):
+        out[name] = 0.0
+        out.loc[0, name] = value
     return out
 
 
+def _cell(cfg: TrainConfig, epoch: int, delta: bool = False):
+    def run(pairs: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
+        return _train_cell(pairs, rows, cfg, epoch, delta)
+
+    return run
+
+
 def block_of(side: str, ident: str | F.Column, cfg: TrainConfig) -> F.Column:
     return (mix(cfg.seed + (31 if side == "user" else 37), ident) % cfg.blocks).cast("int")
 
@@ -103,7 +117,7 @@ def rotation(pairs: DataFrame, cfg: TrainConfig) -> DataFrame:
 
 
 def _totals(history: list[dict], out: DataFrame, epoch: int) -> None:
-    r = out.agg(*[F.sum(c).alias(c) for c in ("loss", "examples", "reads", "tile_hits", "active")]).first()
+    r = out.agg(*[F.sum(c).alias(c) for c in (*WHOLE, *REAL)]).first()
     history.append({"epoch": epoch, **r.asDict()})
 
 
@@ -115,7 +129,7 @@ def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cut
             block = F.when(F.col("side") == "user", block_of("user", "id", cfg)).otherwise(F.pmod(block_of("item", "id", cfg) - turn, F.lit(cfg.blocks)))
             right = factors.withColumn("cell", block.cast("int")).groupBy("cell")
             left = dealt.where(F.col("turn") == turn).groupBy("cell")
-            out = cuts.cut(left.cogroup(right).applyInPandas(lambda a, b, e=epoch: _train_cell(a, b, cfg, e), OUT))
+            out = cuts.cut(left.cogroup(right).applyInPandas(_cell(cfg, epoch), OUT))
             _totals(history, out, epoch)
             factors = out.select("side", "id", "vec")
     return Model(factors, cfg, history=history)
@@ -128,14 +142,13 @@ def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts
     n_items = factors.where("side = 'item'").count()
     for epoch in range(cfg.epochs):
         need = dealt.select("worker", F.lit("user").alias("side"), F.col("user_id").alias("id")).union(dealt.select("worker", F.lit("item"), "item_id"))
-        workers = dealt.sparkSession.range(cfg.blocks).select(F.col("id").cast("int").alias("worker"))
         picks = factors.where("side = 'item'").select("side", "id").withColumn("w", F.explode(F.sequence(F.lit(0), F.lit(cfg.blocks - 1))))
         picks = picks.where(mix(cfg.seed + 43 + epoch, "id", "w") % n_items < tile).select(F.col("w").cast("int").alias("worker"), "side", "id")
-        need = need.union(picks).join(workers, "worker", "left_semi").distinct()
-        right = need.join(factors, ["side", "id"]).groupBy("worker")
-        out = cuts.cut(dealt.groupBy("worker").cogroup(right).applyInPandas(lambda a, b, e=epoch: _train_cell(a, b, cfg, e, delta=True), OUT))
+        need = need.union(picks).distinct()
+        right = need.join(factors, ["side", "id"]).select(F.col("worker").alias("w"), "side", "id", "vec").groupBy("w")
+        out = cuts.cut(dealt.groupBy("worker").cogroup(right).applyInPandas(_cell(cfg, epoch, delta=True), OUT))
         _totals(history, out, epoch)
-        summed = relational.combine_gradients(out.select("side", "id", F.col("vec").alias("g")), cfg.dim)
+        summed = relational.combine_gradients(out.where(F.exists("vec", lambda v: v != 0)).select("side", "id", F.col("vec").alias("g")), cfg.dim)
         factors = cuts.cut(relational.apply_sparse(factors, summed, -1.0))
     return Model(factors, cfg, history=history)
 
