@@ -143,3 +143,18 @@ def reject(docs: DataFrame, policy: Policy = POLICIES["v1"]) -> DataFrame:
 
 def quality_rules(docs: DataFrame, policy: Policy = POLICIES["v1"]) -> DataFrame:
     return apply_policy(measure(docs), policy)
+
+
+ORACLE = r"""
+WITH w AS (SELECT doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+win AS (SELECT doc_id, i, array_to_string(ws[i:i + 7], ' ') AS k FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 6)) AS i FROM w WHERE len(ws) >= 8)),
+twice AS (SELECT doc_id, i FROM (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, k) AS c FROM win) WHERE c > 1),
+marked AS (SELECT doc_id, count(DISTINCT i + o) AS n FROM twice, range(8) r(o) GROUP BY 1),
+lines AS (SELECT doc_id, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls FROM w),
+m AS (SELECT w.doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0) AS BIGINT) AS word_chars,
+        CAST(length(regexp_replace(t, '[^#*$%&|<>]+', '', 'g')) AS BIGINT) AS n_symbols, CAST(len(ls) - list_unique(ls) AS BIGINT) AS n_dup_lines,
+        CAST(coalesce(marked.n, 0) AS BIGINT) AS n_repeat_words, CAST(len(ls) AS BIGINT) AS n_lines
+      FROM w JOIN lines USING (doc_id) LEFT JOIN marked USING (doc_id)),
+f AS (SELECT *, CAST(""" + " + ".join(f"CASE WHEN {cond} THEN {BIT[name]} ELSE 0 END" for name, cond in RULES) + f""" AS BIGINT) AS failed FROM m)
+SELECT *, (failed & {BASE.mask}) <> 0 AS base_failed, (failed & {POLICIES["v1"].mask | BASE.mask}) = 0 AS kept FROM f
+"""

@@ -86,6 +86,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    from . import url_filter
+    from . import quality_rules, url_filter
 
-    return {"op10_url_filter": url_filter.ORACLE}
+    return {"op4_quality_rules": quality_rules.ORACLE, "op10_url_filter": url_filter.ORACLE}
