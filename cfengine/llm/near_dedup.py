@@ -6,8 +6,8 @@ being the signature rotated by k steps; neighbours with a long common prefix in
 runs of equal prefixes, the regions. Regions start at depth 4 and deepen where more than
 REGION documents share a prefix. Within a region all pairs are compared on full sets, in
 blocks of BLOCK documents, so no task holds more than two blocks and no pair is emitted: a block returns a
-spanning forest of its links. Two rounds use the orders: the second compares only regions whose
-documents the first left in different components.
+spanning forest of its links. Two rounds use the orders: the second compares only pairs that the
+first left in different components.
 
 A link of similarity s agrees on 4 values of a given order with probability s^4, so 16 orders
 miss one of 0.85 with probability 7e-6 and one of 0.80 with 2e-4, unless a region had to be deepened.
@@ -229,12 +229,18 @@ def _regions(classes: DataFrame, scratch: Scratch) -> DataFrame:
 
 
 def _linked(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """a, b: spanning links of every region. members: region, n, doc, comp."""
+    """a, b: spanning links of every region. members: region, n, doc, comp, minor, n_minor.
+
+    minor marks documents outside their region's largest component; only pairs with one of these are
+    open. Where they fit one block they join every block of the others; else every two blocks meet.
+    """
     spark = members.sparkSession
     blocks = F.ceil(F.col("n") / F.lit(BLOCK)).cast("int")
     own = F.pmod(F.xxhash64("doc", "region"), blocks).cast("int")
-    others = F.when(blocks == 1, F.array(F.lit(0))).otherwise(F.filter(F.sequence(F.lit(0), blocks - 1), lambda j: j != own))
-    dealt = members.select("region", "doc", "comp", own.alias("own"), F.explode(others).alias("j"))
+    every = F.sequence(F.lit(0), blocks - 1)
+    few = F.col("n_minor") <= BLOCK
+    others = F.when(blocks == 1, F.array(F.lit(0))).when(few & ~F.col("minor"), F.array(own)).when(few, every).otherwise(F.filter(every, lambda j: j != own))
+    dealt = members.select("region", "doc", "comp", F.when(few, F.lit(None).cast("int")).otherwise(own).alias("own"), F.explode(others).alias("j"))
     dealt = dealt.select("region", F.least("own", "j").alias("lo"), F.greatest("own", "j").alias("hi"), "doc", "comp")
     parts = max(1, spark.sparkContext.defaultParallelism * 4, dealt.count() // 2000)
     dealt = dealt.withColumn("bucket", F.pmod(F.xxhash64("region", "lo", "hi"), F.lit(parts)))
@@ -255,12 +261,14 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     members = scratch.cut(regions.join(first.hint("merge"), "region", "left_semi"))
     ids = members.select(F.col("doc").alias("doc_id")).distinct()
     sets = scratch.cut(rows.join(ids.hint("merge"), "doc_id", "left_semi").mapInPandas(_sets(words), "doc long, shingles binary").dropDuplicates(["doc"]))
-    early = members.where(F.col("ord") < FIRST_ORDERS).withColumn("comp", F.col("doc"))
+    early = members.where(F.col("ord") < FIRST_ORDERS).withColumns({"comp": F.col("doc"), "minor": F.lit(True), "n_minor": F.col("n")})
     links = scratch.cut(_linked(early, sets, percent))
     comps = components(links, scratch)
-    late = members.where(F.col("ord") >= FIRST_ORDERS).join(comps.withColumnRenamed("node", "doc"), "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
-    split = late.groupBy("region").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where("lo <> hi").select("region")
-    late = scratch.cut(late.join(split, "region", "left_semi").select("region", "n", "doc", "comp"))
+    late = members.where(F.col("ord") >= FIRST_ORDERS).join(comps.withColumnRenamed("node", "doc").hint("merge"), "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
+    sizes = late.groupBy("region", "comp").agg(F.count(F.lit(1)).alias("c"))
+    split = sizes.groupBy("region").agg(F.max(F.struct("c", "comp")).alias("most"), F.count(F.lit(1)).alias("k")).where("k > 1").select("region", "most")
+    late = late.join(split.hint("merge"), "region").select("region", "n", "doc", "comp", (F.col("comp") != F.col("most.comp")).alias("minor"), (F.col("n") - F.col("most.c")).alias("n_minor"))
+    late = scratch.cut(late)
     more = scratch.cut(_linked(late, sets, percent))
     comps = components(links.union(more), scratch)
     named = classes.select("d1", "d2", "doc").join(comps.withColumnRenamed("node", "doc"), "doc", "left").select("d1", "d2", F.coalesce("comp", "doc").alias("component_id"))
