@@ -3,8 +3,7 @@
 One call takes the block's pairs and its user and item rows. Pairs run in a seeded order in
 batches of cfg.batch; batch 1 is sequential. The three sums are kept for the gradients, only
 rows of the batch are written, and inactive negatives cost nothing after the forward pass.
-Behaviour aggregation mixes the user row with the mean of resident history rows through a
-dense layer, whose gradient is summed over m iterations before it is applied.
+Behaviour aggregation pools resident history rows; its gradients are summed over m iterations before they are applied.
 """
 
 from __future__ import annotations
@@ -15,6 +14,7 @@ from dataclasses import dataclass, field, replace
 import numpy as np
 
 from ..functions.mix import P
+from .aggregate import Layer, backward, pool
 
 
 @dataclass(frozen=True)
@@ -41,13 +41,15 @@ class TrainConfig:
     seed: int = 1
     plan: str = "auto"
     blocks: int = 4
-    engine: str = "fused"  # fused, dense (batched copies and full updates)
+    engine: str = "fused"  # fused; dense (batched copies, full updates); sparse (batched copies, merged updates); jagged (flat ragged rows, merged updates)
 
     def __post_init__(self):
         if self.negatives < 1 or self.dim < 1 or self.batch < 1 or self.refresh < 1 or self.sync < 1 or self.tile < 0:
             raise ValueError("sizes must be positive")
         if not -1 <= self.theta <= 1 or self.mu < 0:
             raise ValueError("theta is in [-1, 1] and mu is not negative")
+        if self.engine not in ("fused", "dense", "sparse", "jagged"):
+            raise ValueError(f"unknown engine {self.engine}")
 
 
 #: The paper's settings, by name: fixed values.
@@ -90,53 +92,13 @@ def scatter_add(target: np.ndarray, rows: np.ndarray, values: np.ndarray) -> int
     return len(first)
 
 
-def pool_history(hist: list[np.ndarray], items: np.ndarray, kind: str, user: np.ndarray, w1: np.ndarray, b: np.ndarray, q: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
-    """Pooled vector and weights of each history; an empty one pools to zero.
-    average: equal weights; self_attention: softmax(q . tanh(W1 t + b)); user_attention: the user row in place of q."""
-    out, weights = np.zeros((len(hist), items.shape[1])), []
-    for k, h in enumerate(hist):
-        if not len(h):
-            weights.append(np.zeros(0))
-            continue
-        t = items[h]
-        if kind == "average":
-            a = np.full(len(h), 1 / len(h))
-        else:
-            z = np.tanh(t @ w1.T + b) @ (q if kind == "self_attention" else user[k])
-            a = np.exp(z - z.max())
-            a /= a.sum()
-        out[k] = a @ t
-        weights.append(a)
-    return out, weights
-
-
-class Layer:
-    """Dense K x K layer with locally accumulated gradients: every m iterations the mean of the sum is applied."""
-
-    def __init__(self, w: np.ndarray, m: int, lr: float, flush_tail: bool = True):
-        self.w, self.m, self.lr, self.flush_tail = w, m, lr, flush_tail
-        self.sum, self.n, self.writes = np.zeros_like(w), 0, 0
-
-    def add(self, pooled: np.ndarray, g: np.ndarray) -> None:
-        """Row by row counts as iterations; whole groups of m are one matrix product."""
-        at = 0
-        while at < len(pooled):
-            k = min(self.m - self.n, len(pooled) - at)
-            self.sum += pooled[at : at + k].T @ g[at : at + k]
-            self.n += k
-            at += k
-            if self.n == self.m:
-                self._apply()
-
-    def _apply(self) -> None:
-        self.w -= self.lr * self.sum / self.n
-        self.sum[:] = 0
-        self.n = 0
-        self.writes += 1
-
-    def finish(self) -> None:
-        if self.n and self.flush_tail:
-            self._apply()
+def coalesced_add(target: np.ndarray, rows: np.ndarray, values: np.ndarray) -> int:
+    """The frameworks' sparse update: gradients of all rows, inactive ones too, are merged by id and then added."""
+    ids, at = np.unique(rows, return_inverse=True)
+    merged = np.zeros((len(ids), target.shape[1]))
+    np.add.at(merged, at, values)
+    target[ids] += merged
+    return len(ids)
 
 
 def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarray, u_ids: np.ndarray, i_ids: np.ndarray, cfg: TrainConfig, epoch: int = 0, layer: Layer | None = None, hist: list[np.ndarray] | None = None) -> Counts:
@@ -149,8 +111,6 @@ def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarr
     u, i, uk, ik = u[order], i[order], u_ids[order], i_ids[order]
     n_items, n = len(items), cfg.negatives
     tile, tile_no = np.zeros(0, np.int64), -1
-    rng_att = np.random.default_rng(cfg.seed)
-    w1, b, q = rng_att.normal(0, 0.1, (cfg.dim, cfg.dim)), np.zeros(cfg.dim), rng_att.normal(0, 0.1, cfg.dim)
     at = 0
     clock = time.perf_counter
     while at < len(u):
@@ -173,12 +133,17 @@ def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarr
         if cfg.tile:
             c.tile_hits += neg.size + int(np.isin(ii, tile).sum())
         t3 = clock()
-        mixed, pooled, weights = s, None, None
+        mixed, pooled = s, None
         if layer is not None:
-            pooled, weights = pool_history([hist[k] for k in uu], items, cfg.aggregator, s, w1, b, q)
-            mixed = cfg.gate * s + (1 - cfg.gate) * (pooled @ layer.w)
+            pooled = pool([hist[k] for k in uu], items, cfg.aggregator, s, layer.w)
+            mixed = cfg.gate * s + (1 - cfg.gate) * (pooled.vec @ layer.w[: cfg.dim])
         t4 = clock()
-        if cfg.engine == "dense":
+        if cfg.engine == "jagged":
+            flat = t.reshape(-1, cfg.dim).copy()
+            owner = np.repeat(mixed, np.full(len(uu), n + 1), axis=0)
+            c.copied_bytes += flat.nbytes + owner.nbytes
+            st = (flat * owner).sum(1).reshape(len(uu), n + 1)
+        elif cfg.engine in ("dense", "sparse"):
             big = np.repeat(mixed[:, None, :], n + 1, axis=1).copy()
             c.copied_bytes += 2 * big.nbytes
             st = np.matmul(t, mixed[:, :, None])[:, :, 0]
@@ -234,9 +199,13 @@ def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarr
             gs = np.einsum("bn,bnk->bk", coef, t)
             gt = coef[:, :, None] * mixed[:, None, :]
         gu = gs if layer is None else cfg.gate * gs
-        t7 = clock()
+        if layer is not None:
+            out = (1 - cfg.gate) * gs
+            g_hist, g_user, g_att = backward(pooled, cfg.aggregator, out @ layer.w[: cfg.dim].T, layer.w)
+            gu = gu if g_user is None else gu + g_user
         if cfg.l2:
             gu = gu + cfg.l2 * s
+        t7 = clock()
         live = coef.ravel() != 0
         if cfg.engine == "dense":
             full = np.zeros_like(items)
@@ -246,16 +215,14 @@ def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarr
             np.add.at(full, uu, gu)
             users -= lr * full
             c.rows_written += len(items) + len(users)
+        elif cfg.engine in ("sparse", "jagged"):
+            c.rows_written += coalesced_add(items, rows.ravel(), -lr * gt.reshape(-1, cfg.dim)) + coalesced_add(users, uu, -lr * gu)
         else:
             c.rows_written += scatter_add(items, rows.ravel()[live], -lr * gt.reshape(-1, cfg.dim)[live])
             c.rows_written += scatter_add(users, uu, -lr * gu)
         if layer is not None:
-            back = (1 - cfg.gate) * gs
-            h_rows = [hist[k] for k in uu]
-            if any(len(h) for h in h_rows):
-                toward = back @ layer.w.T
-                scatter_add(items, np.concatenate(h_rows), -lr * np.concatenate([a[:, None] * g for a, g in zip(weights, toward, strict=True)]))
-            layer.add(pooled, back)
+            c.rows_written += scatter_add(items, pooled.rows, -lr * g_hist)
+            layer.add(pooled.vec, out, g_att)
         t8 = clock()
         for name, a, z in (("sample", t0, t1), ("read_user", t1, t2), ("read_item", t2, t3), ("aggregate", t3, t4), ("similarity", t4, t5), ("loss", t5, t6), ("backward", t6, t7), ("update", t7, t8)):
             c.seconds[name] += z - a

@@ -9,6 +9,8 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import vectors as V
+from ..shipping import ship
+from .blocks import TrainConfig
 
 
 def score_pairs(pairs: DataFrame, users: DataFrame, items: DataFrame, similarity: str = "cosine") -> DataFrame:
@@ -17,6 +19,36 @@ def score_pairs(pairs: DataFrame, users: DataFrame, items: DataFrame, similarity
     return j.select("user_id", "item_id", f(F.col("s"), F.col("t")).alias("score"))
 
 
+def aggregated_users(users: DataFrame, items: DataFrame, history: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
+    """id, vec of every user: the row that training scored with, over the whole history (user_id, hist).
+    Pooled rows are ratios of sums, so no history is gathered. A user without one keeps its gated row."""
+    ship(users.sparkSession)
+    k, gate = cfg.dim, cfg.gate
+    layer, rest = params[:k], params[k:]
+    rows = history.select("user_id", F.explode("hist").alias("item_id")).join(items.select(F.col("id").alias("item_id"), F.col("vec").alias("t")), "item_id")
+    if cfg.aggregator == "average":
+        rows = rows.select("user_id", "t", F.lit(1.0).alias("e"))
+    else:
+        asks = cfg.aggregator == "user_attention"
+        rows = rows.join(users.select(F.col("id").alias("user_id"), F.col("vec").alias("s")), "user_id") if asks else rows.withColumn("s", F.array().cast("array<double>"))
+
+        @F.pandas_udf("double")
+        def weight(t: pd.Series, s: pd.Series) -> pd.Series:
+            act = np.tanh(np.stack(t) @ rest[:k].T + rest[k])
+            q = np.stack(s) if asks else rest[k + 1][None, :]
+            return pd.Series(np.exp((act * q).sum(1) - np.abs(q).sum(1)))  # tanh bounds the exponent
+
+        rows = V.carry(rows, "user_id", "t", weight("t", "s").alias("e"))
+    sums = rows.groupBy("user_id").agg(F.sum("e").alias("_e"), *[F.sum(F.col("e") * F.col("t")[d]).alias(f"_{d}") for d in range(k)])
+    pooled = sums.select(F.col("user_id").alias("id"), F.array(*[F.col(f"_{d}") / F.col("_e") for d in range(k)]).alias("p"))
+
+    @F.pandas_udf("array<double>")
+    def mixed(s: pd.Series, p: pd.Series) -> pd.Series:
+        return pd.Series(list(gate * np.stack(s) + (1 - gate) * (np.stack(p) @ layer)))
+
+    return users.join(pooled, "id", "left").select("id", mixed("vec", F.coalesce("p", F.array_repeat(F.lit(0.0), k))).alias("vec"))
+
+
 def recommend(users: DataFrame, items: DataFrame, seen: DataFrame | None, k: int = 20, similarity: str = "cosine", block: int = 4096) -> DataFrame:
     """user_id, rank, item_id, score: seen items are left out. Users meet items in blocks; a cell returns k rows a user."""
     n_u, n_i = (max(1, -(-d.count() // block)) for d in (users, items))

@@ -4,6 +4,8 @@ rotate: users and items are dealt into blocks by a hash of their id (never by id
 community: a positive would then meet only negatives of its own kind). In sub-epoch r user block b
 trains with item block (b + r) mod blocks, so no two tasks share a row.
 merge: each worker trains on a private copy of the rows it touches; deltas are summed.
+Every cell starts from the same aggregation parameters; their deltas are summed after each
+sub-epoch, and the next one starts from there. These are at most 2 K + 2 rows, held by the driver.
 Snapshots are written to the shared folder after every sub-epoch, so a lost executor costs one.
 """
 
@@ -21,7 +23,8 @@ from ..functions.vectors import init_vector
 from ..plans.cuts import Cuts
 from ..sources.feedback import index_ids
 from . import relational, sampling
-from .blocks import Counts, Layer, TrainConfig, block_epoch
+from .aggregate import Layer, first_params
+from .blocks import Counts, TrainConfig, block_epoch, with_options
 
 FACTORS = "side string, id long, vec array<double>"
 #: What kernels count: whole numbers, then sums and seconds by phase.
@@ -35,7 +38,7 @@ OUT = FACTORS + "".join(f", {c} long" for c in WHOLE) + "".join(f", {c} double"
 class Model:
     factors: DataFrame  # side, id, vec
     cfg: TrainConfig
-    weights: np.ndarray | None = None
+    weights: np.ndarray | None = None  # of the aggregation, if there is one
     history: list[dict] = field(default_factory=list)
 
     @property
@@ -47,11 +50,19 @@ class Model:
         return self.factors.where("side = 'item'").select("id", "vec")
 
     def save(self, path: str) -> None:
-        self.factors.write.mode("overwrite").partitionBy("side").parquet(path)
+        rows = self.factors.select("side", "id", "vec")
+        if self.weights is not None:
+            own = [("layer", k, [float(v) for v in r]) for k, r in enumerate(self.weights)]
+            rows = rows.unionByName(rows.sparkSession.createDataFrame(own, FACTORS))
+        rows.write.mode("overwrite").partitionBy("side").parquet(path)
 
     @staticmethod
     def load(spark, path: str, cfg: TrainConfig) -> Model:
-        return Model(spark.read.parquet(path).select("side", "id", "vec"), cfg)
+        rows = spark.read.parquet(path).select("side", "id", "vec")
+        weights = None
+        if cfg.aggregator:
+            weights = np.array([r.vec for r in rows.where("side = 'layer'").orderBy("id").collect()])
+        return Model(rows.where("side <> 'layer'"), cfg, weights)
 
 
 def init_factors(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = None) -> DataFrame:
@@ -63,8 +74,9 @@ def init_factors(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = No
     return both.alias("n").join(warm.alias("w"), ["side", "id"], "full").select("side", "id", F.coalesce("w.vec", "n.vec").alias("vec"))
 
 
-def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch: int, delta: bool = False) -> pd.DataFrame:
-    """Kernel of one cell: pairs and tagged factor rows in, tagged rows out (changed ones, or deltas)."""
+def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch: int, delta: bool = False, params: np.ndarray | None = None) -> pd.DataFrame:
+    """Kernel of one cell: pairs and tagged factor rows in, tagged rows out (changed ones, or deltas;
+    always deltas for the rows of the aggregation). Histories hold the newest resident items."""
     empty = pd.DataFrame({"side": pd.Series(dtype=str), "id": pd.Series(dtype="int64"), "vec": pd.Series(dtype=object), **{c: pd.Series(dtype="int64") for c in WHOLE}, **{c: pd.Series(dtype="float64") for c in REAL}})
     if not len(rows):
         return empty
@@ -76,20 +88,22 @@ def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch
     users, items = stack(rows["vec"][is_user]), stack(rows["vec"][~is_user])
     before = (users.copy(), items.copy()) if delta else None
     c = Counts()
+    moved = np.zeros((0, cfg.dim))
     if len(pairs) and len(users) and len(items):
+        pairs = pairs.sort_values(["user_id", "at", "item_id"], ascending=[True, False, False])
         pu, pi = pairs["user_id"].to_numpy(), pairs["item_id"].to_numpy()
         u, i = np.searchsorted(u_ids, pu), np.searchsorted(i_ids, pi)
         layer = hist = None
-        if cfg.aggregator:
-            layer = Layer(np.eye(cfg.dim) * 0.5, cfg.sync, cfg.lr, cfg.flush_tail)
-            by_user = pd.Series(i).groupby(u).agg(list)
-            hist = [np.zeros(0, np.int64)] * len(users)
-            for k, h in by_user.items():
-                hist[k] = np.array(h[: cfg.history])
+        if params is not None:
+            layer = Layer(params.copy(), cfg.sync, cfg.lr, cfg.flush_tail)
+            ends = np.searchsorted(u, np.arange(len(users) + 1))
+            hist = [i[a : min(b, a + cfg.history)] for a, b in zip(ends[:-1], ends[1:], strict=True)]
         c = block_epoch(users, items, u, i, pu, pi, cfg, epoch, layer, hist)
+        if layer is not None:
+            moved = layer.w - params
     if delta:
         users, items = users - before[0], items - before[1]
-    out = pd.DataFrame({"side": ["user"] * len(u_ids) + ["item"] * len(i_ids), "id": np.concatenate((u_ids, i_ids)), "vec": [*users, *items]})
+    out = pd.DataFrame({"side": ["user"] * len(u_ids) + ["item"] * len(i_ids) + ["layer"] * len(moved), "id": np.concatenate((u_ids, i_ids, np.arange(len(moved)))).astype(np.int64), "vec": [*users, *items, *moved]})
     for name in WHOLE:
         out[name] = np.zeros(len(out), np.int64)
         out.loc[0, name] = int(getattr(c, name))
@@ -99,9 +113,9 @@ def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch
     return out
 
 
-def _cell(cfg: TrainConfig, epoch: int, delta: bool = False):
+def _cell(cfg: TrainConfig, epoch: int, delta: bool = False, params: np.ndarray | None = None):
     def run(pairs: pd.DataFrame, rows: pd.DataFrame) -> pd.DataFrame:
-        return _train_cell(pairs, rows, cfg, epoch, delta)
+        return _train_cell(pairs, rows, cfg, epoch, delta, params)
 
     return run
 
@@ -121,24 +135,36 @@ def _totals(history: list[dict], out: DataFrame, epoch: int) -> None:
     history.append({"epoch": epoch, **r.asDict()})
 
 
-def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts) -> Model:
-    dealt = cuts.cut(rotation(pairs.select("user_id", "item_id"), cfg))
+def _merged(params: np.ndarray | None, out: DataFrame, dim: int) -> np.ndarray | None:
+    """Parameters moved by the summed deltas of all cells."""
+    if params is None:
+        return None
+    summed = relational.combine_gradients(out.where("side = 'layer'").select("side", "id", F.col("vec").alias("g")), dim)
+    params = params.copy()
+    for r in summed.collect():
+        params[r.id] += r.g
+    return params
+
+
+def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None) -> Model:
+    dealt = cuts.cut(rotation(pairs.select("user_id", "item_id", "at"), cfg))
     history: list[dict] = []
     for epoch in range(cfg.epochs):
         for turn in range(cfg.blocks):
             block = F.when(F.col("side") == "user", block_of("user", "id", cfg)).otherwise(F.pmod(block_of("item", "id", cfg) - turn, F.lit(cfg.blocks)))
             right = factors.withColumn("cell", block.cast("int")).groupBy("cell")
             left = dealt.where(F.col("turn") == turn).groupBy("cell")
-            out = cuts.cut(left.cogroup(right).applyInPandas(_cell(cfg, epoch), OUT))
+            out = cuts.cut(left.cogroup(right).applyInPandas(_cell(cfg, epoch, params=params), OUT))
             _totals(history, out, epoch)
-            factors = out.select("side", "id", "vec")
-    return Model(factors, cfg, history=history)
+            params = _merged(params, out, cfg.dim)
+            factors = out.where("side <> 'layer'").select("side", "id", "vec")
+    return Model(factors, cfg, params, history)
 
 
-def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, tile: int = 256) -> Model:
+def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None, tile: int = 256) -> Model:
     """Workers read the rows of their pairs and a tile of further items; summed deltas give the next snapshot."""
     history: list[dict] = []
-    dealt = cuts.cut(pairs.select("user_id", "item_id").withColumn("worker", (mix(cfg.seed + 41, "user_id") % cfg.blocks).cast("int")))
+    dealt = cuts.cut(pairs.select("user_id", "item_id", "at").withColumn("worker", (mix(cfg.seed + 41, "user_id") % cfg.blocks).cast("int")))
     n_items = factors.where("side = 'item'").count()
     for epoch in range(cfg.epochs):
         need = dealt.select("worker", F.lit("user").alias("side"), F.col("user_id").alias("id")).union(dealt.select("worker", F.lit("item"), "item_id"))
@@ -146,15 +172,18 @@ def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts
         picks = picks.where(mix(cfg.seed + 43 + epoch, "id", "w") % n_items < tile).select(F.col("w").cast("int").alias("worker"), "side", "id")
         need = need.union(picks).distinct()
         right = need.join(factors, ["side", "id"]).select(F.col("worker").alias("w"), "side", "id", "vec").groupBy("w")
-        out = cuts.cut(dealt.groupBy("worker").cogroup(right).applyInPandas(_cell(cfg, epoch, delta=True), OUT))
+        out = cuts.cut(dealt.groupBy("worker").cogroup(right).applyInPandas(_cell(cfg, epoch, True, params), OUT))
         _totals(history, out, epoch)
-        summed = relational.combine_gradients(out.where(F.exists("vec", lambda v: v != 0)).select("side", "id", F.col("vec").alias("g")), cfg.dim)
+        summed = relational.combine_gradients(out.where((F.col("side") != "layer") & F.exists("vec", lambda v: v != 0)).select("side", "id", F.col("vec").alias("g")), cfg.dim)
+        params = _merged(params, out, cfg.dim)
         factors = cuts.cut(relational.apply_sparse(factors, summed, -1.0))
-    return Model(factors, cfg, history=history)
+    return Model(factors, cfg, params, history)
 
 
-def fit_relational(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts) -> Model:
-    """All examples of an epoch in one synchronous step; for checking and small data."""
+def fit_relational(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None) -> Model:
+    """All examples of an epoch in one synchronous step, without aggregation; for checking and small data."""
+    if params is not None:
+        raise ValueError("the relational plan has no aggregation")
     items = cuts.cut(index_ids(pairs, "item_id"))
     step_cfg = relational.StepConfig(cfg.dim, cfg.negatives, cfg.lr, cfg.mu, cfg.theta, cfg.loss, cfg.similarity)
     for epoch in range(cfg.epochs):
@@ -163,16 +192,19 @@ def fit_relational(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts:
     return Model(factors, cfg)
 
 
-def fit(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = None) -> Model:
-    """plan: auto, reference (one block, one pair at a time), block (one block), rotate, merge, relational."""
+def fit(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = None, weights: np.ndarray | None = None) -> Model:
+    """plan: auto, reference (one block, one pair at a time), block (one block), rotate, merge, relational.
+    A column ts of pairs orders histories; warm and weights are an earlier model's."""
     from ..plans.planner import choose_plan
 
     cuts = Cuts(pairs.sparkSession)
-    pairs = cuts.cut(pairs.select("user_id", "item_id").where("user_id is not null and item_id is not null").distinct())
+    at = F.max(F.unix_micros(F.col("ts").cast("timestamp"))) if "ts" in pairs.columns and cfg.aggregator else F.lit(0).cast("long")
+    pairs = cuts.cut(pairs.where("user_id is not null and item_id is not null").groupBy("user_id", "item_id").agg(F.coalesce(at, F.lit(0).cast("long")).alias("at")))
     plan = choose_plan(pairs, cfg) if cfg.plan == "auto" else cfg.plan
     factors = cuts.cut(init_factors(pairs, cfg, warm))
-    from .blocks import with_options
-
+    params = None
+    if cfg.aggregator:
+        params = first_params(cfg.aggregator, cfg.dim, cfg.seed) if weights is None else weights
     if plan in ("reference", "block"):
-        return fit_rotate(pairs, with_options(cfg, blocks=1, batch=1 if plan == "reference" else cfg.batch), factors, cuts)
-    return {"rotate": fit_rotate, "merge": fit_merge, "relational": fit_relational}[plan](pairs, cfg, factors, cuts)
+        return fit_rotate(pairs, with_options(cfg, blocks=1, batch=1 if plan == "reference" else cfg.batch), factors, cuts, params)
+    return {"rotate": fit_rotate, "merge": fit_merge, "relational": fit_relational}[plan](pairs, cfg, factors, cuts, params)
