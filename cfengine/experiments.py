@@ -12,19 +12,23 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import metrics, tuning
+from .operators.baselines import als_baseline
 from .operators.blocks import TrainConfig, with_options
-from .operators.predict import recommend
+from .operators.predict import aggregated_users, recommend
 from .operators.trainer import PHASES, Model, fit
 from .plans.cuts import Cuts
 from .shipping import ship
-from .sources.feedback import split_holdout, workload
+from .sources.feedback import split_holdout, user_history, workload
 
 SCHEMA = "workload string, method string, setting string, metric string, value double"
 SMALL = TrainConfig(dim=32, negatives=16, epochs=1, batch=256, lr=0.05, plan="rotate", blocks=2)
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return Cuts(spark).cut(workload(ship(spark), sf_dir, name).select("user_id", "item_id").distinct())
+    """Distinct pairs of a workload, with the latest time of each where it has one."""
+    pairs = workload(ship(spark), sf_dir, name)
+    when = [F.max("ts").alias("ts")] if "ts" in pairs.columns else [F.lit(None).cast("timestamp").alias("ts")]
+    return Cuts(spark).cut(pairs.groupBy("user_id", "item_id").agg(*when))
 
 
 def train(pairs: DataFrame, cfg: TrainConfig) -> tuple[Model, dict]:
@@ -45,7 +49,10 @@ def shares(total: dict, parts=PHASES) -> dict[str, float]:
 
 def accuracy_of(model: Model, train_pairs: DataFrame, test: DataFrame) -> dict[str, float]:
     """Recall and NDCG at 20 over all users with a held-out pair."""
-    recs = Cuts(test.sparkSession).cut(recommend(model.user_factors, model.item_factors, train_pairs, 20))
+    cuts, users = Cuts(test.sparkSession), model.user_factors
+    if model.weights is not None:
+        users = cuts.cut(aggregated_users(users, model.item_factors, user_history(train_pairs, model.cfg.history), model.weights, model.cfg))
+    recs = cuts.cut(recommend(users, model.item_factors, train_pairs, 20, model.cfg.similarity))
     return {"recall20": metrics.recall_at_k(recs, test).first()[0] or 0.0, "ndcg20": metrics.ndcg_at_k(recs, test).first()[0] or 0.0}
 
 
@@ -57,11 +64,11 @@ SETS = ("orders", "suppliers", "events")
 
 
 def dense_vs_sparse(spark, d):
-    """Rows written by sparse and dense updates, and shares of forward and backward."""
+    """Rows written by the dense update, the frameworks' sparse one and the fused one, and shares of forward and backward."""
     rows = []
     for w in SETS:
         pairs = load(spark, d, w)
-        for engine in ("fused", "dense"):
+        for engine in ("dense", "sparse", "fused"):
             _, t = train(pairs, with_options(SMALL, engine=engine))
             p = shares(t)
             fwd = sum(p[k] for k in ("read_user", "read_item", "aggregate", "similarity", "loss"))
@@ -88,24 +95,27 @@ def memory(spark, d):
 
 
 def epoch_times(spark, d):
-    """E5: epoch time of the dense engine and the fused one, with and without aggregation."""
+    """E5: epoch time of the dense, the jagged and the fused engine, with and without aggregation, and speedups of the fused one."""
     rows = []
     for w in SETS:
-        pairs, times = load(spark, d, w), {}
-        for method, opts in (("dense", {"engine": "dense"}), ("fused", {}), ("dense+agg", {"engine": "dense", "aggregator": "average"}), ("fused+agg", {"aggregator": "average"})):
-            times[method] = train(pairs, with_options(SMALL, **opts))[1]["seconds"]
-            rows.append((w, method, "", "epoch_seconds", times[method]))
-        rows += [(w, "fused", "", "speedup", times["dense"] / times["fused"]), (w, "fused+agg", "", "speedup", times["dense+agg"] / times["fused+agg"])]
+        pairs = load(spark, d, w)
+        for kind, agg in (("", None), ("+agg", "average")):
+            times = {e: train(pairs, with_options(SMALL, engine=e, aggregator=agg))[1]["seconds"] for e in ("dense", "jagged", "fused")}
+            rows += [(w, e + kind, "", "epoch_seconds", v) for e, v in times.items()]
+            rows += [(w, "fused" + kind, e + kind, "speedup", times[e] / times["fused"]) for e in ("dense", "jagged")]
     return _frame(spark, rows)
 
 
 def pointwise(spark, d):
-    """One negative, dot, squared error."""
+    """One negative, dot, squared error; and alternating least squares, in wall seconds of three rounds."""
     rows = []
     for w in SETS:
         pairs = load(spark, d, w)
-        for method, opts in (("fused", {}), ("dense", {"engine": "dense"})):
-            _, t = train(pairs, with_options(SMALL, negatives=1, loss="mse", similarity="dot", **opts))
+        began = time.perf_counter()
+        als_baseline(pairs).itemFactors.count()
+        rows.append((w, "als", "", "fit_wall_seconds", time.perf_counter() - began))
+        for method in ("fused", "jagged", "dense"):
+            _, t = train(pairs, with_options(SMALL, negatives=1, loss="mse", similarity="dot", engine=method))
             rows += [(w, method, "n=1", "epoch_seconds", t["seconds"]), (w, method, "n=1", "loss", t["loss_sum"] / max(1, t["examples"]))]
     return _frame(spark, rows)
 
@@ -134,15 +144,17 @@ def _held_out(spark, d, name):
 
 
 def accuracy(spark, d):
-    """Recall and NDCG of random and tiled sampling, with and without aggregation."""
-    rows = []
+    """Recall and NDCG of the dense base method and of the fused one with random and tiled
+    sampling, each with and without aggregation; popularity is the floor."""
     own, test = _held_out(spark, d, "docterms")
     items = own.select("item_id").distinct().count()
     plan = tuning.plan_tiles(items, own.count(), 32, tuning.EPYC)
-    for tile in (0, min(plan.n1, max(16, items // 4))):
+    size = min(plan.n1, max(16, items // 4))
+    rows = [("docterms", "popularity", "", "recall20", metrics.recall_at_k(Cuts(spark).cut(popularity_recs(own, 20)), test).first()[0] or 0.0)]
+    for name, engine, tile in (("base", "sparse", 0), ("random", "fused", 0), ("tiled", "fused", size)):
         for agg in (None, "average"):
-            model, t = train(own, with_options(SMALL, epochs=4, batch=64, tile=tile, refresh=plan.n2, aggregator=agg))
-            method = ("tiled" if tile else "random") + ("+agg" if agg else "")
+            model, t = train(own, with_options(SMALL, epochs=4, batch=64, tile=tile, refresh=plan.n2, aggregator=agg, engine=engine))
+            method = name + ("+agg" if agg else "")
             rows += [("docterms", method, f"tile {tile}", m, v) for m, v in (accuracy_of(model, own, test) | {"epoch_seconds": t["seconds"]}).items()]
     return _frame(spark, rows)
 
@@ -168,23 +180,26 @@ def interval_sweep(spark, d):
 
 
 def accumulation(spark, d):
-    """Weight gradients applied every iteration or every 32."""
-    own, test = _held_out(spark, d, "events")
+    """Weight gradients applied every iteration or every 32, where time and where recall can show."""
     rows = []
-    for m in (1, 32):
+    for w, m in ((w, m) for w in ("events", "docterms") for m in (1, 32)):
+        own, test = _held_out(spark, d, w)
         model, t = train(own, with_options(SMALL, aggregator="average", sync=m))
-        rows += [("events", "local" if m > 1 else "every", m, k, v) for k, v in (accuracy_of(model, own, test) | {"epoch_seconds": t["seconds"], "weight_writes": t["weight_writes"]}).items()]
+        rows += [(w, "local" if m > 1 else "every", m, k, v) for k, v in (accuracy_of(model, own, test) | {"epoch_seconds": t["seconds"], "weight_writes": t["weight_writes"]}).items()]
     return _frame(spark, rows)
 
 
 def scaling(spark, d):
-    """The same pairs on 1 to 4 blocks; wall seconds of an epoch."""
-    pairs, times = load(spark, d, "orders"), {}
-    for p in (1, 2, 4):
-        began = time.perf_counter()
-        fit(pairs, with_options(SMALL, plan="merge", blocks=p))
-        times[p] = time.perf_counter() - began
-    return metrics.scaling_table(spark, times).select(F.lit("orders").alias("workload"), F.lit("merge").alias("method"), F.col("cores").cast("string").alias("setting"), F.lit("efficiency").alias("metric"), F.col("efficiency").alias("value"))
+    """The same pairs on 1 to 4 workers, random and tiled; wall seconds of an epoch."""
+    pairs, rows = load(spark, d, "orders"), []
+    for method, opts in (("random", {}), ("tiled", {"tile": 256, "refresh": 2048})):
+        times = {}
+        for p in (1, 2, 4):
+            began = time.perf_counter()
+            fit(pairs, with_options(SMALL, plan="merge", blocks=p, **opts))
+            times[p] = time.perf_counter() - began
+        rows += [("orders", method, r.cores, "efficiency", r.efficiency) for r in metrics.scaling_table(spark, times).collect()]
+    return _frame(spark, rows)
 
 
 def two_machines(spark, d):

@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.mix import mix
+from ..sources.feedback import dense_index
 
 
 def _knn(pairs: DataFrame, own: str, other: str, k: int) -> DataFrame:
@@ -58,11 +59,13 @@ def popularity(pairs: DataFrame, k: int = 100) -> DataFrame:
 
 
 def popularity_recs(pairs: DataFrame, k: int = 20) -> DataFrame:
-    """The most popular unseen items: a user has seen at most its own number, so that many spare items are enough."""
-    most = pairs.groupBy("user_id").count().agg(F.max("count")).first()[0] or 0
-    top = F.broadcast(popularity(pairs, k + most))  # k + longest history rows
-    cand = pairs.select("user_id").distinct().join(top, F.lit(True)).join(pairs.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
-    rank = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("n"), "item_id"))
+    """The most popular unseen items. A user that has seen d items finds k unseen ones among the k + d most
+    popular, so it meets only these: rows grow with pairs, not with users times items."""
+    ranked = dense_index(pairs.groupBy("item_id").agg(F.count(F.lit(1)).alias("n")), F.desc("n"), F.col("item_id"))
+    seen = pairs.groupBy("user_id").agg(F.count(F.lit(1)).alias("d"))
+    cand = seen.select("user_id", F.explode(F.sequence(F.lit(0).cast("long"), F.col("d") + (k - 1))).alias("idx")).join(ranked, "idx")
+    cand = cand.join(pairs.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
+    rank = F.row_number().over(W.partitionBy("user_id").orderBy("idx"))
     return cand.withColumn("rank", rank).where(F.col("rank") <= k).select("user_id", "rank", "item_id")
 
 

@@ -7,6 +7,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.mix import P, mix
+from ..plans.cuts import Cuts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -78,14 +79,21 @@ def planted(spark: SparkSession, users: int = 1000, items: int = 500, blocks: in
     return cell.where(mix(seed, "user_id", "item_id") < F.when(same, F.lit(int(inside * P))).otherwise(F.lit(int(outside * P))))
 
 
+def dense_index(rows: DataFrame, *order: str | Column) -> DataFrame:
+    """rows with idx, dense from 0 in the given total order. Rows are range-sorted and written once, so that
+    a row's partition and place in it are fixed; then only counts of partitions are ordered as a whole."""
+    placed = rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_at", F.monotonically_increasing_id())
+    placed = Cuts(rows.sparkSession).cut(placed)
+    part = F.shiftright("_at", 33)
+    sizes = placed.groupBy(part.alias("_p")).agg(F.count(F.lit(1)).alias("_n"))
+    base = sizes.select("_p", F.coalesce(F.sum("_n").over(W.orderBy("_p").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_base"))
+    kept = placed.withColumn("_p", part).join(F.broadcast(base), "_p")  # a row a partition
+    return kept.withColumn("idx", (F.col("_base") + F.col("_at").bitwiseAND(F.lit((1 << 33) - 1))).cast("long")).drop("_p", "_at", "_base")
+
+
 def index_ids(pairs: DataFrame, column: str) -> DataFrame:
-    """id, idx: dense from 0 in id order. Ids are range-sorted; only counts of partitions are ordered as a whole."""
-    ids = pairs.select(F.col(column).alias("id")).distinct().repartitionByRange("id").sortWithinPartitions("id")
-    ids = ids.withColumn("_p", F.spark_partition_id())
-    sizes = ids.groupBy("_p").agg(F.count(F.lit(1)).alias("_n"), F.min("id").alias("_min"))
-    base = sizes.select("_min", F.coalesce(F.sum("_n").over(W.orderBy("_min").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_base"), "_p")
-    inside = F.row_number().over(W.partitionBy("_p").orderBy("id")) - 1
-    return ids.withColumn("_r", inside).join(F.broadcast(base.select("_p", "_base")), "_p").select("id", (F.col("_base") + F.col("_r")).cast("long").alias("idx"))
+    """id, idx: dense from 0 in id order."""
+    return dense_index(pairs.select(F.col(column).alias("id")).distinct(), "id")
 
 
 def kcore(pairs: DataFrame, min_user: int, min_item: int, rounds: int = 3) -> DataFrame:
