@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .operators import metrics, tuning
-from .operators.baselines import als_baseline
+from .operators.baselines import als_baseline, popularity_recs
 from .operators.blocks import TrainConfig, with_options
 from .operators.predict import aggregated_users, recommend
 from .operators.trainer import PHASES, Model, fit
