@@ -44,25 +44,32 @@ class Pooled:
     query: np.ndarray | None
 
 
-def pool(hist: list[np.ndarray], items: np.ndarray, kind: str, user: np.ndarray, params: np.ndarray) -> Pooled:
-    """average: equal weights; self_attention: softmax(q . tanh(W1 t + b)); user_attention: the user row for q."""
+def pool(hist: list[np.ndarray], items: np.ndarray, kind: str, user: np.ndarray, params: np.ndarray, away: np.ndarray | None = None) -> Pooled:
+    """average: equal weights; self_attention: softmax(q . tanh(W1 t + b)); user_attention: the user row for q.
+    away, a row an example: what history rows that are not in items add, as constants: the weighted sum, the
+    sum of the weights, and the exponent that was taken off each weight."""
     dim = items.shape[1]
+    num, den, off = (np.zeros((len(hist), dim)), np.zeros(len(hist)), np.full(len(hist), -np.inf)) if away is None else (away[:, :dim], away[:, dim], away[:, dim + 1])
     lens = np.array([len(h) for h in hist], np.int64)
     rows = np.concatenate(hist).astype(np.int64) if lens.sum() else np.zeros(0, np.int64)
     of = np.repeat(np.arange(len(hist)), lens)
     t = items[rows]
     act = query = None
     if kind == "average":
-        share = 1.0 / lens[of]
+        e = np.ones(len(rows))
     else:
         act = np.tanh(t @ params[dim : 2 * dim].T + params[2 * dim])
         query = np.broadcast_to(params[2 * dim + 1], t.shape) if kind == "self_attention" else user[of]
         z = np.einsum("rk,rk->r", act, query)
-        top = np.full(len(hist), -np.inf)
+        top = np.where(den > 0, off, -np.inf)
         np.maximum.at(top, of, z)
         e = np.exp(z - top[of])
-        share = e / _segment_sums(e, lens)[of]
-    return Pooled(_segment_sums(share[:, None] * t, lens), rows, lens, t, share, act, query)
+        shrink = np.exp(np.subtract(off, top, out=np.zeros_like(den), where=den > 0))
+        num, den = num * shrink[:, None], den * shrink
+    total = _segment_sums(e, lens) + den
+    total[total == 0] = 1.0
+    share = e / total[of]
+    return Pooled(_segment_sums(share[:, None] * t, lens) + num / total[:, None], rows, lens, t, share, act, query)
 
 
 def backward(p: Pooled, kind: str, g: np.ndarray, params: np.ndarray) -> tuple[np.ndarray, np.ndarray | None, Callable[[int, int], np.ndarray] | None]:
@@ -74,7 +81,7 @@ def backward(p: Pooled, kind: str, g: np.ndarray, params: np.ndarray) -> tuple[n
         return direct, None, None
     dim = g.shape[1]
     gain = np.einsum("rk,rk->r", g[of], p.t)
-    dz = p.share * (gain - _segment_sums(p.share * gain, p.lens)[of])
+    dz = p.share * (gain - np.einsum("bk,bk->b", g, p.vec)[of])
     inner = dz[:, None] * p.query * (1 - p.act**2)
     asked = dz[:, None] * p.act
     ends = np.concatenate(([0], np.cumsum(p.lens)))

@@ -3,7 +3,7 @@
 One call takes the block's pairs and its user and item rows. Pairs run in a seeded order in
 batches of cfg.batch; batch 1 is sequential. The three sums are kept for the gradients, only
 rows of the batch are written, and inactive negatives cost nothing after the forward pass.
-Behaviour aggregation pools resident history rows; its gradients are summed over m iterations before they are applied.
+Behaviour aggregation pools resident history rows with a snapshot of the others; its gradients are summed over m iterations before they are applied.
 """
 
 from __future__ import annotations
@@ -101,8 +101,9 @@ def coalesced_add(target: np.ndarray, rows: np.ndarray, values: np.ndarray) -> i
     return len(ids)
 
 
-def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarray, u_ids: np.ndarray, i_ids: np.ndarray, cfg: TrainConfig, epoch: int = 0, layer: Layer | None = None, hist: list[np.ndarray] | None = None) -> Counts:
-    """Trains users and items in place. u, i: row numbers of the block's pairs; u_ids, i_ids: their ids, which seed all draws."""
+def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarray, u_ids: np.ndarray, i_ids: np.ndarray, cfg: TrainConfig, epoch: int = 0, layer: Layer | None = None, hist: list[np.ndarray] | None = None, away: np.ndarray | None = None) -> Counts:
+    """Trains users and items in place. u, i: row numbers of the block's pairs; u_ids, i_ids: their ids, which seed all draws.
+    hist, away: a user's history rows here, and what those elsewhere add to its pooled row."""
     c = Counts()
     if not len(u):
         return c
@@ -135,7 +136,7 @@ def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarr
         t3 = clock()
         mixed, pooled = s, None
         if layer is not None:
-            pooled = pool([hist[k] for k in uu], items, cfg.aggregator, s, layer.w)
+            pooled = pool([hist[k] for k in uu], items, cfg.aggregator, s, layer.w, None if away is None else away[uu])
             mixed = cfg.gate * s + (1 - cfg.gate) * (pooled.vec @ layer.w[: cfg.dim])
         t4 = clock()
         if cfg.engine == "jagged":

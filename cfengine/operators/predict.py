@@ -19,28 +19,39 @@ def score_pairs(pairs: DataFrame, users: DataFrame, items: DataFrame, similarity
     return j.select("user_id", "item_id", f(F.col("s"), F.col("t")).alias("score"))
 
 
-def aggregated_users(users: DataFrame, items: DataFrame, history: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
-    """id, vec of every user: the row that training scored with, over the whole history (user_id, hist).
-    Pooled rows are ratios of sums, so no history is gathered. A user without one keeps its gated row."""
-    ship(users.sparkSession)
-    k, gate = cfg.dim, cfg.gate
-    layer, rest = params[:k], params[k:]
-    rows = history.select("user_id", F.explode("hist").alias("item_id")).join(items.select(F.col("id").alias("item_id"), F.col("vec").alias("t")), "item_id")
+def history_sums(rows: DataFrame, keys: list[str], users: DataFrame, items: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
+    """keys, num, den, off of history rows (user_id, item_id, keys, counts): sums of weight x row and of weights, and the
+    exponent taken off each weight, all of a user alike. Rows that do not count add nothing but keep their keys.
+    Sums have map-side partial sums, so no history is gathered."""
+    k, rest = cfg.dim, params[cfg.dim :]
+    rows = rows.join(items.select(F.col("id").alias("item_id"), F.col("vec").alias("t")), "item_id")
     if cfg.aggregator == "average":
-        rows = rows.select("user_id", "t", F.lit(1.0).alias("e"))
+        rows = rows.select(*keys, "counts", "t", F.struct(F.lit(1.0).alias("e"), F.lit(0.0).alias("off")).alias("w"))
     else:
         asks = cfg.aggregator == "user_attention"
         rows = rows.join(users.select(F.col("id").alias("user_id"), F.col("vec").alias("s")), "user_id") if asks else rows.withColumn("s", F.array().cast("array<double>"))
 
-        @F.pandas_udf("double")
-        def weight(t: pd.Series, s: pd.Series) -> pd.Series:
+        @F.pandas_udf("e double, off double")
+        def weight(t: pd.Series, s: pd.Series) -> pd.DataFrame:
             act = np.tanh(np.stack(t) @ rest[:k].T + rest[k])
-            q = np.stack(s) if asks else rest[k + 1][None, :]
-            return pd.Series(np.exp((act * q).sum(1) - np.abs(q).sum(1)))  # tanh bounds the exponent
+            q = np.stack(s) if asks else np.broadcast_to(rest[k + 1], act.shape)
+            off = np.abs(q).sum(1)  # tanh bounds the exponent
+            return pd.DataFrame({"e": np.exp((act * q).sum(1) - off), "off": off})
+
+        rows = V.carry(rows, *keys, "counts", "t", weight("t", "s").alias("w"))
+    e = F.when(F.col("counts"), F.col("w.e")).otherwise(0.0)
+    sums = rows.groupBy(*keys).agg(F.sum(e).alias("den"), F.max("w.off").alias("off"), *[F.sum(e * F.col("t")[d]).alias(f"_{d}") for d in range(k)])
+    return sums.select(*keys, F.array(*[F.col(f"_{d}") for d in range(k)]).alias("num"), "den", "off")
 
-        rows = V.carry(rows, "user_id", "t", weight("t", "s").alias("e"))
-    sums = rows.groupBy("user_id").agg(F.sum("e").alias("_e"), *[F.sum(F.col("e") * F.col("t")[d]).alias(f"_{d}") for d in range(k)])
-    pooled = sums.select(F.col("user_id").alias("id"), F.array(*[F.col(f"_{d}") / F.col("_e") for d in range(k)]).alias("p"))
+
+def aggregated_users(users: DataFrame, items: DataFrame, history: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
+    """id, vec of every user: the row that training scored with, over the whole history (user_id, hist).
+    Pooled rows are ratios of sums, so no history is gathered. A user without one keeps its gated row."""
+    ship(users.sparkSession)
+    k, gate = cfg.dim, cfg.gate
+    layer = params[:k]
+    rows = history.select("user_id", F.explode("hist").alias("item_id"), F.lit(True).alias("counts"))
+    pooled = history_sums(rows, ["user_id"], users, items, params, cfg).select(F.col("user_id").alias("id"), F.transform("num", lambda v: v / F.col("den")).alias("p"))
 
     @F.pandas_udf("array<double>")
     def mixed(s: pd.Series, p: pd.Series) -> pd.Series:

@@ -6,6 +6,8 @@ trains with item block (b + r) mod blocks, so no two tasks share a row.
 merge: each worker trains on a private copy of the rows it touches; deltas are summed.
 Every cell starts from the same aggregation parameters; their deltas are summed after each
 sub-epoch, and the next one starts from there. These are at most 2 K + 2 rows, held by the driver.
+A history reaches over all item blocks: before each epoch a user's pooled sums are taken for every block,
+and a cell gets those of the blocks it does not hold, as constants of that epoch.
 Snapshots are written to the shared folder after every sub-epoch, so a lost executor costs one.
 """
 
@@ -16,6 +18,7 @@ from dataclasses import dataclass, field
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.mix import mix
@@ -25,6 +28,7 @@ from ..sources.feedback import index_ids
 from . import relational, sampling
 from .aggregate import Layer, first_params
 from .blocks import Counts, TrainConfig, block_epoch, with_options
+from .predict import history_sums
 
 FACTORS = "side string, id long, vec array<double>"
 #: What kernels count: whole numbers, then sums and seconds by phase.
@@ -76,11 +80,15 @@ def init_factors(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = No
 
 def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch: int, delta: bool = False, params: np.ndarray | None = None) -> pd.DataFrame:
     """Kernel of one cell: pairs and tagged factor rows in, tagged rows out (changed ones, or deltas;
-    always deltas for the rows of the aggregation). Histories hold the newest resident items."""
+    always deltas for the rows of the aggregation). Rows of side away hold what a user's history elsewhere adds."""
     empty = pd.DataFrame({"side": pd.Series(dtype=str), "id": pd.Series(dtype="int64"), "vec": pd.Series(dtype=object), **{c: pd.Series(dtype="int64") for c in WHOLE}, **{c: pd.Series(dtype="float64") for c in REAL}})
     if not len(rows):
         return empty
     rows = rows.sort_values(["side", "id"])
+    off = rows[rows["side"] == "away"]
+    rows = rows[rows["side"] != "away"]
+    if not len(rows):
+        return empty
     is_user = (rows["side"] == "user").to_numpy()
     ids = rows["id"].to_numpy()
     u_ids, i_ids = ids[is_user], ids[~is_user]
@@ -93,12 +101,16 @@ def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch
         pairs = pairs.sort_values(["user_id", "at", "item_id"], ascending=[True, False, False])
         pu, pi = pairs["user_id"].to_numpy(), pairs["item_id"].to_numpy()
         u, i = np.searchsorted(u_ids, pu), np.searchsorted(i_ids, pi)
-        layer = hist = None
+        layer = hist = away = None
         if params is not None:
             layer = Layer(params.copy(), cfg.sync, cfg.lr, cfg.flush_tail)
-            ends = np.searchsorted(u, np.arange(len(users) + 1))
-            hist = [i[a : min(b, a + cfg.history)] for a, b in zip(ends[:-1], ends[1:], strict=True)]
-        c = block_epoch(users, items, u, i, pu, pi, cfg, epoch, layer, hist)
+            new = pairs["recent"].to_numpy()
+            ends = np.searchsorted(u[new], np.arange(len(users) + 1))
+            hist = [i[new][a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)]
+            if len(off):
+                away = np.zeros((len(users), cfg.dim + 2))
+                away[np.searchsorted(u_ids, off["id"].to_numpy())] = np.stack(off["vec"])
+        c = block_epoch(users, items, u, i, pu, pi, cfg, epoch, layer, hist, away)
         if layer is not None:
             moved = layer.w - params
     if delta:
@@ -130,6 +142,13 @@ def rotation(pairs: DataFrame, cfg: TrainConfig) -> DataFrame:
     return pairs.withColumn("cell", ub).withColumn("turn", F.pmod(ib - ub, F.lit(cfg.blocks)))
 
 
+def mark_recent(pairs: DataFrame, most: int) -> DataFrame:
+    """Adds recent: the pair is among its user's newest. Ranks stop at most before any user is gathered."""
+    rank = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("at"), F.desc("item_id")))
+    newest = pairs.withColumn("_n", rank).where(F.col("_n") <= most).select("user_id", "item_id", F.lit(True).alias("recent"))
+    return pairs.join(newest, ["user_id", "item_id"], "left").withColumn("recent", F.coalesce("recent", F.lit(False)))
+
+
 def _totals(history: list[dict], out: DataFrame, epoch: int) -> None:
     r = out.agg(*[F.sum(c).alias(c) for c in (*WHOLE, *REAL)]).first()
     history.append({"epoch": epoch, **r.asDict()})
@@ -146,13 +165,26 @@ def _merged(params: np.ndarray | None, out: DataFrame, dim: int) -> np.ndarray |
     return params
 
 
+def away_sums(dealt: DataFrame, factors: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
+    """turn, side, id, vec: for each user and sub-epoch in which it trains, the sums over its history in
+    all other item blocks, as the row num, den, off that pooling reads. A row a user and block it has pairs in."""
+    users, items = (factors.where(F.col("side") == s).select("id", "vec") for s in ("user", "item"))
+    parts = history_sums(dealt.select("user_id", "item_id", "turn", F.col("recent").alias("counts")), ["user_id", "turn"], users, items, params, cfg)
+    total = parts.groupBy("user_id").agg(F.sum("den").alias("_den"), *[F.sum(F.col("num")[d]).alias(f"_{d}") for d in range(cfg.dim)])
+    both = parts.join(total, "user_id")
+    rest = [F.col(f"_{d}") - F.col("num")[d] for d in range(cfg.dim)]
+    return both.select("turn", F.lit("away").alias("side"), F.col("user_id").alias("id"), F.array(*rest, F.greatest(F.col("_den") - F.col("den"), F.lit(0.0)), F.col("off")).alias("vec"))
+
+
 def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None) -> Model:
-    dealt = cuts.cut(rotation(pairs.select("user_id", "item_id", "at"), cfg))
+    dealt = cuts.cut(rotation(pairs.select("user_id", "item_id", "at", "recent"), cfg))
     history: list[dict] = []
     for epoch in range(cfg.epochs):
+        away = cuts.cut(away_sums(dealt, factors, params, cfg)) if params is not None and cfg.blocks > 1 else None
         for turn in range(cfg.blocks):
-            block = F.when(F.col("side") == "user", block_of("user", "id", cfg)).otherwise(F.pmod(block_of("item", "id", cfg) - turn, F.lit(cfg.blocks)))
-            right = factors.withColumn("cell", block.cast("int")).groupBy("cell")
+            block = F.when(F.col("side") != "item", block_of("user", "id", cfg)).otherwise(F.pmod(block_of("item", "id", cfg) - turn, F.lit(cfg.blocks)))
+            rows = factors if away is None else factors.unionByName(away.where(F.col("turn") == turn).select("side", "id", "vec"))
+            right = rows.withColumn("cell", block.cast("int")).groupBy("cell")
             left = dealt.where(F.col("turn") == turn).groupBy("cell")
             out = cuts.cut(left.cogroup(right).applyInPandas(_cell(cfg, epoch, params=params), OUT))
             _totals(history, out, epoch)
@@ -164,7 +196,7 @@ def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cut
 def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None, tile: int = 256) -> Model:
     """Workers read the rows of their pairs and a tile of further items; summed deltas give the next snapshot."""
     history: list[dict] = []
-    dealt = cuts.cut(pairs.select("user_id", "item_id", "at").withColumn("worker", (mix(cfg.seed + 41, "user_id") % cfg.blocks).cast("int")))
+    dealt = cuts.cut(pairs.select("user_id", "item_id", "at", "recent").withColumn("worker", (mix(cfg.seed + 41, "user_id") % cfg.blocks).cast("int")))
     n_items = factors.where("side = 'item'").count()
     for epoch in range(cfg.epochs):
         need = dealt.select("worker", F.lit("user").alias("side"), F.col("user_id").alias("id")).union(dealt.select("worker", F.lit("item"), "item_id"))
@@ -200,6 +232,7 @@ def fit(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = None, weigh
     cuts = Cuts(pairs.sparkSession)
     at = F.max(F.unix_micros(F.col("ts").cast("timestamp"))) if "ts" in pairs.columns and cfg.aggregator else F.lit(0).cast("long")
     pairs = cuts.cut(pairs.where("user_id is not null and item_id is not null").groupBy("user_id", "item_id").agg(F.coalesce(at, F.lit(0).cast("long")).alias("at")))
+    pairs = cuts.cut(mark_recent(pairs, cfg.history)) if cfg.aggregator else pairs.withColumn("recent", F.lit(False))
     plan = choose_plan(pairs, cfg) if cfg.plan == "auto" else cfg.plan
     factors = cuts.cut(init_factors(pairs, cfg, warm))
     params = None

@@ -572,12 +572,12 @@ def _(spark, d):
     return spark.createDataFrame([("gpu", round(metrics.training_cost(60, 100, 3.06, 2), 6)), ("cpu", round(metrics.training_cost(60, 100, 2.46), 6))], "kind string, dollars double")
 
 
-@query("cost_projection", "SELECT round(297.7 * 100 * 3.06, 3) AS dollars")
+@query("cost_projection", "SELECT round(CAST(297.7 AS DOUBLE) * 100 * 3.06, 3) AS dollars")
 def _(spark, d):
     return spark.createDataFrame([(round(metrics.training_cost(297.7 * 3600, 1, 3.06, 100), 3),)], "dollars double")
 
 
-@query("scaling_table", "SELECT cores, 64.0 / s AS seconds, s AS speedup, s / cores AS efficiency FROM (VALUES (1, 1.0), (2, 2.0), (64, 40.0)) AS t(cores, s)")
+@query("scaling_table", "SELECT cores, 64.0 / s AS seconds, s AS speedup, s / cores AS efficiency FROM (SELECT cores, CAST(v AS DOUBLE) AS s FROM (VALUES (1, 1.0), (2, 2.0), (64, 40.0)) AS t(cores, v))")
 def _(spark, d):
     return metrics.scaling_table(spark, {1: 64.0, 2: 32.0, 64: 1.6})
 

@@ -2,7 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from cfengine.operators import aggregate, predict
+from cfengine.operators import aggregate, predict, trainer
 from cfengine.operators.blocks import TrainConfig, block_epoch, with_options
 from cfengine.operators.trainer import Model, fit
 from cfengine.sources.feedback import user_history, workload
@@ -39,6 +39,64 @@ def test_gradients_equal_central_differences(kind):
         assert np.allclose(g_att(0, 2) + g_att(2, 4), expected, atol=1e-6)
 
 
+def _sums_away(rest, items, kind, users, params):
+    """num, den, off by hand for histories that are elsewhere."""
+    dim = items.shape[1]
+    out = np.zeros((len(rest), dim + 2))
+    for n, h in enumerate(rest):
+        q = {"average": np.zeros(dim), "self_attention": params[-1], "user_attention": users[n]}[kind]
+        out[n, dim + 1] = np.abs(q).sum()
+        for t in items[h]:
+            w = 1.0 if kind == "average" else np.exp(q @ np.tanh(params[dim : 2 * dim] @ t + params[2 * dim]) - out[n, dim + 1])
+            out[n, :dim] += w * t
+            out[n, dim] += w
+    return out
+
+
+@pytest.mark.parametrize("kind", aggregate.KINDS)
+def test_histories_split_over_blocks_pool_like_whole_ones(kind):
+    rng = np.random.default_rng(5)
+    items, users, g = rng.normal(size=(6, 3)), rng.normal(size=(4, 3)) * 3, rng.normal(size=(4, 3))
+    params = aggregate.first_params(kind, 3, 1)
+    params = params + rng.normal(0, 0.8, params.shape)
+    here, rest = [h[:k] for h, k in zip(HIST, (1, 0, 1, 0), strict=True)], [h[k:] for h, k in zip(HIST, (1, 0, 1, 0), strict=True)]
+    away = _sums_away(rest, items, kind, users, params)
+    whole = aggregate.pool(HIST, items, kind, users, params)
+    split = aggregate.pool(here, items, kind, users, params, away)
+    assert np.allclose(split.vec, whole.vec)
+    g_hist, g_user, g_att = aggregate.backward(split, kind, g, params)
+    value = lambda i, u, p: float((g * aggregate.pool(here, i, kind, u, p, away).vec).sum())
+    g_items = np.zeros_like(items)
+    np.add.at(g_items, np.concatenate(here).astype(int), g_hist)
+    assert np.allclose(g_items, _numeric(lambda x: value(x, users, params), items), atol=1e-6)
+    if kind == "user_attention":
+        assert np.allclose(g_user, _numeric(lambda x: value(items, x, params), users), atol=1e-6)
+    if g_att is not None:
+        assert np.allclose(g_att(0, 4), _numeric(lambda x: value(items, users, x), params)[3:], atol=1e-6)
+
+
+@pytest.mark.parametrize("kind", ["average", "user_attention"])
+def test_cells_get_the_history_they_do_not_hold(spark, sf, kind):
+    cfg = TrainConfig(dim=3, aggregator=kind, history=7, blocks=3)
+    pairs = trainer.mark_recent(workload(spark, sf, "orders").select("user_id", "item_id").distinct().withColumn("at", F.col("item_id") % 5), 7)
+    dealt = trainer.rotation(pairs, cfg).cache()
+    factors = trainer.init_factors(pairs, cfg).cache()
+    params = aggregate.first_params(kind, 3, 1)
+    got = {(r.id, r.turn): r.vec for r in trainer.away_sums(dealt, factors, params, cfg).collect()}
+    vec = {(r.side, r.id): np.array(r.vec) for r in factors.collect()}
+    rows = dealt.toPandas()
+    assert (rows[rows.recent].groupby("user_id").size() <= 7).all()
+    newest = rows.sort_values(["user_id", "at", "item_id"], ascending=[True, False, False]).groupby("user_id").head(7)
+    assert set(zip(newest.user_id, newest.item_id, strict=True)) == set(zip(*(rows[rows.recent][c] for c in ("user_id", "item_id")), strict=True))
+    ids = sorted({i for s, i in vec if s == "item"})
+    items = np.stack([vec["item", i] for i in ids])
+    for (user, turn), have in got.items():
+        rest = newest[(newest.user_id == user) & (newest.turn != turn)].item_id
+        expected = _sums_away([np.searchsorted(ids, rest)], items, kind, np.stack([vec["user", user]]), params)[0]
+        assert np.allclose(have, expected)
+    assert set(got) == set(zip(rows.user_id, rows.turn, strict=True))
+
+
 def test_empty_histories_pool_to_zero():
     for kind in aggregate.KINDS:
         p = aggregate.pool([np.array([], np.int64)] * 2, np.ones((3, 4)), kind, np.ones((2, 4)), aggregate.first_params(kind, 4, 1))
