@@ -2,7 +2,7 @@
 
 Hardware-bound figures keep the structure (phases, ratios, curves), not the numbers. Every
 run trains on all pairs of its workload by block rotation; dimensions are small by default. E9 and E13 leave
-the plan to the planner (one block at these sizes), since rotated histories hold resident items alone.
+the plan to the planner (one block at these sizes), since rotation reads older sums of histories elsewhere.
 """
 
 from __future__ import annotations
