@@ -4,13 +4,18 @@ A document's set is its distinct word shingles. Equal sets are one class from th
 only their smallest id goes on. SIGNATURE minhash values give ORDERS sorted orders, order k
 being the signature rotated by k steps; neighbours with a long common prefix in an order are
 runs of equal prefixes, the regions. Regions start at depth 4 and deepen where more than
-REGION documents share a prefix. Within a region all pairs are compared on full sets, in
+REGION documents share a prefix; the region they came from stays as a crowd. Within a region all pairs
+are compared on full sets, in
 blocks of BLOCK documents, so no task holds more than two blocks and no pair is emitted: a block returns a
 spanning forest of its links. Two rounds use the orders: the second compares only pairs that the
 first left in different components.
 
+Deepening and blocks drawn from the crowds link most of a crowd in the first round at a cost that
+grows with its size. The second round then compares every pair of a crowd that is still open, so what
+leaves the deeper regions keeps its links; its cost follows the documents outside the crowd's largest component.
+
 A link of similarity s agrees on 4 values of a given order with probability s^4, so 16 orders
-miss one of 0.85 with probability 7e-6 and one of 0.80 with 2e-4, unless a region had to be deepened.
+miss one of 0.85 with probability 7e-6 and one of 0.80 with 2e-4, in crowds as elsewhere.
 
 Defined cases: a text without words, or null, has an empty set and links with nothing; a row
 with null id keeps a null component and is kept. Rows that repeat an id belong to that id's class.
@@ -203,7 +208,9 @@ def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
 
 
 def _regions(classes: DataFrame, scratch: Scratch) -> DataFrame:
-    """region, n, ord, doc: documents that share a prefix, deepened where more than REGION do.
+    """region, n, ord, doc, crowd: documents that share a prefix, deepened where more than REGION do.
+
+    crowd marks regions of the first depth that were deepened; they hold every pair of the deeper ones.
 
     Only hashes of prefixes travel; signatures are joined again for what is deepened. All sides
     of these joins grow with the input, so none is broadcast whatever its size today.
@@ -218,29 +225,32 @@ def _regions(classes: DataFrame, scratch: Scratch) -> DataFrame:
     for k in range(len(DEPTHS)):
         sizes = keyed.groupBy("region").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
         keyed = scratch.cut(keyed.join(sizes.hint("merge"), "region"))
-        last = k == len(DEPTHS) - 1
-        done = (keyed if last else keyed.where(F.col("n") <= REGION)).select("region", "n", "ord", "doc")
+        here = keyed if k == 0 else keyed.where(F.col("n") <= REGION)
+        done = here.select("region", "n", "ord", "doc", (F.col("n") > REGION).alias("crowd"))
         found = done if found is None else found.unionByName(done)
         over = keyed.where(F.col("n") > REGION)
-        if last or over.isEmpty():
+        if k == len(DEPTHS) - 1 or over.isEmpty():
             return found
         keyed = over.select("doc", "ord").join(classes.select("doc", "sig").hint("merge"), "doc").select("doc", "ord", prefix(F.col("ord"), DEPTHS[k + 1]).alias("region"))
     return found
 
 
 def _linked(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """a, b: spanning links of every region. members: region, n, doc, comp, minor, n_minor.
+    """a, b: spanning links of every region. members: region, n, doc, comp, minor, n_minor, sample.
 
     minor marks documents outside their region's largest component; only pairs with one of these are
-    open. Where they fit one block they join every block of the others; else every two blocks meet.
+    open. Blocks of minor documents meet each other and every block of the rest. In a region marked
+    sample, a block meets only itself.
     """
     spark = members.sparkSession
-    blocks = F.ceil(F.col("n") / F.lit(BLOCK)).cast("int")
-    own = F.pmod(F.xxhash64("doc", "region"), blocks).cast("int")
-    every = F.sequence(F.lit(0), blocks - 1)
-    few = F.col("n_minor") <= BLOCK
-    others = F.when(blocks == 1, F.array(F.lit(0))).when(few & ~F.col("minor"), F.array(own)).when(few, every).otherwise(F.filter(every, lambda j: j != own))
-    dealt = members.select("region", "doc", "comp", F.when(few, F.lit(None).cast("int")).otherwise(own).alias("own"), F.explode(others).alias("j"))
+    few = F.ceil(F.col("n_minor") / F.lit(BLOCK)).cast("int")
+    blocks = few + F.ceil((F.col("n") - F.col("n_minor")) / F.lit(BLOCK)).cast("int")
+    h = F.xxhash64("doc", "region")
+    own = F.when(F.col("minor"), F.pmod(h, few)).otherwise(few + F.pmod(h, blocks - few)).cast("int")
+    rows = members.withColumns({"own": own, "few": few, "blocks": blocks})
+    meets = F.when(F.col("minor"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.sequence(F.lit(0), F.col("few") - 1))
+    others = F.when(F.col("sample") | (F.col("blocks") == 1), F.array("own")).otherwise(F.filter(meets, lambda j: j != F.col("own")))
+    dealt = rows.select("region", "doc", "comp", "own", F.explode(others).alias("j"))
     dealt = dealt.select("region", F.least("own", "j").alias("lo"), F.greatest("own", "j").alias("hi"), "doc", "comp")
     parts = max(1, spark.sparkContext.defaultParallelism * 4, dealt.count() // 2000)
     dealt = dealt.withColumn("bucket", F.pmod(F.xxhash64("region", "lo", "hi"), F.lit(parts)))
@@ -261,13 +271,13 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     members = scratch.cut(regions.join(first.hint("merge"), "region", "left_semi"))
     ids = members.select(F.col("doc").alias("doc_id")).distinct()
     sets = scratch.cut(rows.join(ids.hint("merge"), "doc_id", "left_semi").mapInPandas(_sets(words), "doc long, shingles binary").dropDuplicates(["doc"]))
-    early = members.where(F.col("ord") < FIRST_ORDERS).withColumns({"comp": F.col("doc"), "minor": F.lit(True), "n_minor": F.col("n")})
+    early = members.where((F.col("ord") < FIRST_ORDERS) | F.col("crowd")).withColumns({"comp": F.col("doc"), "minor": F.lit(True), "n_minor": F.col("n"), "sample": F.col("crowd")})
     links = scratch.cut(_linked(early, sets, percent))
     comps = components(links, scratch)
-    late = members.where(F.col("ord") >= FIRST_ORDERS).join(comps.withColumnRenamed("node", "doc").hint("merge"), "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
+    late = members.where((F.col("ord") >= FIRST_ORDERS) | F.col("crowd")).join(comps.withColumnRenamed("node", "doc").hint("merge"), "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
     sizes = late.groupBy("region", "comp").agg(F.count(F.lit(1)).alias("c"))
     split = sizes.groupBy("region").agg(F.max(F.struct("c", "comp")).alias("most"), F.count(F.lit(1)).alias("k")).where("k > 1").select("region", "most")
-    late = late.join(split.hint("merge"), "region").select("region", "n", "doc", "comp", (F.col("comp") != F.col("most.comp")).alias("minor"), (F.col("n") - F.col("most.c")).alias("n_minor"))
+    late = late.join(split.hint("merge"), "region").select("region", "n", "doc", "comp", (F.col("comp") != F.col("most.comp")).alias("minor"), (F.col("n") - F.col("most.c")).alias("n_minor"), F.lit(False).alias("sample"))
     late = scratch.cut(late)
     more = scratch.cut(_linked(late, sets, percent))
     comps = components(links.union(more), scratch)

@@ -209,6 +209,19 @@ def test_large_region_is_compared_in_blocks(spark, monkeypatch):
     assert got == {i: c for i, (_, c) in exact_classes(rows, 3, 85).items()}
 
 
+def test_crowded_region_keeps_the_links_of_its_depth(spark, monkeypatch):
+    """A family with shingles of its own in each document: most leave the crowd as it is deepened, and still belong to it."""
+    from cfengine.llm import near_dedup as N
+
+    monkeypatch.setattr(N, "REGION", 50)
+    monkeypatch.setattr(N, "BLOCK", 16)
+    base = " ".join(f"t{k}" for k in range(100))
+    rows = [(i, " ".join([base, *(f"d{i}x{k}" for k in range(7))])) for i in range(400)]
+    rows += [(i, " ".join([base, *(f"d{i}x{k}" for k in range(40))])) for i in range(400, 440)]
+    got = {r.doc_id: r.component_id for r in near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {i: c for i, (_, c) in exact_classes(rows, 3, 85).items()}
+
+
 def test_one_of_each(docs):
     want = {c for _, c in exact_classes([(r.doc_id, r.text) for r in docs.collect()], 5, 80).values()}
     out = one_of_each(docs, 80, 5)
