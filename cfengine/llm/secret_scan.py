@@ -1,9 +1,10 @@
 """Secrets in texts: strong patterns, and weak parts that count only beside their complements.
 
 Base kinds are assign, access and hex. The method adds identifiers, keys and endpoints
-that are too weak alone: within one scope (a run of text without a blank line) their
-intervals, each widened by a reach, are joined; an identifier counts when a key
-overlaps it, a key when an identifier or endpoint does, an endpoint when both do.
+that are too weak alone: within one scope (a run of text without a blank line) they
+are joined; an identifier counts when a key is there, a key when an identifier or
+endpoint is, an endpoint when both are. Scans and redaction join over the whole scope;
+linked_spans can also join intervals widened by a reach.
 
 Defined cases: a null text is empty and has no spans. Repeated rows stay repeated.
 Offsets are code points, ends exclusive. Other columns are ignored.
@@ -52,9 +53,12 @@ def base_spans(text: str) -> list[Span]:
     return out
 
 
-def _meets(spans: list[Span], others: list[Span], reach: int) -> set[Span]:
+def _meets(spans: list[Span], others: list[Span], reach: int | None) -> set[Span]:
     """Spans that some other span overlaps once widened by reach: an interval join by sorted starts.
-    Spans of one kind do not overlap, so only the next one and the one before it can be nearest."""
+    Spans of one kind do not overlap, so only the next one and the one before it can be nearest.
+    Without a reach any other span will do."""
+    if reach is None:
+        return set(spans) if others else set()
     others = sorted(others)
     starts = [s for s, _, _ in others]
     found = set()
@@ -65,8 +69,9 @@ def _meets(spans: list[Span], others: list[Span], reach: int) -> set[Span]:
     return found
 
 
-def linked_spans(text: str, base: list[Span], reach: int = REACH) -> list[Span]:
-    """Weak parts with their complements in the same scope; none that lies inside a base span."""
+def linked_spans(text: str, base: list[Span], reach: int | None = REACH) -> list[Span]:
+    """Weak parts with their complements in the same scope, within reach or, where it is None, anywhere
+    in it; none that lies inside a base span."""
     has_end = "://" in text or "amazonaws" in text
     if not (has_end or "_id" in text or any(p in text for p in ("AKIA", "ASIA", "AROA", "AIDA"))):
         return []
@@ -107,7 +112,7 @@ def _scan(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for t in pdf["text"]:
             t = t if isinstance(t, str) else ""
             base = base_spans(t)
-            both = base + linked_spans(t, base)
+            both = base + linked_spans(t, base, None)
             n = [sum(1 for x in base if x[2] == k) for k in KINDS[:3]]
             rows.append((*n, hashlib.sha256(_joined(base).encode()).hexdigest(), _joined(both)))
         yield pd.DataFrame(rows, columns=["n_assign", "n_access", "n_hex", "base_sha256", "spans"]).assign(doc_id=pdf["doc_id"].to_numpy())[["doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans"]]
@@ -123,7 +128,7 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
 def redact(text: str, mask: str = MASK) -> str:
     """The text with every reported stretch replaced by the mask; overlapping spans become one."""
     base = base_spans(text)
-    spans = sorted(base + linked_spans(text, base))
+    spans = sorted(base + linked_spans(text, base, None))
     if not spans:
         return text
     out, at = [], 0

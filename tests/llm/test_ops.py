@@ -125,6 +125,15 @@ def test_weak_parts_need_their_complement():
     assert key not in S.redact(f"{ident} {key}")
 
 
+def test_parts_at_both_ends_of_a_scope(spark):
+    ident, key, end = "client_id = acme-7788", "Zx9" + "aB3dE5" * 4, "https://db.internal.example/api"
+    far = " word" * 1000
+    rows = [(0, f"{ident} {far} {key}"), (1, f"{end} {far} {ident} {far} {key}"), (2, f"{ident} {far}\n\n{key}")]
+    got = {r.doc_id: [x.split(":")[0] for x in r.spans.split(",") if x] for r in S.scan_secrets(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {0: ["id", "key"], 1: ["endpoint", "id", "key"], 2: []}
+    assert key not in S.redact(rows[0][1]) and ident not in S.redact(rows[0][1]) and S.redact(rows[2][1]) == rows[2][1]
+
+
 def test_redaction_leaves_clean_text(docs):
     for r in docs.limit(50).collect():
         if not S.base_spans(r.text) and not S.linked_spans(r.text, []):
