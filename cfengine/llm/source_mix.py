@@ -5,8 +5,8 @@ the source has to supply by any moment; a document's position is the moment at w
 integral reaches the tokens supplied before it (and half of its own). Documents are range-sorted by position.
 
 A source passes over its documents in hash order, whole passes first; the last, partial
-pass ends where the target is met best, and one document of that pass is then added or
-taken back if that brings the total nearer. Documents are taken whole, at most max_repeats times.
+pass takes documents while they fit and then goes on over those that fit what is left, until
+none does; one more is then added if that brings the total nearer. Documents are taken whole, at most max_repeats times.
 
 Defined cases: a null or blank text has size 0 and takes nothing; a null source is a source
 of its own, last in order. Repeated rows are separate documents. No row gives no row.
@@ -83,6 +83,32 @@ def position(share: Column, segs: Column) -> Column:
     return F.least(seg["t0"] + F.coalesce(F.try_divide(2 * u, seg["r0"] + root), F.lit(0.0)), seg["t1"])
 
 
+def _filled(base: DataFrame, max_repeats: int, scratch: Scratch) -> DataFrame:
+    """source, place: documents that fit what the prefix left of a source's target, in hash order, until none fits.
+
+    A round passes over those of at most half of what is left, then takes the largest that still fits.
+    Either the pass ends on one that does not fit, or only larger ones remain and two of
+    these would not fit; so what is left halves and the rounds are few whatever the sizes.
+    """
+    same = lambda a, b: F.col(f"{a}.source").eqNullSafe(F.col(f"{b}.source"))
+    left = base.groupBy("source").agg((F.first("_rest") - F.sum(F.when(F.col("_more"), F.col("size")).otherwise(0))).alias("left"))
+    rows = base.where((F.col("size") > 0) & (F.col("_full") < max_repeats) & ~F.col("_more")).select("source", F.col("place").alias("row"), "size", "_h")
+    open_ = scratch.cut(rows.alias("d").join(left.alias("o"), same("d", "o")).select("d.*", "o.left").where("size <= left"))
+    found = base.select("source", "place").limit(0)
+    while not open_.isEmpty():
+        small = ranked(open_.where("size <= left / 2"), ["source"], F.col("row"), F.col("size"), scratch)
+        small = scratch.cut(small.where("before + size <= left").select("source", "row", "size"))
+        used = small.groupBy("source").agg(F.sum("size").alias("used"))
+        rest = open_.alias("d").join(small.alias("s"), same("d", "s") & (F.col("d.row") == F.col("s.row")), "left_anti")
+        rest = rest.alias("d").join(used.alias("u"), same("d", "u"), "left").select("d.source", "d.row", "d.size", "d._h", (F.col("d.left") - F.coalesce("u.used", F.lit(0))).alias("left"))
+        rest = scratch.cut(rest.where("size <= left"))
+        one = scratch.cut(rest.groupBy("source").agg(F.max(F.struct("size", "row")).alias("m")).select("source", "m.row", "m.size"))
+        found = found.union(small.select("source", "row")).union(one.select("source", "row"))
+        next_ = rest.alias("d").join(one.alias("o"), same("d", "o") & (F.col("d.row") != F.col("o.row")))
+        open_ = scratch.cut(next_.select("d.source", "d.row", "d.size", "d._h", (F.col("d.left") - F.col("o.size")).alias("left")).where("size <= left"))
+    return found
+
+
 def plan_mix(docs: DataFrame, weights: tuple = WEIGHTS, schedules: tuple = SCHEDULES, max_repeats: int = MAX_REPEATS) -> DataFrame:
     """doc_id, size, source_size, target, taken, copies, positions (one a copy), source; one row a document."""
     spark = docs.sparkSession
@@ -103,9 +129,12 @@ def plan_mix(docs: DataFrame, weights: tuple = WEIGHTS, schedules: tuple = SCHED
     passes = F.floor(F.coalesce(F.try_divide(F.col("target"), F.col("group_size")), F.lit(0.0)) + F.lit(1e-9))
     base = base.withColumn("_full", F.least(passes, F.lit(max_repeats)).cast("long"))
     base = base.withColumn("_rest", F.col("target") - F.col("_full") * F.col("group_size"))
-    more = (F.col("_full") < max_repeats) & (F.col("size") > 0) & (F.col("before") + F.col("size") / 2 <= F.col("_rest"))
+    more = (F.col("_full") < max_repeats) & (F.col("size") > 0) & (F.col("before") + F.col("size") <= F.col("_rest"))
     base = scratch.cut(base.withColumn("_more", more))
-    # what is still missing (or too much), a source, and the document whose size comes nearest to it
+    extra = _filled(base, max_repeats, scratch)
+    base = base.alias("d").join(extra.withColumn("_extra", F.lit(True)).alias("e"), F.col("d.source").eqNullSafe(F.col("e.source")) & (F.col("d.place") == F.col("e.place")), "left")
+    base = scratch.cut(base.select("d.*", "e._extra").withColumn("_more", F.col("_more") | F.coalesce("_extra", F.lit(False))).drop("_extra"))
+    # what is still missing, a source, and the document whose size comes nearest to it
     off = base.groupBy("source").agg((F.first("_rest") - F.sum(F.when(F.col("_more"), F.col("size")).otherwise(0))).alias("_off"))
     with_off = base.alias("d").join(off.alias("o"), F.col("d.source").eqNullSafe(F.col("o.source"))).select("d.*", "o._off")
     fits = (F.col("size") > 0) & (F.col("_full") < max_repeats) & (F.col("_more") == (F.col("_off") < 0)) & (F.abs(F.abs("_off") - F.col("size")) < F.abs("_off"))

@@ -267,6 +267,19 @@ def test_mix(docs, odd, empty):
     assert M.plan_mix(empty).count() == 0
 
 
+def test_long_document_does_not_end_the_pass(spark):
+    """One of 1,000 words first in hash order, small ones behind it that meet the target exactly."""
+    ids = [(k,) for k in range(101)]
+    order = [r.id for r in spark.createDataFrame(ids, "id long").orderBy(F.xxhash64(F.md5(F.col("id").cast("string")))).collect()]
+    rows = [(i, "w " * (1000 if i == order[0] else 10), "a") for i in order] + [(1000, "w " * 3400, "b")]
+    taken = spark_sums(M.plan_mix(spark.createDataFrame(rows, "doc_id long, text string, source string"), weights=(400, 5000)))
+    assert taken["a"] == 400
+
+
+def spark_sums(mix):
+    return {r.source: r.n for r in mix.groupBy("source").agg(F.sum("taken").alias("n")).collect()}
+
+
 def test_targets_reshare_what_caps_leave():
     assert M.targets([10, 1000], [1, 1], 1010) == [30.0, 980.0]
     assert sum(M.targets([5, 5, 90], [3, 3, 1], 100)) == pytest.approx(100)
