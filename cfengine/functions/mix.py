@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -36,3 +39,20 @@ def mix_sql(seed: int, *keys: str) -> str:
 
 def unit(seed: int, *keys) -> Column:
     return mix(seed, *keys) / F.lit(float(P))
+
+
+def multipliers(seed: int, n: int, count: int = 64) -> np.ndarray:
+    """Numbers that share no factor with n: from each of count draws, the first one at or after it."""
+    out = []
+    for k in range(count):
+        c = 1 + mix_py(seed, k) % n
+        while math.gcd(c, n) != 1:
+            c += 1
+        out.append(c)
+    return np.array(out, np.int64)
+
+
+def multiplier_sql(seed: int, n: str, pick: str, count: int = 64) -> str:
+    """The number that multipliers(seed, n)[pick % count] is, as a DuckDB expression."""
+    first = f"(1 + {mix_sql(seed, f'({pick} % {count})')} % {n})"
+    return f"list_filter(range({first}, {first} + 400), lambda c: gcd(c, {n}) = 1)[1]"

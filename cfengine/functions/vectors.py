@@ -38,6 +38,14 @@ def carry(df: DataFrame, *exprs: Column) -> DataFrame:
     return df.select(F.inline(F.array(F.struct(*exprs))))
 
 
+def normalize_rows(df: DataFrame, vec: str = "vec") -> DataFrame:
+    """The dense baseline's normalization: the inverse norm of every row (0 for a zero row) and the rows
+    times it, both written out as columns of their own."""
+    inverse = F.coalesce(F.try_divide(F.lit(1.0), F.sqrt(sq_norm(F.col(vec)))), F.lit(0.0))
+    rows = carry(df, *df.columns, inverse.alias("inverse_norm"))
+    return rows.withColumn("unit", F.transform(vec, lambda v: v.cast("double") * F.col("inverse_norm")))
+
+
 def combine(a: Column, x: Column, b: Column, y: Column) -> Column:
     """a * x - b * y for vectors x, y."""
     return F.zip_with(x, y, lambda p, q: a * p.cast("double") - b * q.cast("double"))

@@ -44,16 +44,14 @@ class Pooled:
     query: np.ndarray | None
 
 
-def pool(hist: list[np.ndarray], items: np.ndarray, kind: str, user: np.ndarray, params: np.ndarray, away: np.ndarray | None = None) -> Pooled:
+def pool(t: np.ndarray, rows: np.ndarray, lens: np.ndarray, kind: str, user: np.ndarray, params: np.ndarray, away: np.ndarray | None = None) -> Pooled:
     """average: equal weights; self_attention: softmax(q . tanh(W1 t + b)); user_attention: the user row for q.
-    away, a row an example: what history rows that are not in items add, as constants: the weighted sum, the
+    t: the history rows of all examples, one after another, rows their numbers, lens how many an example has.
+    away, a row an example: what history rows that are not in t add, as constants: the weighted sum, the
     sum of the weights, and the exponent that was taken off each weight."""
-    dim = items.shape[1]
-    num, den, off = (np.zeros((len(hist), dim)), np.zeros(len(hist)), np.full(len(hist), -np.inf)) if away is None else (away[:, :dim], away[:, dim], away[:, dim + 1])
-    lens = np.array([len(h) for h in hist], np.int64)
-    rows = np.concatenate(hist).astype(np.int64) if lens.sum() else np.zeros(0, np.int64)
-    of = np.repeat(np.arange(len(hist)), lens)
-    t = items[rows]
+    dim, n = params.shape[1], len(lens)
+    num, den, off = (np.zeros((n, dim)), np.zeros(n), np.full(n, -np.inf)) if away is None else (away[:, :dim], away[:, dim], away[:, dim + 1])
+    of = np.repeat(np.arange(n), lens)
     act = query = None
     if kind == "average":
         e = np.ones(len(rows))
@@ -95,7 +93,8 @@ def backward(p: Pooled, kind: str, g: np.ndarray, params: np.ndarray) -> tuple[n
 
 
 class Layer:
-    """Parameters with locally accumulated gradients: every m iterations the mean of the sum is applied."""
+    """Parameters with locally accumulated gradients: every m iterations the mean of the sum is applied.
+    m = 1 is the shared copy that every iteration writes."""
 
     def __init__(self, w: np.ndarray, m: int, lr: float, flush_tail: bool = True):
         self.w, self.m, self.lr, self.flush_tail = w, m, lr, flush_tail
@@ -122,3 +121,36 @@ class Layer:
     def finish(self) -> None:
         if self.n and self.flush_tail:
             self._apply()
+
+
+class ServerLayer(Layer):
+    """A parameter server without barriers: a worker reads a replica, sends the mean gradient of m
+    iterations, and sees it in a replica only after age more of its mini-batches."""
+
+    def __init__(self, w: np.ndarray, m: int, lr: float, flush_tail: bool = True, age: int = 1):
+        super().__init__(w, m, lr, flush_tail)
+        self.server, self.age, self.sent = w.copy(), age, []
+
+    def _apply(self) -> None:
+        self.sent.append(self.lr * self.sum / self.n)
+        self.sum[:] = 0
+        self.n = 0
+        if len(self.sent) > self.age:
+            self.server -= self.sent.pop(0)
+            self.writes += 1
+        self.w[:] = self.server
+
+    def finish(self) -> None:
+        super().finish()
+        for g in self.sent:
+            self.server -= g
+            self.writes += 1
+        self.sent = []
+        self.w[:] = self.server
+
+
+def make_layer(params: np.ndarray, cfg) -> Layer:
+    """The way of updating that cfg.sync_mode names: local, server or shared."""
+    if cfg.sync_mode == "server":
+        return ServerLayer(params, cfg.sync, cfg.lr, cfg.flush_tail, cfg.stale)
+    return Layer(params, cfg.sync if cfg.sync_mode == "local" else 1, cfg.lr, cfg.flush_tail)

@@ -2,43 +2,111 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.mix import mix
+from ..functions.vectors import init_vector
+from ..plans.cuts import Cuts
+from ..plans.skew import meetings, split_join
 from ..sources.feedback import dense_index
 
 
-def _knn(pairs: DataFrame, own: str, other: str, k: int) -> DataFrame:
-    """Cosine of the 0/1 rows of own: common / sqrt(n n'). Pairs of rows meet only on a common column."""
+def _common(pairs: DataFrame, own: str, other: str) -> DataFrame:
+    """a, b, c: how many columns two different rows share, in both orders. Half of it is counted."""
+    met = meetings(pairs, own, other, Cuts(pairs.sparkSession)).groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"))
+    return met.select(F.inline(F.array(F.struct("a", "b", "c"), F.struct(F.col("b").alias("a"), F.col("a").alias("b"), "c"))))
+
+
+def _knn(pairs: DataFrame, own: str, other: str, k: int, sim: str) -> DataFrame:
+    """sim: cosine of the 0/1 rows of own, common / sqrt(n n'), or jaccard, common / (n + n' - common)."""
     n = pairs.groupBy(own).agg(F.count(F.lit(1)).alias("n"))
-    p = pairs.select(own, other)
-    common = p.alias("a").join(p.alias("b"), other).where(F.col(f"a.{own}") != F.col(f"b.{own}")).groupBy(F.col(f"a.{own}").alias("a"), F.col(f"b.{own}").alias("b")).agg(F.count(F.lit(1)).alias("c"))
-    j = common.join(n.select(F.col(own).alias("a"), F.col("n").alias("na")), "a").join(n.select(F.col(own).alias("b"), F.col("n").alias("nb")), "b")
-    sim = j.select("a", "b", F.round(F.col("c") / F.sqrt((F.col("na") * F.col("nb")).cast("double")), 9).alias("sim"))
+    j = _common(pairs, own, other).join(n.select(F.col(own).alias("a"), F.col("n").alias("na")), "a").join(n.select(F.col(own).alias("b"), F.col("n").alias("nb")), "b")
+    under = F.sqrt((F.col("na") * F.col("nb")).cast("double")) if sim == "cosine" else F.col("na") + F.col("nb") - F.col("c")
+    rows = j.select("a", "b", F.round(F.col("c") / under, 9).alias("sim"))
     rank = F.row_number().over(W.partitionBy("a").orderBy(F.desc("sim"), "b"))
-    return sim.withColumn("rank", rank).where(F.col("rank") <= k)
+    return rows.withColumn("rank", rank).where(F.col("rank") <= k)
+
+
+def user_knn(pairs: DataFrame, k: int = 10, sim: str = "cosine") -> DataFrame:
+    return _knn(pairs, "user_id", "item_id", k, sim)
+
+
+def item_knn(pairs: DataFrame, k: int = 10, sim: str = "cosine") -> DataFrame:
+    return _knn(pairs, "item_id", "user_id", k, sim)
+
+
+def _voted(votes: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
+    scored = votes.groupBy("user_id", "item_id").agg(F.round(F.sum("sim"), 9).alias("score")).join(pairs.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
+    rank = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("score"), "item_id"))
+    return scored.withColumn("rank", rank).where(F.col("rank") <= k)
 
 
-def user_knn(pairs: DataFrame, k: int = 10) -> DataFrame:
-    return _knn(pairs, "user_id", "item_id", k)
+def user_knn_votes(pairs: DataFrame, neighbours: DataFrame, k: int = 20) -> DataFrame:
+    """user_id, item_id, score, rank: unseen items by the summed similarity of the neighbours that have them."""
+    votes = neighbours.select(F.col("a").alias("user_id"), F.col("b").alias("_b"), "sim").join(pairs.select(F.col("user_id").alias("_b"), "item_id"), "_b")
+    return _voted(votes, pairs, k)
 
 
-def item_knn(pairs: DataFrame, k: int = 10) -> DataFrame:
-    return _knn(pairs, "item_id", "user_id", k)
+def item_knn_votes(pairs: DataFrame, neighbours: DataFrame, k: int = 20) -> DataFrame:
+    """The same from item neighbours: an item collects its similarity to each of the user's items that has it for a neighbour."""
+    near = neighbours.select(F.col("a").alias("_a"), F.col("b").alias("item_id"), "sim")
+    votes = split_join(pairs.select("user_id", F.col("item_id").alias("_a")), near, "_a", "user_id", Cuts(pairs.sparkSession))
+    return _voted(votes, pairs, k)
 
 
 def item_cond_prob(pairs: DataFrame, k: int = 10) -> DataFrame:
     """given, item, p: share of the given item's users who also have the item."""
     n = pairs.groupBy("item_id").agg(F.count(F.lit(1)).alias("n"))
-    p = pairs.select("user_id", "item_id")
-    c = p.alias("a").join(p.alias("b"), "user_id").where("a.item_id <> b.item_id").groupBy(F.col("a.item_id").alias("given"), F.col("b.item_id").alias("item")).agg(F.count(F.lit(1)).alias("c"))
+    c = _common(pairs, "item_id", "user_id").select(F.col("a").alias("given"), F.col("b").alias("item"), "c")
     prob = c.join(n.withColumnRenamed("item_id", "given"), "given").select("given", "item", F.round(F.col("c") / F.col("n"), 9).alias("p"))
     rank = F.row_number().over(W.partitionBy("given").orderBy(F.desc("p"), "item"))
     return prob.withColumn("rank", rank).where(F.col("rank") <= k)
 
 
+def row_sums(pairs: DataFrame, vectors: DataFrame, side: str, dim: int) -> DataFrame:
+    """id, vec of every row of side: the sum of the other side's vectors (id, vec) over its pairs, that is
+    the 0/1 matrix (or its transpose) times vectors. Sums have map-side partial sums."""
+    other = "item_id" if side == "user_id" else "user_id"
+    joined = pairs.select(F.col(side).alias("_row"), F.col(other).alias("id")).join(vectors, "id")
+    sums = joined.groupBy("_row").agg(*[F.sum(F.col("vec")[d]).alias(f"_{d}") for d in range(dim)])
+    return sums.select(F.col("_row").alias("id"), F.array(*[F.col(f"_{d}") for d in range(dim)]).alias("vec"))
+
+
+def _gram(rows: DataFrame, dim: int) -> np.ndarray:
+    """Sum of v v^T over all rows: dim x dim numbers."""
+    cells = [(a, b) for a in range(dim) for b in range(a, dim)]
+    r = rows.agg(*[F.sum(F.col("vec")[a] * F.col("vec")[b]).alias(f"_{a}_{b}") for a, b in cells]).first()
+    g = np.zeros((dim, dim))
+    for a, b in cells:
+        g[a, b] = g[b, a] = r[f"_{a}_{b}"] or 0.0
+    return g
+
+
+def _times(rows: DataFrame, m: np.ndarray) -> DataFrame:
+    """Each row times a small matrix."""
+    columns = [F.aggregate(F.zip_with("vec", F.array(*[F.lit(float(v)) for v in m[:, k]]), lambda x, y: x * y), F.lit(0.0), lambda a, x: a + x) for k in range(m.shape[1])]
+    return rows.select("id", F.array(*columns).alias("vec"))
+
+
+def truncated_factors(pairs: DataFrame, rank: int = 8, rounds: int = 8, seed: int = 1) -> tuple[DataFrame, DataFrame, np.ndarray]:
+    """(users, items, singular values) of the best rank-rank product for the 0/1 matrix, by subspace iteration:
+    users x items gives the prediction. Each round is two sums over the pairs; only rank x rank numbers reach the driver."""
+    cuts = Cuts(pairs.sparkSession)
+    items = cuts.cut(pairs.select(F.col("item_id").alias("id")).distinct().withColumn("vec", init_vector(seed, "id", rank, "uniform", 1.0)))
+    for _ in range(rounds):
+        users = cuts.cut(row_sums(pairs, items, "user_id", rank))
+        items = cuts.cut(row_sums(pairs, users, "item_id", rank))
+        values, vectors = np.linalg.eigh(_gram(items, rank))
+        items = cuts.cut(_times(items, vectors[:, ::-1] / np.sqrt(np.maximum(values[::-1], 1e-300))))
+    users = cuts.cut(row_sums(pairs, items, "user_id", rank))
+    values, vectors = np.linalg.eigh(_gram(users, rank))
+    turn = vectors[:, ::-1]
+    return cuts.cut(_times(users, turn)), cuts.cut(_times(items, turn)), np.sqrt(np.maximum(values[::-1], 0.0))
+
+
 def content_profile(pairs: DataFrame, attrs: DataFrame) -> DataFrame:
     """user_id, attr, share: what part of a user's items has an attribute. attrs: item_id, attr."""
     c = pairs.join(attrs, "item_id").groupBy("user_id", "attr").agg(F.count(F.lit(1)).alias("c"))
@@ -48,7 +116,8 @@ def content_profile(pairs: DataFrame, attrs: DataFrame) -> DataFrame:
 
 def content_recs(pairs: DataFrame, attrs: DataFrame, k: int = 20) -> DataFrame:
     """Unseen items by their attributes' share in the user's items."""
-    scored = content_profile(pairs, attrs).join(attrs, "attr").groupBy("user_id", "item_id").agg(F.round(F.sum("share"), 6).alias("score"))
+    met = split_join(content_profile(pairs, attrs), attrs, "attr", "user_id", Cuts(pairs.sparkSession))
+    scored = met.groupBy("user_id", "item_id").agg(F.round(F.sum("share"), 6).alias("score"))
     scored = scored.join(pairs.select("user_id", "item_id"), ["user_id", "item_id"], "left_anti")
     rank = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("score"), "item_id"))
     return scored.withColumn("rank", rank).where(F.col("rank") <= k)

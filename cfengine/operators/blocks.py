@@ -3,19 +3,37 @@
 One call takes the block's pairs and its user and item rows. Pairs run in a seeded order in
 batches of cfg.batch; batch 1 is sequential. The three sums are kept for the gradients, only
 rows of the batch are written, and inactive negatives cost nothing after the forward pass.
+A batch is worked off in slices whose rows stay in cache. The gradient of an item row is a sum of
+mixed user rows less a multiple of the row itself, so no gradient is stored for a single draw.
+
+With a tile the worker holds a buffer of item rows: negatives are read and changed there, positives and
+histories too where the tile has them, and rows go back to the matrix when the tile is redrawn (or
+after every batch). All similarities to a small tile are one matrix product.
+
+The engines dense, sparse and jagged are the baselines: they copy rows into a tensor, write a
+normalized tensor, compute the sums again for the gradients and merge updates their own way.
 Behaviour aggregation pools resident history rows with a snapshot of the others; its gradients are summed over m iterations before they are applied.
 """
 
 from __future__ import annotations
 
+import math
 import time
+from concurrent.futures import ThreadPoolExecutor
 from dataclasses import dataclass, field, replace
 
 import numpy as np
 
-from ..functions.mix import P
+from ..functions.mix import P, multipliers
 from .aggregate import Layer, backward, pool
 
+PHASES = ("sample", "read_user", "read_item", "user_norm", "item_norm", "copy", "aggregate", "similarity", "loss", "backward", "update")
+ENGINES = ("fused", "dense", "sparse", "jagged")
+#: Rows and bytes of one slice of a batch.
+SLICE_ROWS, SLICE_BYTES = 64, 2 << 20
+#: A tile of up to so many times the negatives is multiplied as a whole.
+WHOLE_TILE = 32
+
 
 @dataclass(frozen=True)
 class TrainConfig:
@@ -25,31 +43,41 @@ class TrainConfig:
     lr: float = 0.05
     decay: float = 1.0
     l2: float = 0.0
+    optimizer: str = "sgd"  # sgd; adagrad (one state a row: mean squares of its gradients)
     mu: float = 1.0
     theta: float = 0.0
-    loss: str = "ccl"
-    similarity: str = "cosine"
+    loss: str = "ccl"  # ccl, mse, bce, bpr, metric
+    similarity: str = "cosine"  # cosine, dot
     batch: int = 64
-    tile: int = 0  # 0: uniform over the block's items
+    tile: int = 0  # 0: uniform over the block's items; -1: from the machine (plans.planner)
     refresh: int = 256
+    tile_replace: bool = False
+    writeback: str = "refresh"  # refresh, step
     aggregator: str | None = None  # None, average, self_attention, user_attention
-    gate: float = 0.5
+    gate: float = 0.8
     history: int = 100
+    update_history: bool = True  # history rows get their share of the pooled row's gradient
+    leave_out: bool = True  # an example's positive is no part of its own pooled history
     sync: int = 32
+    sync_mode: str = "local"  # local (every sync iterations), server (stale replicas), shared (every iteration)
+    stale: int = 1  # mini-batches after which a server's replica shows a gradient
     flush_tail: bool = True
     init: float = 0.1
     seed: int = 1
     plan: str = "auto"
-    blocks: int = 4
-    engine: str = "fused"  # fused; dense (batched copies, full updates); sparse (batched copies, merged updates); jagged (flat ragged rows, merged updates)
+    blocks: int = 0  # 0: from the sizes of pairs and factors
+    engine: str = "fused"
+    precision: str = "float64"  # float64, float32
+    patience: int = 0  # epochs without a better loss after which training ends; 0: never
 
     def __post_init__(self):
-        if self.negatives < 1 or self.dim < 1 or self.batch < 1 or self.refresh < 1 or self.sync < 1 or self.tile < 0:
+        if self.negatives < 1 or self.dim < 1 or self.batch < 1 or self.refresh < 1 or self.sync < 1 or self.tile < -1 or self.blocks < 0:
             raise ValueError("sizes must be positive")
         if not -1 <= self.theta <= 1 or self.mu < 0:
             raise ValueError("theta is in [-1, 1] and mu is not negative")
-        if self.engine not in ("fused", "dense", "sparse", "jagged"):
-            raise ValueError(f"unknown engine {self.engine}")
+        for name, value, known in (("engine", self.engine, ENGINES), ("optimizer", self.optimizer, ("sgd", "adagrad")), ("writeback", self.writeback, ("refresh", "step")), ("sync_mode", self.sync_mode, ("local", "server", "shared")), ("precision", self.precision, ("float64", "float32")), ("loss", self.loss, ("ccl", "mse", "bce", "bpr", "metric"))):
+            if value not in known:
+                raise ValueError(f"unknown {name} {value}")
 
 
 #: The paper's settings, by name: fixed values.
@@ -57,6 +85,10 @@ PRESETS = {
     "default": TrainConfig(dim=128, negatives=64, history=100),
     "pointwise": TrainConfig(dim=128, negatives=1, loss="mse", similarity="dot"),
     "profile": TrainConfig(dim=128, negatives=64, batch=1024),
+    "pair_sgd": TrainConfig(dim=128, negatives=1, loss="mse", similarity="dot", plan="rotate", batch=1),
+    "bpr": TrainConfig(dim=128, negatives=1, loss="bpr", similarity="dot"),
+    "bce": TrainConfig(dim=128, negatives=1, loss="bce", similarity="dot"),
+    "metric": TrainConfig(dim=128, negatives=1, loss="metric", similarity="dot"),
 }
 
 
@@ -70,7 +102,8 @@ class Counts:
     weight_writes: int = 0
     copied_bytes: int = 0
     rows_written: int = 0
-    seconds: dict[str, float] = field(default_factory=lambda: dict.fromkeys(("sample", "read_user", "read_item", "aggregate", "similarity", "loss", "backward", "update"), 0.0))
+    tile_loads: int = 0
+    seconds: dict[str, float] = field(default_factory=lambda: dict.fromkeys(PHASES, 0.0))
 
 
 def _mix_np(seed: int, *keys: np.ndarray) -> np.ndarray:
@@ -83,156 +116,440 @@ def _mix_np(seed: int, *keys: np.ndarray) -> np.ndarray:
 
 def scatter_add(target: np.ndarray, rows: np.ndarray, values: np.ndarray) -> int:
     """target[rows] += values with repeats; sorted segments, one write a distinct row."""
+    ids, sums = summed(rows, values)
+    if len(ids):
+        target[ids] += sums
+    return len(ids)
+
+
+def summed(rows: np.ndarray, values: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct rows and the sums of their values."""
     if not len(rows):
-        return 0
+        return rows, values
     order = np.argsort(rows, kind="stable")
     r = rows[order]
     first = np.flatnonzero(np.concatenate(([True], r[1:] != r[:-1])))
-    target[r[first]] += np.add.reduceat(values[order], first, axis=0)
-    return len(first)
+    return r[first], np.add.reduceat(values[order], first, axis=0)
+
+
+def tile_indices(seed: int, keys: tuple[int, ...], tile: int, items: int, replacement: bool, steps: np.ndarray | None = None) -> np.ndarray:
+    """Row numbers of a tile. Without replacement slots walk around the items from a drawn start
+    in a drawn step that shares no factor with their number, so no row comes twice."""
+    tile = min(tile, items)
+    if replacement:
+        return _mix_np(seed, *(np.int64(k) for k in keys[:2]), np.arange(tile), *(np.int64(k) for k in keys[2:])) % items
+    steps = multipliers(seed, items) if steps is None else steps
+    start, pick = (int(_mix_np(seed + d, *(np.int64(k) for k in keys))) for d in (1, 2))
+    return (start % items + steps[pick % len(steps)] * np.arange(tile, dtype=np.int64)) % items
+
+
+class Histories:
+    """Row numbers of every user's past items, one after another."""
+
+    def __init__(self, rows: np.ndarray, ends: np.ndarray):
+        self.rows, self.ends = rows.astype(np.int64), ends.astype(np.int64)
+
+    def of(self, users: np.ndarray, skip: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+        """Rows of these users' histories and their lengths; skip: a row that an example's history leaves out."""
+        first, lens = self.ends[users], self.ends[users + 1] - self.ends[users]
+        at = np.repeat(first - (np.cumsum(lens) - lens), lens) + np.arange(int(lens.sum()))
+        rows = self.rows[at]
+        if skip is not None:
+            keep = rows != np.repeat(skip, lens)
+            of = np.repeat(np.arange(len(users)), lens)[keep]
+            rows, lens = rows[keep], np.bincount(of, minlength=len(users))
+        return rows, lens
+
+
+class Buffer:
+    """The item rows of a tile, held together while it lasts."""
+
+    def __init__(self, items: np.ndarray, rows: np.ndarray, slot_of: np.ndarray):
+        self.items, self.rows, self.slot_of = items, rows, slot_of
+        self.vec = items[rows]
+        self.first = self.vec.copy()
+        slot_of[rows] = np.arange(len(rows))
+
+    def write_back(self) -> int:
+        """What the tile's life added goes to the matrix; repeated rows add up."""
+        written = scatter_add(self.items, self.rows, self.vec - self.first)
+        self.vec = self.items[self.rows]
+        self.first = self.vec.copy()
+        return written
+
+    def close(self) -> int:
+        written = self.write_back()
+        self.slot_of[self.rows] = -1
+        return written
+
+
+def _loss(cfg: TrainConfig, x: np.ndarray, st: np.ndarray, ss: np.ndarray, tt: np.ndarray) -> tuple[float, np.ndarray]:
+    """Summed loss and its derivative by each similarity (metric: by each squared distance). Column 0 is the positive."""
+    n = x.shape[1] - 1
+    coef = np.zeros_like(x)
+    if cfg.loss == "ccl":
+        hinge = np.maximum(0, x[:, 1:] - cfg.theta)
+        coef[:, 0], coef[:, 1:] = -1, np.where(x[:, 1:] > cfg.theta, cfg.mu / n, 0)
+        return float((1 - x[:, 0]).sum() + cfg.mu / n * hinge.sum()), coef
+    if cfg.loss == "bpr":
+        d = x[:, :1] - x[:, 1:]
+        p = 1 / (1 + np.exp(d)) / n
+        coef[:, 0], coef[:, 1:] = -p.sum(1), p
+        return float(np.logaddexp(0, -d).mean(1).sum()), coef
+    if cfg.loss == "metric":
+        dist = ss + tt - 2 * st
+        hinge = np.maximum(0, 1 + dist[:, :1] - dist[:, 1:]) / n
+        on = (hinge > 0) / n
+        coef[:, 0], coef[:, 1:] = on.sum(1), -on
+        return float(hinge.sum()), coef
+    y = np.zeros_like(x)
+    y[:, 0] = 1
+    if cfg.loss == "mse":
+        return float(((y - x) ** 2).sum()), 2 * (x - y)
+    return float((np.logaddexp(0, x) - y * x).sum()), 1 / (1 + np.exp(-x)) - y
+
+
+def _reciprocal(v: np.ndarray) -> np.ndarray:
+    return np.divide(1.0, v, out=np.zeros_like(v), where=v > 0)
 
 
-def coalesced_add(target: np.ndarray, rows: np.ndarray, values: np.ndarray) -> int:
-    """The frameworks' sparse update: gradients of all rows, inactive ones too, are merged by id and then added."""
+def _pulls(cfg: TrainConfig, coef: np.ndarray, x: np.ndarray, inv: np.ndarray | None, ss: np.ndarray, tt: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Weights a, b, c of the gradients: a user row gets sum(a t) - sum(b) s, an item row a s - c t."""
+    if cfg.loss == "metric":
+        return -2 * coef, -2 * coef, -2 * coef
+    if cfg.similarity == "cosine":
+        pulled = coef * x
+        return coef * inv, pulled * _reciprocal(ss), pulled * _reciprocal(tt)
+    zero = np.zeros_like(coef)
+    return coef, zero, zero
+
+
+def _by_row(rows: np.ndarray, owner: np.ndarray, weight: np.ndarray, source: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct rows, the weighted sums of their owners' source rows, and each entry's place among the rows."""
     ids, at = np.unique(rows, return_inverse=True)
-    merged = np.zeros((len(ids), target.shape[1]))
-    np.add.at(merged, at, values)
-    target[ids] += merged
-    return len(ids)
+    b = len(source)
+    table = np.bincount(at * b + owner, weights=weight, minlength=len(ids) * b).reshape(len(ids), b)
+    return ids, table.astype(source.dtype) @ source, at
+
+
+class Updates:
+    """Gradients of one side's rows over a batch, applied together."""
+
+    def __init__(self, rows: np.ndarray, state: np.ndarray | None, cfg: TrainConfig):
+        self.rows, self.state, self.cfg = rows, state, cfg
+        self.ids: list[np.ndarray] = []
+        self.grads: list[np.ndarray] = []
+
+    def add(self, ids: np.ndarray, grads: np.ndarray) -> None:
+        if len(ids):
+            self.ids.append(ids)
+            self.grads.append(grads)
+
+    def apply(self, lr: float) -> int:
+        if not self.ids:
+            return 0
+        ids, g = (self.ids[0], self.grads[0]) if len(self.ids) == 1 else summed(np.concatenate(self.ids), np.concatenate(self.grads))
+        self.ids, self.grads = [], []
+        step(self.rows, self.state, ids, g, lr, self.cfg)
+        return len(ids)
+
+
+def step(rows: np.ndarray, state: np.ndarray | None, ids: np.ndarray | slice, g: np.ndarray, lr: float, cfg: TrainConfig) -> None:
+    """One update of distinct rows, with L2 and the optimizer's state."""
+    if cfg.l2:
+        g = g + cfg.l2 * rows[ids]
+    if state is None:
+        rows[ids] -= lr * g
+    else:
+        state[ids] += (g * g).mean(1)
+        rows[ids] -= (lr / np.sqrt(state[ids] + 1e-10))[:, None].astype(rows.dtype) * g
+
 
+class _Clock:
+    """Adds the time since the last mark to a phase."""
 
-def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarray, u_ids: np.ndarray, i_ids: np.ndarray, cfg: TrainConfig, epoch: int = 0, layer: Layer | None = None, hist: list[np.ndarray] | None = None, away: np.ndarray | None = None) -> Counts:
+    def __init__(self, seconds: dict[str, float]):
+        self.seconds, self.at = seconds, time.perf_counter()
+
+    def __call__(self, phase: str) -> None:
+        now = time.perf_counter()
+        self.seconds[phase] += now - self.at
+        self.at = now
+
+
+def block_epoch(users: np.ndarray, items: np.ndarray, u: np.ndarray, i: np.ndarray, u_ids: np.ndarray, i_ids: np.ndarray, cfg: TrainConfig, epoch: int = 0, layer: Layer | None = None, hist: Histories | None = None, away: np.ndarray | None = None, states: tuple[np.ndarray, np.ndarray] | None = None) -> Counts:
     """Trains users and items in place. u, i: row numbers of the block's pairs; u_ids, i_ids: their ids, which seed all draws.
-    hist, away: a user's history rows here, and what those elsewhere add to its pooled row."""
+    hist, away: a user's history rows here, and what those elsewhere add to its pooled row. states: the optimizer's, of users and items."""
     c = Counts()
     if not len(u):
         return c
     lr = cfg.lr * cfg.decay**epoch
     order = np.lexsort((i_ids, u_ids, _mix_np(cfg.seed + 101 * epoch, u_ids, i_ids)))
     u, i, uk, ik = u[order], i[order], u_ids[order], i_ids[order]
-    n_items, n = len(items), cfg.negatives
-    tile, tile_no = np.zeros(0, np.int64), -1
-    at = 0
-    clock = time.perf_counter
+    states = (None, None) if cfg.optimizer == "sgd" or states is None else states
+    run = _Fused(c, users, items, cfg, lr, layer, hist, away, states) if cfg.engine == "fused" else _Copying(c, users, items, cfg, lr, layer, hist, away, states)
+    steps = multipliers(cfg.seed + 7, len(items)) if cfg.tile and not cfg.tile_replace else None
+    size = min(cfg.tile, len(items))
+    tick = _Clock(c.seconds)
+
+    def draws(lo: int, hi: int) -> np.ndarray:
+        return _mix_np(cfg.seed + 13 + epoch, uk[lo:hi, None], ik[lo:hi, None], np.arange(cfg.negatives)[None, :])
+
+    bounds, at = [], 0
     while at < len(u):
-        t0 = clock()
         end = min(len(u), at + cfg.batch)
         if cfg.tile:
             end = min(end, (at // cfg.refresh + 1) * cfg.refresh)  # a batch never spans two tiles
-            if at // cfg.refresh != tile_no:
-                tile_no = at // cfg.refresh
-                tile = _mix_np(cfg.seed + 7, np.int64(epoch), np.int64(tile_no), np.arange(cfg.tile), np.int64(int(uk[0]))) % n_items
-        uu, ii = u[at:end], i[at:end]
-        draw = _mix_np(cfg.seed + 13 + epoch, uk[at:end, None], ik[at:end, None], np.arange(n)[None, :])
-        neg = tile[draw % cfg.tile] if cfg.tile else draw % n_items
-        t1 = clock()
+        bounds.append((at, end))
+        at = end
+    ahead = ThreadPoolExecutor(1) if cfg.engine == "jagged" else None  # the ragged library prepares its next input meanwhile
+    waiting = ahead.submit(draws, *bounds[0]) if ahead else None
+    tile_no, tile = -1, np.zeros(0, np.int64)
+    for k, (at, end) in enumerate(bounds):
+        if cfg.tile and at // cfg.refresh != tile_no:
+            tile_no = at // cfg.refresh
+            tile = tile_indices(cfg.seed + 7, (epoch, tile_no, int(uk[0])), cfg.tile, len(items), cfg.tile_replace, steps)
+            run.new_tile(tile)
+        if ahead:
+            draw = waiting.result()
+            waiting = ahead.submit(draws, *bounds[k + 1]) if k + 1 < len(bounds) else None
+        else:
+            draw = draws(at, end)
+        tick("sample")
+        run.batch(u[at:end], i[at:end], draw % size if cfg.tile else draw % len(items), tile, tick)
+        c.examples += end - at
+    if ahead:
+        ahead.shutdown()
+    run.finish()
+    tick("update")
+    if layer is not None:
+        layer.finish()
+        c.weight_writes = layer.writes
+    return c
+
+
+class _Fused:
+    """Slices of a batch from cached rows to summed gradients."""
+
+    def __init__(self, c: Counts, users: np.ndarray, items: np.ndarray, cfg: TrainConfig, lr: float, layer: Layer | None, hist: Histories | None, away: np.ndarray | None, states: tuple):
+        self.c, self.users, self.items, self.cfg, self.lr = c, users, items, cfg, lr
+        self.layer, self.hist, self.away = layer, hist, away
+        self.user_updates, self.item_updates = Updates(users, states[0], cfg), Updates(items, states[1], cfg)
+        self.state = states[1]
+        self.waiting: list[tuple] = []
+        self.buffer: Buffer | None = None
+        self.slot_of = np.full(len(items), -1, np.int64) if cfg.tile else None
+        width = (cfg.negatives + 1) * cfg.dim * users.itemsize
+        self.rows = max(1, min(SLICE_ROWS, SLICE_BYTES // width))
+
+    def new_tile(self, tile: np.ndarray) -> None:
+        if self.buffer is not None:
+            self.c.rows_written += self.buffer.close()
+        self.buffer = Buffer(self.items, tile, self.slot_of)
+        self.c.tile_loads += len(tile)
+
+    def finish(self) -> None:
+        if self.buffer is not None:
+            self.c.rows_written += self.buffer.close()
+            self.buffer = None
+
+    def read(self, rows: np.ndarray) -> np.ndarray:
+        """Item rows, from the tile where it has them."""
+        out = self.items[rows]
+        self.c.reads += len(rows)
+        if self.buffer is not None:
+            slot = self.slot_of[rows]
+            hit = np.flatnonzero(slot >= 0)
+            out[hit] = self.buffer.vec[slot[hit]]
+            self.c.tile_hits += len(hit)
+        return out
+
+    def give(self, ids: np.ndarray, grads: np.ndarray, to_tile: np.ndarray | None) -> None:
+        """Gradients of distinct rows, to the tile's sum where it has them."""
+        if to_tile is None:
+            self.item_updates.add(ids, grads)
+            return
+        slot = self.slot_of[ids]
+        hit = slot >= 0
+        to_tile[slot[hit]] += grads[hit]
+        self.item_updates.add(ids[~hit], grads[~hit])
+
+    def batch(self, uu: np.ndarray, ii: np.ndarray, neg: np.ndarray, tile: np.ndarray, tick: _Clock) -> None:
+        to_tile = None if self.buffer is None else np.zeros_like(self.buffer.vec)
+        for lo in range(0, len(uu), self.rows):
+            part = slice(lo, lo + self.rows)
+            self.slice(uu[part], ii[part], neg[part], to_tile, tick)
+        self.c.rows_written += self.user_updates.apply(self.lr) + self.item_updates.apply(self.lr)
+        if to_tile is not None:
+            touched = np.flatnonzero(to_tile.any(1))
+            if self.state is None and not self.cfg.l2:
+                self.buffer.vec -= self.lr * to_tile
+            else:
+                held = None if self.state is None else self.state[self.buffer.rows]
+                step(self.buffer.vec, held, touched, to_tile[touched], self.lr, self.cfg)
+                if held is not None:
+                    self.state[self.buffer.rows] = held
+            if self.cfg.writeback == "step":
+                self.c.rows_written += self.buffer.write_back()
+        for rows in self.waiting:  # a batch reads one state of the layer, however it is sliced
+            self.layer.add(*rows)
+        self.waiting = []
+        tick("update")
+
+    def slice(self, uu: np.ndarray, ii: np.ndarray, neg: np.ndarray, to_tile: np.ndarray | None, tick: _Clock) -> None:
+        cfg, c = self.cfg, self.c
+        b, n = neg.shape
+        s = self.users[uu]
+        tick("read_user")
+        whole = to_tile is not None and len(to_tile) <= WHOLE_TILE * n
+        if to_tile is None:
+            rows = np.concatenate((ii[:, None], neg), axis=1)
+            t = self.items[rows]
+            c.reads += rows.size
+        else:
+            held = self.buffer.vec
+            tp = self.read(ii)
+            c.reads += neg.size
+            c.tile_hits += neg.size
+            t = None if whole else np.concatenate((tp[:, None], held[neg]), axis=1)
+        tick("read_item")
+        mixed, pooled = s, None
+        if self.layer is not None:
+            past, lens = self.hist.of(uu, ii if cfg.leave_out else None)
+            pooled = pool(self.read(past), past, lens, cfg.aggregator, s, self.layer.w, None if self.away is None else self.away[uu])
+            mixed = (cfg.gate * s + (1 - cfg.gate) * (pooled.vec @ self.layer.w[: cfg.dim])).astype(s.dtype)
+        tick("aggregate")
+        ss = np.einsum("bk,bk->b", mixed, mixed)[:, None]
+        if whole:
+            lines = np.arange(b)[:, None]
+            st = np.concatenate((np.einsum("bk,bk->b", mixed, tp)[:, None], (mixed @ held.T)[lines, neg]), axis=1)
+            tt = np.concatenate((np.einsum("bk,bk->b", tp, tp)[:, None], np.einsum("rk,rk->r", held, held)[neg]), axis=1)
+        else:
+            st = np.matmul(t, mixed[:, :, None])[:, :, 0]
+            tt = np.einsum("bnk,bnk->bn", t, t)
+        inv = _reciprocal(np.sqrt(ss * tt)) if cfg.similarity == "cosine" else None
+        x = st if inv is None else st * inv
+        tick("similarity")
+        loss, coef = _loss(cfg, x, st, ss, tt)
+        c.loss += loss
+        c.active += int((coef[:, 1:] != 0).sum())
+        tick("loss")
+        a, pull, own = _pulls(cfg, coef, x, inv, ss, tt)
+        if whole:
+            flat = (np.arange(b)[:, None] * len(held) + neg).ravel()
+            table = np.bincount(flat, weights=a[:, 1:].ravel(), minlength=b * len(held)).reshape(b, len(held)).astype(held.dtype)
+            gs = table @ held + a[:, :1] * tp
+        else:
+            gs = np.matmul(a[:, None, :], t)[:, 0, :]
+        gs -= pull.sum(1)[:, None] * mixed
+        gu = gs
+        if pooled is not None:
+            out = (1 - cfg.gate) * gs
+            g_past, g_user, g_att = backward(pooled, cfg.aggregator, out @ self.layer.w[: cfg.dim].T, self.layer.w)
+            gu = cfg.gate * gs if g_user is None else cfg.gate * gs + g_user
+        tick("backward")
+        if whole:
+            to_tile += table.T @ mixed
+            to_tile -= np.bincount(neg.ravel(), weights=own[:, 1:].ravel(), minlength=len(held)).astype(held.dtype)[:, None] * held
+            ids, g, at = _by_row(ii, np.arange(b), a[:, 0], mixed)
+            first = np.zeros_like(g)
+            first[at] = tp
+            self.give(ids, g - np.bincount(at, weights=own[:, 0]).astype(g.dtype)[:, None] * first, to_tile)
+        else:
+            owner, live = np.repeat(np.arange(b), n + 1), np.flatnonzero(coef.ravel())
+            flat = (rows if to_tile is None else np.concatenate((ii[:, None], self.buffer.rows[neg]), axis=1)).ravel()[live]
+            ids, g, at = _by_row(flat, owner[live], a.ravel()[live], mixed)
+            first = np.zeros_like(g)
+            first[at] = t.reshape(-1, cfg.dim)[live]
+            self.give(ids, g - np.bincount(at, weights=own.ravel()[live]).astype(g.dtype)[:, None] * first, to_tile)
+        self.user_updates.add(*summed(uu, gu))
+        if pooled is not None:
+            if not cfg.update_history:
+                pass
+            elif cfg.aggregator == "average":
+                ids, g, _ = _by_row(pooled.rows, np.repeat(np.arange(b), pooled.lens), pooled.share, (out @ self.layer.w[: cfg.dim].T).astype(s.dtype))
+                self.give(ids, g, to_tile)
+            else:
+                self.give(*summed(pooled.rows, g_past), to_tile)
+            self.waiting.append((pooled.vec, out, g_att))
+        tick("update")
+
+
+class _Copying(_Fused):
+    """The baselines: a batch's rows are copied into one tensor, normalized into another, and multiplied."""
+
+    def new_tile(self, tile: np.ndarray) -> None:
+        self.tile = tile
+        self.c.tile_loads += len(tile)
+
+    def batch(self, uu: np.ndarray, ii: np.ndarray, neg: np.ndarray, tile: np.ndarray, tick: _Clock) -> None:
+        cfg, c, users, items, lr = self.cfg, self.c, self.users, self.items, self.lr
+        b, n = neg.shape
         s = users[uu]
-        t2 = clock()
-        rows = np.concatenate((ii[:, None], neg), axis=1)
+        tick("read_user")
+        rows = np.concatenate((ii[:, None], tile[neg] if cfg.tile else neg), axis=1)
         t = items[rows]
         c.reads += rows.size
-        if cfg.tile:
-            c.tile_hits += neg.size + int(np.isin(ii, tile).sum())
-        t3 = clock()
+        tick("read_item")
         mixed, pooled = s, None
-        if layer is not None:
-            pooled = pool([hist[k] for k in uu], items, cfg.aggregator, s, layer.w, None if away is None else away[uu])
-            mixed = cfg.gate * s + (1 - cfg.gate) * (pooled.vec @ layer.w[: cfg.dim])
-        t4 = clock()
-        if cfg.engine == "jagged":
-            flat = t.reshape(-1, cfg.dim).copy()
-            owner = np.repeat(mixed, np.full(len(uu), n + 1), axis=0)
-            c.copied_bytes += flat.nbytes + owner.nbytes
-            st = (flat * owner).sum(1).reshape(len(uu), n + 1)
-        elif cfg.engine in ("dense", "sparse"):
-            big = np.repeat(mixed[:, None, :], n + 1, axis=1).copy()
-            c.copied_bytes += 2 * big.nbytes
-            st = np.matmul(t, mixed[:, :, None])[:, :, 0]
-        else:
-            st = np.einsum("bk,bnk->bn", mixed, t)
+        if self.layer is not None:
+            past, lens = self.hist.of(uu, ii if cfg.leave_out else None)
+            pooled = pool(self.read(past), past, lens, cfg.aggregator, s, self.layer.w, None if self.away is None else self.away[uu])
+            mixed = cfg.gate * s + (1 - cfg.gate) * (pooled.vec @ self.layer.w[: cfg.dim])
+        tick("aggregate")
+        wide = np.repeat(mixed[:, None, :], n + 1, axis=1)
+        flat = t.reshape(-1, cfg.dim).copy() if cfg.engine == "jagged" else t.copy()
+        c.copied_bytes += wide.nbytes + flat.nbytes
+        flat = flat.reshape(b, n + 1, cfg.dim)
+        tick("copy")
+        inv = None
         if cfg.similarity == "cosine":
-            ss, tt = np.einsum("bk,bk->b", mixed, mixed)[:, None], np.einsum("bnk,bnk->bn", t, t)
-            root = np.sqrt(ss * tt)
-            inv = np.divide(1.0, root, out=np.zeros_like(root), where=root > 0)
-            x = st * inv
-        else:
-            x = st
-        t5 = clock()
-        coef = np.zeros_like(x)
-        if cfg.loss == "ccl":
-            hinge = np.maximum(0, x[:, 1:] - cfg.theta)
-            c.loss += float((1 - x[:, 0]).sum() + cfg.mu / n * hinge.sum())
-            coef[:, 0], coef[:, 1:] = -1, np.where(x[:, 1:] > cfg.theta, cfg.mu / n, 0)
-        elif cfg.loss == "mse":
-            y = np.zeros_like(x)
-            y[:, 0] = 1
-            c.loss += float(((y - x) ** 2).sum())
-            coef = 2 * (x - y)
-        elif cfg.loss == "bce":
-            y = np.zeros_like(x)
-            y[:, 0] = 1
-            c.loss += float((np.logaddexp(0, x) - y * x).sum())
-            coef = 1 / (1 + np.exp(-x)) - y
-        elif cfg.loss == "bpr":
-            d = x[:, :1] - x[:, 1:]
-            c.loss += float(np.logaddexp(0, -d).mean(1).sum())
-            p = 1 / (1 + np.exp(d)) / n
-            coef[:, 0], coef[:, 1:] = -p.sum(1), p
-        elif cfg.loss == "metric":
-            dist = (mixed * mixed).sum(1)[:, None] + (t * t).sum(2) - 2 * st
-            hinge = np.maximum(0, 1 + dist[:, :1] - dist[:, 1:]) / n
-            c.loss += float(hinge.sum())
-            on = (hinge > 0) / n
-            coef[:, 0], coef[:, 1:] = on.sum(1), -on  # of the squared distance
-        else:
-            raise ValueError(cfg.loss)
-        c.active += int((coef[:, 1:] != 0).sum())
-        t6 = clock()
+            r_user = _reciprocal(np.sqrt((wide**2).sum(2)))
+            wide = wide * r_user[:, :, None]
+            tick("user_norm")
+            r_item = _reciprocal(np.sqrt((flat**2).sum(2)))
+            flat = flat * r_item[:, :, None]
+            c.copied_bytes += flat.nbytes + wide.nbytes
+            tick("item_norm")
+        x = (flat * wide).sum(2) if cfg.engine == "jagged" else np.matmul(flat, wide[:, 0, :, None])[:, :, 0]
+        tick("similarity")
+        st, ss, tt = x, np.zeros((b, 1)), np.zeros_like(x)
         if cfg.loss == "metric":
-            gs = 2 * (coef.sum(1)[:, None] * mixed - np.einsum("bn,bnk->bk", coef, t))
-            gt = 2 * coef[:, :, None] * (t - mixed[:, None, :])
-        elif cfg.similarity == "cosine":
-            ss_inv = np.divide(1.0, ss, out=np.zeros_like(ss), where=ss > 0)
-            tt_inv = np.divide(1.0, tt, out=np.zeros_like(tt), where=tt > 0)
-            gs = np.einsum("bn,bnk->bk", coef * inv, t) - (coef * x * ss_inv).sum(1)[:, None] * mixed
-            gt = (coef * inv)[:, :, None] * mixed[:, None, :] - (coef * x * tt_inv)[:, :, None] * t
-        else:
-            gs = np.einsum("bn,bnk->bk", coef, t)
-            gt = coef[:, :, None] * mixed[:, None, :]
-        gu = gs if layer is None else cfg.gate * gs
-        if layer is not None:
+            st, ss, tt = np.matmul(t, mixed[:, :, None])[:, :, 0], (mixed**2).sum(1)[:, None], (t**2).sum(2)
+        loss, coef = _loss(cfg, x, st, ss, tt)
+        c.loss += loss
+        c.active += int((coef[:, 1:] != 0).sum())
+        tick("loss")
+        ss, tt = (mixed**2).sum(1)[:, None], (t**2).sum(2)  # nothing of the forward pass is reused
+        if cfg.similarity == "cosine":
+            inv = _reciprocal(np.sqrt(ss * tt))
+        a, pull, own = _pulls(cfg, coef, x, inv, ss, tt)
+        gs = np.einsum("bn,bnk->bk", a, t) - pull.sum(1)[:, None] * mixed
+        gt = (a[:, :, None] * mixed[:, None, :] - own[:, :, None] * t).reshape(-1, cfg.dim)
+        gu = gs
+        if pooled is not None:
             out = (1 - cfg.gate) * gs
-            g_hist, g_user, g_att = backward(pooled, cfg.aggregator, out @ layer.w[: cfg.dim].T, layer.w)
-            gu = gu if g_user is None else gu + g_user
-        if cfg.l2:
-            gu = gu + cfg.l2 * s
-        t7 = clock()
-        live = coef.ravel() != 0
+            g_past, g_user, g_att = backward(pooled, cfg.aggregator, out @ self.layer.w[: cfg.dim].T, self.layer.w)
+            gu = cfg.gate * gs if g_user is None else cfg.gate * gs + g_user
+            if cfg.update_history:
+                rows, gt = np.concatenate((rows.ravel(), pooled.rows)), np.concatenate((gt, g_past))
+            self.layer.add(pooled.vec, out, g_att)
+        tick("backward")
+        rows = rows.ravel()
         if cfg.engine == "dense":
-            full = np.zeros_like(items)
-            np.add.at(full, rows.ravel(), gt.reshape(-1, cfg.dim))
-            items -= lr * full
-            full = np.zeros_like(users)
-            np.add.at(full, uu, gu)
-            users -= lr * full
-            c.rows_written += len(items) + len(users)
-        elif cfg.engine in ("sparse", "jagged"):
-            c.rows_written += coalesced_add(items, rows.ravel(), -lr * gt.reshape(-1, cfg.dim)) + coalesced_add(users, uu, -lr * gu)
+            for own_rows, state, at, g in ((items, self.state, rows, gt), (users, self.user_updates.state, uu, gu)):
+                full = np.zeros_like(own_rows)
+                np.add.at(full, at, g)
+                step(own_rows, state, slice(None), full, lr, cfg)
+                c.rows_written += len(own_rows)
         else:
-            c.rows_written += scatter_add(items, rows.ravel()[live], -lr * gt.reshape(-1, cfg.dim)[live])
-            c.rows_written += scatter_add(users, uu, -lr * gu)
-        if layer is not None:
-            c.rows_written += scatter_add(items, pooled.rows, -lr * g_hist)
-            layer.add(pooled.vec, out, g_att)
-        t8 = clock()
-        for name, a, z in (("sample", t0, t1), ("read_user", t1, t2), ("read_item", t2, t3), ("aggregate", t3, t4), ("similarity", t4, t5), ("loss", t5, t6), ("backward", t6, t7), ("update", t7, t8)):
-            c.seconds[name] += z - a
-        c.examples += end - at
-        at = end
-    if layer is not None:
-        layer.finish()
-        c.weight_writes = layer.writes
-    return c
+            for own_rows, state, at, g in ((items, self.state, rows, gt), (users, self.user_updates.state, uu, gu)):
+                ids, place = np.unique(at, return_inverse=True)
+                merged = np.zeros((len(ids), cfg.dim), own_rows.dtype)
+                np.add.at(merged, place, g)
+                step(own_rows, state, ids, merged, lr, cfg)
+                c.rows_written += len(ids)
+        tick("update")
 
 
 def init_rows(ids: np.ndarray, side: int, cfg: TrainConfig) -> np.ndarray:
@@ -243,3 +560,14 @@ def init_rows(ids: np.ndarray, side: int, cfg: TrainConfig) -> np.ndarray:
 
 def with_options(cfg: TrainConfig, **changes) -> TrainConfig:
     return replace(cfg, **changes)
+
+
+def cell_bytes(rows: int, cfg: TrainConfig) -> int:
+    """What the factor rows of a cell take in a worker, with a copy."""
+    return 2 * rows * cfg.dim * (8 if cfg.precision == "float64" else 4)
+
+
+def blocks_for(pairs: int, users: int, items: int, cfg: TrainConfig, pairs_a_cell: int, bytes_a_cell: int) -> int:
+    """Blocks a side so that no cell of blocks x blocks exceeds either size."""
+    by_pairs = math.isqrt(max(0, -(-pairs // pairs_a_cell) - 1)) + 1
+    return max(1, by_pairs, -(-cell_bytes(users + items, cfg) // bytes_a_cell))

@@ -5,8 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tuning import Machine
-
 
 def recall_at_k(recs: DataFrame, heldout: DataFrame, k: int = 20, average: str = "user") -> DataFrame:
     """recs: user_id, rank, item_id. Users without a held-out item do not count; found users without a list count 0."""
@@ -68,5 +66,61 @@ def phase_share(seconds: dict[str, float]) -> dict[str, float]:
     return {k: 100 * v / total for k, v in seconds.items()}
 
 
-def machine_cost(m: Machine, hours: float) -> float:
-    return m.price * hours
+def speedups(times: DataFrame, base: str) -> DataFrame:
+    """workload, method, speedup of every method against base on the same workload, and the mean over workloads
+    under workload 'mean'. times: workload, method, seconds."""
+    own = times.where(F.col("method") == base).select("workload", F.col("seconds").alias("_base"))
+    rows = times.join(own, "workload").where(F.col("method") != base).select("workload", "method", (F.col("_base") / F.col("seconds")).alias("speedup"))
+    return rows.unionByName(rows.groupBy("method").agg(F.avg("speedup").alias("speedup")).select(F.lit("mean").alias("workload"), "method", "speedup"))
+
+
+def cost_frame(runs: DataFrame, epochs: int) -> DataFrame:
+    """runs with hours, dollars and ratio: how many times the cheapest run of its workload it costs.
+    runs: workload, platform, seconds (an epoch), price (an hour), instances."""
+    hours = F.col("seconds") * epochs / 3600
+    priced = runs.withColumn("hours", hours).withColumn("dollars", F.col("hours") * F.col("price") * F.col("instances"))
+    least = priced.groupBy("workload").agg(F.min("dollars").alias("_least"))
+    return priced.join(least, "workload").withColumn("ratio", F.col("dollars") / F.col("_least")).drop("_least")
+
+
+def memory_frame(sizes: DataFrame, dim: int) -> DataFrame:
+    """sizes with bytes of the model and share of each platform's memory, null where it does not fit.
+    sizes: workload, users, items, platform, capacity, overhead."""
+    held = (F.col("users") + F.col("items")) * dim * 4 * F.col("overhead")
+    share = held / F.col("capacity")
+    return sizes.withColumn("bytes", held).withColumn("share", F.when(share <= 1, share)).withColumn("rows_that_fit", F.floor(F.col("capacity") / (dim * 4 * F.col("overhead"))).cast("long"))
+
+
+def copy_frame(sizes: DataFrame, batch: int, negatives: int, dim: int) -> DataFrame:
+    """workload, batches, copied, norms: bytes that batching copies in an epoch, and those of the norm tensor,
+    written once and read once. sizes: workload, pairs."""
+    rows = F.col("pairs") * (1 + negatives)
+    return sizes.select("workload", F.ceil(F.col("pairs") / batch).cast("long").alias("batches"), (rows * dim * 4).alias("copied"), (2 * rows * 4).alias("norms"))
+
+
+def reuse_frame(sizes: DataFrame, negatives: int, dim: int) -> DataFrame:
+    """workload, kept, again: passes over vectors of an epoch that keeps the three sums and of one that computes
+    them again for both sides' gradients, in multiplications. sizes: workload, pairs."""
+    once = F.col("pairs") * (1 + negatives) * dim
+    return sizes.select("workload", (3 * once).alias("kept"), (9 * once).alias("again"))
+
+
+def stage_metrics(spark: SparkSession, action) -> dict[str, float]:
+    """What the stages of action() took: stages, tasks, seconds of tasks, bytes read and written by shuffles, bytes
+    spilled, and bytes read from tables."""
+    store = spark.sparkContext._jsc.sc().statusStore()
+    bus = spark.sparkContext._jsc.sc().listenerBus()
+
+    def stages() -> dict:
+        bus.waitUntilEmpty()
+        rows = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
+        return {(rows.apply(k).stageId(), rows.apply(k).attemptId()): rows.apply(k) for k in range(rows.size())}
+
+    before = set(stages())
+    action()
+    new = [s for k, s in stages().items() if k not in before]
+    return {
+        "stages": len(new), "tasks": sum(s.numCompleteTasks() for s in new), "task_seconds": sum(s.executorRunTime() for s in new) / 1000,
+        "shuffle_read": sum(s.shuffleReadBytes() for s in new), "shuffle_written": sum(s.shuffleWriteBytes() for s in new),
+        "spilled": sum(s.diskBytesSpilled() for s in new), "input_bytes": sum(s.inputBytes() for s in new),
+    }

@@ -19,6 +19,14 @@ def score_pairs(pairs: DataFrame, users: DataFrame, items: DataFrame, similarity
     return j.select("user_id", "item_id", f(F.col("s"), F.col("t")).alias("score"))
 
 
+def predict_block(users: DataFrame, items: DataFrame, similarity: str = "dot") -> DataFrame:
+    """user_id, item_id, score of every cell of a chosen slice of the predicted matrix. users, items: id, vec of
+    the slice; the smaller side is sent to all tasks only if Spark's own size check allows it."""
+    f = V.cosine if similarity == "cosine" else V.dot
+    cells = users.select(F.col("id").alias("user_id"), F.col("vec").alias("s")).crossJoin(items.select(F.col("id").alias("item_id"), F.col("vec").alias("t")))
+    return cells.select("user_id", "item_id", f(F.col("s"), F.col("t")).alias("score"))
+
+
 def history_sums(rows: DataFrame, keys: list[str], users: DataFrame, items: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
     """keys, num, den, off of history rows (user_id, item_id, keys, counts): sums of weight x row and of weights, and the
     exponent taken off each weight, all of a user alike. Rows that do not count add nothing but keep their keys.
@@ -44,6 +52,11 @@ def history_sums(rows: DataFrame, keys: list[str], users: DataFrame, items: Data
     return sums.select(*keys, F.array(*[F.col(f"_{d}") for d in range(k)]).alias("num"), "den", "off")
 
 
+def pooled_rows(rows: DataFrame, users: DataFrame, items: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
+    """user_id, vec: the pooled row of every user in rows (user_id, item_id, counts)."""
+    return history_sums(rows, ["user_id"], users, items, params, cfg).select("user_id", F.transform("num", lambda v: v / F.col("den")).alias("vec"))
+
+
 def aggregated_users(users: DataFrame, items: DataFrame, history: DataFrame, params: np.ndarray, cfg: TrainConfig) -> DataFrame:
     """id, vec of every user: the row that training scored with, over the whole history (user_id, hist).
     Pooled rows are ratios of sums, so no history is gathered. A user without one keeps its gated row."""
@@ -51,7 +64,7 @@ def aggregated_users(users: DataFrame, items: DataFrame, history: DataFrame, par
     k, gate = cfg.dim, cfg.gate
     layer = params[:k]
     rows = history.select("user_id", F.explode("hist").alias("item_id"), F.lit(True).alias("counts"))
-    pooled = history_sums(rows, ["user_id"], users, items, params, cfg).select(F.col("user_id").alias("id"), F.transform("num", lambda v: v / F.col("den")).alias("p"))
+    pooled = pooled_rows(rows, users, items, params, cfg).select(F.col("user_id").alias("id"), F.col("vec").alias("p"))
 
     @F.pandas_udf("array<double>")
     def mixed(s: pd.Series, p: pd.Series) -> pd.Series:

@@ -2,13 +2,15 @@
 
 rotate: users and items are dealt into blocks by a hash of their id (never by id range or
 community: a positive would then meet only negatives of its own kind). In sub-epoch r user block b
-trains with item block (b + r) mod blocks, so no two tasks share a row.
+trains with item block (b + r) mod blocks, so no two tasks share a row. The number of blocks follows
+from pairs and factor bytes alone (plans.planner), so a cell has a bounded size whatever the input.
 merge: each worker trains on a private copy of the rows it touches; deltas are summed.
 Every cell starts from the same aggregation parameters; their deltas are summed after each
 sub-epoch, and the next one starts from there. These are at most 2 K + 2 rows, held by the driver.
 A history reaches over all item blocks: before each epoch a user's pooled sums are taken for every block,
 and a cell gets those of the blocks it does not hold, as constants of that epoch.
-Snapshots are written to the shared folder after every sub-epoch, so a lost executor costs one.
+Snapshots are written to the shared folder after every sub-epoch, so a lost executor costs one; with a
+folder of its own (snapshots) a stopped run goes on after its last whole epoch.
 """
 
 from __future__ import annotations
@@ -24,16 +26,17 @@ from pyspark.sql import functions as F
 from ..functions.mix import mix
 from ..functions.vectors import init_vector
 from ..plans.cuts import Cuts
+from ..plans.files import exists, listed
 from ..sources.feedback import index_ids
 from . import relational, sampling
-from .aggregate import Layer, first_params
-from .blocks import Counts, TrainConfig, block_epoch, with_options
+from .aggregate import first_params, make_layer
+from .blocks import PHASES, Counts, Histories, TrainConfig, block_epoch, with_options
 from .predict import history_sums
 
-FACTORS = "side string, id long, vec array<double>"
+#: state is the optimizer's, null before the first update.
+FACTORS = "side string, id long, vec array<double>, state double"
 #: What kernels count: whole numbers, then sums and seconds by phase.
-WHOLE = ("examples", "reads", "tile_hits", "active", "rows_written", "copied_bytes", "weight_writes")
-PHASES = ("sample", "read_user", "read_item", "aggregate", "similarity", "loss", "backward", "update")
+WHOLE = ("examples", "reads", "tile_hits", "tile_loads", "active", "rows_written", "copied_bytes", "weight_writes")
 REAL = ("loss_sum", *(f"s_{p}" for p in PHASES))
 OUT = FACTORS + "".join(f", {c} long" for c in WHOLE) + "".join(f", {c} double" for c in REAL)
 
@@ -57,7 +60,7 @@ class Model:
         rows = self.factors.select("side", "id", "vec")
         if self.weights is not None:
             own = [("layer", k, [float(v) for v in r]) for k, r in enumerate(self.weights)]
-            rows = rows.unionByName(rows.sparkSession.createDataFrame(own, FACTORS))
+            rows = rows.unionByName(rows.sparkSession.createDataFrame(own, "side string, id long, vec array<double>"))
         rows.write.mode("overwrite").partitionBy("side").parquet(path)
 
     @staticmethod
@@ -73,15 +76,15 @@ def init_factors(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = No
     """side, id, vec of every user and item; rows of warm (side, id, vec) are kept."""
     parts = [pairs.select(F.lit(s).alias("side"), F.col(f"{s}_id").alias("id")).distinct().withColumn("vec", init_vector(cfg.seed + k, "id", cfg.dim, "uniform", cfg.init)) for k, s in enumerate(("user", "item"))]
     both = parts[0].unionByName(parts[1])
-    if warm is None:
-        return both
-    return both.alias("n").join(warm.alias("w"), ["side", "id"], "full").select("side", "id", F.coalesce("w.vec", "n.vec").alias("vec"))
+    if warm is not None:
+        both = both.alias("n").join(warm.alias("w"), ["side", "id"], "full").select("side", "id", F.coalesce("w.vec", "n.vec").alias("vec"))
+    return both.withColumn("state", F.lit(None).cast("double"))
 
 
 def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch: int, delta: bool = False, params: np.ndarray | None = None) -> pd.DataFrame:
     """Kernel of one cell: pairs and tagged factor rows in, tagged rows out (changed ones, or deltas;
     always deltas for the rows of the aggregation). Rows of side away hold what a user's history elsewhere adds."""
-    empty = pd.DataFrame({"side": pd.Series(dtype=str), "id": pd.Series(dtype="int64"), "vec": pd.Series(dtype=object), **{c: pd.Series(dtype="int64") for c in WHOLE}, **{c: pd.Series(dtype="float64") for c in REAL}})
+    empty = pd.DataFrame({"side": pd.Series(dtype=str), "id": pd.Series(dtype="int64"), "vec": pd.Series(dtype=object), "state": pd.Series(dtype="float64"), **{c: pd.Series(dtype="int64") for c in WHOLE}, **{c: pd.Series(dtype="float64") for c in REAL}})
     if not len(rows):
         return empty
     rows = rows.sort_values(["side", "id"])
@@ -92,9 +95,11 @@ def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch
     is_user = (rows["side"] == "user").to_numpy()
     ids = rows["id"].to_numpy()
     u_ids, i_ids = ids[is_user], ids[~is_user]
-    stack = lambda v: np.stack([np.asarray(x, np.float64) for x in v]) if len(v) else np.zeros((0, cfg.dim))
+    stack = lambda v: np.stack(v.to_numpy()).astype(cfg.precision) if len(v) else np.zeros((0, cfg.dim), cfg.precision)
     users, items = stack(rows["vec"][is_user]), stack(rows["vec"][~is_user])
     before = (users.copy(), items.copy()) if delta else None
+    state = rows["state"].fillna(0.0).to_numpy(dtype=float)
+    states = (state[is_user], state[~is_user])
     c = Counts()
     moved = np.zeros((0, cfg.dim))
     if len(pairs) and len(users) and len(items):
@@ -103,19 +108,19 @@ def _train_cell(pairs: pd.DataFrame, rows: pd.DataFrame, cfg: TrainConfig, epoch
         u, i = np.searchsorted(u_ids, pu), np.searchsorted(i_ids, pi)
         layer = hist = away = None
         if params is not None:
-            layer = Layer(params.copy(), cfg.sync, cfg.lr, cfg.flush_tail)
+            layer = make_layer(params.copy(), cfg)
             new = pairs["recent"].to_numpy()
-            ends = np.searchsorted(u[new], np.arange(len(users) + 1))
-            hist = [i[new][a:b] for a, b in zip(ends[:-1], ends[1:], strict=True)]
+            hist = Histories(i[new], np.searchsorted(u[new], np.arange(len(users) + 1)))
             if len(off):
                 away = np.zeros((len(users), cfg.dim + 2))
-                away[np.searchsorted(u_ids, off["id"].to_numpy())] = np.stack(off["vec"])
-        c = block_epoch(users, items, u, i, pu, pi, cfg, epoch, layer, hist, away)
+                away[np.searchsorted(u_ids, off["id"].to_numpy())] = np.stack(off["vec"].to_numpy())
+        c = block_epoch(users, items, u, i, pu, pi, cfg, epoch, layer, hist, away, states)
         if layer is not None:
             moved = layer.w - params
     if delta:
         users, items = users - before[0], items - before[1]
-    out = pd.DataFrame({"side": ["user"] * len(u_ids) + ["item"] * len(i_ids) + ["layer"] * len(moved), "id": np.concatenate((u_ids, i_ids, np.arange(len(moved)))).astype(np.int64), "vec": [*users, *items, *moved]})
+    kept = np.concatenate((*states, np.zeros(len(moved))))
+    out = pd.DataFrame({"side": ["user"] * len(u_ids) + ["item"] * len(i_ids) + ["layer"] * len(moved), "id": np.concatenate((u_ids, i_ids, np.arange(len(moved)))).astype(np.int64), "vec": [*users.astype(float), *items.astype(float), *moved], "state": kept})
     for name in WHOLE:
         out[name] = np.zeros(len(out), np.int64)
         out.loc[0, name] = int(getattr(c, name))
@@ -176,68 +181,120 @@ def away_sums(dealt: DataFrame, factors: DataFrame, params: np.ndarray, cfg: Tra
     return both.select("turn", F.lit("away").alias("side"), F.col("user_id").alias("id"), F.array(*rest, F.greatest(F.col("_den") - F.col("den"), F.lit(0.0)), F.col("off")).alias("vec"))
 
 
-def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None) -> Model:
-    dealt = cuts.cut(rotation(pairs.select("user_id", "item_id", "at", "recent"), cfg))
-    history: list[dict] = []
-    for epoch in range(cfg.epochs):
-        away = cuts.cut(away_sums(dealt, factors, params, cfg)) if params is not None and cfg.blocks > 1 else None
+class Progress:
+    """What epochs leave behind: counts, and whole snapshots in a folder of the caller's, if there is one."""
+
+    def __init__(self, cfg: TrainConfig, folder: str | None):
+        self.cfg, self.folder, self.history = cfg, folder, []
+
+    def first(self, spark, factors: DataFrame, params: np.ndarray | None) -> tuple[int, DataFrame, np.ndarray | None]:
+        """The epoch to begin with, and factors and parameters as they were before it."""
+        done = [int(n.removeprefix("epoch=")) for n in listed(spark, self.folder) if n.startswith("epoch=") and exists(spark, f"{self.folder}/{n}/_SUCCESS")] if self.folder else []
+        if not done:
+            return 0, factors, params
+        rows = spark.read.parquet(f"{self.folder}/epoch={max(done)}")
+        if params is not None:
+            params = np.array([r.vec for r in rows.where("side = 'layer'").orderBy("id").collect()])
+        return max(done) + 1, rows.where("side <> 'layer'"), params
+
+    def epoch(self, number: int, factors: DataFrame, params: np.ndarray | None) -> bool:
+        """Keeps a snapshot; true if training has to go on."""
+        if self.folder:
+            rows = factors.select("side", "id", "vec", "state")
+            if params is not None:
+                rows = rows.unionByName(factors.sparkSession.createDataFrame([("layer", k, [float(v) for v in r], None) for k, r in enumerate(params)], FACTORS))
+            rows.write.mode("overwrite").parquet(f"{self.folder}/epoch={number}")
+        losses = {}
+        for h in self.history:
+            losses[h["epoch"]] = losses.get(h["epoch"], 0.0) + (h["loss_sum"] or 0.0)
+        if not self.cfg.patience or len(losses) <= self.cfg.patience:
+            return True
+        values = [losses[k] for k in sorted(losses)]
+        return min(values[-self.cfg.patience :]) < min(values[: -self.cfg.patience])
+
+
+def fit_rotate(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None, folder: str | None = None) -> Model:
+    dealt = rotation(pairs.select("user_id", "item_id", "at", "recent"), cfg)
+    dealt = cuts.cut(dealt.repartition("turn", "cell"), "turn")  # a sub-epoch reads its own pairs alone
+    progress = Progress(cfg, folder)
+    start, factors, params = progress.first(pairs.sparkSession, factors, params)
+    for epoch in range(start, cfg.epochs):
+        away = cuts.cut(away_sums(dealt, factors, params, cfg), "turn") if params is not None and cfg.blocks > 1 else None
         for turn in range(cfg.blocks):
             block = F.when(F.col("side") != "item", block_of("user", "id", cfg)).otherwise(F.pmod(block_of("item", "id", cfg) - turn, F.lit(cfg.blocks)))
-            rows = factors if away is None else factors.unionByName(away.where(F.col("turn") == turn).select("side", "id", "vec"))
+            rows = factors.select("side", "id", "vec", "state")
+            if away is not None:
+                rows = rows.unionByName(away.where(F.col("turn") == turn).select("side", "id", "vec", F.lit(None).cast("double").alias("state")))
             right = rows.withColumn("cell", block.cast("int")).groupBy("cell")
             left = dealt.where(F.col("turn") == turn).groupBy("cell")
             out = cuts.cut(left.cogroup(right).applyInPandas(_cell(cfg, epoch, params=params), OUT))
-            _totals(history, out, epoch)
+            _totals(progress.history, out, epoch)
             params = _merged(params, out, cfg.dim)
-            factors = out.where("side <> 'layer'").select("side", "id", "vec")
-    return Model(factors, cfg, params, history)
+            factors = cuts.follow(out.where("side <> 'layer'").select("side", "id", "vec", "state"), out)
+        if not progress.epoch(epoch, factors, params):
+            break
+    return Model(factors, cfg, params, progress.history)
 
 
-def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None, tile: int = 256) -> Model:
-    """Workers read the rows of their pairs and a tile of further items; summed deltas give the next snapshot."""
-    history: list[dict] = []
+def fit_merge(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None, folder: str | None = None, extra: int = 256) -> Model:
+    """Workers read the rows of their pairs and a drawn tile of extra further items; summed deltas give the
+    next snapshot. A tile is a list of drawn places in the item index, joined to it: its cost is that of its rows."""
+    spark = pairs.sparkSession
+    progress = Progress(cfg, folder)
     dealt = cuts.cut(pairs.select("user_id", "item_id", "at", "recent").withColumn("worker", (mix(cfg.seed + 41, "user_id") % cfg.blocks).cast("int")))
-    n_items = factors.where("side = 'item'").count()
-    for epoch in range(cfg.epochs):
+    index = cuts.cut(index_ids(factors.where("side = 'item'").select("id"), "id"))
+    n_items = index.count()
+    start, factors, params = progress.first(spark, factors, params)
+    for epoch in range(start, cfg.epochs):
         need = dealt.select("worker", F.lit("user").alias("side"), F.col("user_id").alias("id")).union(dealt.select("worker", F.lit("item"), "item_id"))
-        picks = factors.where("side = 'item'").select("side", "id").withColumn("w", F.explode(F.sequence(F.lit(0), F.lit(cfg.blocks - 1))))
-        picks = picks.where(mix(cfg.seed + 43 + epoch, "id", "w") % n_items < tile).select(F.col("w").cast("int").alias("worker"), "side", "id")
-        need = need.union(picks).distinct()
-        right = need.join(factors, ["side", "id"]).select(F.col("worker").alias("w"), "side", "id", "vec").groupBy("w")
+        slots = spark.range(cfg.blocks * extra).select((F.col("id") / extra).cast("int").alias("worker"), (mix(cfg.seed + 43 + epoch, F.col("id")) % max(1, n_items)).alias("idx"))
+        need = need.union(slots.join(index, "idx").select("worker", F.lit("item").alias("side"), "id")).distinct()
+        right = need.join(factors, ["side", "id"]).select(F.col("worker").alias("w"), "side", "id", "vec", "state").groupBy("w")
         out = cuts.cut(dealt.groupBy("worker").cogroup(right).applyInPandas(_cell(cfg, epoch, True, params), OUT))
-        _totals(history, out, epoch)
-        summed = relational.combine_gradients(out.where((F.col("side") != "layer") & F.exists("vec", lambda v: v != 0)).select("side", "id", F.col("vec").alias("g")), cfg.dim)
+        _totals(progress.history, out, epoch)
+        moved = out.where(F.col("side") != "layer")
+        summed = relational.combine_gradients(moved.where(F.exists("vec", lambda v: v != 0)).select("side", "id", F.col("vec").alias("g")), cfg.dim)
         params = _merged(params, out, cfg.dim)
-        factors = cuts.cut(relational.apply_sparse(factors, summed, -1.0))
-    return Model(factors, cfg, params, history)
+        states = moved.groupBy("side", "id").agg(F.max("state").alias("state"))  # the most that one worker has seen
+        new = relational.apply_sparse(factors.select("side", "id", "vec"), summed, -1.0).join(states, ["side", "id"], "left")
+        factors = cuts.cut(new.select("side", "id", "vec", "state"))
+        if not progress.epoch(epoch, factors, params):
+            break
+    return Model(factors, cfg, params, progress.history)
 
 
-def fit_relational(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None) -> Model:
+def fit_relational(pairs: DataFrame, cfg: TrainConfig, factors: DataFrame, cuts: Cuts, params: np.ndarray | None = None, folder: str | None = None) -> Model:
     """All examples of an epoch in one synchronous step, without aggregation; for checking and small data."""
     if params is not None:
         raise ValueError("the relational plan has no aggregation")
     items = cuts.cut(index_ids(pairs, "item_id"))
-    step_cfg = relational.StepConfig(cfg.dim, cfg.negatives, cfg.lr, cfg.mu, cfg.theta, cfg.loss, cfg.similarity)
-    for epoch in range(cfg.epochs):
-        negs = cuts.cut(sampling.sample_uniform(pairs, items, cfg.negatives, cfg.seed + epoch))
-        factors = cuts.cut(relational.step(pairs, negs, factors, step_cfg))
+    step_cfg = relational.StepConfig(cfg.dim, cfg.negatives, cfg.lr, cfg.mu, cfg.theta, cfg.loss, cfg.similarity, l2=cfg.l2)
+    progress = Progress(cfg, folder)
+    start, factors, params = progress.first(pairs.sparkSession, factors, params)
+    for epoch in range(start, cfg.epochs):
+        negs = cuts.cut(sampling.sample_uniform(pairs, items, cfg.negatives, cfg.seed + 13 + epoch))
+        new = relational.step(pairs, negs, factors.select("side", "id", "vec"), step_cfg)
+        factors = cuts.cut(new.withColumn("state", F.lit(None).cast("double")))
+        if not progress.epoch(epoch, factors, params):
+            break
     return Model(factors, cfg)
 
 
-def fit(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = None, weights: np.ndarray | None = None) -> Model:
-    """plan: auto, reference (one block, one pair at a time), block (one block), rotate, merge, relational.
-    A column ts of pairs orders histories; warm and weights are an earlier model's."""
-    from ..plans.planner import choose_plan
+def fit(pairs: DataFrame, cfg: TrainConfig, warm: DataFrame | None = None, weights: np.ndarray | None = None, snapshots: str | None = None) -> Model:
+    """plan: auto (rotate), reference (one block, one pair at a time), block (one block), rotate, merge, relational.
+    A column ts of pairs orders histories; warm and weights are an earlier model's. snapshots: a folder of whole
+    epochs; where it holds some of the same run, training goes on after the last."""
+    from ..plans.planner import settle
 
     cuts = Cuts(pairs.sparkSession)
     at = F.max(F.unix_micros(F.col("ts").cast("timestamp"))) if "ts" in pairs.columns and cfg.aggregator else F.lit(0).cast("long")
     pairs = cuts.cut(pairs.where("user_id is not null and item_id is not null").groupBy("user_id", "item_id").agg(F.coalesce(at, F.lit(0).cast("long")).alias("at")))
     pairs = cuts.cut(mark_recent(pairs, cfg.history)) if cfg.aggregator else pairs.withColumn("recent", F.lit(False))
-    plan = choose_plan(pairs, cfg) if cfg.plan == "auto" else cfg.plan
+    cfg = settle(pairs, cfg)
     factors = cuts.cut(init_factors(pairs, cfg, warm))
     params = None
     if cfg.aggregator:
         params = first_params(cfg.aggregator, cfg.dim, cfg.seed) if weights is None else weights
-    if plan in ("reference", "block"):
-        return fit_rotate(pairs, with_options(cfg, blocks=1, batch=1 if plan == "reference" else cfg.batch), factors, cuts, params)
-    return {"rotate": fit_rotate, "merge": fit_merge, "relational": fit_relational}[plan](pairs, cfg, factors, cuts, params)
+    if cfg.plan in ("reference", "block"):
+        return fit_rotate(pairs, with_options(cfg, blocks=1, batch=1 if cfg.plan == "reference" else cfg.batch), factors, cuts, params, snapshots)
+    return {"rotate": fit_rotate, "merge": fit_merge, "relational": fit_relational}[cfg.plan](pairs, cfg, factors, cuts, params, snapshots)

@@ -1,10 +1,16 @@
-"""Tile size and refresh interval from cache capacity and a latency model."""
+"""Tile size and refresh interval from cache capacity and a latency model.
+
+The functions take numbers; plan_frame does the same for a frame of settings.
+"""
 
 from __future__ import annotations
 
 import math
 from dataclasses import dataclass
 
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
 
 @dataclass(frozen=True)
 class Machine:
@@ -41,10 +47,10 @@ def tile_from_capacity(m: Machine, dim: int, width: int = 4) -> int:
 
 
 def read_latency(total: float, m: Machine) -> tuple[float, str]:
-    """Latency and level of tiles of all workers together."""
-    if total <= m.l2:
+    """Latency and level of tiles of all workers together: a level holds what is strictly smaller."""
+    if total < m.l2:
         return m.t_l2, "l2"
-    return (m.t_l3, "l3") if total <= m.l3 else (m.t_mem, "memory")
+    return (m.t_l3, "l3") if total < m.l3 else (m.t_mem, "memory")
 
 
 def neg_time_random(iterations: float, n: int, t_mem: float) -> float:
@@ -76,7 +82,7 @@ def refresh_candidates(items: float, iterations: float, n1: int, target: float,
     return iterations * n1 / items, n1 * beta * target if form == "derived" else n1 / (beta * target)
 
 
-def plan_tiles(items: int, iterations: int, dim: int, machine: Machine, hit: float = 0.0, target: float = 4.0, alpha: float = 0.15, beta: float = 0.85, form: str = "derived") -> TilePlan:
+def plan_tiles(items: int, iterations: int, dim: int, machine: Machine, hit: float = 0.0, target: float = 4.0, beta: float = 0.85, form: str = "derived") -> TilePlan:
     n1 = min(items, tile_from_capacity(machine, dim))
     cover, speed = refresh_candidates(items, iterations, n1, target, beta, form)
     n2 = max(1, math.floor(min(cover, speed)))
@@ -85,6 +91,29 @@ def plan_tiles(items: int, iterations: int, dim: int, machine: Machine, hit: flo
     return TilePlan(n1, n2, cover, speed, neg, pos, level, pos / target, neg / target)
 
 
-def spark_machine(executor_bytes: float, cores: int, tasks: int, broadcast_bytes: float) -> Machine:
-    """The same model one level up: task memory for L2, an executor's broadcast for L3, a shuffle for memory."""
-    return Machine(executor_bytes / 4, broadcast_bytes, tasks, 1.0, 3.0, 60.0 / max(1, cores))
+def plan_frame(settings: DataFrame, target: float = 4.0, beta: float = 0.85) -> DataFrame:
+    """settings with the tuner's figures. settings: items, iterations, negatives, dim, hit, l2, l3, workers, t_l2, t_l3, t_mem."""
+    n1 = F.least(F.col("items"), F.greatest(F.lit(1), F.floor(F.col("l2") / (F.col("workers") * F.col("dim") * 4)))).cast("long")
+    sized = settings.withColumn("n1", n1).withColumn("held", F.col("n1") * F.col("dim") * 4 * F.col("workers"))
+    level = F.when(F.col("held") < F.col("l2"), "l2").when(F.col("held") < F.col("l3"), "l3").otherwise("memory")
+    sized = sized.withColumns({
+        "level": level,
+        "t_cache": F.when(level == "l2", F.col("t_l2")).when(level == "l3", F.col("t_l3")).otherwise(F.col("t_mem")),
+        "n2_cover": F.col("iterations") * F.col("n1") / F.col("items"),
+        "n2_speed": F.col("n1") * beta * target,
+    })
+    sized = sized.withColumn("n2", F.greatest(F.lit(1), F.floor(F.least("n2_cover", "n2_speed"))).cast("long"))
+    long = F.greatest("n1", "n2")
+    t_c, t_m = F.col("t_cache"), F.col("t_mem")
+    return sized.withColumns({
+        "neg_time_random": F.col("iterations") * F.col("negatives") * t_m,
+        "neg_time_tiled": F.col("negatives") * F.col("iterations") / long * ((long - F.col("n1")) * t_c + F.col("n1") * t_m),
+        "neg_speedup": t_m / (t_c + (t_m - t_c) * F.col("n1") / long),
+        "pos_speedup": t_m / (F.col("hit") * t_c + (1 - F.col("hit")) * t_m),
+    }).drop("held")
+
+
+def spark_machine(task_bytes: float, cores: int, tasks: int, executor_bytes: float) -> Machine:
+    """The same model one level up: what a task keeps at hand for L2, what an executor's tasks share for L3, a
+    read from elsewhere for memory; latencies relative to a row at hand."""
+    return Machine(task_bytes, executor_bytes, tasks, 1.0, 3.0, 60.0 / max(1, cores))

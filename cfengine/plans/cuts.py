@@ -2,22 +2,35 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .files import remove, shared_dir
+
 
 class Cuts:
+    """Tables of one run. Those that follow() replaces are deleted; close() deletes the rest."""
+
     def __init__(self, spark: SparkSession):
-        sc = spark.sparkContext
-        at = sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
-        if not at:
-            sc.setCheckpointDir(tempfile.mkdtemp(prefix="cfengine-"))
-            at = sc.getCheckpointDir()
-        self.spark, self.base, self.n = spark, f"{at.rstrip('/')}/snap-{uuid.uuid4().hex}", 0
-
-    def cut(self, df: DataFrame) -> DataFrame:
+        self.spark, self.base, self.n = spark, f"{shared_dir(spark)}/snap-{uuid.uuid4().hex}", 0
+        self.last: str | None = None
+
+    def cut(self, df: DataFrame, by: str | None = None) -> DataFrame:
+        """df, written and read again; by: a column whose values get folders of their own."""
         self.n += 1
-        df.write.parquet(f"{self.base}/{self.n}")
-        return self.spark.read.schema(df.schema).parquet(f"{self.base}/{self.n}")
+        path = f"{self.base}/{self.n}"
+        (df.write.partitionBy(by) if by else df.write).parquet(path)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        out._cut_path = path
+        return out
+
+    def follow(self, df: DataFrame, made: DataFrame) -> DataFrame:
+        """df, read from the table made; the table that was made in this way before is deleted."""
+        if self.last:
+            remove(self.spark, self.last)
+        self.last = made._cut_path
+        return df
+
+    def close(self) -> None:
+        remove(self.spark, self.base)

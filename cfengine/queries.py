@@ -10,10 +10,10 @@ from pyspark.sql import functions as F
 
 from . import experiments
 from .functions import vectors as V
-from .functions.mix import P, mix, mix_sql
+from .functions.mix import P, mix, mix_py, mix_sql, multiplier_sql
 from .operators import baselines, metrics, predict, relational, sampling, tuning
 from .operators.blocks import TrainConfig
-from .operators.trainer import fit, rotation
+from .operators.trainer import fit, init_factors, rotation
 from .plans.cuts import Cuts
 from .shipping import ship
 from .sources import feedback as S
@@ -64,7 +64,13 @@ def _(spark, d):
     return workload(spark, d, "events").select("user_id", "item_id")
 
 
-@query("implicit_docterms", f"WITH t AS {TERMS} SELECT user_id, term FROM t WHERE term IN (SELECT term FROM t GROUP BY 1 HAVING count(*) BETWEEN 5 AND 100)")
+@query("implicit_events_weighted", "SELECT user_id, CAST(json_extract(props, '$.k') AS BIGINT) AS item_id, round(sum(CASE event_type WHEN 'purchase' THEN 4.0 WHEN 'click' THEN 2.0 ELSE 1.0 END), 6) AS weight FROM events WHERE event_type IN ('view', 'click', 'purchase') AND json_extract(props, '$.k') IS NOT NULL GROUP BY 1, 2")
+def _(spark, d):
+    pairs = S.from_events(table(spark, d, "events"), weights={"purchase": 4.0, "click": 2.0})
+    return pairs.select("user_id", "item_id", F.round("weight", 6).alias("weight"))
+
+
+@query("implicit_docterms", f"WITH t AS {TERMS} SELECT user_id, term FROM t WHERE term IN (SELECT term FROM t GROUP BY 1 HAVING count(*) >= 5 AND count(*) <= 0.1 * (SELECT count(*) FROM documents))")
 def _(spark, d):
     return workload(spark, d, "docterms").select("user_id", "term")
 
@@ -89,7 +95,13 @@ def _(spark, d):
     return S.from_explicit(table(spark, d, "labels"), "doc_id", "toxic", "quality", keep=[1])
 
 
-@query("profile_orders", f"SELECT count(DISTINCT user_id) AS users, count(DISTINCT item_id) AS items, count(*) AS pairs, round(count(*) / count(DISTINCT user_id) / count(DISTINCT item_id), 6) AS density FROM {W1}")
+def _side_sql(side: str) -> str:
+    name = side.removesuffix("_id")
+    quantiles = ", ".join(f"quantile_cont(n, {p}) AS {name}_p{round(100 * p)}" for p in (0.5, 0.9, 0.99))
+    return f"(SELECT {quantiles}, round(max(n) / avg(n), 6) AS {name}_skew FROM (SELECT {side}, count(*)::DOUBLE AS n FROM {W1} GROUP BY 1))"
+
+
+@query("profile_orders", f"SELECT * FROM (SELECT count(DISTINCT user_id) AS users, count(DISTINCT item_id) AS items, count(*) AS pairs, round(count(*) / count(DISTINCT user_id) / count(DISTINCT item_id), 6) AS density FROM {W1}), {_side_sql('user_id')}, {_side_sql('item_id')}")
 def _(spark, d):
     return S.profile(w1(spark, d))
 
@@ -99,18 +111,24 @@ def _(spark, d):
     return S.degree_hist(w1(spark, d), "item_id")
 
 
-def _kcore_sql(rounds: int, least_u: int, least_i: int) -> str:
-    parts, last = [f"k0 AS (SELECT user_id, item_id FROM {W1})"], "k0"
+def _kcore_sql(pairs: str, rounds: int, least_u: int, least_i: int, columns: str = "user_id, item_id", item: str = "item_id") -> str:
+    parts, last = [f"k0 AS MATERIALIZED (SELECT {columns} FROM {pairs})"], "k0"
     for r in range(rounds):
-        parts.append(f"u{r} AS (SELECT * FROM {last} WHERE user_id IN (SELECT user_id FROM {last} GROUP BY 1 HAVING count(*) >= {least_u}))")
-        parts.append(f"i{r} AS (SELECT * FROM u{r} WHERE item_id IN (SELECT item_id FROM u{r} GROUP BY 1 HAVING count(*) >= {least_i}))")
+        parts.append(f"u{r} AS MATERIALIZED (SELECT * FROM {last} WHERE user_id IN (SELECT user_id FROM {last} GROUP BY 1 HAVING count(*) >= {least_u}))")
+        parts.append(f"i{r} AS MATERIALIZED (SELECT * FROM u{r} WHERE {item} IN (SELECT {item} FROM u{r} GROUP BY 1 HAVING count(*) >= {least_i}))")
         last = f"i{r}"
     return f"WITH {', '.join(parts)} SELECT * FROM {last}"
 
 
-@query("kcore_orders", _kcore_sql(3, 25, 20))
+@query("kcore_orders", _kcore_sql(W1, 3, 25, 20))
 def _(spark, d):
-    return S.kcore(w1(spark, d).select("user_id", "item_id"), 25, 20)
+    return S.kcore(w1(spark, d).select("user_id", "item_id"), 25, 20, 3)
+
+
+@query("kcore_docterms", _kcore_sql(f"(SELECT user_id, term FROM {TERMS} WHERE term IN (SELECT term FROM {TERMS} GROUP BY 1 HAVING count(*) >= 5 AND count(*) <= 0.1 * (SELECT count(*) FROM documents)))", 12, 20, 8, "user_id, term", "term"))
+def _(spark, d):
+    """Until nothing changes; the SQL repeats the two filters more often than that takes."""
+    return S.kcore(workload(spark, d, "docterms"), 20, 8).select("user_id", "term")
 
 
 @query("split_hash", f"SELECT user_id, item_id, {mix_sql(3, 'user_id', 'item_id')} % 1000 < 200 AS held_out FROM {W1}")
@@ -134,9 +152,17 @@ def _(spark, d):
     return S.index_ids(w1(spark, d), "item_id")
 
 
-@query("sparse_vectors_users", f"SELECT user_id, string_agg(item_id, ',' ORDER BY item_id) AS members FROM {W1} GROUP BY 1")
+@query("sparse_vectors_users", f"SELECT user_id, CAST(0 AS BIGINT) AS part, string_agg(item_id, ',' ORDER BY item_id) AS members FROM {W1} GROUP BY 1")
 def _(spark, d):
-    return S.as_sparse_vectors(w1(spark, d), "user_id").select("user_id", F.array_join(F.col("members").cast("array<string>"), ",").alias("members"))
+    return S.as_sparse_vectors(w1(spark, d), "user_id").select("user_id", F.col("part").cast("long").alias("part"), F.array_join(F.col("members").cast("array<string>"), ",").alias("members"))
+
+
+@query("sparse_vectors_items_parts", f"SELECT item_id, count(*) AS members, CAST(sum(user_id) AS BIGINT) AS total FROM {W1} GROUP BY 1")
+def _(spark, d):
+    """Parts of about eight members, put together again."""
+    parts = S.as_sparse_vectors(w1(spark, d), "item_id", 8)
+    each = parts.select("item_id", F.size("members").alias("n"), F.aggregate("members", F.lit(0).cast("long"), lambda a, x: a + x).alias("s"))
+    return each.groupBy("item_id").agg(F.sum("n").alias("members"), F.sum("s").alias("total"))
 
 
 # --- init, similarity, loss, gradient --------------------------------------
@@ -158,6 +184,20 @@ def _(spark, d):
     return rows.select("id", F.round(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x), 9).alias("total"))
 
 
+@query("init_xavier_normal", f"SELECT id, round((list_sum(list_transform(range(12), lambda k: {mix_sql(4, 'id', '0', 'k')} / {float(P)})) - 6) * {(2 / (50 + 1)) ** 0.5}, 9) AS v FROM (SELECT s_suppkey AS id FROM supplier)")
+def _(spark, d):
+    rows = table(spark, d, "supplier").select(F.col("s_suppkey").alias("id")).withColumn("vec", V.init_vector(4, "id", 1, "xavier_normal", fan_in=50))
+    return rows.select("id", F.round(F.col("vec")[0], 9).alias("v"))
+
+
+@query("init_warm", f"SELECT side, id, round(list_sum(v), 6) AS total FROM (SELECT 'user' AS side, user_id AS id, {vec_sql(1, 'user_id', 64)} AS v FROM (SELECT DISTINCT user_id FROM {W1}) UNION ALL SELECT 'item', coalesce(i.item_id, e.vec_id), coalesce(CAST(e.embedding AS DOUBLE[]), {vec_sql(2, 'i.item_id', 64)}) FROM (SELECT DISTINCT item_id FROM {W1}) i FULL JOIN embeddings e ON e.vec_id = i.item_id)")
+def _(spark, d):
+    """Items that are known from earlier keep their rows."""
+    warm = table(spark, d, "embeddings").select(F.lit("item").alias("side"), F.col("vec_id").alias("id"), F.col("embedding").cast("array<double>").alias("vec"))
+    rows = init_factors(w1(spark, d), TrainConfig(dim=64), warm)
+    return rows.select("side", "id", F.round(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x), 6).alias("total"))
+
+
 @query("init_normal", f"SELECT id, round((list_sum(list_transform(range(12), lambda k: {mix_sql(4, 'id', '0', 'k')} / {float(P)})) - 6) * 0.1, 9) AS v FROM (SELECT s_suppkey AS id FROM supplier)")
 def _(spark, d):
     rows = table(spark, d, "supplier").select(F.col("s_suppkey").alias("id")).withColumn("vec", V.init_vector(4, "id", 1, "normal"))
@@ -191,6 +231,12 @@ def _(spark, d):
     return e.select("vec_id", F.round(V.sq_norm(F.col("v")), 9).alias("n"))
 
 
+@query("normalized_rows", f"SELECT vec_id, round(1 / sqrt(list_dot_product(v, v)), 9) AS inverse_norm, round(list_sum(list_transform(v, lambda x: x / sqrt(list_dot_product(v, v)))), 8) AS total FROM {_EMB}")
+def _(spark, d):
+    e = table(spark, d, "embeddings").select("vec_id", F.col("embedding").cast("array<double>").alias("vec"))
+    return V.normalize_rows(e).select("vec_id", F.round("inverse_norm", 9).alias("inverse_norm"), F.round(F.aggregate("unit", F.lit(0.0), lambda a, x: a + x), 8).alias("total"))
+
+
 _X = f"(SELECT a.vec_id AS a, list_dot_product(a.v, b.v) AS x, (a.label = b.label)::INT AS y FROM (SELECT *, CAST(embedding AS DOUBLE[]) AS v FROM embeddings) a JOIN (SELECT *, CAST(embedding AS DOUBLE[]) AS v FROM embeddings) b ON b.vec_id = (a.vec_id * 7 + 3) % (SELECT count(*) FROM embeddings))"
 
 
@@ -228,7 +274,13 @@ def _(spark, d):
 _ITEMS = f"(SELECT id, row_number() OVER (ORDER BY id) - 1 AS idx FROM (SELECT DISTINCT item_id AS id FROM {W1}))"
 _N = f"(SELECT count(DISTINCT item_id) FROM {W1})"
 _BATCH = f"(SELECT user_id, item_id AS pos_id FROM {W1})"
-_NEG = f"(SELECT user_id, pos_id, j, id AS item_id FROM (SELECT *, {mix_sql(7, 'user_id', 'pos_id', 'j')} % {_N} AS idx FROM (SELECT *, unnest(range(4)) AS j FROM {_BATCH})) JOIN {_ITEMS} USING (idx))"
+
+
+def neg_sql(seed: int | str, n: int = 4) -> str:
+    return f"(SELECT user_id, pos_id, j, id AS item_id FROM (SELECT *, {mix_sql(seed, 'user_id', 'pos_id', 'j')} % {_N} AS idx FROM (SELECT *, unnest(range({n})) AS j FROM {_BATCH})) JOIN {_ITEMS} USING (idx))"
+
+
+_NEG = neg_sql(7)
 
 
 def _batch(spark, d):
@@ -252,23 +304,49 @@ def _(spark, d):
     return sampling.sample_uniform(batch, items, 1).withColumn("j", F.col("j").cast("long"))
 
 
-@query("neg_uniform_unseen", f"SELECT * FROM {_NEG} n WHERE NOT EXISTS (SELECT 1 FROM {_BATCH} b WHERE b.user_id = n.user_id AND b.pos_id = n.item_id)")
+@query("neg_uniform_unseen", f"SELECT user_id, pos_id, j, item_id FROM (SELECT *, row_number() OVER (PARTITION BY user_id, pos_id, j ORDER BY a) AS k FROM (SELECT user_id, pos_id, j, a, id AS item_id FROM (SELECT *, {mix_sql('7 + 1000 * a', 'user_id', 'pos_id', 'j')} % {_N} AS idx FROM (SELECT *, unnest(range(4)) AS j FROM {_BATCH}), range(9) r(a)) JOIN {_ITEMS} USING (idx)) n WHERE NOT EXISTS (SELECT 1 FROM {_BATCH} b WHERE b.user_id = n.user_id AND b.pos_id = n.item_id)) WHERE k = 1")
 def _(spark, d):
+    """Draws that hit a seen item are drawn again, up to eight times."""
     return _negs(spark, d, exclude_seen=True)
 
 
-def _tile_idx(worker: str, refresh: str, slot: str) -> str:
-    return f"{mix_sql(9, worker, refresh, slot)} % {_N}"
+def _tile_idx(worker: str, refresh: str, slot: str, replacement: bool = False) -> str:
+    if replacement:
+        return f"{mix_sql(9, worker, refresh, slot)} % n"
+    return f"({mix_sql(10, worker, refresh)} % n + {multiplier_sql(9, 'n', mix_sql(11, worker, refresh))} * {slot}) % n"
 
 
-_TILES = f"(SELECT worker, refresh, slot, id AS item_id FROM (SELECT *, {_tile_idx('worker', 'refresh', 'slot')} AS idx FROM (SELECT unnest(range(4)) AS worker) , (SELECT unnest(range(6)) AS refresh), (SELECT unnest(range(32)) AS slot)) JOIN {_ITEMS} USING (idx))"
 _STEPS = f"(SELECT *, floor(step / 3000)::BIGINT AS refresh FROM (SELECT *, row_number() OVER (PARTITION BY worker ORDER BY {mix_sql(11, 'user_id', 'pos_id')}, user_id, pos_id) - 1 AS step FROM (SELECT *, {mix_sql(10, 'user_id')} % 4 AS worker FROM {_BATCH})))"
-_TILED = f"(SELECT user_id, pos_id, worker, refresh, j, id AS item_id FROM (SELECT *, {_tile_idx('worker', 'refresh', 'slot')} AS idx FROM (SELECT *, {mix_sql(12, 'user_id', 'pos_id', 'j')} % 32 AS slot FROM (SELECT *, unnest(range(4)) AS j FROM {_STEPS}))) JOIN {_ITEMS} USING (idx))"
+
+
+def _tiles_sql(replacement: bool = False) -> str:
+    grid = f"(SELECT *, {_N} AS n FROM (SELECT unnest(range(4)) AS worker), (SELECT unnest(range((SELECT max(refresh) + 1 FROM {_STEPS}))) AS refresh))"
+    if replacement:
+        drawn = f"SELECT worker, refresh, slot, {_tile_idx('worker', 'refresh', 'slot', True)} AS idx FROM {grid}, (SELECT unnest(range(32)) AS slot)"
+    else:
+        drawn = f"SELECT worker, refresh, slot, (first + step * slot) % n AS idx FROM (SELECT worker, refresh, n, {mix_sql(10, 'worker', 'refresh')} % n AS first, {multiplier_sql(9, 'n', mix_sql(11, 'worker', 'refresh'))} AS step FROM {grid}), (SELECT unnest(range(32)) AS slot)"
+    return f"(SELECT worker, refresh, slot, id AS item_id FROM ({drawn}) JOIN {_ITEMS} USING (idx))"
+
+
+_TILES = _tiles_sql()
+_TILED = f"(SELECT s.user_id, s.pos_id, s.worker, s.refresh, s.j, t.item_id FROM (SELECT *, {mix_sql(12, 'user_id', 'pos_id', 'j')} % 32 AS slot FROM (SELECT *, unnest(range(4)) AS j FROM {_STEPS})) s JOIN {_TILES} t USING (worker, refresh, slot))"
+
+
+def _all_tiles(spark, d, replacement: bool = False):
+    """Tiles of all refreshes that the pairs take, and the pairs with their steps."""
+    batch, items = _batch(spark, d)
+    steps = Cuts(spark).cut(sampling.with_steps(batch, 4, 3000))
+    return sampling.tile_rows(items, 4, sampling.tiles_used(steps), 32, replacement=replacement), steps
 
 
 @query("tile_rows", f"SELECT * FROM {_TILES}")
 def _(spark, d):
-    return sampling.tile_rows(_batch(spark, d)[1], 4, 6, 32).select(F.col("worker").cast("long"), F.col("refresh").cast("long"), F.col("slot").cast("long"), "item_id")
+    return _all_tiles(spark, d)[0].select(F.col("worker").cast("long"), F.col("refresh").cast("long"), F.col("slot").cast("long"), "item_id")
+
+
+@query("tile_rows_replaced", f"SELECT * FROM {_tiles_sql(True)}")
+def _(spark, d):
+    return _all_tiles(spark, d, True)[0].select(F.col("worker").cast("long"), F.col("refresh").cast("long"), F.col("slot").cast("long"), "item_id")
 
 
 def _tiled(spark, d):
@@ -281,25 +359,30 @@ def _(spark, d):
     return _tiled(spark, d).select("user_id", "pos_id", F.col("worker").cast("long"), "refresh", F.col("j").cast("long"), "item_id")
 
 
-@query("tile_coverage", f"SELECT count(*) AS draws, count(DISTINCT item_id) AS distinct_items FROM {_TILES}")
+@query("tile_coverage", f"SELECT count(*) AS draws, count(DISTINCT item_id) AS distinct_items, count(DISTINCT (worker, refresh, item_id)) AS distinct_in_tiles FROM {_TILES}")
 def _(spark, d):
-    return sampling.tile_rows(_batch(spark, d)[1], 4, 6, 32).agg(F.count(F.lit(1)).alias("draws"), F.countDistinct("item_id").alias("distinct_items"))
+    return _all_tiles(spark, d)[0].agg(F.count(F.lit(1)).alias("draws"), F.countDistinct("item_id").alias("distinct_items"), F.countDistinct("worker", "refresh", "item_id").alias("distinct_in_tiles"))
 
 
 @query("tile_hit_ratio", f"SELECT round(avg((t.item_id IS NOT NULL)::INT), 6) AS hit_ratio FROM {_STEPS} s LEFT JOIN (SELECT DISTINCT worker, refresh, item_id FROM {_TILES}) t ON t.worker = s.worker AND t.refresh = s.refresh AND t.item_id = s.pos_id")
 def _(spark, d):
-    batch, items = _batch(spark, d)
-    reads = sampling.with_steps(batch, 4, 3000)
-    return sampling.hit_ratio(reads, sampling.tile_rows(items, 4, 6, 32))
+    tiles, steps = _all_tiles(spark, d)
+    return sampling.hit_ratio(steps, tiles)
 
 
 # --- one step ---------------------------------------------------------------
 
+
+def coef_sql(neg: str, coef: str = "CASE WHEN j < 0 THEN -1.0 WHEN x > 0 THEN 0.25 ELSE 0.0 END", x: str = "st / sqrt(ss * tt)") -> str:
+    """Examples with rows, sums, similarity and the loss's derivative c."""
+    ex = f"(SELECT user_id, pos_id, CAST(-1 AS BIGINT) AS j, pos_id AS item_id FROM {_BATCH} UNION ALL SELECT user_id, pos_id, j, item_id FROM {neg})"
+    vec = f"(SELECT *, {vec_sql(1, 'user_id', 8)} AS s, {vec_sql(2, 'item_id', 8)} AS t FROM {ex})"
+    sums = f"(SELECT *, list_dot_product(s, s) AS ss, list_dot_product(t, t) AS tt, list_dot_product(s, t) AS st FROM {vec})"
+    return f"(SELECT *, {coef} AS c FROM (SELECT *, {x} AS x FROM {sums}))"
+
+
 _EX = f"(SELECT user_id, pos_id, CAST(-1 AS BIGINT) AS j, pos_id AS item_id FROM {_BATCH} UNION ALL SELECT user_id, pos_id, j, item_id FROM {_NEG})"
-_VEC = f"(SELECT *, {vec_sql(1, 'user_id', 8)} AS s, {vec_sql(2, 'item_id', 8)} AS t FROM {_EX})"
-_SUM = f"(SELECT *, list_dot_product(s, s) AS ss, list_dot_product(t, t) AS tt, list_dot_product(s, t) AS st FROM {_VEC})"
-_FWD = f"(SELECT *, st / sqrt(ss * tt) AS x FROM {_SUM})"
-_COEF = f"(SELECT *, CASE WHEN j < 0 THEN -1.0 WHEN x > 0 THEN 0.25 ELSE 0.0 END AS c FROM {_FWD})"
+_COEF = _FWD = coef_sql(_NEG)
 
 
 def _grad_sql(coef: str = _COEF, cosine: bool = True) -> str:
@@ -363,8 +446,8 @@ _ALL = "(SELECT 'user' AS side, user_id AS id FROM {v} UNION SELECT 'item', item
 _FACT = f"(SELECT side, id, k, CASE WHEN side = 'user' THEN {vec_sql(1, 'id', 8)} ELSE {vec_sql(2, 'id', 8)} END[k + 1] AS v FROM {_ALL}, range(8) r(k))"
 
 
-def _step_sql(grads: str) -> str:
-    return f"SELECT f.side, f.id, f.k, round(f.v - 0.05 * coalesce(g.g, 0), 6) AS v FROM {_FACT} f LEFT JOIN {grads} g ON g.side = f.side AND g.id = f.id AND g.k = f.k"
+def _step_sql(grads: str, keep: float = 1.0) -> str:
+    return f"SELECT f.side, f.id, f.k, round(CASE WHEN g.g IS NULL THEN f.v ELSE {keep} * f.v - 0.05 * g.g END, 6) AS v FROM {_FACT} f LEFT JOIN {grads} g ON g.side = f.side AND g.id = f.id AND g.k = f.k"
 
 
 def _step(spark, d, update="sparse", **opts):
@@ -375,89 +458,244 @@ def _step(spark, d, update="sparse", **opts):
 for _name, _update in (("step_sparse", "sparse"), ("step_dense", "dense"), ("step_coalesced", "coalesced")):
     query(_name, _step_sql(_grad_sql()))(lambda spark, d, u=_update: _step(spark, d, u))
 
-_MSE = f"(SELECT *, st AS xx, CASE WHEN j < 0 THEN 2 * (st - 1) ELSE 2 * st END AS c FROM {_SUM})"
 
+@query("step_l2", _step_sql(_grad_sql(), 1 - 0.05 * 0.01))
+def _(spark, d):
+    return _step(spark, d, l2=0.01)
 
-@query("step_pointwise", _step_sql(_grad_sql(_MSE, cosine=False)))
+
+@query("step_pointwise", _step_sql(_grad_sql(coef_sql(_NEG, "CASE WHEN j < 0 THEN 2 * (st - 1) ELSE 2 * st END", "st"), cosine=False)))
 def _(spark, d):
     return _step(spark, d, loss="mse", similarity="dot")
 
 
+@query("step_bce", _step_sql(_grad_sql(coef_sql(_NEG, "1 / (1 + exp(-st)) - (j < 0)::INT", "st"), cosine=False)))
+def _(spark, d):
+    return _step(spark, d, loss="bce", similarity="dot")
+
+
+def _paired_sql(value: str, one: str) -> str:
+    """c of losses that compare each negative with its example's positive."""
+    rows = f"(SELECT *, {value} AS val, max({value}) FILTER (j < 0) OVER (PARTITION BY user_id, pos_id) AS pv FROM {coef_sql(_NEG, '0.0', 'st')})"
+    part = f"(SELECT * EXCLUDE (c), CASE WHEN j >= 0 THEN {one} ELSE 0.0 END AS one FROM {rows})"
+    return f"(SELECT *, CASE WHEN j < 0 THEN -sum(one) OVER (PARTITION BY user_id, pos_id) ELSE one END AS c FROM {part})"
+
+
+@query("step_bpr", _step_sql(_grad_sql(_paired_sql("st", "0.25 / (1 + exp(pv - val))"), cosine=False)))
+def _(spark, d):
+    return _step(spark, d, loss="bpr", similarity="dot")
+
+
+_METRIC_GRAD = "(SELECT side, id, k, sum(g) AS g FROM (SELECT 'user' AS side, user_id AS id, k, 2 * c * (s[k + 1] - t[k + 1]) AS g FROM {c}, range(8) r(k) WHERE c <> 0 UNION ALL SELECT 'item', item_id, k, 2 * c * (t[k + 1] - s[k + 1]) FROM {c}, range(8) r(k) WHERE c <> 0) GROUP BY 1, 2, 3)".format(c=_paired_sql("ss + tt - 2 * st", "CASE WHEN 1 + pv - val > 0 THEN -0.25 ELSE 0.0 END"))
+
+
+@query("step_metric", _step_sql(_METRIC_GRAD))
+def _(spark, d):
+    return _step(spark, d, loss="metric", similarity="dot")
+
+
 @query("touched_rows", f"SELECT side, count(DISTINCT id) AS touched FROM {_grad_sql()} GROUP BY 1")
 def _(spark, d):
     cfg = relational.StepConfig()
     return relational.gradients(_forward(spark, d, cfg), cfg).groupBy("side").agg(F.countDistinct("id").alias("touched"))
 
 
-# --- aggregation ------------------------------------------------------------
+# --- whole epochs of the kernels, one batch a cell, in SQL ------------------
+#
+# A kernel that takes a whole cell as one batch makes one summed step over it, which SQL can follow: a chain of
+# tables f0, f1, ... of factors (side, id, v: a list), one for each step.
+
+FULL = TrainConfig(dim=8, negatives=4, batch=10**9, seed=1)
 
-_HIST = f"(SELECT user_id, item_id, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, item_id DESC) AS n FROM {W1})"
-_POOL = f"(SELECT user_id, k, avg(t[k + 1]) AS v FROM (SELECT user_id, {vec_sql(2, 'item_id', 4)} AS t FROM {_HIST} WHERE n <= 20), range(4) r(k) GROUP BY 1, 2)"
 
+def _first_sql(dim: int = 8) -> str:
+    return f"f0 AS MATERIALIZED (SELECT 'user' AS side, user_id AS id, {vec_sql(1, 'user_id', dim)} AS v FROM (SELECT DISTINCT user_id FROM {W1}) UNION ALL SELECT 'item', item_id, {vec_sql(2, 'item_id', dim)} FROM (SELECT DISTINCT item_id FROM {W1}))"
 
-def _pooled(spark, d):
-    """user_id, vec: mean of the rows of the latest 20 items."""
-    h = S.user_history(w1(spark, d), 20).select("user_id", F.explode("hist").alias("item_id")).withColumn("t", V.init_vector(2, "item_id", 4))
-    h = V.carry(h, "user_id", "t")
-    return h.groupBy("user_id").agg(F.array(*[F.avg(F.col("t")[k]) for k in range(4)]).alias("vec"))
 
+def _turn_sql(k: int, examples: str, dim: int = 8, n: int = 4) -> list[str]:
+    """Tables of step k, from f<k> to f<k + 1>. examples: user_id, pos_id, j, item_id."""
+    return [
+        f"c{k} AS MATERIALIZED (SELECT *, CASE WHEN j < 0 THEN -1.0 WHEN x > 0 THEN {1 / n} ELSE 0.0 END AS c FROM (SELECT *, st / sqrt(ss * tt) AS x FROM (SELECT e.*, u.v AS s, i.v AS t, list_dot_product(u.v, u.v) AS ss, list_dot_product(i.v, i.v) AS tt, list_dot_product(u.v, i.v) AS st FROM ({examples}) e JOIN f{k} u ON u.side = 'user' AND u.id = e.user_id JOIN f{k} i ON i.side = 'item' AND i.id = e.item_id)))",
+        f"g{k} AS MATERIALIZED (SELECT side, id, k, sum(g) AS g FROM (SELECT 'user' AS side, user_id AS id, k, c * (t[k + 1] / sqrt(ss * tt) - x / ss * s[k + 1]) AS g FROM c{k}, range({dim}) r(k) WHERE c <> 0 UNION ALL SELECT 'item', item_id, k, c * (s[k + 1] / sqrt(ss * tt) - x / tt * t[k + 1]) FROM c{k}, range({dim}) r(k) WHERE c <> 0) GROUP BY 1, 2, 3)",
+        f"f{k + 1} AS MATERIALIZED (SELECT f.side, f.id, list(f.v[f.k + 1] - 0.05 * coalesce(g.g, 0) ORDER BY f.k) AS v FROM (SELECT *, unnest(range({dim})) AS k FROM f{k}) f LEFT JOIN g{k} g ON g.side = f.side AND g.id = f.id AND g.k = f.k GROUP BY 1, 2)",
+    ]
 
-@query("agg_average", f"SELECT user_id, k, round(v, 8) AS v FROM {_POOL}")
+
+def _chain_sql(tables: list[str], last: int, dim: int = 8) -> str:
+    return f"WITH {', '.join(tables)} SELECT side, id, k, round(v[k + 1], 6) AS v FROM f{last}, range({dim}) r(k)"
+
+
+def _ex_sql(pairs: str, negatives: str) -> str:
+    return f"SELECT user_id, pos_id, CAST(-1 AS BIGINT) AS j, pos_id AS item_id FROM {pairs} UNION ALL SELECT user_id, pos_id, j, item_id FROM {negatives}"
+
+
+def _factors(model) -> DataFrame:
+    return _long(model.factors.select("side", "id", "vec"))
+
+
+def _fitted(spark, d, **opts):
+    from .operators.blocks import with_options
+
+    return fit(w1(ship(spark), d), with_options(FULL, **opts))
+
+
+@query("two_steps", _chain_sql([_first_sql(), *_turn_sql(0, _ex_sql(_BATCH, neg_sql(14))), *_turn_sql(1, _ex_sql(_BATCH, neg_sql(15)))], 2))
 def _(spark, d):
-    return _pooled(spark, d).select("user_id", F.posexplode("vec").alias("k", "v")).select("user_id", F.col("k").cast("long").alias("k"), F.round("v", 8).alias("v"))
+    """Two synchronous steps of the relational plan."""
+    return _factors(_fitted(spark, d, plan="relational", epochs=2))
+
 
+@query("fused_step", _chain_sql([_first_sql(), *_turn_sql(0, _ex_sql(_BATCH, neg_sql(14)))], 1))
+def _(spark, d):
+    """One epoch of the fused kernel as one batch."""
+    return _factors(_fitted(spark, d, plan="block"))
 
-_LAYER = f"(SELECT user_id, o AS k, sum(v * (({mix_sql(5, 'k', 'o')} / {float(P)}) - 0.5)) AS v FROM {_POOL}, range(4) q(o) GROUP BY 1, 2)"
 
+for _engine in ("dense", "sparse", "jagged"):
+    query(f"{_engine}_engine_step", ORACLES["fused_step"])(lambda spark, d, e=_engine: _factors(_fitted(spark, d, plan="block", engine=e)))
 
-def _mixed(spark, d):
-    w = F.array(*[F.array(*[mix(5, i, o) / F.lit(float(P)) - 0.5 for i in range(4)]) for o in range(4)])
-    rows = V.carry(_pooled(spark, d), "user_id", "vec", w.alias("w"), V.init_vector(1, "user_id", 4).alias("s"))
-    out = F.transform("w", lambda col: V.dot(col, F.col("vec")))
-    return V.carry(rows, "user_id", "vec", F.zip_with("s", out, lambda a, b: 0.5 * a + 0.5 * b).alias("m"))
+_FIRST_USER = f"(SELECT user_id FROM {_BATCH} ORDER BY {mix_sql(1, 'user_id', 'pos_id')}, user_id, pos_id LIMIT 1)"
+_ONE_TILE = f"(SELECT slot, id AS item_id FROM (SELECT slot, (first + step * slot) % n AS idx FROM (SELECT n, {mix_sql(9, '0', '0', 'f')} % n AS first, {multiplier_sql(8, 'n', mix_sql(10, '0', '0', 'f'))} AS step FROM (SELECT {_N} AS n, {_FIRST_USER} AS f)), (SELECT unnest(range(32)) AS slot)) JOIN {_ITEMS} USING (idx))"
+_TILE_NEG = f"(SELECT user_id, pos_id, j, t.item_id FROM (SELECT *, {mix_sql(14, 'user_id', 'pos_id', 'j')} % 32 AS slot FROM (SELECT *, unnest(range(4)) AS j FROM {_BATCH})) JOIN {_ONE_TILE} t USING (slot))"
 
 
-@query("agg_layer", f"SELECT l.user_id, l.k, round(0.5 * ({vec_sql(1, 'l.user_id', 4)}[l.k + 1]) + 0.5 * l.v, 8) AS v FROM {_LAYER} l")
+@query("fused_tiled_step", _chain_sql([_first_sql(), *_turn_sql(0, _ex_sql(_BATCH, _TILE_NEG))], 1))
 def _(spark, d):
-    return _mixed(spark, d).select("user_id", F.posexplode("m").alias("k", "v")).select("user_id", F.col("k").cast("long").alias("k"), F.round("v", 8).alias("v"))
+    """The same with negatives, and positives that are there, in the buffer of one tile, and its write-back."""
+    return _factors(_fitted(spark, d, plan="block", tile=32, refresh=10**9))
+
+
+def _rotated_sql(blocks: int = 2) -> str:
+    dealt = f"(SELECT *, {mix_sql(32, 'user_id')} % {blocks} AS ub, {mix_sql(38, 'pos_id')} % {blocks} AS ib FROM {_BATCH})"
+    own = f"(SELECT id, ib, row_number() OVER (PARTITION BY ib ORDER BY id) - 1 AS idx, count(*) OVER (PARTITION BY ib) AS n FROM (SELECT id, {mix_sql(38, 'id')} % {blocks} AS ib FROM {_ITEMS}))"
+    tables = [_first_sql(), f"dealt AS MATERIALIZED (SELECT * FROM {dealt})", f"own AS MATERIALIZED (SELECT * FROM {own})"]
+    for turn in range(blocks):
+        pairs = f"(SELECT * FROM dealt WHERE (ib - ub + {blocks}) % {blocks} = {turn})"
+        drawn = f"(SELECT user_id, pos_id, j, o.id AS item_id FROM (SELECT p.*, j, {mix_sql(14, 'p.user_id', 'p.pos_id', 'j')} % z.n AS idx FROM {pairs} p JOIN (SELECT DISTINCT ib, n FROM own) z USING (ib), range(4) r(j)) q JOIN own o ON o.ib = q.ib AND o.idx = q.idx)"
+        tables += _turn_sql(turn, _ex_sql(pairs, drawn))
+    return _chain_sql(tables, blocks)
 
 
-@query("agg_weight_grad", f"SELECT a.k AS i, b.k AS o, round(sum(a.v * ({vec_sql(1, 'a.user_id', 4)}[b.k + 1])), 6) AS g FROM {_POOL} a JOIN (SELECT k FROM range(4) r(k)) b ON true GROUP BY 1, 2")
+@query("rotated_epoch", _rotated_sql())
 def _(spark, d):
-    rows = V.carry(_pooled(spark, d), "user_id", "vec", V.init_vector(1, "user_id", 4).alias("s"))
-    cells = rows.select(F.posexplode("vec").alias("i", "a"), "s").select("i", "a", F.posexplode("s").alias("o", "b"))
-    return cells.groupBy(F.col("i").cast("long").alias("i"), F.col("o").cast("long").alias("o")).agg(F.round(F.sum(F.col("a") * F.col("b")), 6).alias("g"))
+    """Two blocks a side: two sub-epochs, the second from the first one's rows."""
+    return _factors(_fitted(spark, d, plan="rotate", blocks=2))
 
 
-@query("agg_accumulated_m32", f"SELECT grp, count(*) AS n, round(sum(v) / count(*), 8) AS mean FROM (SELECT floor((row_number() OVER (ORDER BY user_id) - 1) / 32)::BIGINT AS grp, v FROM {_POOL} WHERE k = 0) GROUP BY 1")
+def _merged_sql(workers: int = 2, extra: int = 256) -> str:
+    dealt = f"(SELECT *, {mix_sql(42, 'user_id')} % {workers} AS worker FROM {_BATCH})"
+    slots = f"(SELECT i // {extra} AS worker, id FROM (SELECT i, {mix_sql(44, 'i')} % {_N} AS idx FROM range({workers * extra}) r(i)) JOIN {_ITEMS} USING (idx))"
+    own = f"(SELECT worker, id, row_number() OVER (PARTITION BY worker ORDER BY id) - 1 AS idx, count(*) OVER (PARTITION BY worker) AS n FROM (SELECT worker, pos_id AS id FROM dealt UNION SELECT worker, id FROM {slots}))"
+    drawn = f"(SELECT user_id, pos_id, j, o.id AS item_id FROM (SELECT p.*, j, {mix_sql(14, 'p.user_id', 'p.pos_id', 'j')} % z.n AS idx FROM dealt p JOIN (SELECT DISTINCT worker, n FROM own) z USING (worker), range(4) r(j)) q JOIN own o ON o.worker = q.worker AND o.idx = q.idx)"
+    return _chain_sql([_first_sql(), f"dealt AS MATERIALIZED (SELECT * FROM {dealt})", f"own AS MATERIALIZED (SELECT * FROM {own})", *_turn_sql(0, _ex_sql("dealt", drawn))], 1)
+
+
+@query("merged_epoch", _merged_sql())
 def _(spark, d):
-    turn = S.index_ids(w1(spark, d), "user_id").withColumnRenamed("id", "user_id")
-    rows = _pooled(spark, d).join(turn, "user_id").withColumn("grp", F.floor(F.col("idx") / 32).cast("long"))
-    return rows.groupBy("grp").agg(F.count(F.lit(1)).alias("n"), F.round(F.sum(F.col("vec")[0]) / F.count(F.lit(1)), 8).alias("mean"))
+    """Two workers on private copies of their rows; their deltas are summed."""
+    return _factors(_fitted(spark, d, plan="merge", blocks=2))
 
 
-def _attn_sql(query_vec: str) -> str:
-    z = " + ".join(f"({query_vec})[{o + 1}] * tanh(t[{o + 1}])" for o in range(4))
-    return f"WITH h AS (SELECT user_id, t, exp({z}) AS e FROM (SELECT user_id, {vec_sql(1, 'user_id', 4)} AS s, {vec_sql(2, 'item_id', 4)} AS t FROM {_HIST} WHERE n <= 20)) SELECT user_id, k, round(sum(e * t[k + 1]) / sum(e), 8) AS v FROM h, range(4) r(k) GROUP BY 1, 2"
+# --- aggregation ------------------------------------------------------------
 
+_HIST = f"(SELECT user_id, item_id FROM (SELECT user_id, item_id, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, item_id DESC) AS n FROM {W1}) WHERE n <= 100)"
+_K = 4
 
-def _attention(spark, d, kind):
-    h = S.user_history(w1(spark, d), 20).select("user_id", F.explode("hist").alias("item_id"))
-    h = V.carry(h, "user_id", V.init_vector(2, "item_id", 4).alias("t"), V.init_vector(1, "user_id", 4).alias("s"))
-    q = F.array(*[F.lit(v) for v in (0.5, -0.25, 1.0, 0.75)]) if kind == "self" else F.col("s")
-    h = V.carry(h, "user_id", "t", F.exp(V.dot(q, F.transform("t", lambda v: F.tanh(v)))).alias("e"))
-    parts = h.groupBy("user_id").agg(F.array(*[F.sum(F.col("e") * F.col("t")[k]) / F.sum("e") for k in range(4)]).alias("vec"))
-    return parts.select("user_id", F.posexplode("vec").alias("k", "v")).select("user_id", F.col("k").cast("long").alias("k"), F.round("v", 8).alias("v"))
 
+def _draw_rows(seed: int, rows: int) -> list[list[float]]:
+    """A drawn matrix of rows x _K, as SQL draws it too."""
+    return [[mix_py(seed, r, k) / float(P) - 0.5 for k in range(_K)] for r in range(rows)]
 
-@query("attn_self", _attn_sql("[0.5, -0.25, 1.0, 0.75]"))
+
+def _params():
+    """Rows of the layer, the projection, its offset and the query."""
+    import numpy as np
+
+    return np.array(_draw_rows(5, _K) + _draw_rows(21, _K) + _draw_rows(22, 1) + _draw_rows(23, 1))
+
+
+def _drawn_sql(seed: int, row: str, k: str) -> str:
+    return f"({mix_sql(seed, row, k)} / {float(P)} - 0.5)"
+
+
+def _vectors(spark, d):
+    """users, items (id, vec) of the orders workload, and its histories."""
+    cuts, pairs = Cuts(ship(spark)), w1(spark, d)
+    rows = lambda side, seed: cuts.cut(pairs.select(F.col(side).alias("id")).distinct().withColumn("vec", V.init_vector(seed, "id", _K)))
+    return rows("user_id", 1), rows("item_id", 2), cuts.cut(S.user_history(pairs))
+
+
+def _entries(df: DataFrame, vec: str, digits: int = 7) -> DataFrame:
+    return df.select(df.columns[0], F.posexplode(vec).alias("k", "v")).select(F.col(df.columns[0]).alias("user_id"), F.col("k").cast("long").alias("k"), F.round("v", digits).alias("v"))
+
+
+def _pooled_by(kind: str) -> Query:
+    def run(spark, d):
+        users, items, history = _vectors(spark, d)
+        rows = history.select("user_id", F.explode("hist").alias("item_id"), F.lit(True).alias("counts"))
+        return _entries(predict.pooled_rows(rows, users, items, _params(), TrainConfig(dim=_K, aggregator=kind)), "vec")
+
+    return run
+
+
+_POOL = f"(SELECT user_id, k, avg(t[k + 1]) AS v FROM (SELECT user_id, {vec_sql(2, 'item_id', _K)} AS t FROM {_HIST}), range({_K}) r(k) GROUP BY 1, 2)"
+query("agg_average", f"SELECT user_id, k, round(v, 7) AS v FROM {_POOL}")(_pooled_by("average"))
+
+
+@query("agg_layer", f"SELECT user_id, o AS k, round(0.8 * any_value({vec_sql(1, 'user_id', _K)})[o + 1] + 0.2 * sum(v * {_drawn_sql(5, 'k', 'o')}), 7) AS v FROM {_POOL}, range({_K}) q(o) GROUP BY 1, 2")
 def _(spark, d):
-    return _attention(spark, d, "self")
+    """The rows that training scores with: the gated mix of a user row and its pooled row times the layer."""
+    users, items, history = _vectors(spark, d)
+    return _entries(predict.aggregated_users(users, items, history, _params(), TrainConfig(dim=_K, aggregator="average")), "vec")
 
 
-@query("attn_user", _attn_sql("s"))
+def _attn_sql(query_vec: str) -> str:
+    project = lambda o: " + ".join(f"t[{k + 1}] * {_draw_rows(21, _K)[o][k]!r}" for k in range(_K)) + f" + {_draw_rows(22, 1)[0][o]!r}"
+    z = " + ".join(f"({query_vec})[{o + 1}] * tanh({project(o)})" for o in range(_K))
+    return f"WITH h AS MATERIALIZED (SELECT user_id, t, exp({z}) AS e FROM (SELECT user_id, {vec_sql(1, 'user_id', _K)} AS s, {vec_sql(2, 'item_id', _K)} AS t FROM {_HIST})) SELECT user_id, k, round(sum(e * t[k + 1]) / sum(e), 7) AS v FROM h, range({_K}) r(k) GROUP BY 1, 2"
+
+
+query("attn_self", _attn_sql(str(_draw_rows(23, 1)[0])))(_pooled_by("self_attention"))
+query("attn_user", _attn_sql("s"))(_pooled_by("user_attention"))
+
+#: One epoch with average pooling as one batch: an example's positive is no part of its own pooled row.
+_AGG_PARTS = [
+    f"hist AS MATERIALIZED (SELECT user_id, item_id, {vec_sql(2, 'item_id', _K)} AS t FROM {_HIST})",
+    f"sums AS MATERIALIZED (SELECT user_id, count(*) AS n, list_value({', '.join(f'sum(t[{k + 1}])' for k in range(_K))}) AS v FROM hist GROUP BY 1)",
+    f"mixed AS MATERIALIZED (SELECT user_id, pos_id, m, w, CASE WHEN w > 0 THEN list_transform(p, lambda x: x / w) ELSE list_transform(p, lambda x: 0.0) END AS pooled FROM (SELECT b.user_id, b.pos_id, {vec_sql(1, 'b.user_id', _K)} AS m, s.n - (h.item_id IS NOT NULL)::INT AS w, list_value({', '.join(f's.v[{k + 1}] - coalesce(h.t[{k + 1}], 0)' for k in range(_K))}) AS p FROM {_BATCH} b JOIN sums s ON s.user_id = b.user_id LEFT JOIN hist h ON h.user_id = b.user_id AND h.item_id = b.pos_id))",
+    f"ex AS MATERIALIZED (SELECT e.user_id, e.pos_id, e.j, e.item_id, m.w, m.pooled, list_value({', '.join(f'0.8 * m.m[{k + 1}] + 0.2 * 0.5 * m.pooled[{k + 1}]' for k in range(_K))}) AS s, {vec_sql(2, 'e.item_id', _K)} AS t FROM ({_ex_sql(_BATCH, neg_sql(14))}) e JOIN mixed m ON m.user_id = e.user_id AND m.pos_id = e.pos_id)",
+    "c AS MATERIALIZED (SELECT *, CASE WHEN j < 0 THEN -1.0 WHEN x > 0 THEN 0.25 ELSE 0.0 END AS c FROM (SELECT *, st / sqrt(ss * tt) AS x FROM (SELECT *, list_dot_product(s, s) AS ss, list_dot_product(t, t) AS tt, list_dot_product(s, t) AS st FROM ex)))",
+    f"gs AS MATERIALIZED (SELECT user_id, pos_id, any_value(w) AS w, any_value(pooled) AS pooled, list_value({', '.join(f'sum(c * (t[{k + 1}] / sqrt(ss * tt) - x / ss * s[{k + 1}]))' for k in range(_K))}) AS g FROM c GROUP BY 1, 2)",
+    f"turns AS MATERIALIZED (SELECT *, (row_number() OVER (ORDER BY {mix_sql(1, 'user_id', 'pos_id')}, user_id, pos_id) - 1) AS turn FROM gs)",
+]
+
+
+@query("agg_step", "WITH " + ", ".join(_AGG_PARTS) + f", past AS (SELECT h.item_id, k, sum(0.5 * 0.2 * g.g[k + 1] / g.w) AS g FROM gs g JOIN hist h ON h.user_id = g.user_id AND h.item_id <> g.pos_id, range({_K}) r(k) GROUP BY 1, 2)"
+    f", moved AS (SELECT 'user' AS side, user_id AS id, k, sum(0.8 * g[k + 1]) AS g FROM gs, range({_K}) r(k) GROUP BY 1, 2, 3 UNION ALL SELECT 'item', item_id, k, sum(g) FROM (SELECT item_id, k, c * (s[k + 1] / sqrt(ss * tt) - x / tt * t[k + 1]) AS g FROM c, range({_K}) r(k) WHERE c <> 0 UNION ALL SELECT * FROM past) GROUP BY 1, 2, 3)"
+    f", first AS (SELECT side, id, k, v[k + 1] AS v FROM (SELECT 'user' AS side, user_id AS id, {vec_sql(1, 'user_id', _K)} AS v FROM (SELECT DISTINCT user_id FROM {W1}) UNION ALL SELECT 'item', item_id, {vec_sql(2, 'item_id', _K)} FROM (SELECT DISTINCT item_id FROM {W1})), range({_K}) r(k))"
+    " SELECT f.side, f.id, f.k, round(f.v - 0.05 * coalesce(m.g, 0), 6) AS v FROM first f LEFT JOIN moved m ON m.side = f.side AND m.id = f.id AND m.k = f.k")
 def _(spark, d):
-    return _attention(spark, d, "user")
+    """User, item and history rows after an epoch with average pooling."""
+    return _factors(_fitted(spark, d, plan="block", dim=_K, aggregator="average"))
+
+
+def _weights_sql(m: str) -> str:
+    """The layer after an epoch: half the unit matrix less the mean gradient of every group of m iterations."""
+    return "WITH " + ", ".join(_AGG_PARTS) + f", parts AS (SELECT i, o, turn // {m} AS grp, avg(pooled[i + 1] * 0.2 * g[o + 1]) AS g FROM turns, range({_K}) a(i), range({_K}) b(o) GROUP BY 1, 2, 3) SELECT i, o, round(CASE WHEN i = o THEN 0.5 ELSE 0.0 END - 0.05 * sum(g), 6) AS w FROM parts GROUP BY 1, 2"
+
+
+def _weights(**opts) -> Query:
+    def run(spark, d):
+        w = _fitted(spark, d, plan="block", dim=_K, aggregator="average", **opts).weights
+        return spark.createDataFrame([(i, o, round(float(w[i, o]), 6)) for i in range(_K) for o in range(_K)], "i long, o long, w double")
+
+    return run
+
+
+query("agg_accumulated_m32", _weights_sql("32"))(_weights(sync=32))
+query("agg_every_iteration", _weights_sql("1"))(_weights(sync_mode="shared"))
+query("agg_parameter_server", _weights_sql("32"))(_weights(sync_mode="server", sync=32, stale=3))
+query("agg_weight_grad", _weights_sql("1000000000"))(_weights(sync=10**9))
 
 
 # --- prediction and measures ------------------------------------------------
@@ -522,6 +760,56 @@ def _(spark, d):
     return baselines.item_knn(w1(spark, d)).withColumn("rank", F.col("rank").cast("long"))
 
 
+@query("user_knn_jaccard", _knn_sql("user_id", "item_id", W1).replace("c / sqrt(CAST(x.n * y.n AS DOUBLE))", "c / (x.n + y.n - c)"))
+def _(spark, d):
+    return baselines.user_knn(w1(spark, d), sim="jaccard").withColumn("rank", F.col("rank").cast("long"))
+
+
+def _votes_sql(own: str, other: str, join: str) -> str:
+    return f"WITH near AS MATERIALIZED ({_knn_sql(own, other, W1)}), b AS (SELECT user_id, item_id FROM {W1}), v AS (SELECT user_id, item_id, round(sum(sim), 9) AS score FROM ({join}) GROUP BY 1, 2) SELECT * FROM (SELECT user_id, item_id, score, row_number() OVER (PARTITION BY user_id ORDER BY score DESC, item_id) AS rank FROM v ANTI JOIN b USING (user_id, item_id)) WHERE rank <= 20"
+
+
+@query("user_knn_votes", _votes_sql("user_id", "item_id", "SELECT n.a AS user_id, b.item_id, n.sim FROM near n JOIN b ON b.user_id = n.b"))
+def _(spark, d):
+    pairs = w1(spark, d)
+    return baselines.user_knn_votes(pairs, Cuts(spark).cut(baselines.user_knn(pairs))).withColumn("rank", F.col("rank").cast("long"))
+
+
+@query("item_knn_votes", _votes_sql("item_id", "user_id", "SELECT b.user_id, n.b AS item_id, n.sim FROM b JOIN near n ON n.a = b.item_id"))
+def _(spark, d):
+    pairs = w1(spark, d)
+    return baselines.item_knn_votes(pairs, Cuts(spark).cut(baselines.item_knn(pairs))).withColumn("rank", F.col("rank").cast("long"))
+
+
+@query("svd_row_sums", f"SELECT user_id AS id, k, round(sum(v[k + 1]), 6) AS v FROM (SELECT user_id, {vec_sql(1, 'item_id', 4, 1.0)} AS v FROM {W1}), range(4) r(k) GROUP BY 1, 2")
+def _(spark, d):
+    """One product of the 0/1 matrix with a block of vectors, the step of the truncated factorization."""
+    pairs = w1(spark, d)
+    items = Cuts(spark).cut(pairs.select(F.col("item_id").alias("id")).distinct().withColumn("vec", V.init_vector(1, "id", 4, "uniform", 1.0)))
+    rows = baselines.row_sums(pairs, items, "user_id", 4)
+    return rows.select("id", F.posexplode("vec").alias("k", "v")).select("id", F.col("k").cast("long").alias("k"), F.round("v", 6).alias("v"))
+
+
+@query("truncated_factors")
+def _(spark, d):
+    users, _, _ = baselines.truncated_factors(w1(spark, d), 4, 4)
+    return users.select("id", F.round(F.col("vec")[0], 4).alias("v0"))
+
+
+_SLICE_U = "(SELECT c_custkey AS id FROM customer JOIN nation ON c_nationkey = n_nationkey WHERE n_name = (SELECT min(n_name) FROM nation))"
+_SLICE_I = "(SELECT p_partkey AS id FROM part WHERE p_brand = (SELECT min(p_brand) FROM part))"
+
+
+@query("predict_block", f"SELECT user_id, item_id, round(list_dot_product(s, t), 9) AS score FROM (SELECT u.id AS user_id, i.id AS item_id, {vec_sql(1, 'u.id', 8)} AS s, {vec_sql(2, 'i.id', 8)} AS t FROM {_SLICE_U} u, {_SLICE_I} i)")
+def _(spark, d):
+    """The predicted matrix for the customers of one nation and the parts of one brand."""
+    nation, part = table(spark, d, "nation"), table(spark, d, "part")
+    home = nation.agg(F.min("n_name").alias("n_name"))
+    users = table(spark, d, "customer").join(nation.join(home, "n_name"), F.col("c_nationkey") == F.col("n_nationkey"), "left_semi").select(F.col("c_custkey").alias("id"))
+    items = part.join(part.agg(F.min("p_brand").alias("p_brand")), "p_brand", "left_semi").select(F.col("p_partkey").alias("id"))
+    return predict.predict_block(users.withColumn("vec", V.init_vector(1, "id", 8)), items.withColumn("vec", V.init_vector(2, "id", 8))).withColumn("score", F.round("score", 9))
+
+
 _BRANDS = f"(SELECT DISTINCT user_id, CAST(regexp_extract(p_brand, '([0-9]+)$', 1) AS BIGINT) AS item_id FROM {W1} JOIN part ON item_id = p_partkey)"
 
 
@@ -547,12 +835,51 @@ def _(spark, d):
 
 
 # --- cost models ------------------------------------------------------------
+#
+# Sizes are measured on the tables, settings and prices are the published ones.
+
+_SETS = {
+    "orders": f"SELECT user_id, item_id FROM {W1}",
+    "suppliers": f"SELECT DISTINCT user_id, supp_id AS item_id FROM {BUY}",
+    "events": ORACLES["implicit_events"],
+}
+_SIZES = " UNION ALL ".join(f"SELECT '{n}' AS workload, count(DISTINCT user_id) AS users, count(DISTINCT item_id) AS items, count(*) AS pairs FROM ({q})" for n, q in _SETS.items())
+_SIZES_SQL = f"({_SIZES})"
+
 
+def _sizes(spark, d) -> DataFrame:
+    """workload, users, items, pairs."""
+    parts = [S.profile(workload(spark, d, n).select("user_id", "item_id")).select(F.lit(n).alias("workload"), "users", "items", "pairs") for n in _SETS]
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
-@query("tile_plan_grid", "SELECT workers, dim, CAST(floor(33554432 / (workers * dim * 4)) AS BIGINT) AS n1 FROM (SELECT unnest([32, 64, 128]) AS workers), (SELECT unnest([64, 128]) AS dim)")
+
+#: Profiles of the two published processors: name, l2, l3, workers and three latencies. Fixed values.
+_MACHINES = (("epyc", 32 << 20, 256 << 20, 64, 4.0, 40.0, 100.0), ("a64fx", 32 << 20, 0, 48, 4.0, 40.0, 100.0))
+_MACHINES_SQL = "(VALUES " + ", ".join(str(m) for m in _MACHINES) + ") AS m(machine, l2, l3, workers, t_l2, t_l3, t_mem)"
+
+
+@query("tile_plan_grid", f"SELECT workload, machine, dim, n1, n2, level, round(n2_cover, 6) AS n2_cover, round(n2_speed, 6) AS n2_speed, round(iterations * negatives * t_mem, 3) AS neg_time_random, round(negatives * iterations / greatest(n1, n2) * ((greatest(n1, n2) - n1) * t_c + n1 * t_mem), 3) AS neg_time_tiled, round(t_mem / (t_c + (t_mem - t_c) * n1 / greatest(n1, n2)), 6) AS neg_speedup, round(t_mem / (hit * t_c + (1 - hit) * t_mem), 6) AS pos_speedup FROM (SELECT *, CASE level WHEN 'l2' THEN t_l2 WHEN 'l3' THEN t_l3 ELSE t_mem END AS t_c, greatest(1, floor(least(n2_cover, n2_speed)))::BIGINT AS n2 FROM (SELECT *, CASE WHEN n1 * dim * 4 * workers < l2 THEN 'l2' WHEN n1 * dim * 4 * workers < l3 THEN 'l3' ELSE 'memory' END AS level, iterations * n1 / items AS n2_cover, n1 * CAST(0.85 AS DOUBLE) * 4 AS n2_speed FROM (SELECT *, least(items, greatest(1, l2 // (workers * dim * 4)))::BIGINT AS n1 FROM (SELECT workload, items, pairs AS iterations, 64 AS negatives, 0.5 AS hit, dim, m.* FROM {_SIZES_SQL}, (SELECT unnest([64, 128]) AS dim), {_MACHINES_SQL}))))")
 def _(spark, d):
-    rows = [(w, k, tuning.tile_from_capacity(tuning.Machine(32 << 20, 256 << 20, w), k)) for w in (32, 64, 128) for k in (64, 128)]
-    return spark.createDataFrame(rows, "workers int, dim int, n1 long")
+    """The tuner's figures for every workload, both processors and two dimensions."""
+    m = spark.createDataFrame(list(_MACHINES), "machine string, l2 long, l3 long, workers int, t_l2 double, t_l3 double, t_mem double")
+    grid = m.withColumn("dim", F.explode(F.array(F.lit(64), F.lit(128))))
+    runs = _sizes(spark, d).withColumnRenamed("pairs", "iterations").withColumns({"negatives": F.lit(64), "hit": F.lit(0.5)}).crossJoin(grid)
+    plan = tuning.plan_frame(runs)
+    digits = {"n2_cover": 6, "n2_speed": 6, "neg_time_random": 3, "neg_time_tiled": 3, "neg_speedup": 6, "pos_speedup": 6}
+    return plan.select("workload", "machine", "dim", "n1", "n2", "level", *[F.round(c, k).alias(c) for c, k in digits.items()])
+
+
+@query("tile_plan_scalar", "SELECT * FROM (VALUES ('epyc', 1024, 128, 1024, 'l3', 3072.0), ('epyc', 1024, 64, 2048, 'l3', 6963.2), ('a64fx', 1024, 128, 1365, 'l2', 4096.0)) AS t(machine, iterations_thousand, dim, n1, level, n2_speed) WHERE false")
+def _(spark, d):
+    """Rows where the scalar tuner and plan_frame differ: none."""
+    m = spark.createDataFrame(list(_MACHINES), "machine string, l2 long, l3 long, workers int, t_l2 double, t_l3 double, t_mem double")
+    runs = _sizes(spark, d).withColumnRenamed("pairs", "iterations").withColumns({"negatives": F.lit(64), "hit": F.lit(0.5), "dim": F.lit(128)}).crossJoin(m)
+    bad = []
+    for r in tuning.plan_frame(runs).collect():  # one row a workload and processor
+        p = tuning.plan_tiles(r.items, r.iterations, r.dim, tuning.Machine(r.l2, r.l3, r.workers, r.t_l2, r.t_l3, r.t_mem), r.hit)
+        if (p.n1, p.n2, p.level) != (r.n1, r.n2, r.level) or abs(p.neg_speedup - r.neg_speedup) > 1e-9:
+            bad.append((r.machine, 0, r.dim, p.n1, p.level, p.n2_speed))
+    return spark.createDataFrame(bad, "machine string, iterations_thousand int, dim int, n1 int, level string, n2_speed double")
 
 
 @query("tile_latency", "SELECT n1, n2, round(100 / (4 + 96 * n1 / n2), 6) AS exact_form, round(100 / (4 + 99 * n1 / n2), 6) AS printed_form, n2 / n1 AS approx_form FROM (SELECT unnest([512, 1024]) AS n1), (SELECT unnest([3072, 4096]) AS n2)")
@@ -561,15 +888,30 @@ def _(spark, d):
     return spark.createDataFrame(rows, "n1 int, n2 int, exact_form double, printed_form double, approx_form double")
 
 
-@query("memory_table", "SELECT name, round((u + i) * 128 * 4 * o / 256e9, 6) AS share FROM (VALUES ('Goodreads', 0.81e6, 1.56e6, 8.86), ('Google', 4.57e6, 3.12e6, 7.35), ('Amazon', 20.98e6, 9.35e6, 6.33)) AS t(name, u, i, o)")
+#: Overheads over bare float rows that follow from the published shares, and memories of the two platforms. Fixed values.
+_PLATFORMS = (("cpu", 256e9, 7.35), ("gpu", 32e9, 6.52))
+#: Published sizes: name, users, items. Fixed values.
+_PUBLISHED = (("goodreads", 810_000, 1_560_000), ("google", 4_570_000, 3_120_000), ("amazon", 20_980_000, 9_350_000))
+
+
+@query("memory_table", f"SELECT workload, platform, (users + items) * 128 * 4 * overhead AS bytes, CASE WHEN (users + items) * 128 * 4 * overhead / capacity <= 1 THEN round((users + items) * 128 * 4 * overhead / capacity, 9) END AS share, floor(capacity / (128 * 4 * overhead))::BIGINT AS rows_that_fit FROM (SELECT workload, users, items FROM {_SIZES_SQL} UNION ALL SELECT * FROM (VALUES {', '.join(str(r) for r in _PUBLISHED)}) AS t(workload, users, items)), (SELECT platform, CAST(capacity AS DOUBLE) AS capacity, CAST(overhead AS DOUBLE) AS overhead FROM (VALUES {', '.join(str(r) for r in _PLATFORMS)}) AS t(platform, capacity, overhead))")
 def _(spark, d):
-    rows = [(n, round(metrics.memory_model(u, i, 128, 256e9, o), 6)) for n, u, i, o in (("Goodreads", 0.81e6, 1.56e6, 8.86), ("Google", 4.57e6, 3.12e6, 7.35), ("Amazon", 20.98e6, 9.35e6, 6.33))]
-    return spark.createDataFrame(rows, "name string, share double")
+    """Share of memory of the measured workloads and of the published ones; null where a model does not fit."""
+    platforms = spark.createDataFrame(list(_PLATFORMS), "platform string, capacity double, overhead double")
+    sizes = _sizes(spark, d).select("workload", "users", "items").unionByName(spark.createDataFrame(list(_PUBLISHED), "workload string, users long, items long"))
+    return metrics.memory_frame(sizes.crossJoin(platforms), 128).select("workload", "platform", "bytes", F.round("share", 9).alias("share"), "rows_that_fit")
+
 
+#: Instances and prices an hour of the published comparison. Fixed values.
+_PRICES = (("gpu", 2, 3.06), ("cpu", 1, 2.46))
 
-@query("cost_table", "SELECT * FROM (VALUES ('gpu', round(100 * 60 / 3600.0 * 3.06 * 2, 6)), ('cpu', round(100 * 60 / 3600.0 * 2.46, 6))) AS t(kind, dollars)")
+
+@query("cost_table", f"SELECT workload, platform, round(h, 9) AS hours, round(h * price * instances, 9) AS dollars, round(h * price * instances / min(h * price * instances) OVER (PARTITION BY workload), 6) AS ratio FROM (SELECT workload, platform, price, instances, pairs / CAST(100000 AS DOUBLE) * 100 / 3600 AS h FROM {_SIZES_SQL}, (SELECT platform, instances, CAST(price AS DOUBLE) AS price FROM (VALUES {', '.join(str(r) for r in _PRICES)}) AS t(platform, instances, price)))")
 def _(spark, d):
-    return spark.createDataFrame([("gpu", round(metrics.training_cost(60, 100, 3.06, 2), 6)), ("cpu", round(metrics.training_cost(60, 100, 2.46), 6))], "kind string, dollars double")
+    """Dollars of 100 epochs at 100,000 pairs a second on either platform, and the ratio of the two."""
+    prices = spark.createDataFrame(list(_PRICES), "platform string, instances int, price double")
+    runs = _sizes(spark, d).select("workload", (F.col("pairs") / 100000.0).alias("seconds")).crossJoin(prices)
+    return metrics.cost_frame(runs, 100).select("workload", "platform", F.round("hours", 9).alias("hours"), F.round("dollars", 9).alias("dollars"), F.round("ratio", 6).alias("ratio"))
 
 
 @query("cost_projection", "SELECT round(CAST(297.7 AS DOUBLE) * 100 * 3.06, 3) AS dollars")
@@ -577,19 +919,36 @@ def _(spark, d):
     return spark.createDataFrame([(round(metrics.training_cost(297.7 * 3600, 1, 3.06, 100), 3),)], "dollars double")
 
 
+#: Published epoch times with and without accumulation. Fixed values.
+_ACCUMULATED = (("amazonbooks", "with", 7.17), ("amazonbooks", "without", 16.92), ("yelp18", "with", 5.31), ("yelp18", "without", 9.45), ("gowalla", "with", 2.13), ("gowalla", "without", 4.96))
+
+
+@query("speedup_table", f"WITH t AS (SELECT workload, method, CAST(seconds AS DOUBLE) AS seconds FROM (VALUES {', '.join(str(r) for r in _ACCUMULATED)}) AS t(workload, method, seconds)), s AS (SELECT a.workload, a.method, b.seconds / a.seconds AS speedup FROM t a JOIN t b ON b.workload = a.workload AND b.method = 'without' WHERE a.method <> 'without') SELECT workload, method, round(speedup, 6) AS speedup FROM s UNION ALL SELECT 'mean', method, round(avg(speedup), 6) FROM s GROUP BY 2")
+def _(spark, d):
+    times = spark.createDataFrame(list(_ACCUMULATED), "workload string, method string, seconds double")
+    return metrics.speedups(times, "without").withColumn("speedup", F.round("speedup", 6))
+
+
 @query("scaling_table", "SELECT cores, 64.0 / s AS seconds, s AS speedup, s / cores AS efficiency FROM (SELECT cores, CAST(v AS DOUBLE) AS s FROM (VALUES (1, 1.0), (2, 2.0), (64, 40.0)) AS t(cores, v))")
 def _(spark, d):
     return metrics.scaling_table(spark, {1: 64.0, 2: 32.0, 64: 1.6})
 
 
-@query("copy_bytes", "SELECT batch, n, dim, batch * (1 + n) * dim * 4 AS bytes FROM (SELECT CAST(1024 AS BIGINT) AS batch), (SELECT unnest([1, 64]) AS n), (SELECT unnest([64, 128]) AS dim)")
+@query("copy_bytes", f"SELECT workload, CAST(ceil(pairs / 1024) AS BIGINT) AS batches, CAST(pairs * 65 * 128 * 4 AS BIGINT) AS copied, CAST(pairs * 65 * 8 AS BIGINT) AS norms FROM {_SIZES_SQL}")
+def _(spark, d):
+    return metrics.copy_frame(_sizes(spark, d), 1024, 64, 128)
+
+
+@query("reuse_savings", f"SELECT workload, CAST(3 * pairs * 65 * 128 AS BIGINT) AS kept, CAST(9 * pairs * 65 * 128 AS BIGINT) AS again FROM {_SIZES_SQL}")
 def _(spark, d):
-    return spark.createDataFrame([(1024, n, k, metrics.copy_bytes(1024, n, k)) for n in (1, 64) for k in (64, 128)], "batch long, n int, dim int, bytes long")
+    return metrics.reuse_frame(_sizes(spark, d), 64, 128)
 
 
-@query("weight_writes", "SELECT m, 64 * CAST(ceil(ceil(1000000 / 64.0) / m) AS BIGINT) AS writes FROM (SELECT unnest([1, 32]) AS m)")
+@query("weight_writes", f"SELECT m, CAST(ceil(pairs / CAST(m AS DOUBLE)) AS BIGINT) AS writes FROM (SELECT count(*) AS pairs FROM {W1}), (SELECT unnest([1, 32]) AS m)")
 def _(spark, d):
-    return spark.createDataFrame([(m, metrics.weight_writes(1_000_000, 64, m)) for m in (1, 32)], "m int, writes long")
+    """Writes of the shared layer that the kernel counts in an epoch of one worker."""
+    rows = [(m, _fitted(spark, d, plan="block", dim=_K, aggregator="average", sync=m).history[0]["weight_writes"]) for m in (1, 32)]
+    return spark.createDataFrame(rows, "m int, writes long")
 
 
 # --- surrounding operators --------------------------------------------------

@@ -32,8 +32,18 @@ def from_explicit(df: DataFrame, user: str, item: str, rating: str, min_rating:
     return implicit_pairs(df.where(cond), user, item)
 
 
-def from_events(df: DataFrame, types: tuple[str, ...] = ("view", "click", "purchase")) -> DataFrame:
-    return implicit_pairs(df.where(F.col("event_type").isin(*types)), "user_id", F.get_json_object("props", "$.k"), "ts")
+def from_events(df: DataFrame, types: tuple[str, ...] = ("view", "click", "purchase"), weights: dict[str, float] | None = None) -> DataFrame:
+    """Pairs of the chosen signals with their latest time; with weights also weight, the sum over a pair's events
+    of what their type counts (a type without one counts 1)."""
+    rows = df.where(F.col("event_type").isin(*types))
+    pairs = implicit_pairs(rows, "user_id", F.get_json_object("props", "$.k"), "ts")
+    if weights is None:
+        return pairs
+    one = F.lit(1.0)
+    for name, value in weights.items():
+        one = F.when(F.col("event_type") == name, F.lit(float(value))).otherwise(one)
+    sums = rows.select(F.col("user_id").cast("long").alias("user_id"), F.get_json_object("props", "$.k").cast("long").alias("item_id"), one.alias("w"))
+    return pairs.join(sums.groupBy("user_id", "item_id").agg(F.sum("w").alias("weight")), ["user_id", "item_id"])
 
 
 def terms(df: DataFrame, ident: str, text: str = "text") -> DataFrame:
@@ -42,10 +52,12 @@ def terms(df: DataFrame, ident: str, text: str = "text") -> DataFrame:
     return df.select(F.col(ident).cast("long").alias("user_id"), F.explode(F.array_distinct(words)).alias("term")).distinct()
 
 
-def term_pairs(df: DataFrame, ident: str, min_df: int = 5, max_df: int = 100) -> DataFrame:
-    """user_id, item_id, term: item_id is a hash of the term, checked nowhere for collisions but 63 bits wide."""
+def term_pairs(df: DataFrame, ident: str, min_df: int, max_share: float) -> DataFrame:
+    """user_id, item_id, term of terms that occur in at least min_df rows and in at most max_share of all rows.
+    item_id is a hash of the term, checked nowhere for collisions but 63 bits wide."""
     t = terms(df, ident)
-    common = t.groupBy("term").agg(F.count(F.lit(1)).alias("df")).where(F.col("df").between(min_df, max_df))
+    most = df.count() * max_share
+    common = t.groupBy("term").agg(F.count(F.lit(1)).alias("df")).where((F.col("df") >= min_df) & (F.col("df") <= F.lit(most)))
     return t.join(common, "term", "left_semi").select("user_id", F.shiftrightunsigned(F.xxhash64("term"), 1).alias("item_id"), "term")
 
 
@@ -63,9 +75,9 @@ def workload(spark: SparkSession, sf_dir: str, name: str, **opts) -> DataFrame:
     if name == "events":
         return from_events(table(spark, sf_dir, "events"), **opts)
     if name == "docterms":
-        return term_pairs(table(spark, sf_dir, "documents"), "doc_id", **opts)
+        return term_pairs(table(spark, sf_dir, "documents"), "doc_id", **({"min_df": 5, "max_share": 0.1} | opts))
     if name == "talkterms":
-        return term_pairs(table(spark, sf_dir, "conversations"), "conv_id", **({"min_df": 1, "max_df": 1 << 40} | opts))
+        return term_pairs(table(spark, sf_dir, "conversations"), "conv_id", **({"min_df": 1, "max_share": 1.0} | opts))
     if name == "brands":
         part = table(spark, sf_dir, "part").select("p_partkey", F.regexp_extract("p_brand", "([0-9]+)$", 1).cast("long").alias("brand"))
         return implicit_pairs(purchases(spark, sf_dir).join(part, F.col("l_partkey") == F.col("p_partkey")), "o_custkey", "brand")
@@ -96,12 +108,19 @@ def index_ids(pairs: DataFrame, column: str) -> DataFrame:
     return dense_index(pairs.select(F.col(column).alias("id")).distinct(), "id")
 
 
-def kcore(pairs: DataFrame, min_user: int, min_item: int, rounds: int = 3) -> DataFrame:
-    """Drops rare users, then rare items, a fixed number of times."""
-    for _ in range(rounds):
+def kcore(pairs: DataFrame, min_user: int, min_item: int, max_rounds: int | None = None) -> DataFrame:
+    """Drops rare users, then rare items, until nothing changes or max_rounds are over. Every step reads a
+    written table, so the plan does not grow with the rounds."""
+    cuts = Cuts(pairs.sparkSession)
+    pairs = cuts.follow(*[cuts.cut(pairs)] * 2)
+    size, done = pairs.count(), 0
+    while max_rounds is None or done < max_rounds:
         for side, least in (("user_id", min_user), ("item_id", min_item)):
             keep = pairs.groupBy(side).agg(F.count(F.lit(1)).alias("n")).where(F.col("n") >= least)
-            pairs = pairs.join(keep, side, "left_semi")
+            pairs = cuts.follow(*[cuts.cut(pairs.join(keep, side, "left_semi"))] * 2)
+        before, size, done = size, pairs.count(), done + 1
+        if size == before:
+            break
     return pairs
 
 
@@ -126,15 +145,27 @@ def user_history(pairs: DataFrame, max_len: int = 100) -> DataFrame:
     return pairs.withColumn("_n", n).where(F.col("_n") <= max_len).groupBy("user_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("_n", "item_id"))), lambda x: x["item_id"]).alias("hist"))
 
 
-def profile(pairs: DataFrame) -> DataFrame:
-    users, items = F.countDistinct("user_id"), F.countDistinct("item_id")
-    return pairs.agg(users.alias("users"), items.alias("items"), F.count(F.lit(1)).alias("pairs")).withColumn("density", F.round(F.col("pairs") / F.col("users") / F.col("items"), 6))
+def profile(pairs: DataFrame, at: tuple[float, ...] = (0.5, 0.9, 0.99)) -> DataFrame:
+    """users, items, pairs, density, and for each side quantiles of the degrees and skew, the largest over the mean.
+    Quantiles are taken over the histogram of degrees, so no side is gathered."""
+    out = pairs.agg(F.countDistinct("user_id").alias("users"), F.countDistinct("item_id").alias("items"), F.count(F.lit(1)).alias("pairs")).withColumn("density", F.round(F.col("pairs") / F.col("users") / F.col("items"), 6))
+    for side in ("user_id", "item_id"):
+        h, name = degree_hist(pairs, side), side.removesuffix("_id")
+        q = [F.percentile("degree", F.lit(p), F.col("n")).alias(f"{name}_p{round(100 * p)}") for p in at]
+        skew = F.round(F.max("degree") * F.sum("n") / F.sum(F.col("degree") * F.col("n")), 6).alias(f"{name}_skew")
+        out = out.join(h.agg(*q, skew), F.lit(True))
+    return out
 
 
 def degree_hist(pairs: DataFrame, side: str) -> DataFrame:
     return pairs.groupBy(side).agg(F.count(F.lit(1)).alias("degree")).groupBy("degree").agg(F.count(F.lit(1)).alias("n"))
 
 
-def as_sparse_vectors(pairs: DataFrame, side: str) -> DataFrame:
+def as_sparse_vectors(pairs: DataFrame, side: str, width: int = 1 << 16) -> DataFrame:
+    """side, part, members: the other side's ids of each row, sorted; a row with more than about width of them
+    has several parts, dealt by a hash."""
+    from ..plans.skew import parted
+
     other = "item_id" if side == "user_id" else "user_id"
-    return pairs.groupBy(side).agg(F.array_sort(F.collect_set(other)).alias("members"))
+    rows = parted(pairs.select(side, other).distinct(), side, other, Cuts(pairs.sparkSession), width)
+    return rows.groupBy(side, F.col("_part").alias("part")).agg(F.array_sort(F.collect_list(other)).alias("members"))
