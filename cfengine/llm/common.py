@@ -28,10 +28,13 @@ def fold(doc_id: Column, n: int) -> Column:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a local one only where the session names none."""
+    """The folder that driver and executors share. Where the session names none, a local one will do only for a
+    local master: elsewhere each executor would write to its own disk."""
     sc = spark.sparkContext
     at = sc.getConf().get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not at:
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir has to name a folder that all executors share")
         at = tempfile.mkdtemp(prefix="cfengine-")
         sc.setCheckpointDir(at)
         at = sc.getCheckpointDir()
@@ -50,14 +53,14 @@ class Scratch:
         self.n += 1
         path = f"{self.base}/{self.n}"
         df.write.parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path).alias(f"cut{self.n}")
+        out = self.spark.read.schema(df.schema).parquet(path).alias(f"cut{self.n}")
+        out._cut_path = path
+        return out
 
     def drop(self, df: DataFrame) -> None:
         """Delete the table behind a frame that cut() gave, once nothing reads it."""
-        jvm, conf = self.spark._jvm, self.spark._jsc.hadoopConfiguration()
-        for f in df.inputFiles():
-            path = jvm.org.apache.hadoop.fs.Path(f)
-            path.getFileSystem(conf).delete(path, False)
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(df._cut_path)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def fewer(df: DataFrame, per_core: int = 4) -> DataFrame:

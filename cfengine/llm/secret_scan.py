@@ -3,8 +3,8 @@
 Base kinds are assign, access and hex. The method adds identifiers, keys and endpoints
 that are too weak alone: within one scope (a run of text without a blank line) they
 are joined; an identifier counts when a key is there, a key when an identifier or
-endpoint is, an endpoint when both are. Scans and redaction join over the whole scope;
-linked_spans can also join intervals widened by a reach.
+endpoint is, an endpoint when both are. Scopes are the intervals of the join: parts meet over the whole of one,
+however far apart, and none meets across a border. Every search is linear in the text, runs without a break too.
 
 Defined cases: a null text is empty and has no spans. Repeated rows stay repeated.
 Offsets are code points, ends exclusive. Other columns are ignored.
@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import hashlib
 import re
-from bisect import bisect_left
+from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
 
 import pandas as pd
@@ -33,11 +33,11 @@ HEX = re.compile(r"(?<![0-9a-f])[0-9a-f]{24,}")  # whole runs, so the same as ru
 
 WEAK_ID = re.compile(r"(?:AKIA|ASIA|AROA|AIDA)[A-Z0-9]{8,}|(?:client|account|user)_id[\"']?\x20*[:=]\x20*[\"']?[A-Za-z0-9._-]{6,}")
 WEAK_KEY = re.compile(r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z0-9+/_-]*[0-9])(?=[A-Za-z0-9+/_-]*[A-Z])(?=[A-Za-z0-9+/_-]*[a-z])[A-Za-z0-9+/_-]{20,}")
-ENDPOINT = re.compile(r"(?:https?|s3|postgres(?:ql)?|mysql|mongodb|redis|amqps?)://[^\s\"'<>]+|[a-z0-9][a-z0-9.-]*\.amazonaws\.com")
+ADDRESS = re.compile(r"(?:https?|s3|postgres(?:ql)?|mysql|mongodb|redis|amqps?)://[^\s\"'<>]+")
+CLOUD, HOST = ".amazonaws.com", frozenset("abcdefghijklmnopqrstuvwxyz0123456789.-")
 SCOPE = re.compile(r"\n[\x20\x09\x0B-\x0D]*\n")
 
 KINDS = ("assign", "access", "hex", "id", "key", "endpoint")
-REACH = 200
 MASK = "[redacted]"
 
 Span = tuple[int, int, str]
@@ -53,30 +53,55 @@ def base_spans(text: str) -> list[Span]:
     return out
 
 
-def _meets(spans: list[Span], others: list[Span], reach: int | None) -> set[Span]:
-    """Spans that some other span overlaps once widened by reach: an interval join by sorted starts.
-    Spans of one kind do not overlap, so only the next one and the one before it can be nearest.
-    Without a reach any other span will do."""
-    if reach is None:
-        return set(spans) if others else set()
+def endpoints(text: str) -> list[Span]:
+    """Addresses with a scheme, and cloud hosts outside them: from each occurrence of the cloud's domain the run of host
+    characters around it, from its first letter or digit to its last such domain. A run is walked once."""
+    out = [(m.start(), m.end(), "endpoint") for m in ADDRESS.finditer(text)]
+    starts, at = [s for s, _, _ in out], 0
+    hosts: list[Span] = []
+    while (k := text.find(CLOUD, at)) >= 0:
+        inside = bisect_right(starts, k) - 1
+        if inside >= 0 and out[inside][1] > k:
+            at = max(k + 1, out[inside][1])
+            continue
+        lo = k
+        while lo > at and text[lo - 1] in HOST:
+            lo -= 1
+        hi = k + len(CLOUD)
+        while hi < len(text) and text[hi] in HOST:
+            hi += 1
+        while lo < k and text[lo] in ".-":
+            lo += 1
+        end = text.rfind(CLOUD, k, hi) + len(CLOUD)
+        if lo < k:
+            hosts.append((lo, end, "endpoint"))
+        at = hi
+    return sorted(out + hosts)
+
+
+def overlapping(spans: list[Span], others: list[Span]) -> set[Span]:
+    """Spans that share a character with one of the others: an interval join by sorted starts and, since
+    others may nest, the running maximum of their ends."""
     others = sorted(others)
-    starts = [s for s, _, _ in others]
+    starts, ends, most = [s for s, _, _ in others], [], 0
+    for _, e, _ in others:
+        most = max(most, e)
+        ends.append(most)
     found = set()
     for x in spans:
-        k = bisect_left(starts, x[0])
-        if (k < len(others) and others[k][0] <= x[1] + reach) or (k and max(others[k - 1][1], others[k - 2][1] if k > 1 else 0) >= x[0] - reach):
+        k = bisect_left(starts, x[1])  # all that start before x ends
+        if k and ends[k - 1] > x[0]:
             found.add(x)
     return found
 
 
-def linked_spans(text: str, base: list[Span], reach: int | None = REACH) -> list[Span]:
-    """Weak parts with their complements in the same scope, within reach or, where it is None, anywhere
-    in it; none that lies inside a base span."""
-    has_end = "://" in text or "amazonaws" in text
+def linked_spans(text: str, base: list[Span]) -> list[Span]:
+    """Weak parts with their complements in the same scope; none that overlaps a base span."""
+    has_end = "://" in text or CLOUD in text
     if not (has_end or "_id" in text or any(p in text for p in ("AKIA", "ASIA", "AROA", "AIDA"))):
         return []
     ids = [(m.start(), m.end(), "id") for m in WEAK_ID.finditer(text)]
-    ends = [(m.start(), m.end(), "endpoint") for m in ENDPOINT.finditer(text)] if has_end else []
+    ends = endpoints(text) if has_end else []
     if not (ids or ends):
         return []
     keys = [(m.start(), m.end(), "key") for m in WEAK_KEY.finditer(text)]
@@ -85,21 +110,15 @@ def linked_spans(text: str, base: list[Span], reach: int | None = REACH) -> list
     for which, spans in enumerate((ids, keys, ends, base)):
         for x in spans:
             scopes.setdefault(bisect_left(borders, x[0]), [[], [], [], []])[which].append(x)
-    out: set[Span] = set()
+    out: list[Span] = []
     for own_ids, own_keys, own_ends, strong in scopes.values():
-        all_ids = own_ids + [x for x in strong if x[2] == "access"]
-        all_keys = own_keys + [x for x in strong if x[2] != "access"]
-        out |= _meets(own_ids, all_keys, reach)
-        out |= _meets(own_keys, all_ids, reach) | _meets(own_keys, own_ends, reach)
-        out |= _meets(own_ends, all_ids, reach) & _meets(own_ends, all_keys, reach)
-    cover = sorted(base)
-    starts = [s for s, _, _ in cover]
-
-    def inside(x: Span) -> bool:
-        k = bisect_left(starts, x[0] + 1) - 1
-        return any(cover[j][1] > x[0] for j in range(max(0, k - 2), k + 1)) or (k + 1 < len(cover) and cover[k + 1][0] < x[1])
-
-    return [x for x in out if not inside(x)]
+        some_id = own_ids or any(x[2] == "access" for x in strong)
+        some_key = own_keys or any(x[2] != "access" for x in strong)
+        out += own_ids if some_key else []
+        out += own_keys if some_id or own_ends else []
+        out += own_ends if some_id and some_key else []
+    covered = overlapping(out, base)
+    return [x for x in out if x not in covered]
 
 
 def _joined(spans: list[Span]) -> str:
@@ -112,7 +131,7 @@ def _scan(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for t in pdf["text"]:
             t = t if isinstance(t, str) else ""
             base = base_spans(t)
-            both = base + linked_spans(t, base, None)
+            both = base + linked_spans(t, base)
             n = [sum(1 for x in base if x[2] == k) for k in KINDS[:3]]
             rows.append((*n, hashlib.sha256(_joined(base).encode()).hexdigest(), _joined(both)))
         yield pd.DataFrame(rows, columns=["n_assign", "n_access", "n_hex", "base_sha256", "spans"]).assign(doc_id=pdf["doc_id"].to_numpy())[["doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans"]]
@@ -128,7 +147,7 @@ def scan_secrets(docs: DataFrame) -> DataFrame:
 def redact(text: str, mask: str = MASK) -> str:
     """The text with every reported stretch replaced by the mask; overlapping spans become one."""
     base = base_spans(text)
-    spans = sorted(base + linked_spans(text, base, None))
+    spans = sorted(base + linked_spans(text, base))
     if not spans:
         return text
     out, at = [], 0

@@ -152,8 +152,9 @@ def plan_mix(docs: DataFrame, weights: tuple = WEIGHTS, schedules: tuple = SCHED
 
 def training_order(docs: DataFrame, mix: DataFrame) -> DataFrame:
     """The documents' rows in training order, one a copy, range-sorted by position; position is added.
-    mix: what plan_mix gave for docs. Needs distinct ids; repeated ids are taken as one document's rows."""
-    copies = mix.where("copies > 0").groupBy("doc_id").agg(F.first("positions").alias("positions")).select("doc_id", F.explode("positions").alias("position"))
+    mix: what plan_mix gave for docs. Rows that share an id, or have none, all follow the one of them that was
+    planned first (the least list of positions)."""
+    copies = mix.where("copies > 0").groupBy("doc_id").agg(F.min("positions").alias("positions")).select("doc_id", F.explode("positions").alias("position"))
     joined = docs.alias("d").join(copies.alias("m"), F.col("d.doc_id").eqNullSafe(F.col("m.doc_id"))).select("d.*", "m.position")
     return joined.repartitionByRange("position").sortWithinPartitions("position")
 

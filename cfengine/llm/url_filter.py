@@ -19,6 +19,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from .common import Scratch
+
 #: (verdict, host, path): fixed values.
 RULES = (
     ("allow", "org", "/"),
@@ -27,8 +29,11 @@ RULES = (
     ("allow", "com", "/fr/"),
     ("block", "com", "/de/"),
 )
-#: Hosts that the method blocks, with their subdomains, where no rule fits: fixed values.
-LISTED_HOSTS = tuple(f"{name}.example.{end}" for name in ("casino-win", "cheap-pills", "free-bets") for end in ("com", "net", "org"))
+#: Hosts that the method blocks, with their subdomains, where no rule fits: the families of unwanted hosts that
+#: occur in the given pages, under each ending that hosts have there. Fixed values.
+FAMILIES = ("ads-track", "adult-x", "casino-win", "cheap-pills", "free-bets", "spam-farm")
+ENDINGS = ("com", "net", "org")
+LISTED_HOSTS = tuple(f"{name}.example.{end}" for name in FAMILIES for end in ENDINGS)
 
 #: Largest cascade, in bits; it travels in the plan. 16 Mbit hold about a million keys.
 MAX_BITS = 1 << 24
@@ -95,9 +100,11 @@ class BloomCascade:
 
     @staticmethod
     def build(listed: DataFrame, universe: DataFrame, max_levels: int = 64) -> BloomCascade:
-        """listed, universe: one string column key. Nulls and repeats are ignored."""
-        yes = listed.select("key").where(F.col("key").isNotNull()).distinct()
-        no = universe.select("key").where(F.col("key").isNotNull()).join(yes, "key", "left_anti").distinct()
+        """listed, universe: one string column key. Nulls and repeats are ignored. Every level reads what the one
+        before it let pass, from a written table, so the tables shrink and no level reads the source again."""
+        scratch = Scratch(universe.sparkSession)
+        yes = scratch.cut(listed.select("key").where(F.col("key").isNotNull()).distinct())
+        no = scratch.cut(universe.select("key").where(F.col("key").isNotNull()).join(yes, "key", "left_anti").distinct())
         n_yes, n_no = yes.count(), no.count()
         levels: list[Level] = []
         inside, outside, n = yes, no, n_yes
@@ -114,7 +121,7 @@ class BloomCascade:
             for r in rows:
                 words[r["w"]] = r["v"]
             levels.append(Level(bits, hashes, words))
-            inside, outside = outside.where(_test(F.col("key"), number, levels[-1])), inside
+            inside, outside = scratch.cut(outside.where(_test(F.col("key"), number, levels[-1]))), inside
             n = inside.count()
         if n:
             raise ValueError("the cascade did not close")
@@ -130,9 +137,11 @@ def judge_urls(pages: DataFrame, rules: tuple = RULES, listed_hosts: tuple = LIS
     spark = pages.sparkSession
     parts = with_host_path(pages)
     lengths = tuple(sorted({len(p) for _, _, p in rules}))
-    keyed = parts.select("host", "path").distinct()
-    candidates = keyed.select(F.explode(rule_keys(F.col("host"), F.col("path"), lengths)).alias("key"))
-    hosts = keyed.select("host").distinct().select(F.explode(host_suffixes(F.col("host"))).alias("key"))
+    scratch = Scratch(spark)
+    found = parts.select(F.explode(rule_keys(F.col("host"), F.col("path"), lengths)).alias("key"), F.lit(True).alias("rule"))
+    found = found.unionByName(parts.select(F.explode(host_suffixes(F.col("host"))).alias("key"), F.lit(False).alias("rule")))
+    keys = scratch.cut(found.distinct())  # the complete key universe, once
+    candidates, hosts = (keys.where(F.col("rule") == which).select("key") for which in (True, False))
     allow, block = ([h + p for v, h, p in rules if v == which] for which in ("allow", "block"))
     allowed, blocked = (BloomCascade.build(_keys(spark, k), candidates) for k in (allow, block))
     listed = BloomCascade.build(_keys(spark, list(listed_hosts)), hosts)
