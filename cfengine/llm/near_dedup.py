@@ -5,20 +5,24 @@ only their smallest id goes on. SIGNATURE minhash values give ORDERS sorted orde
 being the signature rotated by k steps; neighbours with a long common prefix in an order are
 runs of equal prefixes, the regions. Regions start at depth 4 and deepen where more than
 REGION documents share a prefix; the region they came from stays as a crowd. Within a region all pairs
-are compared on full sets, in
-blocks of BLOCK documents, so no task holds more than two blocks and no pair is emitted: a block returns a
-spanning forest of its links. Two rounds use the orders: the second compares only pairs that the
-first left in different components.
+are compared on full sets, in blocks of about BLOCK documents and at most about BLOCK_SHINGLES shingles, so no task
+holds more than two blocks and no pair is emitted: a block returns a spanning forest of its links. Two rounds
+use the orders: the second compares only pairs that the first left in different components.
 
 Deepening and blocks drawn from the crowds link most of a crowd in the first round at a cost that
 grows with its size. The second round then compares every pair of a crowd that is still open, so what
 leaves the deeper regions keeps its links; its cost follows the documents outside the crowd's largest component.
 
 A link of similarity s agrees on 4 values of a given order with probability s^4, so 16 orders
-miss one of 0.85 with probability 7e-6 and one of 0.80 with 2e-4, in crowds as elsewhere.
+miss one of 0.85 with probability 7e-6 and one of 0.80 with 2e-4, in crowds as elsewhere. A document of a crowd
+is lost only if it misses all its links, which the number of links makes rarer still.
+
+Tables that grow are joined by sorting on both sides with each side written before, so that the planner can
+split a region that holds many rows; no region is collected.
 
 Defined cases: a text without words, or null, has an empty set and links with nothing; a row
-with null id keeps a null component and is kept. Rows that repeat an id belong to that id's class.
+with null id keeps a null component and is kept. Rows that repeat an id are judged by their own texts; two
+texts with the same smallest id are one class.
 """
 
 from __future__ import annotations
@@ -29,6 +33,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .common import Scratch, mix64, word_hashes
@@ -41,6 +46,9 @@ SIGNATURE = ORDERS * STEP
 DEPTHS = (4, 6, 9, 13, 18, 24, 32, 48)
 REGION = 2048
 BLOCK = 256
+BLOCK_SHINGLES = 1 << 20
+#: Documents and shingles that a task of the comparison takes at once, about.
+TASK_ROWS, TASK_SHINGLES = 2000, 4 << 20
 FIRST_ORDERS = 4
 
 _rng = np.random.default_rng(77)
@@ -86,6 +94,10 @@ def signature(shingles: np.ndarray) -> np.ndarray:
     return out
 
 
+def _digest(shingles: bytes) -> np.ndarray:
+    return np.frombuffer(hashlib.blake2b(shingles, digest_size=16).digest(), np.int64)
+
+
 def _sign(words: int):
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for pdf in batches:
@@ -93,7 +105,7 @@ def _sign(words: int):
                 part = pdf.iloc[lo : lo + 1000]
                 rows = []
                 for s in shingle_sets(part["text"].tolist(), words):
-                    d = np.frombuffer(hashlib.blake2b(s.tobytes(), digest_size=16).digest(), np.int64)
+                    d = _digest(s.tobytes())
                     rows.append((len(s), int(d[0]), int(d[1]), signature(s).astype("<u4").tobytes() if len(s) else None))
                 out = pd.DataFrame(rows, columns=["n_shingles", "d1", "d2", "sig"])
                 out.insert(0, "doc_id", part["doc_id"].astype("Int64").to_numpy() if part["doc_id"].isna().any() else part["doc_id"].to_numpy())
@@ -107,8 +119,9 @@ def _sets(words: int):
         for pdf in batches:
             for lo in range(0, len(pdf), 1000):
                 part = pdf.iloc[lo : lo + 1000]
-                sets = shingle_sets(part["text"].tolist(), words)
-                yield pd.DataFrame({"doc": part["doc_id"].to_numpy(), "shingles": [s.tobytes() for s in sets]})
+                sets = [s.tobytes() for s in shingle_sets(part["text"].tolist(), words)]
+                own = [int(_digest(b)[0]) for b in sets]
+                yield pd.DataFrame({"doc": part["doc_id"].to_numpy(), "d1": own, "shingles": sets})
 
     return run
 
@@ -168,7 +181,7 @@ def _forest(percent: int):
                     parent[b] = a
                 else:
                     parent[a] = b
-        return [(int(docs[root(k)]), int(docs[k])) for k in range(n) if root(k) != k]
+        return [(int(docs[root(k)]), int(docs[k])) for k in range(n) if docs[root(k)] != docs[k]]
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         out: list[tuple[int, int]] = []
@@ -197,7 +210,8 @@ def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e"))
-        edges = scratch.cut(small.select("e.*").where("u <> v").distinct())
+        before, edges = edges, scratch.cut(small.select("e.*").where("u <> v").distinct())
+        scratch.drop(before)
         now = edges.agg(F.count(F.lit(1)), F.bit_xor(F.xxhash64("u", "v"))).first()
         if now == seen:
             break
@@ -208,7 +222,8 @@ def components(links: DataFrame, scratch: Scratch, rounds: int = 60) -> DataFram
 
 
 def _regions(classes: DataFrame, scratch: Scratch) -> DataFrame:
-    """region, n, ord, doc, crowd: documents that share a prefix, deepened where more than REGION do.
+    """region, n, weight, ord, doc, d1, shingles (their number), crowd: documents that share a prefix, deepened where more
+    than REGION do.
 
     crowd marks regions of the first depth that were deepened; they hold every pair of the deeper ones.
 
@@ -219,42 +234,48 @@ def _regions(classes: DataFrame, scratch: Scratch) -> DataFrame:
     def prefix(order: Column, depth: int) -> Column:
         return F.xxhash64(order, F.lit(depth), F.substring(F.concat("sig", "sig"), order * F.lit(4 * STEP) + F.lit(1), F.lit(4 * depth)))
 
+    own = ["doc", "d1", "shingles"]
     orders = F.sequence(F.lit(0), F.lit(ORDERS - 1))
-    keyed = classes.select("doc", F.explode(F.transform(orders, lambda k: F.struct(k.alias("ord"), prefix(k, DEPTHS[0]).alias("region")))).alias("o")).select("doc", "o.ord", "o.region")
+    keyed = classes.select(*own, F.explode(F.transform(orders, lambda k: F.struct(k.alias("ord"), prefix(k, DEPTHS[0]).alias("region")))).alias("o")).select(*own, "o.ord", "o.region")
     found = None
     for k in range(len(DEPTHS)):
-        sizes = keyed.groupBy("region").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+        sizes = scratch.cut(keyed.groupBy("region").agg(F.count(F.lit(1)).alias("n"), F.sum("shingles").alias("weight")).where("n > 1"))
         keyed = scratch.cut(keyed.join(sizes.hint("merge"), "region"))
         here = keyed if k == 0 else keyed.where(F.col("n") <= REGION)
-        done = here.select("region", "n", "ord", "doc", (F.col("n") > REGION).alias("crowd"))
+        done = here.select("region", "n", "weight", "ord", *own, (F.col("n") > REGION).alias("crowd"))
         found = done if found is None else found.unionByName(done)
         over = keyed.where(F.col("n") > REGION)
         if k == len(DEPTHS) - 1 or over.isEmpty():
             return found
-        keyed = over.select("doc", "ord").join(classes.select("doc", "sig").hint("merge"), "doc").select("doc", "ord", prefix(F.col("ord"), DEPTHS[k + 1]).alias("region"))
+        keyed = over.select(*own, "ord").join(classes.select("doc", "d1", "sig").hint("merge"), ["doc", "d1"]).select(*own, "ord", prefix(F.col("ord"), DEPTHS[k + 1]).alias("region"))
     return found
 
 
+def _blocks(n: Column, weight: Column) -> Column:
+    """Blocks that so many documents with so many shingles are dealt into."""
+    return F.greatest(F.ceil(n / F.lit(BLOCK)), F.ceil(weight / F.lit(BLOCK_SHINGLES))).cast("int")
+
+
 def _linked(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """a, b: spanning links of every region. members: region, n, doc, comp, minor, n_minor, sample.
+    """a, b: spanning links of every region. members: region, doc, d1, shingles, comp, minor, few, rest, sample.
 
     minor marks documents outside their region's largest component; only pairs with one of these are
-    open. Blocks of minor documents meet each other and every block of the rest. In a region marked
+    open. The few blocks of minor documents meet each other and every block of the rest. In a region marked
     sample, a block meets only itself.
     """
     spark = members.sparkSession
-    few = F.ceil(F.col("n_minor") / F.lit(BLOCK)).cast("int")
-    blocks = few + F.ceil((F.col("n") - F.col("n_minor")) / F.lit(BLOCK)).cast("int")
-    h = F.xxhash64("doc", "region")
-    own = F.when(F.col("minor"), F.pmod(h, few)).otherwise(few + F.pmod(h, blocks - few)).cast("int")
-    rows = members.withColumns({"own": own, "few": few, "blocks": blocks})
+    few, rest = F.col("few"), F.greatest("rest", F.lit(1))
+    h = F.xxhash64("doc", "d1", "region")
+    own = F.when(F.col("minor"), F.pmod(h, few)).otherwise(few + F.pmod(h, rest)).cast("int")
+    rows = members.withColumns({"own": own, "blocks": F.col("few") + F.col("rest")})
     meets = F.when(F.col("minor"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.sequence(F.lit(0), F.col("few") - 1))
     others = F.when(F.col("sample") | (F.col("blocks") == 1), F.array("own")).otherwise(F.filter(meets, lambda j: j != F.col("own")))
-    dealt = rows.select("region", "doc", "comp", "own", F.explode(others).alias("j"))
-    dealt = dealt.select("region", F.least("own", "j").alias("lo"), F.greatest("own", "j").alias("hi"), "doc", "comp")
-    parts = max(1, spark.sparkContext.defaultParallelism * 4, dealt.count() // 2000)
-    dealt = dealt.withColumn("bucket", F.pmod(F.xxhash64("region", "lo", "hi"), F.lit(parts)))
-    return dealt.join(sets.hint("merge"), "doc").groupBy("bucket").applyInPandas(_forest(percent), "a long, b long")
+    dealt = rows.select("region", "doc", "d1", "shingles", "comp", "own", F.explode(others).alias("j"))
+    dealt = dealt.select("region", F.least("own", "j").alias("lo"), F.greatest("own", "j").alias("hi"), "doc", "d1", "shingles", "comp")
+    size = dealt.agg(F.count(F.lit(1)), F.coalesce(F.sum("shingles"), F.lit(0))).first()
+    parts = max(1, spark.sparkContext.defaultParallelism * 4, size[0] // TASK_ROWS, size[1] // TASK_SHINGLES)
+    dealt = dealt.drop("shingles").withColumn("bucket", F.pmod(F.xxhash64("region", "lo", "hi"), F.lit(parts)))
+    return dealt.join(sets.hint("merge"), ["doc", "d1"]).groupBy("bucket").applyInPandas(_forest(percent), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> DataFrame:
@@ -263,23 +284,29 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
     scratch = Scratch(spark)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     signed = scratch.cut(rows.mapInPandas(_sign(words), "doc_id long, n_shingles long, d1 long, d2 long, sig binary"))
-    classes = scratch.cut(signed.where("n_shingles > 0 and doc_id is not null").groupBy("d1", "d2").agg(F.min("doc_id").alias("doc"), F.first("sig").alias("sig")))
+    whole = signed.where("n_shingles > 0 and doc_id is not null").groupBy("d1", "d2")
+    classes = scratch.cut(whole.agg(F.min("doc_id").alias("doc"), F.first("n_shingles").alias("shingles"), F.first("sig").alias("sig")))
     regions = _regions(classes, scratch)
     # regions with the same documents in several orders are compared once, in the first of them
-    prints = regions.groupBy("region").agg(F.first("ord").alias("ord"), F.first("n").alias("n"), F.bit_xor(F.xxhash64("doc", F.lit(1))).alias("x1"), F.bit_xor(F.xxhash64("doc", F.lit(2))).alias("x2"))
-    first = prints.groupBy("n", "x1", "x2").agg(F.min(F.struct("ord", "region")).alias("r")).select("r.region")
+    prints = regions.groupBy("region").agg(F.first("ord").alias("ord"), F.first("n").alias("n"), F.bit_xor(F.xxhash64("doc", "d1", F.lit(1))).alias("x1"), F.bit_xor(F.xxhash64("doc", "d1", F.lit(2))).alias("x2"))
+    first = scratch.cut(prints.groupBy("n", "x1", "x2").agg(F.min(F.struct("ord", "region")).alias("r")).select("r.region"))
     members = scratch.cut(regions.join(first.hint("merge"), "region", "left_semi"))
     ids = members.select(F.col("doc").alias("doc_id")).distinct()
-    sets = scratch.cut(rows.join(ids.hint("merge"), "doc_id", "left_semi").mapInPandas(_sets(words), "doc long, shingles binary").dropDuplicates(["doc"]))
-    early = members.where((F.col("ord") < FIRST_ORDERS) | F.col("crowd")).withColumns({"comp": F.col("doc"), "minor": F.lit(True), "n_minor": F.col("n"), "sample": F.col("crowd")})
+    sets = scratch.cut(rows.join(ids.hint("merge"), "doc_id", "left_semi").mapInPandas(_sets(words), "doc long, d1 long, shingles binary").dropDuplicates(["doc", "d1"]))
+    early = members.where((F.col("ord") < FIRST_ORDERS) | F.col("crowd"))
+    early = early.withColumns({"comp": F.col("doc"), "minor": F.lit(True), "few": _blocks(F.col("n"), F.col("weight")), "rest": F.lit(0), "sample": F.col("crowd")})
     links = scratch.cut(_linked(early, sets, percent))
     comps = components(links, scratch)
     late = members.where((F.col("ord") >= FIRST_ORDERS) | F.col("crowd")).join(comps.withColumnRenamed("node", "doc").hint("merge"), "doc", "left").withColumn("comp", F.coalesce("comp", "doc"))
-    sizes = late.groupBy("region", "comp").agg(F.count(F.lit(1)).alias("c"))
-    split = sizes.groupBy("region").agg(F.max(F.struct("c", "comp")).alias("most"), F.count(F.lit(1)).alias("k")).where("k > 1").select("region", "most")
-    late = late.join(split.hint("merge"), "region").select("region", "n", "doc", "comp", (F.col("comp") != F.col("most.comp")).alias("minor"), (F.col("n") - F.col("most.c")).alias("n_minor"), F.lit(False).alias("sample"))
     late = scratch.cut(late)
-    more = scratch.cut(_linked(late, sets, percent))
+    sizes = late.groupBy("region", "comp").agg(F.count(F.lit(1)).alias("c"), F.sum("shingles").alias("w"))
+    most = F.max(F.struct("c", "comp", "w")).alias("most")
+    split = scratch.cut(sizes.groupBy("region").agg(most, F.count(F.lit(1)).alias("k")).where("k > 1").select("region", "most"))
+    late = late.join(split.hint("merge"), "region").withColumns({
+        "minor": F.col("comp") != F.col("most.comp"), "sample": F.lit(False),
+        "few": _blocks(F.col("n") - F.col("most.c"), F.col("weight") - F.col("most.w")), "rest": _blocks(F.col("most.c"), F.col("most.w")),
+    })
+    more = scratch.cut(_linked(scratch.cut(late.drop("most")), sets, percent))
     comps = components(links.union(more), scratch)
     named = classes.select("d1", "d2", "doc").join(comps.withColumnRenamed("node", "doc"), "doc", "left").select("d1", "d2", F.coalesce("comp", "doc").alias("component_id"))
     out = signed.drop("sig").join(scratch.cut(named).hint("merge"), ["d1", "d2"], "left")
@@ -289,7 +316,16 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, words: int = WORDS)
 
 def one_of_each(docs: DataFrame, percent: int = PERCENT, words: int = WORDS) -> DataFrame:
     """The rows of docs that stay when one document of each class does, with their columns as they were.
-    An id stands for one document: of rows that repeat one, a single row stays. Rows without an id stay."""
-    stay = near_duplicates(docs, percent, words).where("kept and doc_id is not null").select("doc_id").distinct()
-    kept = docs.join(stay.hint("merge"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(docs.where("doc_id is null"))
+    An id stands for one document: of rows that repeat one, the row with the smallest hash of its text stays (of equal
+    texts, any one, since only a row's other columns could differ: the one with the smallest hash of all columns). Rows without an id stay."""
+    scratch = Scratch(docs.sparkSession)
+    found = scratch.cut(near_duplicates(docs, percent, words))
+    stay = found.where("kept and doc_id is not null").groupBy("doc_id").agg(F.lit(True).alias("_one"))
+    again = found.where("doc_id is not null").groupBy("doc_id").agg(F.count(F.lit(1)).alias("_n")).where("_n > 1").select("doc_id")
+    kept = docs.join(scratch.cut(stay).hint("merge"), "doc_id", "left_semi")
+    again = scratch.cut(again)
+    once = kept.join(again.hint("merge"), "doc_id", "left_anti")
+    columns = [F.col(f"`{c}`") for c in docs.columns]
+    order = W.partitionBy("doc_id").orderBy(F.xxhash64(F.col("text").cast("string")), F.xxhash64(*columns))
+    repeated = kept.join(again.hint("merge"), "doc_id", "left_semi").withColumn("__place", F.row_number().over(order)).where("__place = 1")
+    return once.select(*columns).unionByName(repeated.select(*columns)).unionByName(docs.where("doc_id is null"))
