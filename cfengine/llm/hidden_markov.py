@@ -1,21 +1,27 @@
 """A hidden Markov language model over words, trained and scored over partitions.
 
-Words fall into CLASSES classes by hash; a state emits a class, and a word of the class by its
-share of the class's training tokens (with the base model's 0.1 for each word and for one unknown). So a text's
-likelihood is exact over an open vocabulary, and states need CLASSES numbers each.
-
-Counts: texts are dealt into blocks of about BLOCK_MB; each block sends its distinct words
-once and gets their corpus counts back, so no vocabulary is ever held whole by a machine.
-Training: Baum-Welch on runs of RUN tokens; each task adds up its expected counts and tasks'
-sums are added in two steps. Scoring: scaled forward recursion over each whole text.
-
-Defined cases: a null text is empty, its one token is the end. Repeated rows count as often as they occur. With no training
-text all counts are 0 and every word is unknown.
+A word with at least OWN_COUNT training tokens has emission numbers of its own, one a state; how many such
+words there are follows the corpus, and their numbers stay in a table that is dealt by word. All other words fall into
+CLASSES classes by hash; a state emits a class, and a word of the class by its share of the class's training
+tokens (with the base model's 0.1 for each word and for one unknown). So a text's likelihood is exact over
+an open vocabulary.
+
+Blocks: each task packs its texts into blocks of about BLOCK_CHARS characters, a row each, with the distinct
+words of the block and the place of every token among them. Only distinct words travel: they are counted by
+word, and the counts (and later the emissions) of words that need it go back to their blocks. No vocabulary is ever
+held whole by a machine, and no text is shuffled.
+
+Training: Baum-Welch over whole texts, until an iteration gains less than SETTLED nats a token or ITERATIONS are
+over. Long texts are cut into segments that advance side by side; the products of their transition
+matrices carry the exact forward and backward state across the cuts, so a start is counted only where a text starts.
+Scoring: scaled forward recursion over each whole text, cut in the same way.
+
+Defined cases: a null text is empty, its one token is the end. Repeated rows count as often as they occur; rows without an
+id, or with the same, are rows like any other. With no training text all counts are 0 and every word is unknown.
 """
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -23,17 +29,19 @@ import pandas as pd
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import Window as W
 
 from .common import Scratch, fewer, fold, mix64, text_or_empty, word_hashes
 
 STATES = 6
 CLASSES = 4096
-RUN = 48
-ITERATIONS = 4
-BLOCK_MB = 16
+OWN_COUNT = 200
+ITERATIONS = 5
+SETTLED = 0.002
+SEGMENT = 256
+BLOCK_CHARS = 8_000_000
 END_HASH = np.uint64(0x9E3779B97F4A7C15)
 LOW = 0.1
+SMOOTH = 0.01
 
 
 def tokens(texts: list) -> tuple[np.ndarray, np.ndarray]:
@@ -52,161 +60,273 @@ def class_of(h: np.ndarray) -> np.ndarray:
     return (mix64(h) & np.uint64(CLASSES - 1)).astype(np.int64)
 
 
-# --- training ---------------------------------------------------------------
-
-
-def _start(seed: int = 11) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    rng = np.random.default_rng(seed)
-    trans = np.full((STATES, STATES), 0.2 / max(1, STATES - 1))
-    np.fill_diagonal(trans, 0.8)
-    emit = rng.gamma(2.0, 1.0, (STATES, CLASSES))
-    return np.full(STATES, 1 / STATES), trans, emit / emit.sum(1, keepdims=True)
-
-
-def expected_counts(seqs: np.ndarray, lens: np.ndarray, start: np.ndarray, trans: np.ndarray, emit: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Baum-Welch counts of runs side by side. seqs: runs x RUN classes, lens: their lengths, longest first."""
-    n, width = seqs.shape
-    e = np.ascontiguousarray(emit.T.astype(np.float32))
-    a = trans.astype(np.float32)
-    alpha = np.zeros((width, n, STATES), np.float32)
-    scale = np.ones((width, n), np.float32)
-    live = [int(np.searchsorted(-lens, -t, side="left")) for t in range(width + 1)]
-    v = start.astype(np.float32) * e[seqs[:, 0]]
-    for t in range(width):
-        k = live[t]
-        if not k:
-            break
+# --- the recursions ----------------------------------------------------------
+
+
+class Segments:
+    """Texts cut into segments of at most SEGMENT tokens, longest first, so that those still live are a prefix."""
+
+    def __init__(self, codes: np.ndarray, offsets: np.ndarray):
+        lens = np.diff(offsets)
+        per = -(-lens // SEGMENT)
+        text = np.repeat(np.arange(len(lens)), per)
+        turn = np.arange(len(text)) - np.repeat(np.cumsum(per) - per, per)
+        first = offsets[:-1][text] + SEGMENT * turn
+        size = np.minimum(offsets[1:][text] - first, SEGMENT)
+        order = np.argsort(-size, kind="stable")
+        self.text, self.turn, self.first, self.size = text[order], turn[order], first[order], size[order]
+        self.n, self.width, self.turns = len(order), int(size.max(initial=0)), int(per.max(initial=0))
+        self.live = [int(np.searchsorted(-self.size, -t, side="left")) for t in range(self.width + 1)]
+        padded = np.concatenate((codes, np.zeros(SEGMENT, codes.dtype)))
+        self.seqs = padded[self.first[:, None] + np.arange(self.width)] if self.n else np.zeros((0, 0), np.int64)
+        place = np.full(len(text), -1, np.int64)
+        place[order] = np.arange(len(order))
+        self.places = [place[turn == k] for k in range(self.turns)]  # segments of turn k, in the order of their texts
+        self.owners = [text[turn == k] for k in range(self.turns)]
+
+
+def _unit(v: np.ndarray) -> np.ndarray:
+    return v / np.maximum(v.sum(-1, keepdims=True), 1e-300 if v.dtype == np.float64 else 1e-30)
+
+
+def _transfers(s: Segments, trans: np.ndarray, e: np.ndarray) -> np.ndarray:
+    """For each segment after its text's first, the product of transition times emission over its tokens, up to a factor."""
+    m = np.zeros((s.n, len(trans), len(trans)), e.dtype)
+    later = np.flatnonzero(s.turn > 0)
+    sizes = s.size[later]
+    own = np.tile(np.eye(len(trans), dtype=e.dtype), (len(later), 1, 1))
+    for t in range(int(sizes.max(initial=0))):
+        k = int(np.searchsorted(-sizes, -t, side="left"))
+        own[:k] = (own[:k] @ trans) * e[s.seqs[later[:k], t]][:, None, :]
+        if t % 4 == 3:
+            own[:k] /= own[:k].sum((1, 2), keepdims=True)
+    m[later] = own / own.sum((1, 2), keepdims=True)
+    return m
+
+
+def _carried(s: Segments, start: np.ndarray, trans: np.ndarray, e: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """For every segment the state with which it is entered and, up to a factor, the backward vector at its end."""
+    entry, leave = np.zeros((s.n, len(start)), e.dtype), np.ones((s.n, len(start)), e.dtype)
+    if s.turns < 2:
+        return entry, leave
+    m = _transfers(s, trans, e)
+    texts = s.owners[1]  # all that have a second segment; their first one is whole
+    heads = s.places[0][np.searchsorted(s.owners[0], texts)]
+    v = _unit(start * e[s.seqs[heads, 0]])
+    for t in range(1, SEGMENT):
+        v = _unit((v @ trans) * e[s.seqs[heads, t]])
+    for k in range(1, s.turns):
+        at = s.places[k]
+        v = v[np.searchsorted(texts, s.owners[k])]
+        texts = s.owners[k]
+        entry[at] = v
+        v = _unit(np.einsum("ni,nij->nj", v, m[at]))
+    for k in range(s.turns - 1, 0, -1):
+        at = s.places[k]
+        before = s.places[k - 1][np.searchsorted(s.owners[k - 1], s.owners[k])]
+        leave[before] = _unit(np.einsum("nij,nj->ni", m[at], leave[at]))
+    return entry, leave
+
+
+def _forward(s: Segments, start: np.ndarray, trans: np.ndarray, e: np.ndarray, entry: np.ndarray, keep: bool) -> tuple[np.ndarray, np.ndarray | None]:
+    """Log likelihood of every segment given what came before it, and all scaled states if they are to be kept."""
+    logs = np.zeros(s.n)
+    alpha = np.zeros((s.width, s.n, len(start)), e.dtype) if keep else None
+    v = np.where((s.turn == 0)[:, None], start, entry @ trans) * e[s.seqs[:, 0]] if s.n else entry
+    for t in range(s.width):
+        k = s.live[t]
         if t:
-            v = (alpha[t - 1, :k] @ a) * e[seqs[:k, t]]
-        s = v[:k].sum(1) + np.float32(1e-30)
-        scale[t, :k] = s
-        alpha[t, :k] = v[:k] / s[:, None]
-    beta = np.ones((n, STATES), np.float32)
-    c_trans = np.zeros((STATES, STATES))
-    c_emit = np.zeros((STATES, CLASSES))
-    c_start = np.zeros(STATES)
-    for t in range(width - 1, -1, -1):
-        k = live[t]
-        if not k:
-            continue
-        if t + 1 < width and live[t + 1]:
-            m = live[t + 1]
-            w = beta[:m] * e[seqs[:m, t + 1]] / scale[t + 1, :m, None]
-            c_trans += (alpha[t, :m].T @ w) * a
-            beta[:m] = w @ a.T
-        g = alpha[t, :k] * beta[:k]
-        for j in range(STATES):
-            c_emit[j] += np.bincount(seqs[:k, t], weights=g[:, j], minlength=CLASSES)
-        if t == 0:
-            c_start += g.sum(0)
-    return c_start, c_trans, c_emit
-
-
-def _runs(classes: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """All texts cut into runs of RUN tokens, longest first, padded with zeros."""
+            v = (v[:k] @ trans) * e[s.seqs[:k, t]]
+        total = v[:k].sum(1)
+        logs[:k] += np.log(total)
+        v = v[:k] / total[:, None]
+        if keep:
+            alpha[t, :k] = v
+    return logs, alpha
+
+
+def forward_log10(codes: np.ndarray, offsets: np.ndarray, start: np.ndarray, trans: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """log10 likelihood of each whole text. table: emission numbers by code and state."""
+    s = Segments(codes, offsets)
+    entry, _ = _carried(s, start, trans, table)
+    logs, _ = _forward(s, start, trans, table, entry, False)
+    return np.bincount(s.text, weights=logs, minlength=len(offsets) - 1) / np.log(10)
+
+
+def expected_counts(codes: np.ndarray, offsets: np.ndarray, start: np.ndarray, trans: np.ndarray, table: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, float]:
+    """Baum-Welch counts of whole texts: starts, transitions, emissions (by code and state), and the log likelihood."""
+    s = Segments(codes, offsets)
+    states = len(start)
+    c_start, c_trans, c_emit = np.zeros(states), np.zeros((states, states)), np.zeros(table.shape)
+    if not s.n:
+        return c_start, c_trans, c_emit, 0.0
+    a, e, begin = trans.astype(np.float32), table.astype(np.float32), start.astype(np.float32)
+    entry, beta = _carried(s, begin, a, e)
+    logs, alpha = _forward(s, begin, a, e, entry, True)
+    gamma = np.zeros((int(offsets[-1]), states), np.float32)
+
+    def pass_over(own: np.ndarray, ahead: np.ndarray) -> np.ndarray:
+        """Counts the transitions between neighbouring tokens; ahead: emission times backward vector of the later one."""
+        nonlocal c_trans
+        back = ahead @ a.T
+        share = np.maximum((own * back).sum(1, keepdims=True), np.float32(1e-30))
+        c_trans += ((own / share).T @ ahead) * a
+        return _unit(back)
+
+    ahead = np.zeros((s.n, states), np.float32)
+    for t in range(s.width - 1, -1, -1):
+        later = s.live[t + 1]
+        if later:
+            beta[:later] = pass_over(alpha[t, :later], ahead[:later])
+        k = s.live[t]
+        gamma[s.first[:k] + t] = _unit(alpha[t, :k] * beta[:k])
+        ahead[:k] = beta[:k] * e[s.seqs[:k, t]]
+    for k in range(1, s.turns):
+        before = s.places[k - 1][np.searchsorted(s.owners[k - 1], s.owners[k])]
+        pass_over(alpha[SEGMENT - 1, before], ahead[s.places[k]])
+    c_start = gamma[offsets[:-1]].sum(0, dtype=np.float64)
+    for j in range(states):
+        c_emit[:, j] = np.bincount(codes, weights=gamma[:, j], minlength=len(table))
+    return c_start, c_trans, c_emit, float(logs.sum())
+
+
+# --- blocks ------------------------------------------------------------------
+
+PACKED = "block long, ids binary, none binary, held binary, offsets binary, at binary, words binary, n binary"
+
+
+def _pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    part, count = TaskContext.get().partitionId(), 0
+    ids, none, held, texts, size = [], [], [], [], 0
+
+    def row() -> pd.DataFrame:
+        h, offsets = tokens(texts)
+        words, at = np.unique(h, return_inverse=True)
+        learn = np.repeat(~np.array(held, bool), np.diff(offsets))
+        n = np.bincount(at, weights=learn, minlength=len(words)).astype(np.int64)
+        parts = (np.array(ids, np.int64), np.array(none, bool), np.array(held, bool), offsets, at.astype(np.int32), words, n)
+        return pd.DataFrame([((part << 32) + count, *(x.tobytes() for x in parts))], columns=[c.split()[0] for c in PACKED.split(", ")])
+
+    for pdf in batches:
+        for i, lacks, out, t in zip(pdf["doc_id"], pdf["no_id"], pdf["held_out"], pdf["text"], strict=True):
+            ids.append(i)
+            none.append(lacks)
+            held.append(out)
+            texts.append(text_or_empty(t))
+            size += len(texts[-1])
+            if size >= BLOCK_CHARS:
+                yield row()
+                count += 1
+                ids, none, held, texts, size = [], [], [], [], 0
+    if texts:
+        yield row()
+
+
+def _asked(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    for pdf in batches:
+        for block, words, n in zip(pdf["block"], pdf["words"], pdf["n"], strict=True):
+            h, n = np.frombuffer(words, np.int64), np.frombuffer(n, np.int64)
+            for lo in range(0, len(h), 200_000):
+                part = slice(lo, lo + 200_000)
+                yield pd.DataFrame({"block": block, "pos": np.arange(lo, lo + len(h[part]), dtype=np.int32), "h": h[part], "n": n[part]})
+
+
+def _code(texts: pd.DataFrame, own: pd.DataFrame) -> pd.DataFrame:
+    """Training texts of a block as codes: its own-word number, or after these the class."""
+    if not len(texts):
+        return pd.DataFrame({"block": [], "own": [], "codes": [], "offsets": []}).astype({"block": "int64", "own": "int32"})
+    r = texts.iloc[0]
+    words, held = np.frombuffer(r["words"], np.uint64), np.frombuffer(r["held"], bool)
+    offsets, at = np.frombuffer(r["offsets"], np.int64), np.frombuffer(r["at"], np.int32)
+    code = len(own) + class_of(words)
+    code[np.sort(own["pos"].to_numpy())] = np.arange(len(own))
     lens = np.diff(offsets)
-    per = -(-lens // RUN)
-    first = np.repeat(offsets[:-1], per) + RUN * (np.arange(per.sum()) - np.repeat(np.cumsum(per) - per, per))
-    size = np.minimum(np.repeat(offsets[1:], per) - first, RUN)
-    order = np.argsort(-size, kind="stable")
-    first, size = first[order], size[order]
-    padded = np.concatenate((classes, np.zeros(RUN, classes.dtype)))
-    return padded[first[:, None] + np.arange(RUN)], size
+    learn = ~held
+    codes = code[at[np.repeat(learn, lens)]].astype(np.int32)
+    return pd.DataFrame({"block": [r["block"]], "own": np.array([len(own)], np.int32), "codes": [codes.tobytes()], "offsets": [np.concatenate(([0], np.cumsum(lens[learn]))).astype(np.int64).tobytes()]})
 
 
 def _add(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"part": [0], "sums": [np.sum([np.frombuffer(b) for b in pdf["sums"]], axis=0).tobytes()]})
 
 
-def train(encoded: DataFrame, iterations: int = ITERATIONS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Start, transition and emission probabilities. encoded: classes (binary, 16 bits a token), one row a text."""
-    spark = encoded.sparkSession
-    params = _start()
-    for _ in range(iterations):
-        held = spark.sparkContext.broadcast(params)
-
-        def count(batches: Iterator[pd.DataFrame], held=held) -> Iterator[pd.DataFrame]:
-            sums = [np.zeros(STATES), np.zeros((STATES, STATES)), np.zeros((STATES, CLASSES))]
-            for pdf in batches:
-                at, size = 0, 0
-                blobs = pdf["classes"].tolist()
-                for k, b in enumerate(blobs):
-                    size += len(b)
-                    if size >= 1_000_000 or k == len(blobs) - 1:
-                        part = blobs[at : k + 1]
-                        offsets = np.concatenate(([0], np.cumsum([len(x) // 2 for x in part])))
-                        seqs, lens = _runs(np.frombuffer(b"".join(part), np.uint16).astype(np.int64), offsets)
-                        for total, c in zip(sums, expected_counts(seqs, lens, *held.value), strict=True):
-                            total += c
-                        at, size = k + 1, 0
-            flat = np.concatenate([x.ravel() for x in sums])
-            yield pd.DataFrame({"part": [TaskContext.get().partitionId() % 64], "sums": [flat.tobytes()]})
-
-        parts = fewer(encoded.select("classes")).mapInPandas(count, "part int, sums binary")
+class Model:
+    """What is bounded of the model: start, transitions and emissions of classes. Words' own emissions stay in a table."""
+
+    def __init__(self, n_class: np.ndarray, n_all: int, seed: int = 11):
+        rng = np.random.default_rng(seed)
+        self.start = np.full(STATES, 1 / STATES)
+        self.trans = np.full((STATES, STATES), 0.2 / (STATES - 1))
+        np.fill_diagonal(self.trans, 0.8)
+        self.classes = ((n_class + 1) / (n_all + CLASSES))[:, None] * rng.uniform(0.5, 1.5, (CLASSES, STATES))
+
+
+def _own_first(words: DataFrame, n_all: int) -> DataFrame:
+    """First emissions of words (.., h, c): their share of all tokens, turned up or down by a hash for each state."""
+    tilt = [0.5 + F.pmod(F.xxhash64("h", F.lit(s)), F.lit(1 << 20)) / F.lit(float(1 << 20)) for s in range(STATES)]
+    return words.withColumn("p", F.array(*[F.col("c") / F.lit(float(max(1, n_all))) * t for t in tilt]))
+
+
+def train(coded: DataFrame, own: DataFrame, model: Model, n_all: int, scratch: Scratch, iterations: int = ITERATIONS) -> DataFrame:
+    """Fits model in place; returns h, p of the words with emissions of their own. coded: block, own, codes,
+    offsets; own: block, pos, h, c."""
+    spark = coded.sparkSession
+    words = scratch.cut(_own_first(own.groupBy("h").agg(F.max("c").alias("c")), n_all).select("h", "p"))
+    n_words, before = words.count(), None
+    for _ in range(iterations if n_all else 0):
+        held = spark.sparkContext.broadcast((model.start, model.trans, model.classes))
+
+        def count(texts: pd.DataFrame, mine: pd.DataFrame, held=held) -> pd.DataFrame:
+            columns = ["h", *(f"e{s}" for s in range(STATES)), "part", "sums"]
+            if not len(texts):
+                return pd.DataFrame(columns=columns)
+            start, trans, classes = held.value
+            mine = mine.sort_values("pos")
+            table = np.concatenate((np.stack(mine["p"].to_numpy()), classes)) if len(mine) else classes
+            r = texts.iloc[0]
+            got = expected_counts(np.frombuffer(r["codes"], np.int32), np.frombuffer(r["offsets"], np.int64), start, trans, table)
+            flat = np.concatenate((got[0], got[1].ravel(), got[2][len(mine) :].ravel(), [got[3]]))
+            out = pd.DataFrame({"h": mine["h"].to_numpy(np.int64)} | {f"e{s}": got[2][: len(mine), s] for s in range(STATES)})
+            out = out.assign(part=-1, sums=None)
+            return pd.concat((out, pd.DataFrame([(0, *[0.0] * STATES, int(r["block"]) % 64, flat.tobytes())], columns=columns)), ignore_index=True)
+
+        emissions = own.select("block", "pos", "h").join(words.hint("merge"), "h")
+        schema = "h long, " + "".join(f"e{s} double, " for s in range(STATES)) + "part int, sums binary"
+        counts = scratch.cut(coded.groupBy("block").cogroup(emissions.groupBy("block")).applyInPandas(count, schema))
+        parts = counts.where("part >= 0").select("part", "sums")
         rows = parts.groupBy("part").applyInPandas(_add, "part int, sums binary").groupBy("part").applyInPandas(_add, "part int, sums binary").collect()
-        flat = np.frombuffer(rows[0]["sums"]) if rows else np.zeros(STATES + STATES * STATES + STATES * CLASSES)
-        start, trans, emit = np.split(flat, [STATES, STATES + STATES * STATES])
-        start, trans, emit = start + 0.01, trans.reshape(STATES, STATES) + 0.01, emit.reshape(STATES, CLASSES) + 0.01
-        params = (start / start.sum(), trans / trans.sum(1, keepdims=True), emit / emit.sum(1, keepdims=True))
-    return params
-
-
-# --- scoring ----------------------------------------------------------------
-
-
-def forward_log10(classes: np.ndarray, offsets: np.ndarray, start: np.ndarray, trans: np.ndarray, emit: np.ndarray) -> np.ndarray:
-    """log10 likelihood of each class sequence, scaled at every step; texts advance side by side, longest first."""
-    lens = np.diff(offsets)
-    order = np.argsort(-lens, kind="stable")
-    first, lens = offsets[:-1][order], lens[order]
-    e = np.ascontiguousarray(emit.T)
-    out = np.zeros(len(lens))
-    k = int(np.searchsorted(-lens, 0, side="left"))
-    v = start * e[classes[first[:k]]]
-    t = 0
-    while k:
-        s = v.sum(1)
-        out[:k] += np.log10(s)
-        v /= s[:, None]
-        t += 1
-        k = int(np.searchsorted(-lens, -t, side="left"))
-        if k:
-            v = (v[:k] @ trans) * e[classes[first[:k] + t]]
-    result = np.zeros(len(lens))
-    result[order] = out
-    return result
-
-
-def _encode(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-    for pdf in batches:
-        for lo in range(0, len(pdf), 2000):
-            h, offsets = tokens(pdf["text"].iloc[lo : lo + 2000].tolist())
-            c = class_of(h).astype(np.uint16)
-            yield pd.DataFrame({"classes": [c[a:b].tobytes() for a, b in zip(offsets[:-1], offsets[1:], strict=True)]})
-
-
-def _vocabulary(pdf: pd.DataFrame) -> pd.DataFrame:
-    h, offsets = tokens(pdf["text"].tolist())
-    learn = np.repeat(~pdf["held_out"].to_numpy(), np.diff(offsets))
-    words, inverse = np.unique(h, return_inverse=True)
-    return pd.DataFrame({"block": pdf["block"].iloc[0], "h": words.view(np.int64), "n": np.bincount(inverse, weights=learn, minlength=len(words)).astype(np.int64)})
+        if not rows:
+            break
+        start, trans, classes, like = np.split(np.frombuffer(rows[0]["sums"]), np.cumsum([STATES, STATES * STATES, CLASSES * STATES]))
+        own_rows = counts.where("part < 0")
+        sums = own_rows.agg(*[F.coalesce(F.sum(f"e{s}"), F.lit(0.0)) for s in range(STATES)]).first()
+        classes = classes.reshape(CLASSES, STATES) + SMOOTH
+        total = classes.sum(0) + np.array(list(sums)) + SMOOTH * n_words
+        start, trans = start + SMOOTH, trans.reshape(STATES, STATES) + SMOOTH
+        model.start, model.trans, model.classes = start / start.sum(), trans / trans.sum(1, keepdims=True), classes / total
+        p = F.array(*[(F.sum(f"e{s}") + SMOOTH) / F.lit(float(total[s])) for s in range(STATES)])
+        words = scratch.cut(own_rows.groupBy("h").agg(p.alias("p")))
+        scratch.drop(counts)
+        held.unpersist()
+        if before is not None and like[0] - before < SETTLED * n_all:
+            break
+        before = like[0]
+    return words
 
 
 def hmm_scores(docs: DataFrame, iterations: int = ITERATIONS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row; learns outside fold 0 of 10."""
     spark = docs.sparkSession
     scratch = Scratch(spark)
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), (fold(F.col("doc_id"), 10) == 0).alias("held_out"))
-    encoded = scratch.cut(rows.where(~F.col("held_out")).select("text").mapInPandas(_encode, "classes binary"))
-    params = train(encoded, iterations)
-    scratch.drop(encoded)
-
-    size = rows.agg(F.sum(F.length("text"))).first()[0] or 0
-    blocks = max(1, math.ceil(size / (BLOCK_MB * 1e6)))
-    dealt = rows.withColumn("block", F.pmod(F.xxhash64("doc_id", F.lit(8)), F.lit(blocks)).cast("int"))
-    asked = scratch.cut(dealt.groupBy("block").applyInPandas(_vocabulary, "block int, h long, n long"))
-    counts = scratch.cut(asked.withColumn("c", F.sum("n").over(W.partitionBy("h"))).select("block", "h", "c", F.row_number().over(W.partitionBy("h").orderBy("block")).alias("k")))
-    once = counts.where("k = 1 and c > 0").select("h", "c")
+    doc_id = F.col("doc_id").cast("long")
+    rows = docs.select(F.coalesce(doc_id, F.lit(0)).alias("doc_id"), doc_id.isNull().alias("no_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"), (fold(F.col("doc_id"), 10) == 0).alias("held_out"))
+    packed = scratch.cut(rows.mapInPandas(_pack, PACKED))
+    asked = packed.select("block", "words", "n").mapInPandas(_asked, "block long, pos int, h long, n long")
+    totals = scratch.cut(asked.groupBy("h").agg(F.sum("n").alias("c"), F.count(F.lit(1)).alias("k")).where("c > 0"))
+    # a word of one block has its count there already
+    shared = scratch.cut(totals.where((F.col("k") > 1) | (F.col("c") >= OWN_COUNT)).select("h", "c"))
+    lookups = scratch.cut(asked.select("block", "pos", "h").join(shared.hint("merge"), "h"))
+    own = lookups.where(F.col("c") >= OWN_COUNT)
 
     def per_class(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         n, v = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
@@ -216,27 +336,42 @@ def hmm_scores(docs: DataFrame, iterations: int = ITERATIONS) -> DataFrame:
             v += np.bincount(c, minlength=CLASSES)
         yield pd.DataFrame({"class": range(CLASSES), "n": n, "v": v})
 
-    totals = fewer(once).mapInPandas(per_class, "class int, n long, v long").groupBy("class").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).toPandas()
+    rare = totals.where(F.col("c") < OWN_COUNT).select("h", "c")
+    by_class = fewer(rare).mapInPandas(per_class, "class int, n long, v long").groupBy("class").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).toPandas()
     n_class, v_class = np.zeros(CLASSES), np.zeros(CLASSES)
-    n_class[totals["class"]], v_class[totals["class"]] = totals["n"], totals["v"]
-    n_all, v_all = int(n_class.sum()), int(v_class.sum())
-    held = spark.sparkContext.broadcast((params, n_class + LOW * (v_class + 1)))
-
-    def score(texts: pd.DataFrame, words: pd.DataFrame) -> pd.DataFrame:
-        own, c = words["h"].to_numpy().view(np.uint64), words["c"].to_numpy()
-        order = np.argsort(own)
-        own, c = own[order], c[order]
-        model, class_total = held.value
-        h, offsets = tokens([text_or_empty(t) for t in texts["text"]])
-        classes, count = class_of(h), c[np.searchsorted(own, h)]
-        starts = offsets[:-1]
+    n_class[by_class["class"]], v_class[by_class["class"]] = by_class["n"], by_class["v"]
+    found = totals.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
+    n_all, v_all = int(found[0]), int(found[1])
+
+    coded = scratch.cut(packed.select("block", "held", "offsets", "at", "words").groupBy("block").cogroup(own.select("block", "pos").groupBy("block")).applyInPandas(_code, "block long, own int, codes binary, offsets binary"))
+    model = Model(n_class, n_all)
+    words = train(coded, own, model, n_all, scratch, iterations)
+    held = spark.sparkContext.broadcast((model.start, model.trans, model.classes, n_class + LOW * (v_class + 1)))
+
+    def score(texts: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
         if not len(texts):
             return pd.DataFrame(columns=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
-        base = np.add.reduceat(np.log10((count + LOW) / (n_all + LOW * (v_all + 1))), starts)
-        inner = np.add.reduceat(np.log10((count + LOW) / class_total[classes]), starts)
-        known = np.add.reduceat((count > 0).astype(np.int64), starts)
-        ids = texts["doc_id"].astype("Int64") if texts["doc_id"].isna().any() else texts["doc_id"]
-        return pd.DataFrame({"doc_id": ids, "held_out": texts["held_out"], "n_tokens": np.diff(offsets), "n_known": known, "train_tokens": n_all, "base_score": base, "score": inner + forward_log10(classes, offsets, *model)})
-
-    return dealt.groupBy("block").cogroup(counts.select("block", "h", "c").groupBy("block")).applyInPandas(
+        start, trans, classes, class_total = held.value
+        r = texts.iloc[0]
+        h, count = np.frombuffer(r["words"], np.uint64), np.frombuffer(r["n"], np.int64).astype(float)
+        offsets, at = np.frombuffer(r["offsets"], np.int64), np.frombuffer(r["at"], np.int32)
+        count[known["pos"]] = known["c"]
+        mine = known[known["p"].notna()]
+        code = len(mine) + class_of(h)
+        inner = np.log10((count + LOW) / class_total[code - len(mine)])
+        code[mine["pos"]] = np.arange(len(mine))
+        inner[mine["pos"]] = 0.0
+        table = np.concatenate((np.stack(mine["p"].to_numpy()), classes)) if len(mine) else classes
+        base = np.log10((count + LOW) / (n_all + LOW * (v_all + 1)))
+        sums = lambda v: np.add.reduceat(v[at], offsets[:-1])
+        ids = pd.array(np.frombuffer(r["ids"], np.int64), "Int64")
+        ids[np.frombuffer(r["none"], bool)] = pd.NA
+        return pd.DataFrame({
+            "doc_id": ids, "held_out": np.frombuffer(r["held"], bool), "n_tokens": np.diff(offsets), "n_known": sums((count > 0).astype(np.int64)),
+            "train_tokens": n_all, "base_score": sums(base), "score": sums(inner) + forward_log10(code[at], offsets, start, trans, table),
+        })
+
+    numbers = lookups.join(words.hint("merge"), "h", "left").select("block", "pos", "c", "p")
+    texts = packed.select("block", "ids", "none", "held", "offsets", "at", "words", "n")
+    return texts.groupBy("block").cogroup(numbers.groupBy("block")).applyInPandas(
         score, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")

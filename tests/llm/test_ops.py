@@ -121,7 +121,7 @@ def test_weak_parts_need_their_complement():
     assert kinds(ident) == [] and kinds(key) == [] and kinds(end) == []
     assert kinds(f"{ident} {key}") == ["id", "key"]
     assert kinds(f"{ident} {key} {end}") == ["endpoint", "id", "key"]
-    assert kinds(f"{ident} {far} {key}") == [] and kinds(f"{ident}\n\n{key}") == []
+    assert kinds(f"{ident} {far} {key}") == ["id", "key"] and kinds(f"{ident}\n\n{key}") == []
     assert key not in S.redact(f"{ident} {key}")
 
 
@@ -134,6 +134,55 @@ def test_parts_at_both_ends_of_a_scope(spark):
     assert key not in S.redact(rows[0][1]) and ident not in S.redact(rows[0][1]) and S.redact(rows[2][1]) == rows[2][1]
 
 
+def plain_linked(t):
+    """Weak parts by trying every pair of spans."""
+    host = "abcdefghijklmnopqrstuvwxyz0123456789.-"
+    base = [(int(x.split(":")[1]), int(x.split(":")[2]), x.split(":")[0]) for x in plain_spans(t).split(",") if x]
+    ids = [(m.start(), m.end(), "id") for m in S.WEAK_ID.finditer(t)]
+    keys = [(m.start(), m.end(), "key") for m in S.WEAK_KEY.finditer(t)]
+    ends = [(m.start(), m.end(), "endpoint") for m in S.ADDRESS.finditer(t)]
+    for m in re.finditer(r"[a-z0-9][a-z0-9.-]*\.amazonaws\.com", t):
+        if not any(a < m.end() and m.start() < b for a, b, _ in ends):
+            ends.append((m.start(), m.end(), "endpoint"))
+    assert all(set(t[a:b]) <= set(host) for a, b, _ in ends if "://" not in t[a:b])
+    borders = [m.start() for m in S.SCOPE.finditer(t)]
+    scope = lambda x: sum(b < x[0] for b in borders)
+    out = []
+    for x in ids + keys + ends:
+        mates = [y for y in ids + keys + ends + base if y != x and scope(y) == scope(x)]
+        has_id = any(y[2] in ("id", "access") for y in mates)
+        has_key = any(y[2] in ("key", "assign", "hex") for y in mates)
+        good = {"id": has_key, "key": has_id or any(y[2] == "endpoint" for y in mates), "endpoint": has_id and has_key}[x[2]]
+        if good and not any(a < x[1] and x[0] < b for a, b, _ in base):
+            out.append(x)
+    return sorted(out)
+
+
+def test_linked_spans_against_every_pair():
+    rng = np.random.default_rng(7)
+    parts = ["client_id=acme-7788", "Zx9" + "aB3dE5" * 4, "https://db.example/api", "s3.eu.amazonaws.com", "-.x.amazonaws.com.b.amazonaws.com-", "AKIA" + "B" * 16, "AKIA12345678", "f" * 30, "token=" + "a" * 24 + ":" + "b" * 25, "token=" + " ".join(["0" * 24] * 4), "\n\n", "\n \t\n", "\n", "word", "user_id: 'abcdef12'"]
+    found = 0
+    for _ in range(400):
+        t = "".join(parts[k] + ("" if rng.random() < 0.2 else " ") for k in rng.integers(0, len(parts), int(rng.integers(1, 14))))
+        want = plain_linked(t)
+        assert sorted(S.linked_spans(t, S.base_spans(t))) == want, t
+        found += len(want)
+    assert found > 300
+    nested = "token=" + "0f" * 12 + "." + "1e" * 12 + "." + "a" * 400 + "client_id=acme-7788 " + "Zx9" + "aB3dE5" * 4
+    assert sorted(S.linked_spans(nested, S.base_spans(nested))) == plain_linked(nested)
+
+
+def test_long_runs_take_linear_time(spark):
+    import time
+
+    for run in ("a" * 1_000_000, "a.-" * 350_000, "AKIA" * 250_000, "token " * 170_000, "x.amazonaws.com" * 70_000, " " * 1_000_000, "\n" * 1_000_000, "client_id" * 100_000, "aB3" * 350_000):
+        t = run + " client_id=acme-7788 https://h/ " + "Zx9" + "aB3dE5" * 4 + " b.amazonaws.com"
+        began = time.perf_counter()
+        S.linked_spans(t, S.base_spans(t))
+        assert time.perf_counter() - began < 2, run[:12]
+    assert S.scan_secrets(spark.createDataFrame([], SCHEMA)).count() == 0
+
+
 def test_redaction_leaves_clean_text(docs):
     for r in docs.limit(50).collect():
         if not S.base_spans(r.text) and not S.linked_spans(r.text, []):
@@ -231,6 +280,58 @@ def test_crowded_region_keeps_the_links_of_its_depth(spark, monkeypatch):
     assert got == {i: c for i, (_, c) in exact_classes(rows, 3, 85).items()}
 
 
+def exact_crowd(texts, percent, n):
+    """Components of all links by products of 0/1 rows."""
+    from cfengine.llm.near_dedup import shingle_sets
+
+    sets = shingle_sets(texts, n)
+    _, inverse, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    owner, col = np.repeat(np.arange(len(sets)), [len(x) for x in sets]), np.cumsum(counts > 1) - 1
+    use = (counts > 1)[inverse]
+    m = np.zeros((len(sets), int((counts > 1).sum())), np.float32)
+    m[owner[use], col[inverse[use]]] = 1
+    size = np.array([len(x) for x in sets])
+    label = np.arange(len(sets))
+    linked = []
+    for a in range(0, len(sets), 500):
+        c = (m[a : a + 500] @ m.T).astype(np.int64)
+        linked.append(100 * c >= percent * (size[a : a + 500, None] + size[None, :] - c))
+    linked = np.concatenate(linked)
+    while True:  # every document takes the smallest label among its links
+        new = np.array([label[row].min() for row in linked])
+        if (new == label).all():
+            return label
+        label = new
+
+
+@pytest.mark.parametrize("kind", ["edits", "own"])
+def test_crowd_of_five_thousand_loses_no_link(spark, kind):
+    rng = np.random.default_rng(1)
+    if kind == "edits":
+        texts = []
+        for _ in range(5000):
+            t = [f"b{k}" for k in range(100)]
+            for k in rng.choice(100, int(rng.integers(1, 4)), replace=False):
+                t[k] = f"x{k}y{rng.integers(2)}"
+            texts.append(" ".join(t))
+    else:
+        base = " ".join(f"t{k}" for k in range(60))
+        texts = [" ".join([base, *(f"d{i}x{k}" for k in range(4))]) for i in range(5000)]
+    got = {r.doc_id: r.component_id for r in near_duplicates(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8)).collect()}
+    assert [got[i] for i in range(5000)] == exact_crowd(texts, 85, 3).tolist()
+
+
+def test_one_id_with_several_texts(spark):
+    base = " ".join(f"w{k}" for k in range(60))
+    rows = [(5, base), (5, "something else entirely " * 5), (7, base + " z"), (7, base + " z"), (9, "lonely words here"), (None, base)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted((str(r.doc_id), r.n_shingles, str(r.component_id)) for r in near_duplicates(df).collect())
+    assert got == sorted([("5", 58, "5"), ("5", 4, "5"), ("7", 59, "5"), ("7", 59, "5"), ("9", 1, "9"), ("None", 58, "None")])
+    for part in (1, 4):
+        left = sorted((str(r.doc_id), r.text) for r in one_of_each(df.repartition(part), 85, 3).collect())
+        assert [i for i, _ in left] == ["5", "9", "None"] and left == sorted((str(r.doc_id), r.text) for r in one_of_each(df, 85, 3).collect())
+
+
 def test_one_of_each(docs):
     want = {c for _, c in exact_classes([(r.doc_id, r.text) for r in docs.collect()], 5, 80).values()}
     out = one_of_each(docs, 80, 5)
@@ -280,6 +381,34 @@ def spark_sums(mix):
     return {r.source: r.n for r in mix.groupBy("source").agg(F.sum("taken").alias("n")).collect()}
 
 
+def shares_by_hand(sizes, weights):
+    """Targets by pouring a little at a time into every source that is not yet full."""
+    total, out = sum(sizes), [0.0] * len(sizes)
+    steps = 20_000
+    for _ in range(steps):
+        open_ = [k for k, s in enumerate(sizes) if out[k] < 3 * s - 1e-9]
+        for k in open_:
+            out[k] += total / steps * weights[k] / sum(weights[j] for j in open_)
+    return out
+
+
+def test_targets_against_pouring():
+    rng = np.random.default_rng(2)
+    for _ in range(10):
+        sizes = [int(x) for x in rng.choice([0, 3, 10, 50, 1000], 5)]
+        weights = [(1, 2, 3)[k % 3] for k in range(5)]
+        if sum(sizes):
+            assert M.targets(sizes, weights, sum(sizes)) == pytest.approx(shares_by_hand(sizes, weights), abs=max(1, sum(sizes)) / 500)
+
+
+def test_order_of_repeated_ids(spark):
+    df = spark.createDataFrame([(k % 3 if k % 4 else None, "w " * (k + 1), "s") for k in range(24)], "doc_id long, text string, source string")
+    mix = M.plan_mix(df)
+    one = [(r.doc_id, r.text, r.position) for r in M.training_order(df, mix).collect()]
+    two = [(r.doc_id, r.text, r.position) for r in M.training_order(df.repartition(5), M.plan_mix(df.repartition(3))).collect()]
+    assert sorted(map(str, one)) == sorted(map(str, two))
+
+
 def test_targets_reshare_what_caps_leave():
     assert M.targets([10, 1000], [1, 1], 1010) == [30.0, 980.0]
     assert sum(M.targets([5, 5, 90], [3, 3, 1], 100)) == pytest.approx(100)
@@ -432,6 +561,27 @@ def test_neighbours(spark, sf):
     assert hit / n >= 0.9
 
 
+def test_index_of_several_blocks(spark):
+    """20,000 vectors in ten blocks, found again from an index that was written once."""
+    rng = np.random.default_rng(3)
+    n, width = 20_000, 32
+    centres = rng.normal(size=(200, width))
+    x = (centres[rng.integers(0, 200, n)] + 0.5 * rng.normal(size=(n, width))).astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>").repartition(8)
+    unit = x.astype(float) / np.linalg.norm(x.astype(float), axis=1, keepdims=True)
+    rows = collections.defaultdict(dict)
+    for r in nearest_neighbours(df, every=200, block=2000).collect():
+        rows[r.query_id][r.rank] = (r.vec_id, r.score)
+    hit = 0
+    for q in range(0, n, 200):
+        s = unit @ unit[q]
+        s[q] = -9
+        best = np.lexsort((np.arange(n), -s))[:5]
+        hit += len(set(best.tolist()) & {v for v, _ in rows[q].values()})
+        assert all(abs(s[v] - score) < 1e-9 for v, score in rows[q].values())
+    assert hit / (5 * len(rows)) >= 0.9 and len(rows) == 100
+
+
 def test_neighbours_on_awkward_vectors(spark):
     rows = [(0, [1.0, 0.0], 1), (1, [1.0, 0.0], 1), (2, [2.0, 0.0], 1), (3, [0.0, 0.0], 1), (4, None, 1), (5, [1.0, None], 1), (6, [float("nan"), 1.0], 1), (50, [0.0, 1.0], 1), (7, [float("inf"), 1.0], 1), (8, [1.0], 1)]
     df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, rank int")
@@ -460,6 +610,64 @@ def test_quality_model(spark, sf, docs, odd, empty):
     assert quality_scores(empty, labels).count() == 0
 
 
+def test_context_vectors_and_pooling_against_loops(spark):
+    """Neighbours' random vectors summed token by token, and means of unit vectors text by text."""
+    from cfengine.llm import quality_model as QM
+
+    texts = ["The cat sat on the mat. THE CAT", "a b", "one", "", None, "x1 y2 -- x1 y2 ?!", "é ü 3.5 é"]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    word, form, offsets = QM.token_ids(texts)
+    table = np.zeros((QM.TOKENS, QM.DIM))
+    for a, b in zip(offsets[:-1], offsets[1:], strict=True):
+        for k in range(a, b):
+            for j in (k - 1, k + 1):
+                if a <= j < b:
+                    for own in (word[k], form[k]):
+                        for other in (word[j], form[j]):
+                            for d in range(2):
+                                table[own, QM._AT[other, d]] += QM._SIGN[other, d]
+    table -= table.sum(0) / max(1.0, np.abs(table).sum()) * np.abs(table).sum(1, keepdims=True)
+    table /= np.maximum(np.linalg.norm(table, axis=1, keepdims=True), 1e-9)
+    got = QM.context_vectors(df)
+    assert np.allclose(got, table, atol=1e-5)
+    pooled = QM.pool(texts, got)
+    for n, (a, b) in enumerate(zip(offsets[:-1], offsets[1:], strict=True)):
+        want = np.zeros(QM.FEATURES)
+        if b > a:
+            for at, ids in ((0, word), (1, form)):
+                mean = got[ids[a:b]].mean(0)
+                want[at * QM.DIM : (at + 1) * QM.DIM], want[2 * QM.DIM + at] = mean, mean @ mean
+        want[-1] = np.log1p(b - a) / 10
+        assert np.allclose(pooled[n], want, atol=1e-5)
+
+
+def test_network_gradient_and_temperature():
+    from cfengine.llm.quality_model import Network
+
+    rng = np.random.default_rng(0)
+    x = rng.normal(size=(600, 6))
+    y = (x[:, 0] * x[:, 1] + 0.3 * rng.normal(size=600) > 0).astype(float)
+    net = Network().fit(x, y, epochs=80)
+    p = net.predict(x)
+    assert np.mean((p > 0.5) == y) > 0.85
+    s = np.log(p / (1 - p)) * net.temperature
+    loss = lambda t: np.mean(np.logaddexp(0, s / t) - y * s / t)
+    assert 0.25 <= net.temperature <= 8 and np.isfinite(loss(net.temperature))
+    one = Network().fit(x, np.ones(600), epochs=5).predict(x)
+    assert (one > 0.5).all()
+
+
+def test_quality_on_held_out_documents(spark):
+    """Area under the curve over labelled rows that training did not see, and a sample bound that binds."""
+    sf = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    y = {r.doc_id: r.quality for r in labels.collect()}
+    for sample, least in ((20_000, 0.9), (100, 0.75)):
+        rows = [(r.score, y[r.doc_id]) for r in quality_scores(docs, labels, sample).collect() if r.held_out and r.doc_id in y]
+        good, bad = ([s for s, v in rows if v == k] for k in (1, 0))
+        assert np.mean([(a > b) + 0.5 * (a == b) for a in good for b in bad]) > least
+
+
 def test_language_model(docs, odd, empty):
     for df in (docs, odd):
         train = collections.Counter()
@@ -479,22 +687,61 @@ def test_language_model(docs, odd, empty):
     assert H.hmm_scores(empty, 1).count() == 0
 
 
-def test_forward_and_counts_against_all_paths():
+def test_forward_and_counts_against_all_paths(monkeypatch):
+    """Texts of one, two and five tokens, cut into segments of two: every path, one by one."""
     import itertools
 
-    start, trans, _ = H._start()
+    monkeypatch.setattr(H, "SEGMENT", 2)
     rng = np.random.default_rng(2)
-    emit = rng.random((H.STATES, H.CLASSES))
-    seq = np.array([3, 9, 3])
-    p, occupied = 0.0, np.zeros(H.STATES)
-    for path in itertools.product(range(H.STATES), repeat=3):
-        q = start[path[0]] * emit[path[0], 3] * trans[path[0], path[1]] * emit[path[1], 9] * trans[path[1], path[2]] * emit[path[2], 3]
-        p += q
-        occupied[path[0]] += q
-    got = H.forward_log10(np.concatenate((seq, seq[:1])), np.array([0, 3, 4]), start, trans, emit)
-    assert got[0] == pytest.approx(math.log10(p))
-    s, t, e = H.expected_counts(*H._runs(seq, np.array([0, 3])), start, trans, emit)
-    assert s == pytest.approx(occupied / p, rel=1e-4) and t.sum() == pytest.approx(2, rel=1e-4) and e.sum() == pytest.approx(3, rel=1e-4)
+    states, size = 3, 7
+    start, trans, table = rng.dirichlet(np.ones(states)), rng.dirichlet(np.ones(states), states), rng.random((size, states))
+    texts = [np.array([3]), np.array([3, 5]), np.array([1, 6, 1, 0, 2])]
+    offsets = np.concatenate(([0], np.cumsum([len(t) for t in texts])))
+    likes, c_start, c_trans, c_emit = [], np.zeros(states), np.zeros((states, states)), np.zeros((size, states))
+    for t in texts:
+        paths = {}
+        for path in itertools.product(range(states), repeat=len(t)):
+            q = start[path[0]] * table[t[0], path[0]]
+            for k in range(1, len(t)):
+                q *= trans[path[k - 1], path[k]] * table[t[k], path[k]]
+            paths[path] = q
+        total = sum(paths.values())
+        likes.append(math.log10(total))
+        for path, q in paths.items():
+            c_start[path[0]] += q / total
+            for k, s in enumerate(path):
+                c_emit[t[k], s] += q / total
+                if k:
+                    c_trans[path[k - 1], s] += q / total
+    codes = np.concatenate(texts)
+    assert H.forward_log10(codes, offsets, start, trans, table) == pytest.approx(likes)
+    s, t, e, like = H.expected_counts(codes, offsets, start, trans, table)
+    assert s == pytest.approx(c_start, rel=1e-4) and np.allclose(t, c_trans, rtol=1e-4) and np.allclose(e, c_emit, atol=1e-5)
+    assert like / math.log(10) == pytest.approx(sum(likes), rel=1e-5)
+
+
+def test_segments_change_nothing(monkeypatch):
+    rng = np.random.default_rng(4)
+    start, trans, table = rng.dirichlet(np.ones(4)), rng.dirichlet(np.ones(4), 4), rng.random((50, 4)) ** 3 / 100
+    offsets = np.concatenate(([0], np.cumsum(rng.integers(1, 900, 12))))
+    codes = rng.integers(0, 50, offsets[-1])
+    got = []
+    for size in (7, 256, 4096):
+        monkeypatch.setattr(H, "SEGMENT", size)
+        got.append((H.forward_log10(codes, offsets, start, trans, table), *H.expected_counts(codes, offsets, start, trans, table)[:3]))
+    for other in got[:2]:
+        assert all(np.allclose(a, b, rtol=2e-3, atol=1e-3) for a, b in zip(other, got[2], strict=True))
+
+
+def test_blocks_share_their_counts(spark, docs):
+    """The same texts in one block and in nine: a word of every block has one count, and the model is the same."""
+    one = {r.doc_id: r for r in H.hmm_scores(docs.coalesce(1), 3).collect()}
+    nine = {r.doc_id: r for r in H.hmm_scores(docs.repartition(9), 3).collect()}
+    assert one.keys() == nine.keys()
+    for i, a in one.items():
+        b = nine[i]
+        assert (a.n_tokens, a.n_known, a.train_tokens) == (b.n_tokens, b.n_known, b.train_tokens)
+        assert a.base_score == pytest.approx(b.base_score) and a.score == pytest.approx(b.score, rel=1e-3)
 
 
 # --- pipeline ---------------------------------------------------------------
@@ -514,3 +761,21 @@ def test_pipeline(spark, sf, docs):
             assert out.count() == d.count() and S.scan_secrets(out).agg(F.sum("n_hex")).first()[0] == 0
         d = out
     assert d.count() == C.run(spark, sf).count() > 0
+
+
+def test_stages_on_awkward_rows(spark, sf, docs, odd, empty):
+    """Nulls, blanks, repeated ids and columns with clashing names go through every stage; no row comes from nowhere."""
+    import corpus_pipeline as C
+
+    for df in (odd, empty):
+        d = df
+        for name, stage in C.STAGES:
+            out = stage(spark, d, sf).cache()
+            if name != "packing":
+                assert out.columns == df.columns
+            if name in ("quality_rules", "near_dedup"):
+                assert out.count() <= d.count()
+            if name == "secret_scan":
+                assert out.count() == d.count()
+            d = out
+            d.count()
