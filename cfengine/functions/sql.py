@@ -12,8 +12,12 @@ stay in generated code.
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
 from ..shipping import ship
 from .mix import P
@@ -48,18 +52,39 @@ class NegativeDraws:
 
 @udtf(returnType="slot int, idx long")
 class TileSlots:
-    """slot, idx: the tile that a worker holds after a number of refreshes."""
+    """slot, idx: the tile that a worker holds after a number of refreshes, without repeats."""
 
     def eval(self, seed: int, worker: int, refresh: int, tile: int, items: int):
         if None in (seed, worker, refresh, tile, items) or items < 1:
             return
-        for slot in range(tile):
-            yield slot, fold(seed, worker, refresh, slot) % items
+        step = 1 + fold(seed, fold(seed + 2, worker, refresh) % 64) % items
+        while math.gcd(step, items) != 1:
+            step += 1
+        first = fold(seed + 1, worker, refresh) % items
+        for slot in range(min(tile, items)):
+            yield slot, (first + step * slot) % items
+
+
+def cosine_arrow(a: pd.Series, b: pd.Series) -> pd.Series:
+    """The cosine of whole batches of vectors of one length, for plans that are in Python anyway."""
+    x, y = np.stack(a.to_numpy()).astype(float), np.stack(b.to_numpy()).astype(float)
+    under = np.sqrt((x * x).sum(1) * (y * y).sum(1))
+    return pd.Series(np.divide((x * y).sum(1), under, out=np.zeros(len(x)), where=under > 0))
+
+
+def sum_vec(v: pd.Series) -> np.ndarray:
+    """Element-wise sum of a group's vectors. A group is gathered; relational.combine_gradients adds up before the shuffle."""
+    return np.sum(np.stack(v.to_numpy()).astype(float), axis=0).tolist()
 
 
 def register(spark: SparkSession) -> None:
-    """Adds the functions to the session, under the names above."""
+    """Adds the functions to the session, under the names above, and the data source planted."""
+    from ..sources.tables import PlantedSource
+
     ship(spark)
+    spark.dataSource.register(PlantedSource)
+    spark.udf.register("cosine_arrow", pandas_udf(cosine_arrow, "double"))
+    spark.udf.register("sum_vec", pandas_udf(sum_vec, "array<double>"))
     for name, body in MACROS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}{body}")
     spark.udtf.register("negative_draws", NegativeDraws)

@@ -965,6 +965,99 @@ def _(spark, d):
     return table(spark, d, "events").withColumn("grp", F.col("user_id") % 3).cube("event_type", "grp").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("rollup_types", "SELECT event_type, CAST(user_id % 3 AS BIGINT) AS grp, CAST(GROUPING(event_type, user_id % 3) AS BIGINT) AS level, count(*) AS n FROM events GROUP BY ROLLUP (event_type, user_id % 3)")
+def _(spark, d):
+    e = table(spark, d, "events").withColumn("grp", F.col("user_id") % 3)
+    return e.rollup("event_type", "grp").agg(F.grouping_id().cast("long").alias("level"), F.count(F.lit(1)).alias("n"))
+
+
+@query("unpivot_prices", "UNPIVOT (SELECT p_partkey AS id, CAST(p_size AS DOUBLE) AS size, p_retailprice AS price FROM part) ON size, price INTO NAME metric VALUE value")
+def _(spark, d):
+    p = table(spark, d, "part").select(F.col("p_partkey").alias("id"), F.col("p_size").cast("double").alias("size"), F.col("p_retailprice").alias("price"))
+    return p.unpivot("id", ["size", "price"], "metric", "value")
+
+
+@query("stratified_pairs", f"SELECT user_id, item_id FROM {W1} JOIN customer ON c_custkey = user_id WHERE {mix_sql(3, 'user_id', 'item_id')} % 1000000 < CASE c_mktsegment WHEN 'BUILDING' THEN 500000 WHEN 'MACHINERY' THEN 100000 ELSE 0 END")
+def _(spark, d):
+    """Half of one segment's pairs and a tenth of another's."""
+    j = w1(spark, d).join(table(spark, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_mktsegment"), "user_id")
+    return S.stratified(j, "c_mktsegment", {"BUILDING": 0.5, "MACHINERY": 0.1}, ["user_id", "item_id"]).select("user_id", "item_id")
+
+
+@query("sketches_near_exact", f"SELECT 'users' AS what, true AS near UNION ALL SELECT 'items', true UNION ALL SELECT 'median', true UNION ALL SELECT 'frequent', true")
+def _(spark, d):
+    """Sketches of the pairs against exact counts: distinct ids within 5%, the median degree within
+    one, and the most frequent item's count not below the true one."""
+    pairs = Cuts(spark).cut(w1(spark, d).select("user_id", "item_id"))
+    one = pairs.agg(*[F.abs(F.hll_sketch_estimate(F.hll_sketch_agg(c, F.lit(12))) - F.countDistinct(c)) / F.countDistinct(c) for c in ("user_id", "item_id")]).first()
+    degree = pairs.groupBy("item_id").agg(F.count(F.lit(1)).alias("n"))
+    mid = degree.agg(F.percentile_approx("n", F.lit(0.5), F.lit(1000)).alias("a"), F.percentile("n", F.lit(0.5)).alias("b")).first()
+    top = degree.orderBy(F.desc("n"), "item_id").first()
+    kept = pairs.agg(F.expr("approx_top_k(item_id, 1, 4096)").alias("t")).first().t
+    rows = [("users", one[0] < 0.05), ("items", one[1] < 0.05), ("median", abs(mid.a - mid.b) <= 1), ("frequent", kept[0]["count"] >= top.n)]
+    return spark.createDataFrame([(a, bool(b)) for a, b in rows], "what string, near boolean")
+
+
+@query("lateral_top_items", f"SELECT n.n_name, t.item_id, t.n FROM nation n, LATERAL (SELECT item_id, count(*) AS n FROM {W1} JOIN customer ON c_custkey = user_id WHERE c_nationkey = n.n_nationkey GROUP BY 1 ORDER BY n DESC, item_id LIMIT 3) t")
+def _(spark, d):
+    """The three most bought items of every nation, as a correlated subquery."""
+    bought = w1(spark, d).join(table(spark, d, "customer").select(F.col("c_custkey").alias("user_id"), "c_nationkey"), "user_id").groupBy("c_nationkey", "item_id").agg(F.count(F.lit(1)).alias("n"))
+    top = bought.where(F.col("c_nationkey") == F.col("n_nationkey").outer()).orderBy(F.desc("n"), "item_id").limit(3).select("item_id", "n")
+    return table(spark, d, "nation").lateralJoin(top).select("n_name", "item_id", "n")
+
+
+@query("active_buyers", f"SELECT c_custkey AS user_id FROM customer WHERE EXISTS (SELECT 1 FROM {W1} WHERE user_id = c_custkey) AND c_acctbal > (SELECT avg(c_acctbal) FROM customer)")
+def _(spark, d):
+    """Customers with a purchase and more than the average balance: exists and a scalar subquery."""
+    customer = table(spark, d, "customer")
+    bought = w1(spark, d).where(F.col("user_id") == F.col("c_custkey").outer())
+    mean = customer.agg(F.avg("c_acctbal"))
+    return customer.where(bought.exists() & (F.col("c_acctbal") > mean.scalar())).select(F.col("c_custkey").alias("user_id"))
+
+
+_CALENDAR = "WITH RECURSIVE days(day) AS (SELECT CAST(min(o_orderdate) AS DATE) FROM orders UNION ALL SELECT CAST(day + INTERVAL 1 YEAR AS DATE) FROM days WHERE day < (SELECT CAST(max(o_orderdate) AS DATE) FROM orders))"
+
+
+@query("yearly_calendar", _CALENDAR + " SELECT day, (SELECT count(*) FROM orders WHERE CAST(o_orderdate AS DATE) >= day AND CAST(o_orderdate AS DATE) < CAST(day + INTERVAL 1 YEAR AS DATE)) AS n FROM days")
+def _(spark, d):
+    """Orders of every year after the first order's day, years without one too: a recursive table and a join on it."""
+    table(spark, d, "orders").createOrReplaceTempView("cf_orders")
+    days = spark.sql("WITH RECURSIVE days(day) AS (SELECT CAST(min(o_orderdate) AS DATE) FROM cf_orders UNION ALL SELECT CAST(day + INTERVAL 1 YEAR AS DATE) FROM days WHERE day < (SELECT CAST(max(o_orderdate) AS DATE) FROM cf_orders)) SELECT day, CAST(day + INTERVAL 1 YEAR AS DATE) AS until FROM days")
+    counts = spark.sql("SELECT CAST(o_orderdate AS DATE) AS on_day, count(*) AS c FROM cf_orders GROUP BY 1")
+    hit = (F.col("on_day") >= F.col("day")) & (F.col("on_day") < F.col("until"))
+    return days.join(counts, hit, "left").groupBy("day").agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"))
+
+
+@query("sim_cosine_arrow", ORACLES["sim_cosine"])
+def _(spark, d):
+    """The cosine as an Arrow function registered for SQL."""
+    from .functions import sql
+
+    sql.register(spark)
+    _emb_pairs(ship(spark), d).createOrReplaceTempView("cf_emb_pairs")
+    return spark.sql("SELECT a, b, round(cosine_arrow(s, t), 9) AS x FROM cf_emb_pairs")
+
+
+@query("sum_vec_by_label", "SELECT CAST(label AS BIGINT) AS label, k, round(sum(CAST(embedding[k + 1] AS DOUBLE)), 6) AS v FROM embeddings, range(64) r(k) GROUP BY 1, 2")
+def _(spark, d):
+    """Vectors summed by a grouped aggregate function."""
+    from .functions import sql
+
+    sql.register(spark)
+    table(ship(spark), d, "embeddings").createOrReplaceTempView("cf_embeddings")
+    rows = spark.sql("SELECT label, sum_vec(embedding) AS v FROM cf_embeddings GROUP BY label")
+    return rows.select(F.col("label").cast("long").alias("label"), F.posexplode("v").alias("k", "v")).select("label", F.col("k").cast("long").alias("k"), F.round("v", 6).alias("v"))
+
+
+@query("planted_source", f"SELECT u AS user_id, i AS item_id FROM range(200) a(u), range(100) b(i) WHERE {mix_sql(5, 'u', 'i')} < CASE WHEN u % 10 = i % 10 THEN {int(0.4 * P)} ELSE {int(0.004 * P)} END")
+def _(spark, d):
+    """Pairs with known communities from the engine's own data source."""
+    from .functions import sql
+
+    sql.register(spark)
+    return spark.read.format("planted").options(users="200", items="100").load()
+
+
 @query("pivot_types", "SELECT user_id, count(*) FILTER (event_type = 'view') AS views, count(*) FILTER (event_type = 'click') AS clicks, count(*) FILTER (event_type = 'purchase') AS purchases FROM events GROUP BY 1")
 def _(spark, d):
     p = table(spark, d, "events").groupBy("user_id").pivot("event_type", ["view", "click", "purchase"]).count().na.fill(0)
@@ -1011,9 +1104,66 @@ def _(spark, d):
     return streams.sessions(table(spark, d, "events")).groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.max("n").alias("longest"))
 
 
+def _as_stream(spark, d, again: bool = False) -> DataFrame:
+    """The events as files in order of time, read as a stream of three batches; again: a tenth of them twice."""
+    at = f"{Cuts(ship(spark)).base}/events"
+    e = table(spark, d, "events")
+    ends = e.agg(F.unix_micros(F.min("ts").cast("timestamp")).alias("a"), F.unix_micros(F.max("ts").cast("timestamp")).alias("b")).first()
+    third = F.least(F.lit(2), F.floor((F.unix_micros(F.col("ts").cast("timestamp")) - F.lit(ends.a)) * 3 / F.lit(max(1, ends.b - ends.a))))
+    for k in range(3):  # one after another, since a stream takes files in the order of their making
+        e.where(third == k).coalesce(1).write.mode("append").parquet(at)
+    if again:
+        e.where(F.col("event_id") % 10 == 0).coalesce(1).write.mode("append").parquet(at)
+    return streams.read_events(spark, at, e.schema, 10 if again else 1)
+
+
+def _replayed(spark, stream: DataFrame, mode: str = "append") -> DataFrame:
+    return streams.replay(stream, f"{Cuts(spark).base}/replay", mode)
+
+
+@query("stream_ingest", "SELECT event_id, user_id, event_type FROM events")
+def _(spark, d):
+    """A tenth of the events comes twice, and is taken once."""
+    return _replayed(spark, streams.ingest(_as_stream(spark, d, True))).select("event_id", "user_id", "event_type")
+
+
+@query("stream_view_purchase", "SELECT v.event_id AS view_id, p.event_id AS purchase_id FROM events v JOIN events p ON p.user_id = v.user_id AND p.ts >= v.ts AND p.ts <= v.ts + INTERVAL 1 HOUR WHERE v.event_type = 'view' AND p.event_type = 'purchase'")
+def _(spark, d):
+    """Two streams joined within an hour."""
+    return _replayed(spark, streams.views_to_purchases(_as_stream(spark, d), _as_stream(spark, d))).select("view_id", "purchase_id")
+
+
+_EVENT_ITEM = "SELECT user_id, CAST(json_extract(props, '$.k') AS BIGINT) AS item_id FROM events WHERE json_extract(props, '$.k') IS NOT NULL"
+
+
+@query("stream_scores", f"SELECT user_id, item_id, round(list_dot_product(s, t) / sqrt(list_dot_product(s, s) * list_dot_product(t, t)), 9) AS score FROM (SELECT user_id, item_id, {vec_sql(1, 'user_id', 8)} AS s, {vec_sql(2, 'item_id', 8)} AS t FROM ({_EVENT_ITEM}))")
+def _(spark, d):
+    """A model's scores of the events of a stream."""
+    cuts, pairs = Cuts(spark), workload(spark, d, "events", types=("view", "click", "purchase", "signup", "error"))
+    rows = lambda side, seed: cuts.cut(pairs.select(F.col(side).alias("id")).distinct().withColumn("vec", V.init_vector(seed, "id", 8)))
+    scored = streams.score_stream(_as_stream(spark, d), rows("user_id", 1), rows("item_id", 2))
+    return _replayed(spark, scored).select("user_id", "item_id", F.round("score", 9).alias("score"))
+
+
+@query("stream_history", "SELECT user_id, string_agg(item_id, ',' ORDER BY n) AS hist FROM (SELECT user_id, CAST(json_extract(props, '$.k') AS BIGINT) AS item_id, row_number() OVER (PARTITION BY user_id ORDER BY ts DESC, event_id DESC) AS n FROM events WHERE json_extract(props, '$.k') IS NOT NULL) WHERE n <= 20 GROUP BY 1")
+def _(spark, d):
+    """What a stream's state holds after its last batch."""
+    rows = _replayed(spark, streams.rolling_history(_as_stream(spark, d), 20), "update")
+    last = rows.groupBy("user_id").agg(F.max_by("hist", "batch").alias("hist"))
+    return last.select("user_id", F.array_join(F.col("hist").cast("array<string>"), ",").alias("hist"))
+
+
+@query("stream_popularity", "SELECT date_trunc('day', ts) AS day, CAST(json_extract(props, '$.k') AS BIGINT) AS item_id, count(*) AS n FROM events WHERE json_extract(props, '$.k') IS NOT NULL GROUP BY 1, 2")
+def _(spark, d):
+    """Daily counts in update mode: the last count of each window is the batch's."""
+    rows = _replayed(spark, streams.popularity(_as_stream(spark, d), "1 day"), "update")
+    last = rows.groupBy("start", "item_id").agg(F.max_by("n", "batch").alias("n"))
+    return last.select(F.col("start").cast("timestamp_ntz").alias("day"), "item_id", "n")
+
+
 # --- training (rows only) and its invariants -------------------------------
 
-SMALL = TrainConfig(dim=16, negatives=8, epochs=1, tile=128, refresh=512, plan="rotate", blocks=4, lr=0.05)
+SMALL = TrainConfig(dim=16, negatives=8, epochs=1, tile=128, refresh=512, plan="rotate", blocks=4, lr=0.05)  # four blocks, so that rotation has turns at every size
 
 
 @query("rotation_cover", f"SELECT count(*) AS pairs, count(DISTINCT (user_id, item_id)) AS distinct_pairs, CAST(0 AS BIGINT) AS shared FROM {W1}")

@@ -139,6 +139,14 @@ def split_holdout(pairs: DataFrame, mode: str = "hash", frac: float = 0.2, seed:
     raise ValueError(mode)
 
 
+def stratified(rows: DataFrame, column: str, shares: dict, keys: list[str], seed: int = 3) -> DataFrame:
+    """A share of the rows of each stratum, drawn from keys alone; strata without a share give none."""
+    share = F.lit(0)
+    for value, part in shares.items():
+        share = F.when(F.col(column) == value, F.lit(int(part * 1_000_000))).otherwise(share)
+    return rows.where(mix(seed, *keys) % 1_000_000 < share)
+
+
 def user_history(pairs: DataFrame, max_len: int = 100) -> DataFrame:
     """user_id, hist: items newest first, at most max_len; the cut comes before items are gathered."""
     n = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("ts"), F.desc("item_id")))

@@ -4,12 +4,60 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
+from ..functions.mix import P, mix, mix_py
 from .feedback import implicit_pairs
 
 FORMATS = ("parquet", "orc", "json", "csv")
 
 
+def read_text_pairs(spark: SparkSession, at: str, separator: str = "\t") -> DataFrame:
+    """Implicit pairs from text lines of a user and an item; lines that are not two whole numbers are left out."""
+    parts = F.split("value", separator, 2)
+    rows = spark.read.text(at).select(parts.alias("p")).select(F.expr("try_cast(trim(p[0]) AS bigint)").alias("u"), F.expr("try_cast(trim(get(p, 1)) AS bigint)").alias("i"))
+    return implicit_pairs(rows, "u", "i")
+
+
+def rate_pairs(spark: SparkSession, rows_a_second: int, users: int, items: int, seed: int = 3) -> DataFrame:
+    """A stream of drawn pairs with their times, for load tests."""
+    source = spark.readStream.format("rate").option("rowsPerSecond", rows_a_second).load()
+    return source.select((mix(seed, "value") % users).alias("user_id"), (mix(seed + 1, "value") % items).alias("item_id"), F.col("timestamp").alias("ts"))
+
+
+class PlantedSource(DataSource):
+    """spark.read.format('planted'): pairs with known communities, one partition a range of users.
+    Options: users, items, blocks, inside, outside, seed, partitions. The rows are those of feedback.planted."""
+
+    @classmethod
+    def name(cls) -> str:
+        return "planted"
+
+    def schema(self) -> str:
+        return "user_id long, item_id long"
+
+    def reader(self, schema) -> DataSourceReader:
+        return PlantedReader({k: float(self.options.get(k, v)) for k, v in (("users", 1000), ("items", 500), ("blocks", 10), ("inside", 0.4), ("outside", 0.004), ("seed", 5), ("partitions", 4))})
+
+
+class PlantedReader(DataSourceReader):
+    def __init__(self, options: dict[str, float]):
+        self.o = options
+
+    def partitions(self):
+        n, users = max(1, int(self.o["partitions"])), int(self.o["users"])
+        return [InputPartition((users * k // n, users * (k + 1) // n)) for k in range(n)]
+
+    def read(self, partition):
+        lo, hi = partition.value
+        items, blocks, seed = int(self.o["items"]), int(self.o["blocks"]), int(self.o["seed"])
+        near, far = int(self.o["inside"] * P), int(self.o["outside"] * P)
+        for u in range(lo, hi):
+            for i in range(items):
+                if mix_py(seed, u, i) < (near if u % blocks == i % blocks else far):
+                    yield u, i
+
+
 def read_pairs(spark: SparkSession, at: str, user: str, item: str, ts: str | None = None, fmt: str = "parquet") -> DataFrame:
     """Implicit pairs from a path, or from a catalog table with fmt='table'. Text formats get a schema of
     just the named columns, so nothing is inferred; ids that are no numbers are an error."""

@@ -60,22 +60,57 @@ def views_to_purchases(events_a: DataFrame, events_b: DataFrame, delay: str = DE
     return v.join(p, (F.col("vu") == F.col("user_id")) & (F.col("ts") >= F.col("vts")) & (F.col("ts") <= F.col("vts") + F.expr("interval 1 hour"))).select("view_id", "purchase_id")
 
 
-def rolling_history(events: DataFrame, max_len: int = 100) -> DataFrame:
-    """user_id, hist: the latest items of each user as a batch grows; state is one bounded list a user."""
+def rolling_history(events: DataFrame, max_len: int = 100, idle: str | None = None, delay: str = DELAY) -> DataFrame:
+    """user_id, hist: the latest items of each user as a batch grows; state is one bounded list a user. idle: a user
+    whose latest event the watermark has left so far behind ('30 days') is forgotten."""
     import pandas as pd
     from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-    e = timed(events).withColumn("item_id", F.get_json_object("props", "$.k").cast("long")).where("item_id is not null").select("user_id", "ts", "event_id", "item_id")
+    e = timed(events).withColumn("item_id", F.get_json_object("props", "$.k").cast("long")).where("item_id is not null")
+    if idle is not None:
+        e = e.withWatermark("ts", delay)
+    e = e.select("user_id", "ts", F.unix_micros("ts").alias("at"), "event_id", "item_id")
+    keep_ms = None if idle is None else int(pd.Timedelta(idle).total_seconds() * 1000)
 
     def update(key, frames, state: GroupState):
+        if state.hasTimedOut:
+            state.remove()
+            return
         old = list(zip(*state.get, strict=True)) if state.exists else []
         for pdf in frames:
-            old += list(zip((t.value // 1000 for t in pdf["ts"]), pdf["event_id"], pdf["item_id"], strict=True))
+            old += list(zip(pdf["at"], pdf["event_id"], pdf["item_id"], strict=True))
         old = sorted(old, key=lambda x: (x[0], x[1]), reverse=True)[:max_len]
         state.update(tuple([int(x[k]) for x in old] for k in range(3)))
+        if keep_ms is not None:
+            state.setTimeoutTimestamp(max(int(old[0][0]) // 1000 + keep_ms, state.getCurrentWatermarkMs() + 1))
         yield pd.DataFrame({"user_id": [key[0]], "hist": [[int(x[2]) for x in old]]})
 
-    return e.groupBy("user_id").applyInPandasWithState(update, "user_id long, hist array<long>", "ts array<long>, ids array<long>, items array<long>", "update", GroupStateTimeout.NoTimeout)
+    timeout = GroupStateTimeout.NoTimeout if idle is None else GroupStateTimeout.EventTimeTimeout
+    return e.groupBy("user_id").applyInPandasWithState(update, "user_id long, hist array<long>", "ats array<long>, ids array<long>, items array<long>", "update", timeout)
+
+
+def latest_items(events: DataFrame, max_len: int = 100) -> DataFrame:
+    """user_id, hist: what rolling_history holds in the end, from a batch."""
+    from pyspark.sql import Window as W
+
+    e = timed(events).withColumn("item_id", F.get_json_object("props", "$.k").cast("long")).where("item_id is not null")
+    n = F.row_number().over(W.partitionBy("user_id").orderBy(F.desc("ts"), F.desc("event_id")))
+    cut = e.withColumn("_n", n).where(F.col("_n") <= max_len)
+    return cut.groupBy("user_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("_n", "item_id"))), lambda x: x["item_id"]).alias("hist"))
+
+
+def replay(stream: DataFrame, path: str, mode: str = "append") -> DataFrame:
+    """Runs a stream over what its source holds now, batch by batch, and gives back every row it put out, with the
+    number of its batch. Rows and progress lie under path, in the folder that executors share."""
+    spark = stream.sparkSession
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.withColumn("batch", F.lit(number)).write.mode("overwrite").parquet(f"{path}/rows/part={number}")
+
+    q = stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", f"{path}/progress").trigger(availableNow=True).start()
+    q.awaitTermination()
+    schema = stream.schema.add("batch", "integer")
+    return spark.read.schema(schema).parquet(f"{path}/rows/part=*")
 
 
 def refresh_factors(events: DataFrame, cfg, start: DataFrame, path: str, checkpoint: str):

@@ -3,13 +3,22 @@ import pytest
 from pyspark.sql import functions as F
 
 from cfengine.operators import aggregate, predict, trainer
-from cfengine.operators.blocks import TrainConfig, block_epoch, with_options
+from cfengine.operators.blocks import Histories, TrainConfig, block_epoch, with_options
 from cfengine.operators.trainer import Model, fit
 from cfengine.sources.feedback import user_history, workload
 
 HIST = [np.array([0, 2, 5]), np.array([], np.int64), np.array([4]), np.array([1, 1, 3])]
 
 
+def pooled(hist, items, kind, users, params, away=None):
+    rows, lens = np.concatenate(hist).astype(np.int64), np.array([len(h) for h in hist])
+    return aggregate.pool(items[rows], rows, lens, kind, users, params, away)
+
+
+def histories(hist):
+    return Histories(np.concatenate(hist), np.concatenate(([0], np.cumsum([len(h) for h in hist]))))
+
+
 def _numeric(f, x, step=1e-6):
     out = np.zeros_like(x)
     for at in np.ndindex(*x.shape):
@@ -26,8 +35,8 @@ def test_gradients_equal_central_differences(kind):
     items, users, g = rng.normal(size=(6, 3)), rng.normal(size=(4, 3)), rng.normal(size=(4, 3))
     params = aggregate.first_params(kind, 3, 1)
     params = params + rng.normal(0, 0.3, params.shape)
-    value = lambda i, u, p: float((g * aggregate.pool(HIST, i, kind, u, p).vec).sum())
-    g_hist, g_user, g_att = aggregate.backward(aggregate.pool(HIST, items, kind, users, params), kind, g, params)
+    value = lambda i, u, p: float((g * pooled(HIST, i, kind, u, p).vec).sum())
+    g_hist, g_user, g_att = aggregate.backward(pooled(HIST, items, kind, users, params), kind, g, params)
     g_items = np.zeros_like(items)
     np.add.at(g_items, np.concatenate(HIST).astype(int), g_hist)
     assert np.allclose(g_items, _numeric(lambda x: value(x, users, params), items), atol=1e-6)
@@ -61,11 +70,11 @@ def test_histories_split_over_blocks_pool_like_whole_ones(kind):
     params = params + rng.normal(0, 0.8, params.shape)
     here, rest = [h[:k] for h, k in zip(HIST, (1, 0, 1, 0), strict=True)], [h[k:] for h, k in zip(HIST, (1, 0, 1, 0), strict=True)]
     away = _sums_away(rest, items, kind, users, params)
-    whole = aggregate.pool(HIST, items, kind, users, params)
-    split = aggregate.pool(here, items, kind, users, params, away)
+    whole = pooled(HIST, items, kind, users, params)
+    split = pooled(here, items, kind, users, params, away)
     assert np.allclose(split.vec, whole.vec)
     g_hist, g_user, g_att = aggregate.backward(split, kind, g, params)
-    value = lambda i, u, p: float((g * aggregate.pool(here, i, kind, u, p, away).vec).sum())
+    value = lambda i, u, p: float((g * pooled(here, i, kind, u, p, away).vec).sum())
     g_items = np.zeros_like(items)
     np.add.at(g_items, np.concatenate(here).astype(int), g_hist)
     assert np.allclose(g_items, _numeric(lambda x: value(x, users, params), items), atol=1e-6)
@@ -99,7 +108,7 @@ def test_cells_get_the_history_they_do_not_hold(spark, sf, kind):
 
 def test_empty_histories_pool_to_zero():
     for kind in aggregate.KINDS:
-        p = aggregate.pool([np.array([], np.int64)] * 2, np.ones((3, 4)), kind, np.ones((2, 4)), aggregate.first_params(kind, 4, 1))
+        p = pooled([np.array([], np.int64)] * 2, np.ones((3, 4)), kind, np.ones((2, 4)), aggregate.first_params(kind, 4, 1))
         assert (p.vec == 0).all() and p.vec.shape == (2, 4)
 
 
@@ -114,13 +123,46 @@ def test_engines_compute_the_same(kind):
         a, b, layer = users.copy(), items.copy(), None
         if kind:
             layer = aggregate.Layer(aggregate.first_params(kind, 4, 1), 2, base.lr)
-        c = block_epoch(a, b, u, i, u + 10, i + 20, with_options(base, engine=engine), 0, layer, HIST)
+        c = block_epoch(a, b, u, i, u + 10, i + 20, with_options(base, engine=engine), 0, layer, histories(HIST))
         assert (c.copied_bytes > 0) == (engine != "fused")
         out.append((a, b) if layer is None else (a, b, layer.w))
     for other in out[1:]:
         assert all(np.allclose(x, y) for x, y in zip(out[0], other, strict=True))
 
 
+@pytest.mark.parametrize("kind", [None, "average", "user_attention"])
+@pytest.mark.parametrize("loss", ["ccl", "mse", "bpr", "metric"])
+def test_a_buffered_tile_computes_what_the_matrix_does(kind, loss):
+    """Tiles of all items: the buffer, its products and its write-back against plain gathers of the same draws."""
+    rng = np.random.default_rng(2)
+    users, items = rng.normal(size=(9, 4)), rng.normal(size=(12, 4))
+    u, i = rng.integers(0, 4, 40), rng.integers(0, 12, 40)
+    base = TrainConfig(dim=4, negatives=3, batch=5, aggregator=kind, sync=2, loss=loss, similarity="cosine" if loss == "ccl" else "dot", tile=12, refresh=10)
+    out = []
+    for opts in ({}, {"writeback": "step"}, {"engine": "sparse"}, {"tile": 7}, {"tile": 7, "engine": "sparse"}, {"tile": 7, "tile_replace": True}, {"tile": 7, "tile_replace": True, "engine": "sparse"}):
+        cfg = with_options(base, **opts)
+        a, b, layer = users.copy(), items.copy(), None
+        if kind:
+            layer = aggregate.Layer(aggregate.first_params(kind, 4, 1), 2, base.lr)
+        c = block_epoch(a, b, u, i, u + 10, i + 20, cfg, 0, layer, histories([*HIST, *HIST, np.array([3])]))
+        out.append((a, b))
+        if cfg.engine == "fused":
+            assert c.tile_hits > 0 and c.tile_loads == 4 * cfg.tile
+    assert np.allclose(out[0][1], out[1][1]) and np.allclose(out[0][1], out[2][1]) and np.allclose(out[3][1], out[4][1])
+    assert np.isfinite(out[5][1]).all() and not np.allclose(out[5][1], items)
+
+
+def test_server_replicas_lag_and_arrive():
+    rng = np.random.default_rng(1)
+    x, g = rng.normal(size=(20, 3)), rng.normal(size=(20, 3))
+    local, server = aggregate.Layer(np.zeros((3, 3)), 4, 0.1), aggregate.ServerLayer(np.zeros((3, 3)), 4, 0.1, age=2)
+    local.add(x, g)
+    server.add(x, g)
+    assert not np.allclose(local.w, server.w) and server.writes == 3
+    server.finish()
+    assert np.allclose(local.w, server.w) and server.writes == local.writes == 5
+
+
 def test_parameters_survive_cells_epochs_and_files(spark, sf, tmp_path):
     pairs = workload(spark, sf, "orders")
     base = TrainConfig(dim=4, negatives=2, blocks=2, plan="rotate", aggregator="self_attention", history=5)
@@ -149,6 +191,6 @@ def test_aggregated_users_equal_the_kernels_rows(spark, sf, kind):
     u, t, h = users.toPandas(), items.toPandas(), {r.user_id: r.hist for r in hist.collect()}
     at = {k: n for n, k in enumerate(t["id"])}
     s = np.stack(u["vec"])
-    p = aggregate.pool([np.array([at[x] for x in h.get(k, [])], np.int64) for k in u["id"]], np.stack(t["vec"]), kind, s, params)
-    expected = 0.5 * s + 0.5 * (p.vec @ params[:4])
+    p = pooled([np.array([at[x] for x in h.get(k, [])], np.int64) for k in u["id"]], np.stack(t["vec"]), kind, s, params)
+    expected = cfg.gate * s + (1 - cfg.gate) * (p.vec @ params[:4])
     assert len(got) == len(u) and np.allclose([got[k] for k in u["id"]], expected)

@@ -75,3 +75,40 @@ def test_bucketed_factors_join_without_exchange(spark):
     finally:
         spark.sql("DROP TABLE factors_a")
         spark.sql("DROP TABLE factors_b")
+
+
+def test_text_lines_and_planted_source(spark, tmp_path):
+    from cfengine.functions import sql
+    from cfengine.sources.feedback import planted
+    from cfengine.sources.tables import read_text_pairs
+
+    (tmp_path / "pairs.txt").write_text("1\t2\n1\t2\n x\t3\n4\n 5 \t 6\n")
+    assert sorted(map(tuple, read_text_pairs(spark, str(tmp_path / "pairs.txt")).collect())) == [(1, 2), (5, 6)]
+    sql.register(spark)
+    got = spark.read.format("planted").options(users="60", items="40", blocks="4", partitions="3").load()
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, planted(spark, 60, 40, 4).collect()))
+
+
+def test_shared_folder_is_required_beyond_a_local_master():
+    import types
+
+    import pytest
+
+    from cfengine.plans.files import shared_dir
+
+    sc = types.SimpleNamespace(master="spark://host:7077", getConf=lambda: {}, getCheckpointDir=lambda: None)
+    with pytest.raises(ValueError):
+        shared_dir(types.SimpleNamespace(sparkContext=sc))
+
+
+def test_cuts_delete_what_they_replace(spark):
+    from cfengine.plans.cuts import Cuts
+    from cfengine.plans.files import exists, listed
+
+    cuts = Cuts(spark)
+    for k in range(3):
+        made = cuts.cut(spark.range(k + 1))
+        cuts.follow(made, made)
+    assert listed(spark, cuts.base) == ["3"] and made.count() == 3
+    cuts.close()
+    assert not exists(spark, cuts.base)
