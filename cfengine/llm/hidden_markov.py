@@ -267,6 +267,27 @@ def _own_first(words: DataFrame, n_all: int) -> DataFrame:
     return words.withColumn("p", F.array(*[F.col("c") / F.lit(float(max(1, n_all))) * t for t in tilt]))
 
 
+def _counting(held):
+    """Expected counts of a block's training texts: a row a word of its own, and one of everything else."""
+
+    def count(texts: pd.DataFrame, mine: pd.DataFrame) -> pd.DataFrame:
+        columns = ["h", *(f"e{s}" for s in range(STATES)), "part", "sums"]
+        if not len(texts):
+            return pd.DataFrame(columns=columns)
+        start, trans, classes = held.value
+        mine = mine.sort_values("pos")
+        table = np.concatenate((np.stack(mine["p"].to_numpy()), classes)) if len(mine) else classes
+        r = texts.iloc[0]
+        got = expected_counts(np.frombuffer(r["codes"], np.int32), np.frombuffer(r["offsets"], np.int64), start, trans, table)
+        flat = np.concatenate((got[0], got[1].ravel(), got[2][len(mine) :].ravel(), [got[3]]))
+        n = len(mine) + 1
+        out = {"h": np.append(mine["h"].to_numpy(np.int64), 0)}
+        out |= {f"e{s}": np.append(got[2][: len(mine), s], 0.0) for s in range(STATES)}
+        return pd.DataFrame(out | {"part": np.append(np.full(n - 1, -1), int(r["block"]) % 64).astype(np.int32), "sums": [None] * (n - 1) + [flat.tobytes()]})
+
+    return count
+
+
 def train(coded: DataFrame, own: DataFrame, model: Model, n_all: int, scratch: Scratch, iterations: int = ITERATIONS) -> DataFrame:
     """Fits model in place; returns h, p of the words with emissions of their own. coded: block, own, codes,
     offsets; own: block, pos, h, c."""
@@ -276,23 +297,9 @@ def train(coded: DataFrame, own: DataFrame, model: Model, n_all: int, scratch: S
     for _ in range(iterations if n_all else 0):
         held = spark.sparkContext.broadcast((model.start, model.trans, model.classes))
 
-        def count(texts: pd.DataFrame, mine: pd.DataFrame, held=held) -> pd.DataFrame:
-            columns = ["h", *(f"e{s}" for s in range(STATES)), "part", "sums"]
-            if not len(texts):
-                return pd.DataFrame(columns=columns)
-            start, trans, classes = held.value
-            mine = mine.sort_values("pos")
-            table = np.concatenate((np.stack(mine["p"].to_numpy()), classes)) if len(mine) else classes
-            r = texts.iloc[0]
-            got = expected_counts(np.frombuffer(r["codes"], np.int32), np.frombuffer(r["offsets"], np.int64), start, trans, table)
-            flat = np.concatenate((got[0], got[1].ravel(), got[2][len(mine) :].ravel(), [got[3]]))
-            out = pd.DataFrame({"h": mine["h"].to_numpy(np.int64)} | {f"e{s}": got[2][: len(mine), s] for s in range(STATES)})
-            out = out.assign(part=-1, sums=None)
-            return pd.concat((out, pd.DataFrame([(0, *[0.0] * STATES, int(r["block"]) % 64, flat.tobytes())], columns=columns)), ignore_index=True)
-
         emissions = own.select("block", "pos", "h").join(words.hint("merge"), "h")
         schema = "h long, " + "".join(f"e{s} double, " for s in range(STATES)) + "part int, sums binary"
-        counts = scratch.cut(coded.groupBy("block").cogroup(emissions.groupBy("block")).applyInPandas(count, schema))
+        counts = scratch.cut(coded.groupBy("block").cogroup(emissions.groupBy("block")).applyInPandas(_counting(held), schema))
         parts = counts.where("part >= 0").select("part", "sums")
         rows = parts.groupBy("part").applyInPandas(_add, "part int, sums binary").groupBy("part").applyInPandas(_add, "part int, sums binary").collect()
         if not rows:
