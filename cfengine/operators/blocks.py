@@ -31,8 +31,8 @@ PHASES = ("sample", "read_user", "read_item", "user_norm", "item_norm", "copy",
 ENGINES = ("fused", "dense", "sparse", "jagged")
 #: Rows and bytes of one slice of a batch.
 SLICE_ROWS, SLICE_BYTES = 64, 2 << 20
-#: A tile of up to so many times the negatives is multiplied as a whole.
-WHOLE_TILE = 32
+#: A tile of up to so many times the negatives is multiplied as a whole; rows are gathered from a larger one.
+WHOLE_TILE = 8
 
 
 @dataclass(frozen=True)
@@ -107,7 +107,7 @@ class Counts:
 
 
 def _mix_np(seed: int, *keys: np.ndarray) -> np.ndarray:
-    h = np.full(np.broadcast(*keys).shape, seed, np.int64)
+    h = np.int64(seed)  # grows to the keys' common shape as they come
     for k in (*keys, np.int64(7919)):
         g = (48271 * h + np.asarray(k, np.int64) % P + 1) % P
         h = (g * g + 1234567) % P
@@ -164,17 +164,23 @@ class Histories:
 class Buffer:
     """The item rows of a tile, held together while it lasts."""
 
-    def __init__(self, items: np.ndarray, rows: np.ndarray, slot_of: np.ndarray):
-        self.items, self.rows, self.slot_of = items, rows, slot_of
-        self.vec = items[rows]
+    def __init__(self, items: np.ndarray, state: np.ndarray | None, rows: np.ndarray, slot_of: np.ndarray, cfg: TrainConfig):
+        self.items, self.state, self.rows, self.slot_of = items, state, rows, slot_of
+        self.updates = Updates(items[rows], None if state is None else state[rows], cfg)
         self.first = self.vec.copy()
         slot_of[rows] = np.arange(len(rows))
 
+    @property
+    def vec(self) -> np.ndarray:
+        return self.updates.rows
+
     def write_back(self) -> int:
         """What the tile's life added goes to the matrix; repeated rows add up."""
         written = scatter_add(self.items, self.rows, self.vec - self.first)
-        self.vec = self.items[self.rows]
+        self.vec[:] = self.items[self.rows]
         self.first = self.vec.copy()
+        if self.state is not None:
+            self.state[self.rows] = self.updates.state
         return written
 
     def close(self) -> int:
@@ -224,12 +230,12 @@ def _pulls(cfg: TrainConfig, coef: np.ndarray, x: np.ndarray, inv: np.ndarray |
     return coef, zero, zero
 
 
-def _by_row(rows: np.ndarray, owner: np.ndarray, weight: np.ndarray, source: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Distinct rows, the weighted sums of their owners' source rows, and each entry's place among the rows."""
+def _table(rows: np.ndarray, owner: np.ndarray, weight: np.ndarray, source: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct rows, the summed weight of each row for each owner, and each entry's place among the rows."""
     ids, at = np.unique(rows, return_inverse=True)
     b = len(source)
     table = np.bincount(at * b + owner, weights=weight, minlength=len(ids) * b).reshape(len(ids), b)
-    return ids, table.astype(source.dtype) @ source, at
+    return ids, table.astype(source.dtype), at
 
 
 class Updates:
@@ -248,10 +254,17 @@ class Updates:
     def apply(self, lr: float) -> int:
         if not self.ids:
             return 0
-        ids, g = (self.ids[0], self.grads[0]) if len(self.ids) == 1 else summed(np.concatenate(self.ids), np.concatenate(self.grads))
+        written = 0
+        if self.state is None and not self.cfg.l2:  # plain steps add up in any order
+            for ids, g in zip(self.ids, self.grads, strict=True):
+                self.rows[ids] -= lr * g
+                written += len(ids)
+        else:
+            ids, g = (self.ids[0], self.grads[0]) if len(self.ids) == 1 else summed(np.concatenate(self.ids), np.concatenate(self.grads))
+            step(self.rows, self.state, ids, g, lr, self.cfg)
+            written = len(ids)
         self.ids, self.grads = [], []
-        step(self.rows, self.state, ids, g, lr, self.cfg)
-        return len(ids)
+        return written
 
 
 def step(rows: np.ndarray, state: np.ndarray | None, ids: np.ndarray | slice, g: np.ndarray, lr: float, cfg: TrainConfig) -> None:
@@ -345,7 +358,7 @@ class _Fused:
     def new_tile(self, tile: np.ndarray) -> None:
         if self.buffer is not None:
             self.c.rows_written += self.buffer.close()
-        self.buffer = Buffer(self.items, tile, self.slot_of)
+        self.buffer = Buffer(self.items, self.state, tile, self.slot_of, self.cfg)
         self.c.tile_loads += len(tile)
 
     def finish(self) -> None:
@@ -364,31 +377,23 @@ class _Fused:
             self.c.tile_hits += len(hit)
         return out
 
-    def give(self, ids: np.ndarray, grads: np.ndarray, to_tile: np.ndarray | None) -> None:
-        """Gradients of distinct rows, to the tile's sum where it has them."""
-        if to_tile is None:
+    def give(self, ids: np.ndarray, grads: np.ndarray) -> None:
+        """Gradients of distinct rows, to the tile where it has them."""
+        if self.buffer is None:
             self.item_updates.add(ids, grads)
             return
         slot = self.slot_of[ids]
         hit = slot >= 0
-        to_tile[slot[hit]] += grads[hit]
+        self.buffer.updates.add(slot[hit], grads[hit])
         self.item_updates.add(ids[~hit], grads[~hit])
 
     def batch(self, uu: np.ndarray, ii: np.ndarray, neg: np.ndarray, tile: np.ndarray, tick: _Clock) -> None:
-        to_tile = None if self.buffer is None else np.zeros_like(self.buffer.vec)
         for lo in range(0, len(uu), self.rows):
             part = slice(lo, lo + self.rows)
-            self.slice(uu[part], ii[part], neg[part], to_tile, tick)
+            self.slice(uu[part], ii[part], neg[part], tick)
         self.c.rows_written += self.user_updates.apply(self.lr) + self.item_updates.apply(self.lr)
-        if to_tile is not None:
-            touched = np.flatnonzero(to_tile.any(1))
-            if self.state is None and not self.cfg.l2:
-                self.buffer.vec -= self.lr * to_tile
-            else:
-                held = None if self.state is None else self.state[self.buffer.rows]
-                step(self.buffer.vec, held, touched, to_tile[touched], self.lr, self.cfg)
-                if held is not None:
-                    self.state[self.buffer.rows] = held
+        if self.buffer is not None:
+            self.buffer.updates.apply(self.lr)
             if self.cfg.writeback == "step":
                 self.c.rows_written += self.buffer.write_back()
         for rows in self.waiting:  # a batch reads one state of the layer, however it is sliced
@@ -396,22 +401,17 @@ class _Fused:
         self.waiting = []
         tick("update")
 
-    def slice(self, uu: np.ndarray, ii: np.ndarray, neg: np.ndarray, to_tile: np.ndarray | None, tick: _Clock) -> None:
+    def slice(self, uu: np.ndarray, ii: np.ndarray, neg: np.ndarray, tick: _Clock) -> None:
         cfg, c = self.cfg, self.c
         b, n = neg.shape
         s = self.users[uu]
         tick("read_user")
-        whole = to_tile is not None and len(to_tile) <= WHOLE_TILE * n
-        if to_tile is None:
-            rows = np.concatenate((ii[:, None], neg), axis=1)
-            t = self.items[rows]
-            c.reads += rows.size
-        else:
-            held = self.buffer.vec
-            tp = self.read(ii)
-            c.reads += neg.size
-            c.tile_hits += neg.size
-            t = None if whole else np.concatenate((tp[:, None], held[neg]), axis=1)
+        held = self.items if self.buffer is None else self.buffer.vec  # what negatives are drawn from
+        whole = self.buffer is not None and len(held) <= WHOLE_TILE * n
+        tp = self.read(ii)
+        t = None if whole else held[neg]
+        c.reads += neg.size
+        c.tile_hits += neg.size if self.buffer is not None else 0
         tick("read_item")
         mixed, pooled = s, None
         if self.layer is not None:
@@ -420,57 +420,41 @@ class _Fused:
             mixed = (cfg.gate * s + (1 - cfg.gate) * (pooled.vec @ self.layer.w[: cfg.dim])).astype(s.dtype)
         tick("aggregate")
         ss = np.einsum("bk,bk->b", mixed, mixed)[:, None]
-        if whole:
-            lines = np.arange(b)[:, None]
-            st = np.concatenate((np.einsum("bk,bk->b", mixed, tp)[:, None], (mixed @ held.T)[lines, neg]), axis=1)
-            tt = np.concatenate((np.einsum("bk,bk->b", tp, tp)[:, None], np.einsum("rk,rk->r", held, held)[neg]), axis=1)
-        else:
-            st = np.matmul(t, mixed[:, :, None])[:, :, 0]
-            tt = np.einsum("bnk,bnk->bn", t, t)
+        st = (mixed @ held.T)[np.arange(b)[:, None], neg] if whole else np.matmul(t, mixed[:, :, None])[:, :, 0]
+        tt = np.einsum("bnk,bnk->bn", t, t) if self.buffer is None else np.einsum("rk,rk->r", held, held)[neg]
+        st = np.concatenate((np.einsum("bk,bk->b", mixed, tp)[:, None], st), axis=1)
+        tt = np.concatenate((np.einsum("bk,bk->b", tp, tp)[:, None], tt), axis=1)
         inv = _reciprocal(np.sqrt(ss * tt)) if cfg.similarity == "cosine" else None
         x = st if inv is None else st * inv
         tick("similarity")
         loss, coef = _loss(cfg, x, st, ss, tt)
         c.loss += loss
-        c.active += int((coef[:, 1:] != 0).sum())
+        live = np.flatnonzero(coef[:, 1:])
+        c.active += len(live)
         tick("loss")
         a, pull, own = _pulls(cfg, coef, x, inv, ss, tt)
-        if whole:
-            flat = (np.arange(b)[:, None] * len(held) + neg).ravel()
-            table = np.bincount(flat, weights=a[:, 1:].ravel(), minlength=b * len(held)).reshape(b, len(held)).astype(held.dtype)
-            gs = table @ held + a[:, :1] * tp
-        else:
-            gs = np.matmul(a[:, None, :], t)[:, 0, :]
-        gs -= pull.sum(1)[:, None] * mixed
+        # active negatives: a table of distinct rows by examples serves both sides' gradients
+        ids, table, at = _table(neg.ravel()[live], live // n, a[:, 1:].ravel()[live], mixed)
+        rows = held[ids]
+        gs = table.T @ rows + a[:, :1] * tp - pull.sum(1)[:, None] * mixed
         gu = gs
         if pooled is not None:
             out = (1 - cfg.gate) * gs
             g_past, g_user, g_att = backward(pooled, cfg.aggregator, out @ self.layer.w[: cfg.dim].T, self.layer.w)
             gu = cfg.gate * gs if g_user is None else cfg.gate * gs + g_user
         tick("backward")
-        if whole:
-            to_tile += table.T @ mixed
-            to_tile -= np.bincount(neg.ravel(), weights=own[:, 1:].ravel(), minlength=len(held)).astype(held.dtype)[:, None] * held
-            ids, g, at = _by_row(ii, np.arange(b), a[:, 0], mixed)
-            first = np.zeros_like(g)
-            first[at] = tp
-            self.give(ids, g - np.bincount(at, weights=own[:, 0]).astype(g.dtype)[:, None] * first, to_tile)
-        else:
-            owner, live = np.repeat(np.arange(b), n + 1), np.flatnonzero(coef.ravel())
-            flat = (rows if to_tile is None else np.concatenate((ii[:, None], self.buffer.rows[neg]), axis=1)).ravel()[live]
-            ids, g, at = _by_row(flat, owner[live], a.ravel()[live], mixed)
-            first = np.zeros_like(g)
-            first[at] = t.reshape(-1, cfg.dim)[live]
-            self.give(ids, g - np.bincount(at, weights=own.ravel()[live]).astype(g.dtype)[:, None] * first, to_tile)
+        g = table @ mixed - np.bincount(at, weights=own[:, 1:].ravel()[live], minlength=len(ids)).astype(rows.dtype)[:, None] * rows
+        (self.item_updates if self.buffer is None else self.buffer.updates).add(ids, g)
+        self.give(*summed(ii, a[:, :1] * mixed - own[:, :1] * tp))
         self.user_updates.add(*summed(uu, gu))
         if pooled is not None:
             if not cfg.update_history:
                 pass
             elif cfg.aggregator == "average":
-                ids, g, _ = _by_row(pooled.rows, np.repeat(np.arange(b), pooled.lens), pooled.share, (out @ self.layer.w[: cfg.dim].T).astype(s.dtype))
-                self.give(ids, g, to_tile)
+                ids, table, _ = _table(pooled.rows, np.repeat(np.arange(b), pooled.lens), pooled.share, s)
+                self.give(ids, table @ (out @ self.layer.w[: cfg.dim].T).astype(s.dtype))
             else:
-                self.give(*summed(pooled.rows, g_past), to_tile)
+                self.give(*summed(pooled.rows, g_past))
             self.waiting.append((pooled.vec, out, g_att))
         tick("update")
 
