@@ -121,7 +121,9 @@ def hash_words(buf: np.ndarray, lower: bool = True) -> tuple[np.ndarray, np.ndar
     if int(lens.max()) <= _PLACES:
         part = _TABLE[place * 256 + chars]
     else:
-        part = _TABLE[(place % _PLACES) * 256 + chars] * mix64((place // _PLACES).astype(np.uint64) * np.uint64(2) + np.uint64(1))
+        # the first _PLACES characters count as in the branch above: a word's hash is its own, whatever its batch holds
+        turn = np.where(place < _PLACES, np.uint64(1), mix64((place // _PLACES).astype(np.uint64) * np.uint64(2) + np.uint64(1)))
+        part = _TABLE[(place % _PLACES) * 256 + chars] * turn
     return mix64(np.add.reduceat(part, firsts) + lens.astype(np.uint64)), starts, ends
 
 

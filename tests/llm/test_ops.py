@@ -517,6 +517,86 @@ def test_language_id(docs, odd, empty):
     assert language_id(empty).count() == 0
 
 
+def predicted_by_loops(m, text):
+    """Every word scored gram by gram, every path step by step."""
+    from cfengine.llm import language_id as L
+
+    mask, points = (1 << 64) - 1, list(L._points([text.replace("\0", " ")]))
+    letter = L._letters()
+
+    def mixed(x):
+        x ^= x >> 33
+        x = x * 0xFF51AFD7ED558CCD & mask
+        x ^= x >> 33
+        x = x * 0xC4CEB9FE1A85EC53 & mask
+        return x ^ (x >> 33)
+
+    chars = [int(p) if letter[p] else 0 for p in points]
+    words, at = [], 0
+    while at < len(chars):
+        end = at
+        while end < len(chars) and letter[points[end]]:
+            end += 1
+        if end > at:
+            words.append((at, end))
+        at = end + 1
+    if not words:
+        return "und", 0.0
+    k = len(m.langs)
+    scores = []
+    for a, b in words:
+        own = np.zeros(k)
+        for p in range(a, b):
+            for n in L.ORDERS:
+                h = 0
+                for q in range(p - 1, p - 1 + n):
+                    h = (h * 1_000_003 + (chars[q] if 0 <= q < len(chars) else 0) + 7) & mask
+                own += m.logp[mixed((h + n - 1) & mask) & (L.BUCKETS - 1)]
+        script = L.SCRIPT_KINDS[np.searchsorted(L.SCRIPT_STARTS, points[a], side="right") - 1]
+        scores.append(own / len(L.ORDERS) + np.where(m.allowed[script], 0, -50))
+    value, back = list(scores[0]), []
+    for s in scores[1:]:
+        moves = [max(range(k), key=lambda i: (value[i] - m.penalty * (i != j), i == j)) for j in range(k)]
+        value = [value[moves[j]] - m.penalty * (moves[j] != j) + s[j] for j in range(k)]
+        back.append(moves)
+    state = int(np.argmax(value))
+    path = [state]
+    for moves in reversed(back):
+        state = moves[state]
+        path.append(state)
+    share = np.zeros(k)
+    for j, (a, b) in zip(reversed(path), words, strict=True):
+        share[j] += b - a
+    return m.langs[int(share.argmax())], share.max() / share.sum()
+
+
+def test_predictions_against_loops(docs):
+    from cfengine.llm.language_id import fit_language_model
+
+    m = fit_language_model(docs)
+    texts = [r.text for r in docs.collect() if r.text and len(r.text) < 700][:40]
+    texts += [texts[0][:200] + " " + texts[5][:200] + " \u0416\u0443\u043a 123 " + texts[9][:150], "a\0b", "x", "12 ?", ""]
+    langs, scores = m.predict(texts)
+    for t, lang, score in zip(texts, langs, scores, strict=True):
+        want = predicted_by_loops(m, t)
+        assert (lang, score) == (want[0], pytest.approx(want[1], abs=0.02)), t[:50]
+
+
+def test_long_texts_in_pieces_are_whole(monkeypatch):
+    """Texts above the working size of a kernel give what they give at once."""
+    from cfengine.llm import quality_model as QM
+    from cfengine.llm.common import word_hashes
+
+    rng = np.random.default_rng(0)
+    texts = [" ".join(rng.choice(["alpha", "Beta", "g\u00e9", "x1", "..."], int(n))) for n in (0, 1, 3000, 7, 900)] + [None, "z" * 5000]
+    whole, parts = word_hashes(texts), word_hashes(texts, limit=64)
+    assert all((a == b).all() for a, b in zip(whole, parts, strict=True))
+    table = rng.normal(size=(QM.TOKENS, QM.DIM)).astype(np.float32)
+    once = QM.pool(texts, table)
+    monkeypatch.setattr(QM, "CHUNK", 100)
+    assert np.allclose(once, QM.pool(texts, table), atol=1e-5)
+
+
 def test_viterbi_against_full_search():
     rng = np.random.default_rng(1)
     for n in (1, 2, 5):
