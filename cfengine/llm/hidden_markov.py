@@ -1,20 +1,20 @@
 """A hidden Markov language model over words, trained and scored over partitions.
 
-A word with at least OWN_COUNT training tokens has emission numbers of its own, one a state; how many such
-words there are follows the corpus, and their numbers stay in a table that is dealt by word. All other words fall into
+A word that is at least one in OWN of all training tokens has emission numbers of its own, one a state; there
+cannot be more than OWN such words, so their table is sent to all tasks. All other words fall into
 CLASSES classes by hash; a state emits a class, and a word of the class by its share of the class's training
 tokens (with the base model's 0.1 for each word and for one unknown). So a text's likelihood is exact over
-an open vocabulary.
+an open vocabulary, and what is counted for it, a number for every word, grows with the corpus.
 
 Blocks: each task packs its texts into blocks of about BLOCK_CHARS characters, a row each, with the distinct
 words of the block and the place of every token among them. Only distinct words travel: they are counted by
-word, and the counts (and later the emissions) of words that need it go back to their blocks. No vocabulary is ever
+word, and counts of words that other blocks have too go back to their blocks. No vocabulary is ever
 held whole by a machine, and no text is shuffled.
 
 Training: Baum-Welch over whole texts, until an iteration gains less than SETTLED nats a token or ITERATIONS are
-over. Long texts are cut into segments that advance side by side; the products of their transition
-matrices carry the exact forward and backward state across the cuts, so a start is counted only where a text starts.
-Scoring: scaled forward recursion over each whole text, cut in the same way.
+over; tasks' expected counts are added in two steps. Long texts are cut into segments that advance side by side; the
+products of their transition matrices carry the exact forward and backward state across the cuts, so a start is counted
+only where a text starts. Scoring: scaled forward recursion over each whole text, cut in the same way.
 
 Defined cases: a null text is empty, its one token is the end. Repeated rows count as often as they occur; rows without an
 id, or with the same, are rows like any other. With no training text all counts are 0 and every word is unknown.
@@ -26,6 +26,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -34,11 +35,11 @@ from .common import Scratch, fewer, fold, mix64, text_or_empty, word_hashes
 
 STATES = 6
 CLASSES = 4096
-OWN_COUNT = 200
+OWN = 1 << 16
 ITERATIONS = 5
 SETTLED = 0.002
 SEGMENT = 256
-BLOCK_CHARS = 8_000_000
+BLOCK_CHARS = 16_000_000
 END_HASH = np.uint64(0x9E3779B97F4A7C15)
 LOW = 0.1
 SMOOTH = 0.01
@@ -205,7 +206,7 @@ def _pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         learn = np.repeat(~np.array(held, bool), np.diff(offsets))
         n = np.bincount(at, weights=learn, minlength=len(words)).astype(np.int64)
         parts = (np.array(ids, np.int64), np.array(none, bool), np.array(held, bool), offsets, at.astype(np.int32), words, n)
-        return pd.DataFrame([((part << 32) + count, *(x.tobytes() for x in parts))], columns=[c.split()[0] for c in PACKED.split(", ")])
+        return pd.DataFrame([((part << 32) + count, *(zstandard.compress(x.tobytes()) for x in parts))], columns=[c.split()[0] for c in PACKED.split(", ")])
 
     for pdf in batches:
         for i, lacks, out, t in zip(pdf["doc_id"], pdf["no_id"], pdf["held_out"], pdf["text"], strict=True):
@@ -222,103 +223,82 @@ def _pack(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         yield row()
 
 
+def _read(packed: bytes, kind) -> np.ndarray:
+    return np.frombuffer(zstandard.decompress(packed), kind)
+
+
 def _asked(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
     for pdf in batches:
         for block, words, n in zip(pdf["block"], pdf["words"], pdf["n"], strict=True):
-            h, n = np.frombuffer(words, np.int64), np.frombuffer(n, np.int64)
+            h, n = _read(words, np.int64), _read(n, np.int64)
             for lo in range(0, len(h), 200_000):
                 part = slice(lo, lo + 200_000)
                 yield pd.DataFrame({"block": block, "pos": np.arange(lo, lo + len(h[part]), dtype=np.int32), "h": h[part], "n": n[part]})
 
 
-def _code(texts: pd.DataFrame, own: pd.DataFrame) -> pd.DataFrame:
-    """Training texts of a block as codes: its own-word number, or after these the class."""
-    if not len(texts):
-        return pd.DataFrame({"block": [], "own": [], "codes": [], "offsets": []}).astype({"block": "int64", "own": "int32"})
-    r = texts.iloc[0]
-    words, held = np.frombuffer(r["words"], np.uint64), np.frombuffer(r["held"], bool)
-    offsets, at = np.frombuffer(r["offsets"], np.int64), np.frombuffer(r["at"], np.int32)
-    code = len(own) + class_of(words)
-    code[np.sort(own["pos"].to_numpy())] = np.arange(len(own))
-    lens = np.diff(offsets)
-    learn = ~held
-    codes = code[at[np.repeat(learn, lens)]].astype(np.int32)
-    return pd.DataFrame({"block": [r["block"]], "own": np.array([len(own)], np.int32), "codes": [codes.tobytes()], "offsets": [np.concatenate(([0], np.cumsum(lens[learn]))).astype(np.int64).tobytes()]})
-
-
 def _add(pdf: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame({"part": [0], "sums": [np.sum([np.frombuffer(b) for b in pdf["sums"]], axis=0).tobytes()]})
 
 
 class Model:
-    """What is bounded of the model: start, transitions and emissions of classes. Words' own emissions stay in a table."""
+    """Start, transitions, words with emissions of their own (sorted hashes), and emissions by code: own words, then classes."""
 
-    def __init__(self, n_class: np.ndarray, n_all: int, seed: int = 11):
+    def __init__(self, own: np.ndarray, own_counts: np.ndarray, n_class: np.ndarray, n_all: int, seed: int = 11):
         rng = np.random.default_rng(seed)
+        order = np.argsort(own)
+        self.own = own[order]
         self.start = np.full(STATES, 1 / STATES)
         self.trans = np.full((STATES, STATES), 0.2 / (STATES - 1))
         np.fill_diagonal(self.trans, 0.8)
-        self.classes = ((n_class + 1) / (n_all + CLASSES))[:, None] * rng.uniform(0.5, 1.5, (CLASSES, STATES))
-
+        first = np.concatenate((own_counts[order] / max(1, n_all), (n_class + 1) / (n_all + CLASSES)))
+        self.table = first[:, None] * rng.uniform(0.5, 1.5, (len(first), STATES))
 
-def _own_first(words: DataFrame, n_all: int) -> DataFrame:
-    """First emissions of words (.., h, c): their share of all tokens, turned up or down by a hash for each state."""
-    tilt = [0.5 + F.pmod(F.xxhash64("h", F.lit(s)), F.lit(1 << 20)) / F.lit(float(1 << 20)) for s in range(STATES)]
-    return words.withColumn("p", F.array(*[F.col("c") / F.lit(float(max(1, n_all))) * t for t in tilt]))
+    def codes(self, h: np.ndarray) -> np.ndarray:
+        """Code of each word hash."""
+        out = len(self.own) + class_of(h)
+        if len(self.own):
+            at = np.minimum(np.searchsorted(self.own, h), len(self.own) - 1)
+            mine = self.own[at] == h
+            out[mine] = at[mine]
+        return out
 
 
 def _counting(held):
-    """Expected counts of a block's training texts: a row a word of its own, and one of everything else."""
+    """Expected counts of all training texts of a task, in one row."""
 
-    def count(texts: pd.DataFrame, mine: pd.DataFrame) -> pd.DataFrame:
-        columns = ["h", *(f"e{s}" for s in range(STATES)), "part", "sums"]
-        if not len(texts):
-            return pd.DataFrame(columns=columns)
-        start, trans, classes = held.value
-        mine = mine.sort_values("pos")
-        table = np.concatenate((np.stack(mine["p"].to_numpy()), classes)) if len(mine) else classes
-        r = texts.iloc[0]
-        got = expected_counts(np.frombuffer(r["codes"], np.int32), np.frombuffer(r["offsets"], np.int64), start, trans, table)
-        flat = np.concatenate((got[0], got[1].ravel(), got[2][len(mine) :].ravel(), [got[3]]))
-        n = len(mine) + 1
-        out = {"h": np.append(mine["h"].to_numpy(np.int64), 0)}
-        out |= {f"e{s}": np.append(got[2][: len(mine), s], 0.0) for s in range(STATES)}
-        return pd.DataFrame(out | {"part": np.append(np.full(n - 1, -1), int(r["block"]) % 64).astype(np.int32), "sums": [None] * (n - 1) + [flat.tobytes()]})
+    def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        model, total = held.value, None
+        for pdf in batches:
+            for r in pdf.itertuples(index=False):
+                learn, lens = ~_read(r.held, bool), np.diff(_read(r.offsets, np.int64))
+                code = model.codes(_read(r.words, np.uint64))
+                codes = code[_read(r.at, np.int32)[np.repeat(learn, lens)]]
+                offsets = np.concatenate(([0], np.cumsum(lens[learn]))).astype(np.int64)
+                got = expected_counts(codes, offsets, model.start, model.trans, model.table)
+                flat = np.concatenate((got[0], got[1].ravel(), got[2].ravel(), [got[3]]))
+                total = flat if total is None else total + flat
+        if total is not None:
+            yield pd.DataFrame({"part": [TaskContext.get().partitionId() % 64], "sums": [total.tobytes()]})
 
     return count
 
 
-def train(coded: DataFrame, own: DataFrame, model: Model, n_all: int, scratch: Scratch, iterations: int = ITERATIONS) -> DataFrame:
-    """Fits model in place; returns h, p of the words with emissions of their own. coded: block, own, codes,
-    offsets; own: block, pos, h, c."""
-    spark = coded.sparkSession
-    words = scratch.cut(_own_first(own.groupBy("h").agg(F.max("c").alias("c")), n_all).select("h", "p"))
-    n_words, before = words.count(), None
+def train(packed: DataFrame, model: Model, n_all: int, iterations: int = ITERATIONS) -> None:
+    """Fits model in place."""
+    before = None
     for _ in range(iterations if n_all else 0):
-        held = spark.sparkContext.broadcast((model.start, model.trans, model.classes))
-
-        emissions = own.select("block", "pos", "h").join(words.hint("merge"), "h")
-        schema = "h long, " + "".join(f"e{s} double, " for s in range(STATES)) + "part int, sums binary"
-        counts = scratch.cut(coded.groupBy("block").cogroup(emissions.groupBy("block")).applyInPandas(_counting(held), schema))
-        parts = counts.where("part >= 0").select("part", "sums")
+        held = packed.sparkSession.sparkContext.broadcast(model)
+        parts = fewer(packed.select("held", "offsets", "at", "words")).mapInPandas(_counting(held), "part int, sums binary")
         rows = parts.groupBy("part").applyInPandas(_add, "part int, sums binary").groupBy("part").applyInPandas(_add, "part int, sums binary").collect()
+        held.unpersist()
         if not rows:
             break
-        start, trans, classes, like = np.split(np.frombuffer(rows[0]["sums"]), np.cumsum([STATES, STATES * STATES, CLASSES * STATES]))
-        own_rows = counts.where("part < 0")
-        sums = own_rows.agg(*[F.coalesce(F.sum(f"e{s}"), F.lit(0.0)) for s in range(STATES)]).first()
-        classes = classes.reshape(CLASSES, STATES) + SMOOTH
-        total = classes.sum(0) + np.array(list(sums)) + SMOOTH * n_words
-        start, trans = start + SMOOTH, trans.reshape(STATES, STATES) + SMOOTH
-        model.start, model.trans, model.classes = start / start.sum(), trans / trans.sum(1, keepdims=True), classes / total
-        p = F.array(*[(F.sum(f"e{s}") + SMOOTH) / F.lit(float(total[s])) for s in range(STATES)])
-        words = scratch.cut(own_rows.groupBy("h").agg(p.alias("p")))
-        scratch.drop(counts)
-        held.unpersist()
+        start, trans, table, like = np.split(np.frombuffer(rows[0]["sums"]), np.cumsum([STATES, STATES * STATES, model.table.size]))
+        start, trans, table = start + SMOOTH, trans.reshape(STATES, STATES) + SMOOTH, table.reshape(model.table.shape) + SMOOTH
+        model.start, model.trans, model.table = start / start.sum(), trans / trans.sum(1, keepdims=True), table / table.sum(0)
         if before is not None and like[0] - before < SETTLED * n_all:
             break
         before = like[0]
-    return words
 
 
 def hmm_scores(docs: DataFrame, iterations: int = ITERATIONS) -> DataFrame:
@@ -330,10 +310,8 @@ def hmm_scores(docs: DataFrame, iterations: int = ITERATIONS) -> DataFrame:
     packed = scratch.cut(rows.mapInPandas(_pack, PACKED))
     asked = packed.select("block", "words", "n").mapInPandas(_asked, "block long, pos int, h long, n long")
     totals = scratch.cut(asked.groupBy("h").agg(F.sum("n").alias("c"), F.count(F.lit(1)).alias("k")).where("c > 0"))
-    # a word of one block has its count there already
-    shared = scratch.cut(totals.where((F.col("k") > 1) | (F.col("c") >= OWN_COUNT)).select("h", "c"))
-    lookups = scratch.cut(asked.select("block", "pos", "h").join(shared.hint("merge"), "h"))
-    own = lookups.where(F.col("c") >= OWN_COUNT)
+    found = totals.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
+    n_all, v_all = int(found[0]), int(found[1])
 
     def per_class(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         n, v = np.zeros(CLASSES, np.int64), np.zeros(CLASSES, np.int64)
@@ -343,42 +321,36 @@ def hmm_scores(docs: DataFrame, iterations: int = ITERATIONS) -> DataFrame:
             v += np.bincount(c, minlength=CLASSES)
         yield pd.DataFrame({"class": range(CLASSES), "n": n, "v": v})
 
-    rare = totals.where(F.col("c") < OWN_COUNT).select("h", "c")
-    by_class = fewer(rare).mapInPandas(per_class, "class int, n long, v long").groupBy("class").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).toPandas()
+    frequent = F.col("c") * F.lit(OWN) >= F.lit(n_all)
+    own = totals.where(frequent).select("h", "c").toPandas()  # at most OWN words can each be one in OWN
+    by_class = fewer(totals.where(~frequent).select("h", "c")).mapInPandas(per_class, "class int, n long, v long").groupBy("class").agg(F.sum("n").alias("n"), F.sum("v").alias("v")).toPandas()
     n_class, v_class = np.zeros(CLASSES), np.zeros(CLASSES)
     n_class[by_class["class"]], v_class[by_class["class"]] = by_class["n"], by_class["v"]
-    found = totals.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.lit(1))).first()
-    n_all, v_all = int(found[0]), int(found[1])
-
-    coded = scratch.cut(packed.select("block", "held", "offsets", "at", "words").groupBy("block").cogroup(own.select("block", "pos").groupBy("block")).applyInPandas(_code, "block long, own int, codes binary, offsets binary"))
-    model = Model(n_class, n_all)
-    words = train(coded, own, model, n_all, scratch, iterations)
-    held = spark.sparkContext.broadcast((model.start, model.trans, model.classes, n_class + LOW * (v_class + 1)))
+    model = Model(own["h"].to_numpy(np.int64).view(np.uint64), own["c"].to_numpy(float), n_class, n_all)
+    train(packed, model, n_all, iterations)
+    held = spark.sparkContext.broadcast((model, n_class + LOW * (v_class + 1)))
 
     def score(texts: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
         if not len(texts):
             return pd.DataFrame(columns=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
-        start, trans, classes, class_total = held.value
+        model, class_total = held.value
         r = texts.iloc[0]
-        h, count = np.frombuffer(r["words"], np.uint64), np.frombuffer(r["n"], np.int64).astype(float)
-        offsets, at = np.frombuffer(r["offsets"], np.int64), np.frombuffer(r["at"], np.int32)
+        h, count = _read(r["words"], np.uint64), _read(r["n"], np.int64).astype(float)
+        offsets, at = _read(r["offsets"], np.int64), _read(r["at"], np.int32)
         count[known["pos"]] = known["c"]
-        mine = known[known["p"].notna()]
-        code = len(mine) + class_of(h)
-        inner = np.log10((count + LOW) / class_total[code - len(mine)])
-        code[mine["pos"]] = np.arange(len(mine))
-        inner[mine["pos"]] = 0.0
-        table = np.concatenate((np.stack(mine["p"].to_numpy()), classes)) if len(mine) else classes
+        code, mine = model.codes(h), len(model.own)
+        inner = np.where(code < mine, 0.0, np.log10((count + LOW) / class_total[np.maximum(code - mine, 0)]))
         base = np.log10((count + LOW) / (n_all + LOW * (v_all + 1)))
         sums = lambda v: np.add.reduceat(v[at], offsets[:-1])
-        ids = pd.array(np.frombuffer(r["ids"], np.int64), "Int64")
-        ids[np.frombuffer(r["none"], bool)] = pd.NA
+        ids = pd.array(_read(r["ids"], np.int64).copy(), "Int64")
+        ids[_read(r["none"], bool)] = pd.NA
         return pd.DataFrame({
-            "doc_id": ids, "held_out": np.frombuffer(r["held"], bool), "n_tokens": np.diff(offsets), "n_known": sums((count > 0).astype(np.int64)),
-            "train_tokens": n_all, "base_score": sums(base), "score": sums(inner) + forward_log10(code[at], offsets, start, trans, table),
+            "doc_id": ids, "held_out": _read(r["held"], bool), "n_tokens": np.diff(offsets), "n_known": sums((count > 0).astype(np.int64)),
+            "train_tokens": n_all, "base_score": sums(base), "score": sums(inner) + forward_log10(code[at], offsets, model.start, model.trans, model.table),
         })
 
-    numbers = lookups.join(words.hint("merge"), "h", "left").select("block", "pos", "c", "p")
-    texts = packed.select("block", "ids", "none", "held", "offsets", "at", "words", "n")
-    return texts.groupBy("block").cogroup(numbers.groupBy("block")).applyInPandas(
+    # a word of one block has its count there already
+    shared = scratch.cut(totals.where("k > 1").select("h", "c"))
+    numbers = asked.select("block", "pos", "h").join(shared.hint("merge"), "h").select("block", "pos", "c")
+    return packed.groupBy("block").cogroup(numbers.groupBy("block")).applyInPandas(
         score, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
