@@ -39,7 +39,7 @@ OWN = 1 << 16
 ITERATIONS = 5
 SETTLED = 0.002
 SEGMENT = 256
-BLOCK_CHARS = 16_000_000
+BLOCK_CHARS = 10_000_000
 END_HASH = np.uint64(0x9E3779B97F4A7C15)
 LOW = 0.1
 SMOOTH = 0.01
