@@ -186,7 +186,7 @@ def _held_out(spark, d, name):
 
 def accuracy(spark, d, sets: tuple[str, ...] = (*SIGNAL, *FLOOR), seeds: tuple[int, ...] = (1,), epochs: int = 2):
     """Recall and NDCG of the dense base method and of the fused one with random and tuned tiled
-    sampling, each with and without aggregation; popularity is the floor."""
+    sampling, each with and without aggregation; popularity is the floor. Workloads without a signal train one epoch."""
     jobs = []
     for w in sets:
         own, test = _held_out(spark, d, w)
@@ -202,7 +202,7 @@ def accuracy(spark, d, sets: tuple[str, ...] = (*SIGNAL, *FLOOR), seeds: tuple[i
             for agg in (None, "average"):
                 for seed in seeds:
 
-                    def one(w=w, own=own, test=test, name=name, engine=engine, tile=tile, agg=agg, seed=seed, refresh=plan.n2):
+                    def one(w=w, own=own, test=test, name=name, engine=engine, tile=tile, agg=agg, seed=seed, refresh=plan.n2, epochs=epochs if w in SIGNAL else 1):
                         model, t = train(own, with_options(SMALL, epochs=epochs, tile=tile, refresh=refresh, aggregator=agg, engine=engine, seed=seed))
                         method = name + ("+agg" if agg else "")
                         setting = f"seed {seed}" + (f" tile {tile} interval {refresh}" if tile else "")
@@ -212,11 +212,14 @@ def accuracy(spark, d, sets: tuple[str, ...] = (*SIGNAL, *FLOOR), seeds: tuple[i
     return _frame(spark, many(jobs))
 
 
-def _sweep(spark, d, settings, name, aggregators=(None, "average"), cfg: TrainConfig = FULL):
-    """Every setting against the random sampler at the paper's dimension and negatives, timed one by one."""
+def _sweep(spark, d, plain, aggregated, name, cfg: TrainConfig = FULL):
+    """Every setting against the random sampler at the paper's dimension and negatives, timed one by one, without and with
+    aggregation."""
     own, test = _held_out(spark, d, "docterms")
     rows = []
-    for agg in aggregators:
+    for agg, settings in ((None, plain), ("average", aggregated)):
+        if not settings:
+            continue
         method = "tiled" + ("+agg" if agg else "")
         model, base = train(own, with_options(cfg, aggregator=agg))
         rows += [("docterms", method.replace("tiled", "random"), "", m, v) for m, v in (accuracy_of(model, own, test) | {"epoch_seconds": base["seconds"]}).items()]
@@ -231,12 +234,12 @@ def _sweep(spark, d, settings, name, aggregators=(None, "average"), cfg: TrainCo
 
 def tile_sweep(spark, d):
     """Tile size at a fixed interval."""
-    return _sweep(spark, d, [(n, 4096) for n in (16, 64, 256, 1024)], "tile")
+    return _sweep(spark, d, [(n, 4096) for n in (16, 64, 256, 1024)], [(n, 4096) for n in (64, 1024)], "tile")
 
 
 def interval_sweep(spark, d):
     """Interval at a fixed tile, from a redraw at every example on."""
-    return _sweep(spark, d, [(64, n) for n in (1, 64, 512, 4096)], "refresh", (None,))
+    return _sweep(spark, d, [(64, n) for n in (1, 64, 512, 4096)], [], "refresh")
 
 
 def accumulation(spark, d, seeds: tuple[int, ...] = (1,)):
