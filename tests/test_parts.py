@@ -11,6 +11,7 @@ def _rows(df):
 #: Queries whose epoch is one step over a whole cell.
 ONE_STEP = [
     "fused_step",
+    "jagged_engine_step",
 ]
 
 
