@@ -12,6 +12,7 @@ def _rows(df):
 ONE_STEP = [
     "fused_step",
     "jagged_engine_step",
+    "merged_epoch",
 ]
 
 
