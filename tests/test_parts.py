@@ -13,6 +13,7 @@ ONE_STEP = [
     "fused_step",
     "jagged_engine_step",
     "merged_epoch",
+    "agg_step",
 ]
 
 
