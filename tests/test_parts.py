@@ -14,6 +14,7 @@ ONE_STEP = [
     "jagged_engine_step",
     "merged_epoch",
     "agg_step",
+    "agg_accumulated_m32",
 ]
 
 
