@@ -15,6 +15,7 @@ ONE_STEP = [
     "merged_epoch",
     "agg_step",
     "agg_accumulated_m32",
+    "agg_every_iteration",
 ]
 
 
