@@ -16,6 +16,7 @@ ONE_STEP = [
     "agg_step",
     "agg_accumulated_m32",
     "agg_every_iteration",
+    "agg_parameter_server",
 ]
 
 
