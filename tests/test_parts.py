@@ -17,6 +17,7 @@ ONE_STEP = [
     "agg_accumulated_m32",
     "agg_every_iteration",
     "agg_parameter_server",
+    "agg_weight_grad",
 ]
 
 
