@@ -18,6 +18,7 @@ ONE_STEP = [
     "agg_every_iteration",
     "agg_parameter_server",
     "agg_weight_grad",
+    "step_bpr",
 ]
 
 
