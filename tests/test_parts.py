@@ -19,6 +19,7 @@ ONE_STEP = [
     "agg_parameter_server",
     "agg_weight_grad",
     "step_bpr",
+    "step_metric",
 ]
 
 
