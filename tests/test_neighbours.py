@@ -6,7 +6,7 @@ from cfengine.operators import baselines
 from cfengine.sources.feedback import workload
 
 
-@pytest.mark.parametrize("own", ["user_id"])
+@pytest.mark.parametrize("own", ["user_id", "item_id"])
 @pytest.mark.parametrize("sim", ["cosine", "jaccard"])
 def test_neighbours_in_blocks_equal_brute_force(spark, sf, monkeypatch, own, sim):
     """Small blocks, lists sent in turns, and lists dealt into parts."""
