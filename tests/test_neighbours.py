@@ -2,6 +2,7 @@ from math import sqrt
 
 import pytest
 
+from cfengine import queries
 from cfengine.operators import baselines
 from cfengine.sources.feedback import workload
 
@@ -33,3 +34,11 @@ def test_neighbours_in_blocks_equal_brute_force(spark, sf, monkeypatch, own, sim
 def test_no_neighbours_of_no_pairs(spark, sf):
     pairs = workload(spark, sf, "orders").select("user_id", "item_id").limit(0)
     assert baselines.user_knn(pairs).count() == 0
+
+
+@pytest.mark.parametrize("name", ["user_knn_votes"])
+def test_votes_do_not_depend_on_blocks(spark, sf, monkeypatch, name):
+    whole = sorted(map(tuple, queries.QUERIES[name](spark, sf).collect()))
+    monkeypatch.setattr(baselines, "BLOCK_MEETINGS", 20_000)
+    monkeypatch.setattr(baselines, "SENT", 100_000)
+    assert sorted(map(tuple, queries.QUERIES[name](spark, sf).collect())) == whole
