@@ -36,7 +36,7 @@ def test_no_neighbours_of_no_pairs(spark, sf):
     assert baselines.user_knn(pairs).count() == 0
 
 
-@pytest.mark.parametrize("name", ["user_knn_votes"])
+@pytest.mark.parametrize("name", ["user_knn_votes", "item_knn_votes"])
 def test_votes_do_not_depend_on_blocks(spark, sf, monkeypatch, name):
     whole = sorted(map(tuple, queries.QUERIES[name](spark, sf).collect()))
     monkeypatch.setattr(baselines, "BLOCK_MEETINGS", 20_000)
