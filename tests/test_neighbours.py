@@ -42,3 +42,19 @@ def test_votes_do_not_depend_on_blocks(spark, sf, monkeypatch, name):
     monkeypatch.setattr(baselines, "BLOCK_MEETINGS", 20_000)
     monkeypatch.setattr(baselines, "SENT", 100_000)
     assert sorted(map(tuple, queries.QUERIES[name](spark, sf).collect())) == whole
+
+
+def test_content_lists_meet_few_items(spark, monkeypatch):
+    """Two attributes, ties between their shares, few items left over; no user meets all items of an attribute."""
+    attrs = spark.createDataFrame([(i, "ab"[i % 2]) for i in range(400)] + [(400, "c"), (401, None)], "item_id long, attr string")
+    pairs = spark.createDataFrame([(1, 0), (1, 1), (1, 3), (2, 0), (2, 1), (3, 400), (3, 7), (4, 401)], "user_id long, item_id long")
+    monkeypatch.setattr(baselines, "split_join", None)
+    got = sorted((r.user_id, r["rank"], r.item_id, r.score) for r in baselines.content_recs(pairs, attrs, 3).collect())
+    expected = [(1, 1, 5, 0.666667), (1, 2, 7, 0.666667), (1, 3, 9, 0.666667), (2, 1, 2, 0.5), (2, 2, 3, 0.5), (2, 3, 4, 0.5), (3, 1, 1, 0.5), (3, 2, 3, 0.5), (3, 3, 5, 0.5)]
+    assert got == expected
+
+
+def test_content_scores_of_items_with_two_attributes_add_up(spark):
+    attrs = spark.createDataFrame([(0, "a"), (0, "b"), (1, "a"), (2, "a"), (2, "b")], "item_id long, attr string")
+    pairs = spark.createDataFrame([(1, 0)], "user_id long, item_id long")
+    assert [(r.item_id, r.score) for r in baselines.content_recs(pairs, attrs, 3).orderBy("rank").collect()] == [(2, 2.0), (1, 1.0)]
