@@ -7,6 +7,7 @@ from cfengine.operators.metrics import stage_metrics
 #: Queries that once made their data up.
 NAMES = [
     "cost_projection",
+    "exp_E15_E16_machines",
 ]
 
 
