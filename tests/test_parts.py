@@ -1,7 +1,9 @@
+import numpy as np
 import pytest
 
 from cfengine import queries
-from cfengine.operators import trainer
+from cfengine.operators import blocks, trainer
+from cfengine.operators.blocks import TrainConfig
 
 
 def _rows(df):
@@ -33,3 +35,15 @@ def test_a_step_in_parts_equals_the_whole_one(spark, sf, monkeypatch, name):
     parts = _rows(queries.QUERIES[name](spark, sf))
     assert max(sizes) > 3
     assert parts.keys() == whole.keys() and all(abs(v - whole[k]) < 2e-6 for k, v in parts.items())
+
+
+def test_a_part_hashes_no_more_than_a_piece_at_a_time(monkeypatch):
+    """A sum over a part's pairs needs no seeded order, whose arrays grow with the part."""
+    n, sizes = 300_000, []
+    cfg = TrainConfig(dim=2, negatives=4, batch=10**9)
+    at = np.arange(n)
+    monkeypatch.setattr(blocks, "_mix_np", lambda seed, *keys, f=blocks._mix_np: sizes.append(max(len(k) for k in keys)) or f(seed, *keys))
+    rows, moves = [np.random.default_rng(k).normal(size=(7_000, 2)) for k in range(2)], []
+    c = blocks.block_epoch(*rows, at % 7_000, at * 11 % 7_000, at % 7_000, at * 11 % 7_000, cfg, moves=moves)
+    assert c.examples == n and len(moves) == 2
+    assert max(sizes) <= blocks.PIECE_BYTES // (8 * 4)
