@@ -58,3 +58,14 @@ def test_content_scores_of_items_with_two_attributes_add_up(spark):
     attrs = spark.createDataFrame([(0, "a"), (0, "b"), (1, "a"), (2, "a"), (2, "b")], "item_id long, attr string")
     pairs = spark.createDataFrame([(1, 0)], "user_id long, item_id long")
     assert [(r.item_id, r.score) for r in baselines.content_recs(pairs, attrs, 3).orderBy("rank").collect()] == [(2, 2.0), (1, 1.0)]
+
+
+@pytest.mark.parametrize("name", ["user_knn_votes", "item_knn_votes"])
+def test_votes_in_turns_equal_those_at_once(spark, sf, monkeypatch, name):
+    """All votes of all users were shuffled at once."""
+    rows = lambda: {tuple(r) for r in queries.QUERIES[name](spark, sf).collect()}
+    whole, cuts = rows(), []
+    monkeypatch.setattr(baselines, "VOTES", 20_000)
+    monkeypatch.setattr(baselines.Cuts, "cut", lambda self, df, by=None, f=baselines.Cuts.cut: cuts.append(set(df.columns)) or f(self, df, by))
+    assert rows() == whole and len(whole) > 500
+    assert cuts.count({"user_id", "item_id", "score", "rank"}) > 2
