@@ -4,6 +4,7 @@ import pytest
 
 from cfengine import queries
 from cfengine.operators import baselines
+from cfengine.plans.files import listed
 from cfengine.sources.feedback import workload
 
 
@@ -69,3 +70,15 @@ def test_votes_in_turns_equal_those_at_once(spark, sf, monkeypatch, name):
     monkeypatch.setattr(baselines.Cuts, "cut", lambda self, df, by=None, f=baselines.Cuts.cut: cuts.append(set(df.columns)) or f(self, df, by))
     assert rows() == whole and len(whole) > 500
     assert cuts.count({"user_id", "item_id", "score", "rank"}) > 2
+
+
+def test_neighbours_leave_no_table_that_nothing_reads(spark, sf, monkeypatch):
+    """Every table stayed on disk, and lists were copied to blocks as structs."""
+    made, kinds = [], []
+    monkeypatch.setattr(baselines.Cuts, "__init__", lambda self, s, f=baselines.Cuts.__init__: made.append(self) or f(self, s))
+    monkeypatch.setattr(baselines.Cuts, "cut", lambda self, df, by=None, f=baselines.Cuts.cut: kinds.append(df.dtypes) or f(self, df, by))
+    found = baselines.item_knn(workload(spark, sf, "orders"))
+    left = [n for c in made for n in listed(spark, c.base)]
+    assert len(left) == 1 and len(kinds) > 5  # what one turn found
+    assert not [d for d in kinds if any("struct" in t for _, t in d)]
+    assert found.count() > 500
