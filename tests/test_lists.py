@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from cfengine import queries
 from cfengine.functions import vectors as V
 from cfengine.operators import metrics, predict
 
@@ -40,3 +41,12 @@ def test_rows_are_copied_for_few_cells(spark):
     spent = metrics.stage_metrics(spark, lambda: out.extend(found.agg(F.count(F.lit(1)), F.countDistinct("user_id"), F.max("rank")).first()))
     assert out == [600_000, 30_000, 20]
     assert spent["shuffle_written"] < 9e6
+
+
+@pytest.mark.parametrize("name", ["recall20", "recall20_pooled", "ndcg20"])
+def test_lists_are_written_before_they_are_measured(spark, sf, name):
+    """Cells of users and items, and the pairs' own shuffles, were still on disk while lists met held-out pairs."""
+    measured = queries.QUERIES[name](spark, sf)
+    plan = measured._jdf.queryExecution().executedPlan().toString()
+    assert "CoGroup" not in plan and "lineitem" not in plan
+    assert measured.count() == 1
