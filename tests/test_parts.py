@@ -1,4 +1,5 @@
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from cfengine import queries
@@ -47,3 +48,16 @@ def test_a_part_hashes_no_more_than_a_piece_at_a_time(monkeypatch):
     c = blocks.block_epoch(*rows, at % 7_000, at * 11 % 7_000, at % 7_000, at * 11 % 7_000, cfg, moves=moves)
     assert c.examples == n and len(moves) == 2
     assert max(sizes) <= blocks.PIECE_BYTES // (8 * 4)
+
+
+def test_a_part_comes_and_goes_in_batches():
+    """A part's rows stood in an Arrow table beside the kernel's arrays, and went back as one batch."""
+    n, cfg = 3 * trainer.GIVEN_ROWS, TrainConfig(dim=2, negatives=1, batch=10**9)
+    vec = np.random.default_rng(1).normal(size=(n, 2))
+    rows = pa.table({"side": ["item"] * n + ["user", "pair"], "id": [*range(n)][::-1] + [7, 7], "other": [None] * (n + 1) + [5], "vec": [*vec.tolist(), [0.5, 0.5], None], "state": pa.array([None] * (n + 2), pa.float64())})
+    got = trainer._Stream(iter(rows.to_batches(max_chunksize=1000)), 2)
+    assert got.pairs["user_id"].tolist() == [7] and got.pairs["item_id"].tolist() == [5]
+    ids, held, _ = got.side("item", 2)
+    assert ids.tolist() == [*range(n)] and np.array_equal(held, vec[::-1]) and not got.piles.get("item")
+    out = [*trainer._part(cfg, 0, None, None, True)(iter(rows.to_batches(max_chunksize=1000)))]
+    assert max(b.num_rows for b in out) <= trainer.GIVEN_ROWS and {s for b in out for s in b["side"].to_pylist()} >= {"user", "item", "stats"}
