@@ -61,3 +61,31 @@ def test_a_part_comes_and_goes_in_batches():
     assert ids.tolist() == [*range(n)] and np.array_equal(held, vec[::-1]) and not got.piles.get("item")
     out = [*trainer._part(cfg, 0, None, None, True)(iter(rows.to_batches(max_chunksize=1000)))]
     assert max(b.num_rows for b in out) <= trainer.GIVEN_ROWS and {s for b in out for s in b["side"].to_pylist()} >= {"user", "item", "stats"}
+
+
+@pytest.mark.parametrize("engine", ["fused", "jagged", "dense"])
+def test_a_worker_holds_one_stretch_of_pairs(monkeypatch, engine):
+    """Pairs come in their seeded order and are trained as they come: a worker held all of them, their order and a copy of its rows."""
+    n, cfg = 3000, TrainConfig(dim=4, negatives=3, batch=64, tile=16, refresh=100, engine=engine)
+    rng = np.random.default_rng(1)
+    at = np.unique(rng.integers(0, 90 * 70, n))
+    u, i = at // 70, at % 70
+    users, items = (np.concatenate((rng.normal(size=(m, 4)), np.full((1, 4), 7.0))) for m in (90, 70))  # the last rows have no pair
+    order = np.lexsort((i, u, blocks._mix_np(cfg.seed, u, i)))
+    rows = pa.table({
+        "key": [trainer.USER_KEY] * 91 + [trainer.ITEM_KEY] * 71 + [0] * len(at),
+        "id": [*range(91), *range(71), *u[order]],
+        "other": [None] * 162 + i[order].tolist(),
+        "vec": [*users.tolist(), *items.tolist()] + [None] * len(at),
+        "state": pa.array([None] * (162 + len(at)), pa.float64()),
+    })
+    sizes = []
+    monkeypatch.setattr(trainer, "STRETCH_PAIRS", 150)
+    monkeypatch.setattr(blocks.Pass, "go", lambda self, a, *rest, f=blocks.Pass.go: sizes.append(len(a)) or f(self, a, *rest))
+    out = pa.Table.from_batches(trainer._in_order(iter(rows.to_batches(max_chunksize=130)), cfg, 0)).to_pydict()
+    assert len(sizes) > 5 and max(sizes) == 200 and sum(sizes) == len(at)
+    blocks.block_epoch(users, items, u, i, u, i, cfg)
+    for side, own in (("user", users), ("item", items)):
+        here = [k for k, s in enumerate(out["side"]) if s == side]
+        assert [out["id"][k] for k in here] == [*range(len(own))]
+        assert np.array_equal([out["vec"][k] for k in here], own)
