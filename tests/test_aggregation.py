@@ -194,3 +194,35 @@ def test_aggregated_users_equal_the_kernels_rows(spark, sf, kind):
     p = pooled([np.array([at[x] for x in h.get(k, [])], np.int64) for k in u["id"]], np.stack(t["vec"]), kind, s, params)
     expected = cfg.gate * s + (1 - cfg.gate) * (p.vec @ params[:4])
     assert len(got) == len(u) and np.allclose([got[k] for k in u["id"]], expected)
+
+
+@pytest.mark.parametrize("kind", aggregate.KINDS)
+def test_sums_elsewhere_come_by_turns_as_they_do_at_once(spark, sf, monkeypatch, kind):
+    """All users' sums for all blocks lay on disk together, and the shuffle of a row a pair before them."""
+    from cfengine.operators import trainer
+    from cfengine.plans.cuts import Cuts
+    from cfengine.sources.feedback import workload
+
+    cfg = TrainConfig(dim=3, aggregator=kind, history=7, blocks=3)
+    pairs = workload(spark, sf, "orders").where("user_id < 40").selectExpr("user_id", "item_id", "unix_micros(cast(ts as timestamp)) as at")
+    dealt = Cuts(spark).cut(trainer.rotation(trainer.mark_recent(pairs, 7), cfg))
+    factors = Cuts(spark).cut(trainer.init_factors(pairs, cfg))
+    params = aggregate.first_params(kind, 3, 1)
+    want = {(r.id, r.turn): r.vec for r in trainer.away_sums(dealt, factors, params, cfg).collect()}
+    monkeypatch.setattr(trainer, "AWAY_BYTES", 20_000)
+    away = trainer.Away(dealt, factors, params, cfg, Cuts(spark))
+    got = [r for turn in range(3) for r in away.turn(turn).collect()]
+    assert len(away.made) > 1 and len(got) == len(want)
+    assert all(np.allclose(r.vec, want[r.id, r.turn], atol=1e-12) for r in got)
+
+
+def test_a_run_keeps_no_tables_that_nothing_reads(spark, sf):
+    """An experiment's runs left their pairs, twice, and their factors on disk beside those of the next run."""
+    from cfengine.operators.trainer import fit
+    from cfengine.plans.files import exists, listed
+    from cfengine.sources.feedback import workload
+
+    m = fit(workload(spark, sf, "orders").where("user_id < 40"), TrainConfig(dim=3, negatives=2, aggregator="average", history=7, blocks=2, plan="rotate"))
+    assert m.factors.count() and len(listed(spark, m.cuts.base)) <= 4  # dealt pairs, first factors, the last two turns
+    m.drop()
+    assert not exists(spark, m.cuts.base)
