@@ -89,3 +89,37 @@ def test_a_worker_holds_one_stretch_of_pairs(monkeypatch, engine):
         here = [k for k, s in enumerate(out["side"]) if s == side]
         assert [out["id"][k] for k in here] == [*range(len(own))]
         assert np.array_equal([out["vec"][k] for k in here], own)
+
+
+@pytest.mark.parametrize("opts", [{}, {"tile": 16, "refresh": 50}, {"optimizer": "adagrad", "l2": 0.01}, {"batch": 1100, "tile": 16, "refresh": 1500}], ids=["plain", "tiled", "adagrad_l2", "pieces"])
+@pytest.mark.parametrize("helped", [False, True])
+def test_dense_batches_are_worked_off_near_their_rows(monkeypatch, opts, helped):
+    """Every dense batch went through the whole tables; the rows, losses and counts are those of that to the last bit."""
+    cfg, sizes, got = TrainConfig(**({"dim": 4, "negatives": 3, "batch": 20, "engine": "dense"} | opts)), [], []
+    rng = np.random.default_rng(1)
+    u, i = rng.integers(0, 5000, 4000), rng.integers(0, 3000, 4000)
+    first = [rng.normal(size=(n, 4)) for n in (5000, 3000)]
+    monkeypatch.setattr(blocks._Copying, "train", lambda self, tables, *rest, f=blocks._Copying.train: sizes.append(sum(len(v) for v, _ in tables)) or f(self, tables, *rest))
+    monkeypatch.setattr(blocks, "PIECE_BYTES", 1 << 10)  # a piece has 1,024 examples
+    for runs, near in (((1,), 1 << 30), (blocks.RUNS, 1 << 12)):
+        sizes.clear()
+        monkeypatch.setattr(blocks, "RUNS", runs)
+        monkeypatch.setattr(blocks, "NEAR_BYTES", near)
+        rows, states = [v.copy() for v in first], tuple(np.zeros(len(v)) for v in first)
+        run = blocks.Pass(*rows, cfg, 0, states=states, helped=helped)
+        run.go(u, i, u, i)
+        c = run.finish()
+        got.append((*rows, *states, c.loss, c.rows_written, c.examples))
+        assert max(sizes) == 8000 if runs == (1,) or cfg.batch > 1000 else max(sizes) < 1500
+    assert all(np.array_equal(a, b) for a, b in zip(*got, strict=True))
+    assert got[1][5] == 8000 * (200 if cfg.batch == 20 and not cfg.tile else 240 if cfg.batch == 20 else 5)
+
+
+def test_a_cell_is_sorted_by_its_key_first(spark):
+    """Rows that agree in the first column are compared as a whole; the first was the cell, which is the same for all of them."""
+    pairs = spark.range(50).selectExpr("cast(0 as int) cell", "id % 7 user_id", "id item_id")
+    rows = spark.createDataFrame([(0, s, k, [0.1, 0.2], None) for s, n in (("user", 7), ("item", 50)) for k in range(n)], "cell int, side string, id long, vec array<double>, state double")
+    out = trainer._ordered_cells(pairs, rows, 1, TrainConfig(dim=2, negatives=1), 0)
+    plan = out._jdf.queryExecution().executedPlan().toString()
+    assert "Sort [key" in plan and "Sort [cell" not in plan
+    assert out.where("side = 'user'").count() == 7 and out.where("side = 'item'").count() == 50
